@@ -10,6 +10,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -25,14 +26,16 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+@lru_cache(maxsize=1)
+def _own_dir() -> str:
+    return tempfile.mkdtemp(prefix="corpuskit-")
+
+
 def scratch_dir(spark: SparkSession) -> str:
     """The shared folder of the session; a folder of our own only where none is set."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
-        base = getattr(spark, "_corpuskit_scratch", None)
-        if base is None:
-            base = tempfile.mkdtemp(prefix="corpuskit-")
-            spark._corpuskit_scratch = base
+        base = _own_dir()
     return base.rstrip("/")
 
 

@@ -8,9 +8,10 @@
    set of each text. Two texts agree in a sample with a probability equal to their
    weighted Jaccard similarity; three samples make a band.
 3. Equal texts become one representative. Texts that agree in a band meet in a bucket.
-   In each bucket the members are compared with a leader, not with each other; buckets
-   whose members are still in different classes are taken up again with further leaders
-   (all members of a bucket of up to nine are leaders), until a round links nothing new.
+   In each bucket the members are compared with its most central one, not with each
+   other. Buckets whose members are still in different classes are taken up again: a few
+   delegates of each class are compared with a few leaders among them (with all others in
+   a small bucket), drawn anew each round, until a round links nothing new.
 4. A pair is a link if its weighted Jaccard similarity over the exact shingle sets is at
    least the threshold, or its plain one is: inverse document frequency lowers the weight
    of what a very large group shares, and the size of a group must not break it up.
@@ -49,6 +50,7 @@ class NearDedup:
     idf_bits: int = 18
     bloom_bits: int = 23
     leaders: int = 8
+    delegates: int = 4
     max_rounds: int = 64
 
 
@@ -283,25 +285,30 @@ def components(links: DataFrame) -> DataFrame:
             return labels.select("id", "label")
 
 
-def _leaders(buckets: DataFrame, n: int, salt: int) -> DataFrame:
-    """The ``n`` first members of each bucket in an order of this round."""
-    order = F.xxhash64("id", "bucket", F.lit(salt))
-    if n == 1:
-        return buckets.groupBy("bucket").agg(F.min(F.struct(order.alias("o"), "id")).alias("m")).select("bucket", F.col("m.id").alias("leader"))
-    w = Window.partitionBy("bucket").orderBy(order, "id")
-    return buckets.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= n).select("bucket", F.col("id").alias("leader"))
+def _first_pairs(buckets: DataFrame) -> DataFrame:
+    """Each member of a bucket with the bucket's most central one, which meets the most others in all its buckets."""
+    central = buckets.groupBy("id").agg(F.sum("n").alias("met"))
+    led = buckets.select("id", "bucket").join(central, "id").groupBy("bucket").agg(F.max(F.struct("met", F.xxhash64("id").alias("o"), "id")).alias("m"))
+    led = stored(led.select("bucket", F.col("m.id").alias("leader")), "leaders")
+    met = buckets.join(led, "bucket").filter("id <> leader")
+    return met.select(F.least("id", "leader").alias("a"), F.greatest("id", "leader").alias("b")).distinct()
 
 
-def _pairs(buckets: DataFrame, leaders: DataFrame, labels: DataFrame | None) -> DataFrame:
-    led = stored(leaders, "leaders")
-    met = buckets.join(led, "bucket").filter("id <> leader")
-    pairs = met.select(F.least("id", "leader").alias("a"), F.greatest("id", "leader").alias("b")).distinct()
-    if labels is None:
-        return pairs
-    of_a = labels.select(F.col("id").alias("a"), F.col("label").alias("la"))
-    of_b = labels.select(F.col("id").alias("b"), F.col("label").alias("lb"))
-    pairs = pairs.join(of_a, "a", "left").join(of_b, "b", "left")
-    return pairs.filter(F.coalesce("la", "a") != F.coalesce("lb", "b")).select("a", "b")
+def _further_pairs(named: DataFrame, cfg: NearDedup, salt: int) -> DataFrame:
+    """Pairs across the classes that meet in a bucket.
+
+    A class sends up to ``delegates`` members of the bucket, in another order each round;
+    up to ``leaders`` of those meet all delegates of other classes. A bucket of up to
+    ``leaders`` members, no class with more than ``delegates``, is compared in full.
+    """
+    order = F.xxhash64("id", "bucket", F.lit(salt))
+    of_class = Window.partitionBy("bucket", "label").orderBy(order, "id")
+    sent = stored(named.withColumn("o", order).withColumn("k", F.row_number().over(of_class)).filter(F.col("k") <= cfg.delegates).drop("k"), "sent")
+    of_bucket = Window.partitionBy("bucket").orderBy("o", "id")
+    led = sent.withColumn("k", F.row_number().over(of_bucket)).filter(F.col("k") <= cfg.leaders)
+    led = stored(led.select("bucket", F.col("id").alias("leader"), F.col("label").alias("other")), "leaders")
+    met = sent.join(led, "bucket").filter("label <> other")
+    return met.select(F.least("id", "leader").alias("a"), F.greatest("id", "leader").alias("b")).distinct()
 
 
 def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, DataFrame]:
@@ -312,7 +319,7 @@ def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, Da
         signed.filter("text_key is not null").groupBy("text_key").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")), "reps"
     )
     entries = reps.filter("bands is not null").select(F.col("rep").alias("id"), F.explode("bands").alias("bucket"))
-    crowded = stored(entries.groupBy("bucket").agg(F.count("*").alias("n")).filter("n > 1").select("bucket"), "crowded")
+    crowded = stored(entries.groupBy("bucket").agg(F.count("*").alias("n")).filter("n > 1"), "crowded")
     buckets = stored(entries.join(crowded, "bucket"), "buckets")
     allowed = id_filter(buckets, cfg.bloom_bits)
     texts = stored(
@@ -320,20 +327,19 @@ def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, Da
         .join(buckets.select("id").distinct(), "id", "left_semi").dropDuplicates(["id"]),
         "texts",
     )
-    links: DataFrame | None = None
-    labels: DataFrame | None = None
-    for turn in range(cfg.max_rounds):
-        pairs = stored(_pairs(buckets, _leaders(buckets, cfg.leaders if turn else 1, turn), labels), "pairs")
-        fresh = stored(verified(pairs, texts, weights, cfg), "fresh")
-        if fresh.isEmpty() and turn:
-            break
-        links = fresh if links is None else links.unionByName(fresh)
-        labels = components(links)
-        named = buckets.join(labels, "id", "left").select("id", "bucket", F.coalesce("label", "id").alias("label"))
+    seen = stored(_first_pairs(buckets), "pairs")
+    links = stored(verified(seen, texts, weights, cfg), "links")
+    labels = components(links)
+    for turn in range(1, cfg.max_rounds):
+        named = buckets.select("id", "bucket").join(labels, "id", "left").select("id", "bucket", F.coalesce("label", "id").alias("label"))
         split = named.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high").select("bucket")
-        buckets = stored(buckets.join(stored(split, "split"), "bucket"), "buckets")
-        if buckets.isEmpty():
+        buckets = stored(named.join(stored(split, "split"), "bucket"), "buckets")
+        pairs = stored(_further_pairs(buckets, cfg, turn).join(seen, ["a", "b"], "left_anti"), "pairs")
+        fresh = stored(verified(pairs, texts, weights, cfg), "links")
+        if fresh.isEmpty():
             break
+        seen, links = seen.unionByName(pairs), links.unionByName(fresh)
+        labels = components(links)
     return signed, reps, labels
 
 

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from corpuskit.llm.common import id_text, stored
-from corpuskit.llm.word_tokens import WordEncoder, vocabulary_path
+from corpuskit.llm.word_tokens import vocabulary_path, word_encoder
 
 
 @dataclass(frozen=True)
@@ -45,7 +45,7 @@ PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, part
 
 def _cut(batches: Iterator[pa.RecordBatch], cfg: Packing, with_ids: bool) -> Iterator[pa.RecordBatch]:
     """Pieces of one partition, each with its rank among the partition's pieces of that length."""
-    encoder = WordEncoder(vocabulary_path(cfg.vocabulary))
+    encoder = word_encoder(vocabulary_path(cfg.vocabulary))
     part = TaskContext.get().partitionId()
     used = np.zeros(cfg.size + 1, np.int64)
     for batch in batches:

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from corpuskit.llm import near_dedup, packing, quality, repetition
+from corpuskit.llm import byte_bpe, near_dedup, packing, quality, repetition
 from corpuskit.llm.common import table
 
 
@@ -18,6 +18,10 @@ def op4_weak_label_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(table(spark, sf_dir, "documents"))
 
 
+def op5_forced_boundary_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return byte_bpe.round_trip(table(spark, sf_dir, "documents"))
+
+
 def op7_repetition_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repetition.digest(table(spark, sf_dir, "documents"))
 
@@ -27,7 +31,7 @@ def op10_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_minhash_near_dedup, op4_weak_label_quality, op7_repetition_rules, op10_best_fit_packing)}
+    return {f.__name__: f for f in (op3_minhash_near_dedup, op4_weak_label_quality, op5_forced_boundary_bpe, op7_repetition_rules, op10_best_fit_packing)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -9,7 +9,9 @@ from __future__ import annotations
 
 import os
 import re
+from array import array
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 
@@ -46,6 +48,12 @@ class WordEncoder:
             raise ValueError("the vocabulary needs more than 16 bits")
         self.cache_words = cache_words
         self.cache: dict[str, bytes] = {}
+        # a digit is a token of its own, so it can stand between words that do not hold it
+        self.mark = next(d for d in "0123456789" if len(self._ids([d])[0]) == 2)
+        self.mark_id = int(np.frombuffer(self._ids([self.mark])[0], "<u2")[0])
+
+    def _ids(self, words: list[str]) -> list[bytes]:
+        return [array("H", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
 
     @staticmethod
     def words(text: str) -> list[str]:
@@ -56,9 +64,14 @@ class WordEncoder:
     def _learn(self, words: set[str]) -> None:
         if len(self.cache) + len(words) > self.cache_words:
             self.cache.clear()
-        fresh = list(words)
-        for word, found in zip(fresh, self.tokenizer.encode_batch_fast(fresh, add_special_tokens=False), strict=True):
-            self.cache[word] = np.array(found.ids, "<u2").tobytes()
+        apart = [w for w in words if self.mark in w]
+        self.cache.update(zip(apart, self._ids(apart), strict=True))
+        fresh = [w for w in words if self.mark not in w]
+        for i in range(0, len(fresh), 1024):
+            own = fresh[i : i + 1024]
+            body = self._ids([f" {self.mark} ".join(own)])[0]
+            ends = (np.flatnonzero(np.frombuffer(body, "<u2") == self.mark_id) * 2).tolist()
+            self.cache.update((w, body[a:b]) for w, a, b in zip(own, [0, *(e + 2 for e in ends)], [*ends, len(body)], strict=True))
 
     def encode_all(self, texts: list[str | None], at_once: int = 256) -> Iterator[np.ndarray]:
         """Ids of each text, null counting as empty."""
@@ -72,3 +85,9 @@ class WordEncoder:
             cache = self.cache
             for words in split:
                 yield np.frombuffer(b"".join([cache[w] for w in words]), "<u2")
+
+
+@lru_cache(maxsize=2)
+def word_encoder(path: str) -> WordEncoder:
+    """One encoder for the life of a worker process, so that later tasks find a warm cache."""
+    return WordEncoder(path)
