@@ -6,7 +6,7 @@
    relative to a frequent one at every corpus size.
 2. ``signatures`` draws improved consistent weighted samples from the weighted shingle
    set of each text. Two texts agree in a sample with a probability equal to their
-   weighted Jaccard similarity; three samples make a band.
+   weighted Jaccard similarity; four samples make a band.
 3. Equal texts become one representative. Texts that agree in a band meet in a bucket.
    In each bucket the members are compared with its most central one, not with each
    other. Buckets whose members are still in different classes are taken up again: a few
@@ -45,12 +45,12 @@ _U = np.uint64
 class NearDedup:
     words: int = 5
     threshold: float = 0.8
-    bands: int = 8
-    rows: int = 3
+    bands: int = 12
+    rows: int = 4
     idf_bits: int = 18
     bloom_bits: int = 23
-    leaders: int = 8
-    delegates: int = 4
+    leaders: int = 6
+    delegates: int = 3
     max_rounds: int = 64
 
 
@@ -327,7 +327,12 @@ def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, Da
         .join(buckets.select("id").distinct(), "id", "left_semi").dropDuplicates(["id"]),
         "texts",
     )
-    seen = stored(_first_pairs(buckets), "pairs")
+    # two neighbouring bands together make tight buckets, where one comparison each links nearly all that belongs together
+    both = F.expr(f"transform(sequence(0, {cfg.bands - 1}), i -> xxhash64(i, bands[i], bands[(i + 1) % {cfg.bands}]))")
+    tight = reps.filter("bands is not null").select(F.col("rep").alias("id"), F.explode(both).alias("bucket"))
+    tight_n = stored(tight.groupBy("bucket").agg(F.count("*").alias("n")).filter("n > 1"), "crowded")
+    first = buckets.unionByName(tight.join(tight_n, "bucket").select(*buckets.columns))
+    seen = stored(_first_pairs(stored(first, "buckets")), "pairs")
     links = stored(verified(seen, texts, weights, cfg), "links")
     labels = components(links)
     for turn in range(1, cfg.max_rounds):

@@ -82,7 +82,7 @@ def attribute_tokens(
         raise ValueError(f"rule must be one of {RULES}")
     docs = id_text(df, id_col, text_col)
     if spans_col:
-        spans = F.transform(F.col(spans_col), lambda s: F.array(s[0].cast("long"), s[1].cast("long")))
+        spans = F.transform(F.col(spans_col), lambda s: F.array(s["start"].cast("long"), s["end"].cast("long")))
         docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), spans.alias("spans"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

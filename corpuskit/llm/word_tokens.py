@@ -39,21 +39,57 @@ def load_tokenizer(path: str):
     return tokenizer
 
 
+#: Words of these characters are their own canonical composition and are lower-cased one
+#: character at a time, so their pre-tokens can be told without the library.
+_SIMPLE = re.compile("[!-~\u00c0-\u012f\u0131-\u017f]+")
+#: Fixed value: the pre-tokenizer's pattern, written for those characters.
+_LETTERS = "a-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u017f"
+_PRETOKEN = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTERS}]+|[0-9]|[^0-9{_LETTERS}]+")
+
+
+def _byte_letters() -> dict[int, str]:
+    """How a character beyond ASCII is written in the alphabet of the vocabulary's bytes."""
+    shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    letter = {b: chr(b) for b in shown} | {b: chr(256 + i) for i, b in enumerate(b for b in range(256) if b not in shown)}
+    return {c: "".join(letter[b] for b in chr(c).encode()) for c in range(0xC0, 0x180)}
+
+
 class WordEncoder:
-    """Ids of texts as little-endian 16-bit arrays, equal to the library's."""
+    """Ids of texts as little-endian 16-bit arrays, equal to the library's.
+
+    A word that is not in the cache is taken apart into pre-tokens, which have a cache of
+    their own; words of other scripts, and those that may hold a special token, go through
+    the library as they are.
+    """
 
     def __init__(self, path: str, cache_words: int = CACHE_WORDS):
         self.tokenizer = load_tokenizer(path)
         if self.tokenizer.get_vocab_size() > 1 << 16:
             raise ValueError("the vocabulary needs more than 16 bits")
+        self.model = self.tokenizer.model
+        self.letters = _byte_letters()
         self.cache_words = cache_words
         self.cache: dict[str, bytes] = {}
-        # a digit is a token of its own, so it can stand between words that do not hold it
-        self.mark = next(d for d in "0123456789" if len(self._ids([d])[0]) == 2)
-        self.mark_id = int(np.frombuffer(self._ids([self.mark])[0], "<u2")[0])
+        self.pretokens: dict[str, bytes] = {}
 
-    def _ids(self, words: list[str]) -> list[bytes]:
-        return [array("H", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+    def _pretoken(self, part: str) -> bytes:
+        if len(self.pretokens) >= self.cache_words:
+            self.pretokens.clear()
+        ids = array("H", [t.id for t in self.model.tokenize(part if part.isascii() else part.translate(self.letters))]).tobytes()
+        self.pretokens[part] = ids
+        return ids
+
+    def _learn(self, words: set[str]) -> None:
+        if len(self.cache) + len(words) > self.cache_words:
+            self.cache.clear()
+        known, apart = self.pretokens, []
+        for word in words:
+            if _SIMPLE.fullmatch(word) and "<|" not in word:
+                self.cache[word] = b"".join([known[p] if p in known else self._pretoken(p) for p in _PRETOKEN.findall(word.lower())])
+            else:
+                apart.append(word)
+        for word, found in zip(apart, self.tokenizer.encode_batch_fast(apart, add_special_tokens=False), strict=True):
+            self.cache[word] = array("H", found.ids).tobytes()
 
     @staticmethod
     def words(text: str) -> list[str]:
@@ -61,18 +97,6 @@ class WordEncoder:
             return [w for w in _SPACE.split(text) if w]
         return text.split()
 
-    def _learn(self, words: set[str]) -> None:
-        if len(self.cache) + len(words) > self.cache_words:
-            self.cache.clear()
-        apart = [w for w in words if self.mark in w]
-        self.cache.update(zip(apart, self._ids(apart), strict=True))
-        fresh = [w for w in words if self.mark not in w]
-        for i in range(0, len(fresh), 1024):
-            own = fresh[i : i + 1024]
-            body = self._ids([f" {self.mark} ".join(own)])[0]
-            ends = (np.flatnonzero(np.frombuffer(body, "<u2") == self.mark_id) * 2).tolist()
-            self.cache.update((w, body[a:b]) for w, a, b in zip(own, [0, *(e + 2 for e in ends)], [*ends, len(body)], strict=True))
-
     def encode_all(self, texts: list[str | None], at_once: int = 256) -> Iterator[np.ndarray]:
         """Ids of each text, null counting as empty."""
         for i in range(0, len(texts), at_once):
