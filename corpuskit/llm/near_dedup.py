@@ -8,10 +8,11 @@
    set of each text. Two texts agree in a sample with a probability equal to their
    weighted Jaccard similarity; four samples make a band.
 3. Equal texts become one representative. Texts that agree in a band meet in a bucket.
-   In each bucket the members are compared with its most central one, not with each
-   other. Buckets whose members are still in different classes are taken up again: a few
-   delegates of each class are compared with a few leaders among them (with all others in
-   a small bucket), drawn anew each round, until a round links nothing new.
+   In each bucket, and in the tighter buckets of two bands together, the members are
+   compared with the most central one and one other, not with each other. Buckets whose
+   members are still in different classes are taken up again: a few delegates of each
+   class are compared with a few leaders among them (with all others in a small bucket),
+   drawn anew each round, as long as a round adds more than a thousandth of all links.
 4. A pair is a link if its weighted Jaccard similarity over the exact shingle sets is at
    least the threshold, or its plain one is: inverse document frequency lowers the weight
    of what a very large group shares, and the size of a group must not break it up.
@@ -51,7 +52,7 @@ class NearDedup:
     bloom_bits: int = 23
     leaders: int = 6
     delegates: int = 3
-    max_rounds: int = 64
+    least_gain: float = 0.001
 
 
 # --------------------------------------------------------------------------- frequencies
@@ -286,11 +287,13 @@ def components(links: DataFrame) -> DataFrame:
 
 
 def _first_pairs(buckets: DataFrame) -> DataFrame:
-    """Each member of a bucket with the bucket's most central one, which meets the most others in all its buckets."""
+    """Each member of a bucket with two of its members: the most central one, which meets the most others in all its buckets, and any one."""
     central = buckets.groupBy("id").agg(F.sum("n").alias("met"))
-    led = buckets.select("id", "bucket").join(central, "id").groupBy("bucket").agg(F.max(F.struct("met", F.xxhash64("id").alias("o"), "id")).alias("m"))
-    led = stored(led.select("bucket", F.col("m.id").alias("leader")), "leaders")
-    met = buckets.join(led, "bucket").filter("id <> leader")
+    led = buckets.select("id", "bucket").join(central, "id").groupBy("bucket").agg(
+        F.max(F.struct("met", F.xxhash64("id").alias("o"), "id")).alias("m"), F.min(F.struct(F.xxhash64("id", "bucket").alias("o"), "id")).alias("r")
+    )
+    led = stored(led.select("bucket", F.explode(F.array_distinct(F.array("m.id", "r.id"))).alias("leader")), "leaders")
+    met = buckets.select("id", "bucket").join(led, "bucket").filter("id <> leader")
     return met.select(F.least("id", "leader").alias("a"), F.greatest("id", "leader").alias("b")).distinct()
 
 
@@ -334,17 +337,20 @@ def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, Da
     first = buckets.unionByName(tight.join(tight_n, "bucket").select(*buckets.columns))
     seen = stored(_first_pairs(stored(first, "buckets")), "pairs")
     links = stored(verified(seen, texts, weights, cfg), "links")
-    labels = components(links)
-    for turn in range(1, cfg.max_rounds):
+    labels, found, turn = components(links), links.count(), 0
+    while True:
+        turn += 1
         named = buckets.select("id", "bucket").join(labels, "id", "left").select("id", "bucket", F.coalesce("label", "id").alias("label"))
         split = named.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high").select("bucket")
         buckets = stored(named.join(stored(split, "split"), "bucket"), "buckets")
         pairs = stored(_further_pairs(buckets, cfg, turn).join(seen, ["a", "b"], "left_anti"), "pairs")
         fresh = stored(verified(pairs, texts, weights, cfg), "links")
-        if fresh.isEmpty():
+        new = fresh.count()
+        if new:
+            seen, links, found = seen.unionByName(pairs), links.unionByName(fresh), found + new
+            labels = components(links)
+        if new <= cfg.least_gain * found:
             break
-        seen, links = seen.unionByName(pairs), links.unionByName(fresh)
-        labels = components(links)
     return signed, reps, labels
 
 
