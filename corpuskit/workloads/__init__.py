@@ -1 +1,3 @@
 """Registered workloads, one module for each group of methods."""
+
+from corpuskit.workloads import corpus  # noqa: F401
