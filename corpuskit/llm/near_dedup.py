@@ -271,12 +271,14 @@ def components(links: DataFrame) -> DataFrame:
 
     Each round takes the least label among the neighbours, then the label of that label.
     """
-    both = stored(links.select("a", "b").union(links.select("b", "a")).distinct(), "links")
-    labels = stored(both.groupBy(F.col("a").alias("id")).agg(F.least(F.col("id"), F.min("b")).alias("label")), "labels")
+    edges = stored(
+        links.select(F.col("a").alias("node"), F.col("b").alias("peer")).union(links.select("b", "a")).distinct(), "edges"
+    )
+    labels = stored(edges.groupBy(F.col("node").alias("id")).agg(F.least(F.col("id"), F.min("peer")).alias("label")), "labels")
     while True:
-        near = both.join(labels.select(F.col("id").alias("b"), "label"), "b").groupBy("a").agg(F.min("label").alias("seen"))
+        near = edges.join(labels.select(F.col("id").alias("peer"), "label"), "peer").groupBy("node").agg(F.min("label").alias("seen"))
         step = stored(
-            labels.join(near, labels.id == near.a).select("id", F.col("label").alias("old"), F.least("label", "seen").alias("label")), "step"
+            labels.join(near, labels.id == near.node).select("id", F.col("label").alias("old"), F.least("label", "seen").alias("label")), "step"
         )
         jump = step.select(F.col("id").alias("via"), F.col("label").alias("further"))
         labels = stored(
@@ -286,6 +288,18 @@ def components(links: DataFrame) -> DataFrame:
             return labels.select("id", "label")
 
 
+def _merge_classes(labels: DataFrame, fresh: DataFrame) -> DataFrame:
+    """Labels after further links: only the classes that these join are worked on."""
+    of_a = labels.select(F.col("id").alias("a"), F.col("label").alias("la"))
+    of_b = labels.select(F.col("id").alias("b"), F.col("label").alias("lb"))
+    met = fresh.join(of_a, "a", "left").join(of_b, "b", "left").select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b"))
+    joined = components(met.filter("a <> b").distinct())
+    moved = joined.select(F.col("id").alias("was"), F.col("label").alias("now"))
+    kept = labels.join(moved, labels.label == moved.was, "left").select("id", F.coalesce("now", "label").alias("label"))
+    alone = joined.join(labels.select("id"), "id", "left_anti").select("id", "label")
+    return stored(kept.unionByName(alone), "labels")
+
+
 def _first_pairs(buckets: DataFrame) -> DataFrame:
     """Each member of a bucket with two of its members: the most central one, which meets the most others in all its buckets, and any one."""
     central = buckets.groupBy("id").agg(F.sum("n").alias("met"))
@@ -347,8 +361,8 @@ def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, Da
         fresh = stored(verified(pairs, texts, weights, cfg), "links")
         new = fresh.count()
         if new:
-            seen, links, found = seen.unionByName(pairs), links.unionByName(fresh), found + new
-            labels = components(links)
+            seen, found = seen.unionByName(pairs), found + new
+            labels = _merge_classes(labels, fresh)
         if new <= cfg.least_gain * found:
             break
     return signed, reps, labels
