@@ -32,7 +32,10 @@ def parse_spans(df: DataFrame) -> DataFrame:
 
 def extract_spans(parsed: DataFrame) -> DataFrame:
     """One row for each span: ``corpus_id, kind, start, end, text``, in any order; bad documents are left out."""
-    kinds = F.flatten(F.array(*[F.transform(F.col("spans")[k], lambda s, k=k: F.struct(F.lit(k).alias("kind"), s["start"].alias("start"), s["end"].alias("end"))) for k in KINDS]))
+    def of(kind: str) -> Column:
+        return F.transform(F.col("spans")[kind], lambda s: F.struct(F.lit(kind).alias("kind"), s["start"].alias("start"), s["end"].alias("end")))
+
+    kinds = F.flatten(F.array(*map(of, KINDS)))
     rows = parsed.filter("not bad_json").select("corpus_id", F.col("text").alias("_t"), F.explode(kinds).alias("s"))
     return rows.select("corpus_id", "s.kind", "s.start", "s.end", F.substring(F.col("_t"), F.col("s.start") + 1, F.col("s.end") - F.col("s.start")).alias("text"))
 
