@@ -7,6 +7,7 @@ distinct word goes through the tokenizers library once while it stays in the cac
 
 from __future__ import annotations
 
+import gc
 import os
 import re
 from array import array
@@ -66,28 +67,49 @@ class WordEncoder:
         self.tokenizer = load_tokenizer(path)
         if self.tokenizer.get_vocab_size() > 1 << 16:
             raise ValueError("the vocabulary needs more than 16 bits")
-        self.model = self.tokenizer.model
+        # the same model behind white space only, for pre-tokens that are already normal
+        from tokenizers import Tokenizer
+        from tokenizers.pre_tokenizers import WhitespaceSplit
+
+        self.bare = Tokenizer(self.tokenizer.model)
+        self.bare.pre_tokenizer = WhitespaceSplit()
+        self.ends_word = np.zeros(1 << 16, bool)
+        for token, i in self.tokenizer.get_vocab().items():
+            self.ends_word[i] = token.endswith("</w>")
         self.letters = _byte_letters()
         self.cache_words = cache_words
         self.cache: dict[str, bytes] = {}
         self.pretokens: dict[str, bytes] = {}
 
-    def _pretoken(self, part: str) -> bytes:
-        if len(self.pretokens) >= self.cache_words:
-            self.pretokens.clear()
-        ids = array("H", [t.id for t in self.model.tokenize(part if part.isascii() else part.translate(self.letters))]).tobytes()
-        self.pretokens[part] = ids
-        return ids
+    def _encode_pretokens(self, parts: list[str]) -> None:
+        """Ids of new pre-tokens, many at a time: each ends at its one token that ends a word."""
+        for i in range(0, len(parts), 2048):
+            own = parts[i : i + 2048]
+            line = " ".join([p if p.isascii() else p.translate(self.letters) for p in own])
+            ids = np.array(self.bare.encode_batch_fast([line], add_special_tokens=False)[0].ids, "<u2")
+            body, ends = ids.tobytes(), ((np.flatnonzero(self.ends_word[ids]) + 1) * 2).tolist()
+            self.pretokens.update((p, body[a:b]) for p, a, b in zip(own, [0, *ends[:-1]], ends, strict=True))
 
     def _learn(self, words: set[str]) -> None:
         if len(self.cache) + len(words) > self.cache_words:
             self.cache.clear()
-        known, apart = self.pretokens, []
+        if len(self.pretokens) > self.cache_words:
+            self.pretokens.clear()
+        known, simple, apart, new = self.pretokens, [], [], set()
         for word in words:
-            if _SIMPLE.fullmatch(word) and "<|" not in word:
-                self.cache[word] = b"".join([known[p] if p in known else self._pretoken(p) for p in _PRETOKEN.findall(word.lower())])
+            if word.isascii() and word.isalpha():
+                parts = [word.lower()]
+            elif word.isascii() and word[-1] in ".," and word[:-1].isalpha():
+                parts = [word[:-1].lower(), word[-1]]
+            elif _SIMPLE.fullmatch(word) and "<|" not in word:
+                parts = _PRETOKEN.findall(word.lower())
             else:
                 apart.append(word)
+                continue
+            simple.append((word, parts))
+            new.update([p for p in parts if p not in known])
+        self._encode_pretokens(list(new))
+        self.cache.update((w, known[p[0]] if len(p) == 1 else b"".join([known[x] for x in p])) for w, p in simple)
         for word, found in zip(apart, self.tokenizer.encode_batch_fast(apart, add_special_tokens=False), strict=True):
             self.cache[word] = array("H", found.ids).tobytes()
 
@@ -101,17 +123,19 @@ class WordEncoder:
         """Ids of each text, null counting as empty."""
         for i in range(0, len(texts), at_once):
             split = [self.words(t) if t else [] for t in texts[i : i + at_once]]
-            missing = set().union(*split).difference(self.cache)
+            cache = self.cache
+            missing = {w for words in split for w in words if w not in cache}
             if missing:
+                held = len(cache)
                 self._learn(missing)
-                if any(w not in self.cache for w in set().union(*split)):
-                    self._learn(set().union(*split))
-            cache = self.cache
+                if len(cache) < held + len(missing):  # the cache was emptied on the way
+                    self._learn({w for words in split for w in words if w not in cache})
             for words in split:
-                yield np.frombuffer(b"".join([cache[w] for w in words]), "<u2")
+                yield np.frombuffer(b"".join(map(cache.__getitem__, words)), "<u2")
 
 
 @lru_cache(maxsize=2)
 def word_encoder(path: str) -> WordEncoder:
     """One encoder for the life of a worker process, so that later tasks find a warm cache."""
+    gc.set_threshold(50_000, 50, 50)  # the caches hold no cycles, and walking them again and again takes time
     return WordEncoder(path)
