@@ -40,12 +40,12 @@ def load_tokenizer(path: str):
     return tokenizer
 
 
-#: Words of these characters are their own canonical composition and are lower-cased one
+#: Texts of these characters are their own canonical composition and are lower-cased one
 #: character at a time, so their pre-tokens can be told without the library.
-_SIMPLE = re.compile("[!-~\u00c0-\u012f\u0131-\u017f]+")
+_SIMPLE = re.compile("[\t-\r -~\u00c0-\u012f\u0131-\u017f]*")
 #: Fixed value: the pre-tokenizer's pattern, written for those characters.
 _LETTERS = "a-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u017f"
-_PRETOKEN = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTERS}]+|[0-9]|[^0-9{_LETTERS}]+")
+_PRETOKEN = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTERS}]+|[0-9]|[^\t-\r 0-9{_LETTERS}]+")
 
 
 def _byte_letters() -> dict[int, str]:
@@ -58,9 +58,8 @@ def _byte_letters() -> dict[int, str]:
 class WordEncoder:
     """Ids of texts as little-endian 16-bit arrays, equal to the library's.
 
-    A word that is not in the cache is taken apart into pre-tokens, which have a cache of
-    their own; words of other scripts, and those that may hold a special token, go through
-    the library as they are.
+    Texts of simple characters are split into pre-tokens, texts of other scripts (or that
+    may hold a special token) into words; either kind of piece has its own cache.
     """
 
     def __init__(self, path: str, cache_words: int = CACHE_WORDS):
@@ -78,40 +77,21 @@ class WordEncoder:
             self.ends_word[i] = token.endswith("</w>")
         self.letters = _byte_letters()
         self.cache_words = cache_words
-        self.cache: dict[str, bytes] = {}
+        self.words_known: dict[str, bytes] = {}
         self.pretokens: dict[str, bytes] = {}
 
-    def _encode_pretokens(self, parts: list[str]) -> None:
+    def _learn_pretokens(self, parts: list[str]) -> None:
         """Ids of new pre-tokens, many at a time: each ends at its one token that ends a word."""
         for i in range(0, len(parts), 2048):
             own = parts[i : i + 2048]
             line = " ".join([p if p.isascii() else p.translate(self.letters) for p in own])
             ids = np.array(self.bare.encode_batch_fast([line], add_special_tokens=False)[0].ids, "<u2")
             body, ends = ids.tobytes(), ((np.flatnonzero(self.ends_word[ids]) + 1) * 2).tolist()
-            self.pretokens.update((p, body[a:b]) for p, a, b in zip(own, [0, *ends[:-1]], ends, strict=True))
-
-    def _learn(self, words: set[str]) -> None:
-        if len(self.cache) + len(words) > self.cache_words:
-            self.cache.clear()
-        if len(self.pretokens) > self.cache_words:
-            self.pretokens.clear()
-        known, simple, apart, new = self.pretokens, [], [], set()
-        for word in words:
-            if word.isascii() and word.isalpha():
-                parts = [word.lower()]
-            elif word.isascii() and word[-1] in ".," and word[:-1].isalpha():
-                parts = [word[:-1].lower(), word[-1]]
-            elif _SIMPLE.fullmatch(word) and "<|" not in word:
-                parts = _PRETOKEN.findall(word.lower())
-            else:
-                apart.append(word)
-                continue
-            simple.append((word, parts))
-            new.update([p for p in parts if p not in known])
-        self._encode_pretokens(list(new))
-        self.cache.update((w, known[p[0]] if len(p) == 1 else b"".join([known[x] for x in p])) for w, p in simple)
-        for word, found in zip(apart, self.tokenizer.encode_batch_fast(apart, add_special_tokens=False), strict=True):
-            self.cache[word] = array("H", found.ids).tobytes()
+            self.pretokens.update(zip(own, [body[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)], strict=True))
+
+    def _learn_words(self, words: list[str]) -> None:
+        for word, found in zip(words, self.tokenizer.encode_batch_fast(words, add_special_tokens=False), strict=True):
+            self.words_known[word] = array("H", found.ids).tobytes()
 
     @staticmethod
     def words(text: str) -> list[str]:
@@ -119,19 +99,24 @@ class WordEncoder:
             return [w for w in _SPACE.split(text) if w]
         return text.split()
 
+    def _join(self, pieces: list[list[str]], known: dict[str, bytes], learn) -> list[bytes]:
+        new = {p for own in pieces for p in own if p not in known}
+        if len(known) + len(new) > self.cache_words:
+            known.clear()
+            new = {p for own in pieces for p in own}
+        if new:
+            learn(list(new))
+        return [b"".join(map(known.__getitem__, own)) for own in pieces]
+
     def encode_all(self, texts: list[str | None], at_once: int = 256) -> Iterator[np.ndarray]:
         """Ids of each text, null counting as empty."""
         for i in range(0, len(texts), at_once):
-            split = [self.words(t) if t else [] for t in texts[i : i + at_once]]
-            cache = self.cache
-            missing = {w for words in split for w in words if w not in cache}
-            if missing:
-                held = len(cache)
-                self._learn(missing)
-                if len(cache) < held + len(missing):  # the cache was emptied on the way
-                    self._learn({w for words in split for w in words if w not in cache})
-            for words in split:
-                yield np.frombuffer(b"".join(map(cache.__getitem__, words)), "<u2")
+            own = [t or "" for t in texts[i : i + at_once]]
+            simple = ["<|" not in t and _SIMPLE.fullmatch(t) is not None for t in own]
+            plain = iter(self._join([_PRETOKEN.findall(t.lower()) for t, s in zip(own, simple, strict=True) if s], self.pretokens, self._learn_pretokens))
+            other = iter(self._join([self.words(t) for t, s in zip(own, simple, strict=True) if not s], self.words_known, self._learn_words))
+            for s in simple:
+                yield np.frombuffer(next(plain if s else other), "<u2")
 
 
 @lru_cache(maxsize=2)
