@@ -8,10 +8,14 @@ any vector of a block is known.
 
 For a query and a block, terms are ordered by that bound. With the score of the k-th best
 so far as threshold, the terms whose bounds together cannot reach it are non-essential: a
-vector with postings in none of the others cannot compete. The essential postings are
-traversed and accumulated; the remaining terms, and then those that take away, are probed
-for the vectors that still compete, bound by bound. Shards give their k best, and the
-merge takes the k best of those, ties going to the smaller id.
+vector with postings in none of the others cannot compete. The essential postings of a
+block are traversed for all queries of a group at once, as products of the block's weights
+with the queries restricted to their essential terms. The terms that take away have a
+bound of 0; they are probed next, for the queries that still have competitors in the
+block. The non-essential terms are probed last, from the largest bound down: a few at a
+time for the whole block while many pairs compete, then pair by pair; a pair is dropped
+once what is left cannot lift it. Shards give their k best, and the merge takes the k best
+of those, ties going to the smaller id.
 
 Work is dealt by (shard, block of queries), so neither side is collected or broadcast.
 
@@ -39,9 +43,9 @@ _LOW = np.iinfo(np.int64).min
 class MaxScore:
     k: int = 5
     scale: int = 256
-    shard_rows: int = 1024
+    shard_rows: int = 4096
     query_rows: int = 2048
-    block_rows: int = 256
+    block_rows: int = 512
 
 
 def quantised(df: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", scale: int = 256) -> DataFrame:
@@ -56,59 +60,69 @@ def quantised(df: DataFrame, id_col: str = "vec_id", vector_col: str = "embeddin
 
 
 class Block:
-    """Postings of a few hundred vectors, by component: the vectors and weights of each sign, and the extremes."""
+    """Some vectors, with the weights of each sign apart and the largest weight of each term."""
 
     def __init__(self, ids: np.ndarray, weights: np.ndarray):
-        self.ids, self.weights = ids, weights
-        self.high, self.low = weights.max(0), weights.min(0)
-        self.plus = [np.flatnonzero(c > 0) for c in weights.T]
-        self.minus = [np.flatnonzero(c < 0) for c in weights.T]
-
-    def search(self, query: np.ndarray, threshold: int) -> tuple[np.ndarray, np.ndarray]:
-        """Ids and scores of the vectors that score at least ``threshold``."""
-        gain = np.where(query > 0, query * np.maximum(self.high, 0), query * np.minimum(self.low, 0))
-        order = np.argsort(-gain, kind="stable")
-        rest = np.concatenate((np.cumsum(gain[order][::-1])[::-1], [0]))  # most that the terms from here on can add
-        if rest[0] < threshold:
-            return self.ids[:0], self.weights[:0, 0]
-        # vectors outside all essential postings reach at most rest[essential]
-        essential = int(np.searchsorted(-rest, -threshold, "right")) if threshold > 0 else len(order)
-        essential = min(essential, len(order))
-        score = np.zeros(len(self.ids), np.int64)
-        if threshold > 0:
-            met = np.zeros(len(self.ids), bool)
-            for t in order[:essential]:
-                if gain[t] > 0:
-                    own = self.plus[t] if query[t] > 0 else self.minus[t]
-                    score[own] += query[t] * self.weights[own, t]
-                    met[own] = True
-            alive = np.flatnonzero(met)
-        else:  # every vector may compete
-            for t in order:
-                score += np.maximum(query[t] * self.weights[:, t], 0)
-            alive = np.arange(len(self.ids))
-        for p in range(essential, len(order)):
-            if not len(alive) or rest[p] == 0:
+        self.ids = ids
+        self.plus, self.minus = np.maximum(weights, 0), np.minimum(weights, 0)
+        self.high, self.low = self.plus.max(0), self.minus.min(0)
+
+    def _add(self, plus: np.ndarray, minus: np.ndarray, terms: np.ndarray) -> np.ndarray:
+        """What the postings of the marked terms add to each vector, for each query."""
+        return (plus * terms) @ self.plus.T + (minus * terms) @ self.minus.T
+
+    def search(self, queries: np.ndarray, threshold: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Places of queries, places of vectors and scores, of all pairs that score at least the query's threshold."""
+        plus, minus = np.maximum(queries, 0), np.minimum(queries, 0)
+        gain = plus * self.high + minus * self.low
+        order = np.argsort(-gain, axis=1, kind="stable")
+        by_bound = np.take_along_axis(gain, order, 1)
+        # most that the terms from a place on can add
+        rest = np.concatenate((np.cumsum(by_bound[:, ::-1], axis=1)[:, ::-1], np.zeros((len(queries), 1), gain.dtype)), axis=1)
+        able = np.flatnonzero(rest[:, 0] >= threshold)
+        if not len(able):
+            return able, able, rest[:0, 0]
+        plus, minus, queries, order, rest, threshold = (x[able] for x in (plus, minus, queries, order, rest, threshold))
+        n_essential = np.minimum((rest >= threshold[:, None]).sum(1), order.shape[1])
+        place = np.argsort(order, axis=1)  # of each term in its query's order
+        score = self._add(plus, minus, place < n_essential[:, None])
+        # without a posting in an essential term a vector cannot reach a threshold above 0
+        alive = (score > 0) | (threshold <= 0)[:, None]
+        some = np.flatnonzero(alive.any(1))
+        score[some] += plus[some] @ self.minus.T + minus[some] @ self.plus.T
+        done = n_essential.copy()  # terms counted so far; while many pairs compete, the next ones are probed for whole blocks
+        while True:
+            alive &= score + np.take_along_axis(rest, done[:, None], 1) >= threshold[:, None]
+            some = np.flatnonzero(alive.any(1) & (done < order.shape[1]))
+            if not len(some) or alive.sum() < 0.01 * alive.size:
                 break
-            alive = alive[score[alive] + rest[p] >= threshold]
-            t = order[p]
-            score[alive] += np.maximum(query[t] * self.weights[alive, t], 0)
-        alive = alive[score[alive] >= threshold]
-        # terms of the other sign only take away; their bound is 0, so the order is free
-        for t in np.argsort(-np.abs(query), kind="stable"):
-            if not len(alive):
+            step = (place[some] >= done[some, None]) & (place[some] < done[some, None] + 8)
+            score[some] += self._add(plus[some], minus[some], step)
+            done[some] = np.minimum(done[some] + 8, order.shape[1])
+        q, d = np.nonzero(alive)
+        total = score[q, d]
+        for p in range(int(done.min(initial=0)), order.shape[1]):
+            if not len(q):
                 break
-            score[alive] += np.minimum(query[t] * self.weights[alive, t], 0)
-            alive = alive[score[alive] >= threshold]
-        return self.ids[alive], score[alive]
+            t = order[q, p]
+            more = np.maximum(queries[q, t] * (self.plus[d, t] + self.minus[d, t]), 0)
+            total = total + np.where(p >= done[q], more, 0)
+            keep = total + rest[q, np.maximum(p + 1, done[q])] >= threshold[q]
+            q, d, total = q[keep], d[keep], total[keep]
+        return able[q], d, total
 
 
-def best(ids: np.ndarray, scores: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-    order = np.lexsort((ids, -scores))[:k]
-    return ids[order], scores[order]
+def best(group: np.ndarray, ids: np.ndarray, scores: np.ndarray, k: int) -> np.ndarray:
+    """Places of the ``k`` best of each group, the groups ascending, ties to the smaller id."""
+    order = np.lexsort((ids, -scores, group))
+    first = np.searchsorted(group[order], group[order], "left")
+    return order[np.arange(len(order)) - first < k]
 
 
 def _matrix(rows: pd.Series, width: int) -> np.ndarray:
+    lengths = rows.map(len).to_numpy()
+    if len(rows) and (lengths == width).all():
+        return np.concatenate(rows.to_list()).reshape(-1, width).astype(np.int64)
     out = np.zeros((len(rows), width), np.int64)
     for i, r in enumerate(rows):
         out[i, : len(r)] = r
@@ -116,24 +130,32 @@ def _matrix(rows: pd.Series, width: int) -> np.ndarray:
 
 
 def _search_shard(corpus: pd.DataFrame, queries: pd.DataFrame, cfg: MaxScore) -> pd.DataFrame:
-    found = []
-    if len(corpus) and len(queries):
-        width = max(max(map(len, corpus["w"])), max(map(len, queries["w"])))
-        ids, weights = corpus["vec_id"].to_numpy(), _matrix(corpus["w"], width)
-        order = np.argsort(ids, kind="stable")
-        ids, weights = ids[order], weights[order]
-        blocks = [Block(ids[i : i + cfg.block_rows], weights[i : i + cfg.block_rows]) for i in range(0, len(ids), cfg.block_rows)]
-        for query_id, query in zip(queries["vec_id"], _matrix(queries["w"], width), strict=True):
-            top_ids, top = np.zeros(0, np.int64), np.zeros(0, np.int64)
-            for block in blocks:
-                threshold = int(top[-1]) if len(top) == cfg.k else _LOW // 4
-                more, scores = block.search(query, threshold)
-                keep = more != query_id
-                top_ids, top = best(np.concatenate((top_ids, more[keep])), np.concatenate((top, scores[keep])), cfg.k)
-            found.append(pd.DataFrame({"query_id": query_id, "vec_id": top_ids, "score": top}))
-    if not found:
+    if not len(corpus) or not len(queries):
         return pd.DataFrame({n: pd.Series(dtype="int64") for n in ("query_id", "vec_id", "score")})
-    return pd.concat(found, ignore_index=True)
+    width = max(max(map(len, corpus["w"])), max(map(len, queries["w"])))
+    ids, weights = corpus["vec_id"].to_numpy(), _matrix(corpus["w"], width)
+    asked, query_ids = _matrix(queries["w"], width), queries["vec_id"].to_numpy()
+    if float(np.abs(weights).max(initial=0)) * float(np.abs(asked).max(initial=0)) * width < 2.0**52:
+        weights, asked = weights.astype(np.float64), asked.astype(np.float64)  # whole numbers, still exact, and fast
+    n = len(asked)
+    q, v, s = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, asked.dtype)
+    # small blocks first: they give a threshold before much is compared
+    cuts = [0, *(c for c in (cfg.block_rows // 8, cfg.block_rows // 2) if 0 < c < len(ids))]
+    cuts += range(cuts[-1] + cfg.block_rows, len(ids), cfg.block_rows)
+    for i, j in zip(cuts, [*cuts[1:], len(ids)], strict=True):
+        block = Block(ids[i:j], weights[i:j])
+        threshold = np.full(n, _LOW // 4, asked.dtype)
+        filled = np.bincount(q, minlength=n) == cfg.k
+        if len(q):
+            least = np.full(n, np.inf) if asked.dtype == np.float64 else np.full(n, np.iinfo(np.int64).max)
+            np.minimum.at(least, q, s)
+            threshold[filled] = least[filled]
+        more_q, d, more_s = block.search(asked, threshold)
+        own = block.ids[d] != query_ids[more_q]
+        q, v, s = np.concatenate((q, more_q[own])), np.concatenate((v, block.ids[d][own])), np.concatenate((s, more_s[own]))
+        kept = best(q, v, s, cfg.k)
+        q, v, s = q[kept], v[kept], s[kept]
+    return pd.DataFrame({"query_id": query_ids[q], "vec_id": v, "score": s.astype(np.int64)})
 
 
 def top_k(corpus: DataFrame, queries: DataFrame, cfg: MaxScore | None = None) -> DataFrame:
