@@ -1,3 +1,3 @@
 """Registered workloads, one module for each group of methods."""
 
-from corpuskit.workloads import corpus, text  # noqa: F401
+from corpuskit.workloads import corpus, text, vectors  # noqa: F401
