@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import re
+from collections import Counter
+
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -72,8 +76,6 @@ def _sequence_hits(ref: list[str], cand: list[str]) -> set[int]:
 
 def summary_lcs(candidate: list[list[str]], reference: list[list[str]]) -> tuple[float, float, float]:
     """Union over candidate sentences of the matched places of each reference sentence; counts are clipped."""
-    from collections import Counter
-
     left_c, left_r, hit = Counter(w for s in candidate for w in s), Counter(w for s in reference for w in s), 0
     for r in reference:
         union = set().union(*(_sequence_hits(r, c) for c in candidate)) if candidate else set()
@@ -89,10 +91,6 @@ def summary_lcs(candidate: list[list[str]], reference: list[list[str]]) -> tuple
 
 def lcs_summary(df: DataFrame, candidate: str, reference: str) -> DataFrame:
     """Summary-level variant over sentences, in Arrow batches."""
-    import re
-
-    import pandas as pd
-
     def split(t: str | None) -> list[list[str]]:
         return [w for s in re.findall(r"[^.!?\n]+[.!?]*", t or "") if (w := re.findall(r"[^\W_]+", s.lower()))]
 
