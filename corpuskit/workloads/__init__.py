@@ -1,3 +1,3 @@
 """Registered workloads, one module for each group of methods."""
 
-from corpuskit.workloads import checks, corpus, text, vectors  # noqa: F401
+from corpuskit.workloads import checks, corpus, relational, text, trend, vectors  # noqa: F401

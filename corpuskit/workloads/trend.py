@@ -103,8 +103,8 @@ def trend_semantic(spark, sf_dir):
 
 
 @register("trend_expand_terms", r"""WITH w AS (SELECT doc_id, unnest(list_distinct(regexp_extract_all(lower(text), '\p{L}+'))) AS word FROM documents), s AS (SELECT doc_id FROM w WHERE word = 'thing'),
-g AS (SELECT word, count(*) AS docs, count(s.doc_id) AS both FROM w LEFT JOIN s USING (doc_id) GROUP BY word), k AS (SELECT *, floor(log2(both * (SELECT count(*) FROM documents) / (docs * (SELECT count(*) FROM s))::DOUBLE) * 1000000 + 0.5) / 1000000 AS pmi FROM g WHERE word <> 'thing' AND both >= 3)
-SELECT word, docs, both, pmi FROM k ORDER BY pmi DESC, both DESC, word LIMIT 10""")
+g AS (SELECT word, count(*) AS docs, count(s.doc_id) AS hits FROM w LEFT JOIN s USING (doc_id) GROUP BY word), k AS (SELECT *, floor(log2(hits * (SELECT count(*) FROM documents) / (docs * (SELECT count(*) FROM s))::DOUBLE) * 1000000 + 0.5) / 1000000 AS pmi FROM g WHERE word <> 'thing' AND hits >= 3)
+SELECT word, docs, hits AS "both", pmi FROM k ORDER BY pmi DESC, hits DESC, word LIMIT 10""")
 def trend_expand_terms(spark, sf_dir):
     return trends.expand_terms(read_table(spark, sf_dir, "documents"), "thing")
 
