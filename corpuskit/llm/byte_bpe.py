@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from corpuskit.llm.common import id_text, utf8
+from corpuskit.llm.common import id_text, small, utf8
 from corpuskit.llm.word_tokens import load_tokenizer, vocabulary_path
 
 _ASCII_SPACE = np.zeros(256, bool)
@@ -137,7 +137,7 @@ def encode_documents(df: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = byte_bpe(vocabulary_path(vocabulary))
-        for batch in batches:
+        for batch in small(batches):
             data, offsets = utf8(batch.column(1))
             raw = [data[a:b].tobytes() for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
             ids = [x.tobytes() for x in bpe.encode_all(raw)]
@@ -151,7 +151,7 @@ def decode_ids(df: DataFrame, vocabulary: str = "byte_bpe_50k.json") -> DataFram
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = byte_bpe(vocabulary_path(vocabulary))
-        for batch in batches:
+        for batch in small(batches):
             text = [bpe.decode(np.frombuffer(x, "<u4")) for x in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(text, pa.string())], ["doc_id", "text"])
 
@@ -164,7 +164,7 @@ def round_trip(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", vo
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = byte_bpe(vocabulary_path(vocabulary))
         digest = lambda b: hashlib.sha256(b).hexdigest()
-        for batch in batches:
+        for batch in small(batches):
             data, offsets = utf8(batch.column(1))
             raw = [data[a:b].tobytes() for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
             n, of_ids, of_text = [], [], []

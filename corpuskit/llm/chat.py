@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpuskit.llm.common import stored
+from corpuskit.llm.common import small, stored
 
 _QUOTE = re.compile(r"^\s{0,3}((?:>\s?)+)(.*)$", re.S)
 _INTRO = re.compile(r"^.{0,200}\b(?:wrote|writes|schrieb|a écrit|escribió)\s*:\s*$", re.I)
@@ -65,7 +65,7 @@ def parse(text: str | None) -> tuple[str, list[tuple[int, str]]]:
 
 
 def _parse_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in small(batches):
         bodies, said, quoted = [], [], []
         for text in batch.column(3).to_pylist():
             body, passages = parse(text)

@@ -24,6 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from corpuskit.llm.common import small
 from corpuskit.llm.quality import STOP_WORDS
 
 
@@ -204,7 +205,7 @@ def extract_pages(df: DataFrame, id_col: str = "page_id", url_col: str = "url",
     rules = rules or BlockRules()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches):
             texts = [main_text(h, rules) for h in batch.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array(list(map(len, texts)), pa.int64())],

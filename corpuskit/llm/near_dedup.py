@@ -36,7 +36,7 @@ import zstandard
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from corpuskit.llm.common import id_text, slices, stored, utf8
+from corpuskit.llm.common import id_text, slices, small, stored, utf8
 from corpuskit.llm.shingles import LOWER, mix, run_hashes, shingle_counts, window_hashes, word_bounds, word_hash_lists
 
 _U = np.uint64
@@ -62,7 +62,7 @@ def _bucket_counts(batches: Iterator[pa.RecordBatch], cfg: NearDedup) -> Iterato
     """Document frequencies of one partition, by bucket; one row more, bucket -1, counts the documents."""
     total = np.zeros(1 << cfg.idf_bits, np.int64)
     n, shift = 0, _U(64 - cfg.idf_bits)
-    for batch in batches:
+    for batch in small(batches, 2048):
         n += batch.num_rows - batch.column(0).null_count
         data, offsets = utf8(batch.column(0))
         for i, j in slices(offsets):
@@ -137,7 +137,7 @@ def _text_key(text: memoryview) -> bytes:
 
 def _sign(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDedup) -> Iterator[pa.RecordBatch]:
     logs, shift = np.log(weights), _U(64 - cfg.idf_bits)
-    for batch in batches:
+    for batch in small(batches, 2048):
         data, offsets = utf8(batch.column(1))
         raw = memoryview(data)
         keys = [_text_key(raw[offsets[i] : offsets[i + 1]]) for i in range(batch.num_rows)]
@@ -186,7 +186,7 @@ def id_filter(ids: DataFrame, bits: int) -> np.ndarray:
 
     def places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = np.zeros(1 << (bits - 6), np.int64)
-        for batch in batches:
+        for batch in small(batches, 2048):
             for at in _filter_words(batch.column(0).to_numpy(), bits):
                 np.bitwise_or.at(own, at >> 6, np.int64(1) << (at & 63))
         word = np.flatnonzero(own)
@@ -201,7 +201,7 @@ def id_filter(ids: DataFrame, bits: int) -> np.ndarray:
 def _payload(batches: Iterator[pa.RecordBatch], allowed: np.ndarray, bits: int) -> Iterator[pa.RecordBatch]:
     """Compressed texts of the rows whose id may be among the candidates."""
     squeeze = zstandard.ZstdCompressor(level=3)
-    for batch in batches:
+    for batch in small(batches, 2048):
         may = np.ones(batch.num_rows, bool)
         for at in _filter_words(batch.column(0).to_numpy(), bits):
             may &= (allowed[at >> 6] >> (at & 63)) & 1 == 1
@@ -241,12 +241,12 @@ def _verify(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDed
         if key not in kept:
             kept[key] = weighted_set(open_.decompress(body.as_py()), weights, cfg)
             held += len(kept[key][0])
-            while held > 4_000_000 and len(kept) > 2:
+            while held > 1_000_000 and len(kept) > 2:
                 held -= len(kept.popitem(last=False)[1][0])
         kept.move_to_end(key)
         return kept[key]
 
-    for batch in batches:
+    for batch in small(batches, 2048):
         a, b, left, right = (batch.column(i) for i in range(4))
         alike = []
         for i, (x, y) in enumerate(zip(a.to_pylist(), b.to_pylist(), strict=True)):

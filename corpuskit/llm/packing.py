@@ -29,7 +29,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from corpuskit.llm.common import id_text, stored
+from corpuskit.llm.common import id_text, small, stored
 from corpuskit.llm.word_tokens import vocabulary_path, word_encoder
 
 
@@ -48,7 +48,7 @@ def _cut(batches: Iterator[pa.RecordBatch], cfg: Packing, with_ids: bool) -> Ite
     encoder = word_encoder(vocabulary_path(cfg.vocabulary))
     part = TaskContext.get().partitionId()
     used = np.zeros(cfg.size + 1, np.int64)
-    for batch in batches:
+    for batch in small(batches):
         ids_of = batch.column(0).to_pylist()
         out: list[tuple] = []
         for doc, ids in zip(ids_of, encoder.encode_all(batch.column(1).to_pylist()), strict=True):
@@ -135,7 +135,7 @@ def match(counts: dict[int, int], size: int) -> tuple[np.ndarray, int]:
 
 def _place(batches: Iterator[pa.RecordBatch], plan: np.ndarray) -> Iterator[pa.RecordBatch]:
     key = plan[:, 0] << 42 | plan[:, 1]
-    for batch in batches:
+    for batch in small(batches):
         length, rank = (batch.column(batch.schema.get_field_index(n)).to_numpy() for n in ("length", "rank"))
         at = np.searchsorted(key, length << 42 | rank, "right") - 1
         row = plan[at]

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpuskit.llm.common import id_text, slices, utf8
+from corpuskit.llm.common import id_text, slices, small, utf8
 from corpuskit.llm.shingles import LOWER, run_hashes, word_bounds
 
 _U = np.uint64
@@ -161,7 +161,7 @@ def _code(votes: np.ndarray) -> np.ndarray:
 
 def _count_patterns(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     seen: Counter = Counter()
-    for batch in batches:
+    for batch in small(batches, 2048):
         for _, _, m in _measured(batch):
             seen.update(_code(m.votes()[m.n > 0]).tolist())
     yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.int64()), pa.array(list(seen.values()), pa.int64())], ["pattern", "n"])
@@ -239,7 +239,7 @@ def fit(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", cfg: Qual
         return Fitted(np.zeros(1 << cfg.feature_bits, np.float32), 0.0, posterior, table, prior)
 
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches, 2048):
             index, value, target = [], [], []
             for _, _, m in _measured(batch):
                 codes = _code(m.votes())
@@ -279,7 +279,7 @@ def score_documents(df: DataFrame, model: Fitted, id_col: str = "doc_id", text_c
     cfg = cfg or QualityModel()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches, 2048):
             score, weak = _score(batch, model, cfg)
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), pa.array(weak), pa.array(score), pa.array(score >= cfg.threshold)], ["doc_id", "weak_label", "score", "kept"]
@@ -300,7 +300,7 @@ def keep_good(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", cfg
     body = df.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches, 2048):
             text = pa.RecordBatch.from_arrays([batch.column(body)], ["text"])
             yield batch.filter(pa.array(_score(text, model, cfg)[0] >= cfg.threshold))
 

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpuskit.llm.common import id_text, slices, utf8
+from corpuskit.llm.common import id_text, slices, small, utf8
 from corpuskit.llm.shingles import run_hashes, window_hashes, word_bounds
 
 
@@ -129,7 +129,7 @@ def _line_repeats(text: str, wordless: str = "\x20\t\n\x0b\x0c\r") -> tuple[int,
 
 
 def score_batches(batches: Iterator[pa.RecordBatch], rules: RepetitionRules) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in small(batches, 2048):
         ids, texts = batch.column(0), batch.column(1)
         data, offsets = utf8(texts)
         rows = []
@@ -168,7 +168,7 @@ def keep_good(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", rul
     place, body = names.index(id_col), names.index(text_col)
 
     def kept(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches, 2048):
             two = pa.RecordBatch.from_arrays([batch.column(place), batch.column(body)], ["doc_id", "text"])
             for verdict in score_batches(iter([two]), rules):
                 yield batch.filter(verdict.column(verdict.num_columns - 1))

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpuskit.llm.byte_bpe import byte_bpe
-from corpuskit.llm.common import id_text, utf8
+from corpuskit.llm.common import id_text, small, utf8
 from corpuskit.llm.word_tokens import vocabulary_path
 
 RULES = ("first", "last", "majority", "split")
@@ -87,7 +87,7 @@ def attribute_tokens(
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = byte_bpe(vocabulary_path(vocabulary))
-        for batch in batches:
+        for batch in small(batches):
             data, offsets = utf8(batch.column(1))
             raws = [data[a:b].tobytes() for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
             given = batch.column(2).to_pylist() if spans_col else None

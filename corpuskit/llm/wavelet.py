@@ -26,7 +26,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpuskit.llm.common import id_text, new_path
+from corpuskit.llm.common import id_text, new_path, small
 from corpuskit.llm.word_tokens import vocabulary_path, word_encoder
 
 #: First bytes of an image; bits for each entry of a rank directory.
@@ -196,7 +196,7 @@ def _shards(batches: Iterator[pa.RecordBatch], cfg: TokenFiles) -> Iterator[pa.R
         )
 
     end = np.array([cfg.end_id], np.uint16)
-    for batch in batches:
+    for batch in small(batches):
         for doc, ids in zip(batch.column(0).to_pylist(), encoder.encode_all(batch.column(1).to_pylist()), strict=True):
             docs.append(doc)
             lengths.append(len(ids) + 1)
@@ -232,7 +232,7 @@ def read_token_files(spark: SparkSession, path: str, with_ids: bool = False) ->
         base[part], total = total, total + totals[part]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches):
             for part, before, image in zip(*(batch.column(i) for i in range(3)), strict=True):
                 matrix, docs, lengths = WaveletMatrix.from_bytes(image.as_py())
                 tokens = matrix.tokens().astype("<u4")
@@ -256,7 +256,7 @@ def token_counts(spark: SparkSession, path: str, tokens: list[int]) -> DataFrame
     files = spark.read.schema("part int, shard int, before long, n_tokens long, image binary").parquet(path)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches):
             for part, shard, image in zip(*(batch.column(i) for i in range(3)), strict=True):
                 matrix, _, _ = WaveletMatrix.from_bytes(image.as_py())
                 yield pa.RecordBatch.from_arrays(

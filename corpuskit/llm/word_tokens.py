@@ -20,7 +20,7 @@ import numpy as np
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
 #: What ``str.split`` takes for white space beyond that.
 _SEPARATORS = re.compile("[\x1c-\x1f]")
-CACHE_WORDS = 400_000
+CACHE_WORDS = 250_000
 
 
 def vocabulary_path(name: str) -> str:
