@@ -29,10 +29,19 @@ def count(text: Column, scheme: str = "wordpunct") -> Column:
     return F.coalesce(F.size(tokenize(text, scheme)), F.lit(0))
 
 
+def let(value: Column, body) -> Column:
+    """``body(value)`` with the value worked out once, not for each use inside a lambda."""
+    return F.element_at(F.transform(F.array(value), lambda v: body(v)), 1)
+
+
 def ngrams(words: Column, n: int) -> Column:
     """Joined n-grams; empty for shorter lists."""
-    at = F.when(F.size(words) >= n, F.sequence(F.lit(1), F.size(words) - (n - 1))).otherwise(F.array().cast("array<int>"))
-    return F.transform(at, lambda i: F.array_join(F.slice(words, i, F.lit(n)), " "))
+
+    def of(w: Column) -> Column:
+        at = F.when(F.size(w) >= n, F.sequence(F.lit(1), F.size(w) - (n - 1))).otherwise(F.array().cast("array<int>"))
+        return F.transform(at, lambda i: F.array_join(F.slice(w, i, F.lit(n)), " "))
+
+    return let(words, of)
 
 
 def round6(c: Column) -> Column:
