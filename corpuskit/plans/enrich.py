@@ -190,6 +190,7 @@ def central_sentences(text: str, k: int = 3, threshold: float = 0.1, damping: fl
     if len(parts) <= k:
         return " ".join(parts)
     a = (_similarity(parts) > threshold).astype(float)
+    np.fill_diagonal(a, 0)  # a sentence does not vote for itself
     degree = a.sum(1, keepdims=True)
     m = np.where(degree > 0, a / np.where(degree == 0, 1, degree), 1 / len(parts))
     p = np.full(len(parts), 1 / len(parts))
