@@ -55,12 +55,15 @@ class WaveletMatrix:
         planes, ranks, zeros = [], [], np.zeros(bits, np.int64)
         level = tokens.astype(np.uint16)
         for l in range(bits):
-            ones = (level & np.uint16(1 << (bits - 1 - l))) != 0
+            if bits - l == 8:  # what is left of a token fits a byte
+                level = level.astype(np.uint8)
+            ones = (level & level.dtype.type(1 << (bits - 1 - l))) != 0
             packed = np.zeros(-(-max(n, 1) // BLOCK) * BLOCK // 8, np.uint8)
             packed[: (n + 7) // 8] = np.packbits(ones, bitorder="little")
             planes.append(packed)
             ranks.append(cls._directory(packed))
-            level = np.concatenate((level[~ones], level[ones]))
+            if l < bits - 1:
+                level = np.concatenate((level[~ones], level[ones]))
             zeros[l] = n - int(ranks[-1][-1])
         return cls(n, bits, zeros, planes, ranks)
 
@@ -143,15 +146,17 @@ class WaveletMatrix:
 
     def tokens(self) -> np.ndarray:
         """The whole sequence: the levels are undone from the last to the first."""
-        level = np.zeros(self.n, np.uint16)
+        level = np.zeros(self.n, np.uint8 if self.bits > 7 else np.uint16)
         for l in range(self.bits - 1, -1, -1):
+            if self.bits - l == 9:
+                level = level.astype(np.uint16)
             ones = np.unpackbits(self.planes[l], count=self.n, bitorder="little").view(bool)
             z = int(self.zeros[l])
-            up = np.empty(self.n, np.uint16)
+            up = np.empty(self.n, level.dtype)
             up[~ones] = level[:z]
-            up[ones] = level[z:] | np.uint16(1 << (self.bits - 1 - l))
+            up[ones] = level[z:] | level.dtype.type(1 << (self.bits - 1 - l))
             level = up
-        return level
+        return level.astype(np.uint16)
 
     def to_bytes(self, docs: np.ndarray, lengths: np.ndarray, level: int = 3) -> bytes:
         """The file image, with the documents whose tokens it holds."""

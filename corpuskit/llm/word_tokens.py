@@ -20,7 +20,7 @@ import numpy as np
 _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
 #: What ``str.split`` takes for white space beyond that.
 _SEPARATORS = re.compile("[\x1c-\x1f]")
-CACHE_WORDS = 250_000
+CACHE_WORDS = 300_000
 
 
 def vocabulary_path(name: str) -> str:
@@ -100,15 +100,15 @@ class WordEncoder:
         return text.split()
 
     def _join(self, pieces: list[list[str]], known: dict[str, bytes], learn) -> list[bytes]:
-        new = {p for own in pieces for p in own if p not in known}
+        new = set().union(*pieces).difference(known)
         if len(known) + len(new) > self.cache_words:
             known.clear()
-            new = {p for own in pieces for p in own}
+            new = set().union(*pieces)
         if new:
             learn(list(new))
         return [b"".join(map(known.__getitem__, own)) for own in pieces]
 
-    def encode_all(self, texts: list[str | None], at_once: int = 256) -> Iterator[np.ndarray]:
+    def encode_all(self, texts: list[str | None], at_once: int = 64) -> Iterator[np.ndarray]:
         """Ids of each text, null counting as empty."""
         for i in range(0, len(texts), at_once):
             own = [t or "" for t in texts[i : i + at_once]]
