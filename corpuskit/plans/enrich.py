@@ -415,7 +415,7 @@ def one_vs_rest(rows: DataFrame, labels: DataFrame, names: tuple[int, ...], key:
     out = None
     for n in names:
         y = x.join(labels.filter(F.col("label") == n).select(key, F.lit(1.0).alias("y")), key, "left").na.fill(0.0, ["y"])
-        model = LogisticRegression(labelCol="y", maxIter=20, regParam=0.001).fit(y)
+        model = LogisticRegression(labelCol="y", maxIter=8, regParam=0.001).fit(y)
         part = model.transform(y).select(key, F.lit(n).alias("label"), vector_to_array("probability")[1].alias("score"))
         out = part if out is None else out.unionByName(part)
     return out

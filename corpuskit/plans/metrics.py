@@ -22,37 +22,48 @@ def prf(matches: Column, n_candidate: Column, n_reference: Column) -> dict[str,
     return {"p": round6(p), "r": round6(r), "f1": round6(F.coalesce(F.try_divide(2 * p * r, p + r), F.lit(0.0)))}
 
 
-def clipped(a: Column, b: Column) -> Column:
-    """Size of the multiset intersection of two arrays, inside the row."""
-    times = lambda arr, x: F.size(F.filter(arr, lambda y: y == x))
-    return F.aggregate(F.array_intersect(a, b), F.lit(0), lambda s, x: s + F.least(times(a, x), times(b, x)))
+def clipped(a: list, b: list) -> int:
+    """Size of the multiset intersection of two lists."""
+    return sum((Counter(a) & Counter(b)).values())
 
 
 def ngram_overlap(df: DataFrame, candidate: str, reference: str, n: int = 1) -> DataFrame:
-    """Clipped n-gram matches over the n-grams of the candidate (p) and of the reference (r)."""
-    grams = df.withColumns({"_c": ngrams(words(F.col(candidate)), n), "_r": ngrams(words(F.col(reference)), n)})
-    return grams.withColumns(prf(clipped(F.col("_c"), F.col("_r")), F.size("_c"), F.size("_r"))).drop("_c", "_r")
+    """Clipped n-gram matches over the n-grams of the candidate (p) and of the reference (r).
 
+    Counting is linear in the texts, in Arrow batches; nested array functions would compare
+    every gram with every other.
+    """
 
-def lcs_length(a: Column, b: Column) -> Column:
-    """Longest common subsequence of two arrays: one row of the table at a time, as a fold."""
-    zero = F.transform(F.sequence(F.lit(0), F.size(b)), lambda _: F.lit(0))
-
-    def line(prev: Column, x: Column) -> Column:
-        at = F.when(F.size(b) > 0, F.sequence(F.lit(1), F.size(b))).otherwise(F.array().cast("array<int>"))
+    @F.pandas_udf("int")
+    def matches(c: pd.Series, r: pd.Series) -> pd.Series:
+        return pd.Series([clipped(list(x), list(y)) if x is not None and y is not None else 0 for x, y in zip(c, r, strict=True)])
 
-        def cell(acc: Column, j: Column) -> Column:
-            here = F.when(F.element_at(b, j) == x, prev[j - 1] + 1).otherwise(F.greatest(prev[j], acc[j - 1]))
-            return F.concat(acc, F.array(here))
+    grams = df.withColumns({"_c": ngrams(words(F.col(candidate)), n), "_r": ngrams(words(F.col(reference)), n)}).withColumn("_n", matches("_c", "_r"))
+    return grams.withColumns(prf(F.col("_n"), F.size("_c"), F.size("_r"))).drop("_c", "_r", "_n")
 
-        return F.aggregate(at, F.array(F.lit(0)), cell)
 
-    return F.element_at(F.aggregate(a, zero, line), -1)
+def lcs_length(a: list[str], b: list[str]) -> int:
+    """Longest common subsequence by bit vectors: one whole-number step for each word of ``b``."""
+    masks: dict[str, int] = {}
+    for i, w in enumerate(a):
+        masks[w] = masks.get(w, 0) | 1 << i
+    full = (1 << len(a)) - 1
+    v = full
+    for w in b:
+        u = v & masks.get(w, 0)
+        v = (v + u | v - u) & full
+    return len(a) - v.bit_count()
 
 
 def lcs_overlap(df: DataFrame, candidate: str, reference: str) -> DataFrame:
-    both = df.withColumns({"_c": words(F.col(candidate)), "_r": words(F.col(reference))})
-    return both.withColumns(prf(lcs_length(F.col("_c"), F.col("_r")), F.size("_c"), F.size("_r"))).drop("_c", "_r")
+    """Longest common subsequence over the words of each side, in Arrow batches."""
+
+    @F.pandas_udf("int")
+    def length(c: pd.Series, r: pd.Series) -> pd.Series:
+        return pd.Series([lcs_length(list(x), list(y)) if x is not None and y is not None else 0 for x, y in zip(c, r, strict=True)])
+
+    both = df.withColumns({"_c": words(F.col(candidate)), "_r": words(F.col(reference))}).withColumn("_n", length("_c", "_r"))
+    return both.withColumns(prf(F.col("_n"), F.size("_c"), F.size("_r"))).drop("_c", "_r", "_n")
 
 
 def _sequence_hits(ref: list[str], cand: list[str]) -> set[int]:
@@ -108,14 +119,16 @@ def soft_match(pairs: DataFrame, vectors: DataFrame, key: str = "id") -> DataFra
     give precision, recall and their harmonic mean. Words are exploded by pair, so the work
     of a pair is spread and its key is the grouping key.
     """
-    side = lambda c, w: pairs.select(key, F.posexplode(c).alias("i", "word")).join(vectors, "word").select(key, F.col("i").alias(w), F.col("v").alias(f"v{w}"))
-    a, b = side("candidate", "a"), side("reference", "b")
     from corpuskit.sources.adapters import dot
 
-    met = a.join(b, key).select(key, "a", "b", dot("va", "vb").alias("s"))
-    p = met.groupBy(key, "a").agg(F.max("s").alias("s")).groupBy(key).agg(F.avg("s").alias("p"))
-    r = met.groupBy(key, "b").agg(F.max("s").alias("s")).groupBy(key).agg(F.avg("s").alias("r"))
-    out = p.join(r, key)
+    def side(column: str, name: str) -> DataFrame:
+        # equal words have equal vectors, so a side is its distinct words with their counts
+        counted = pairs.select(key, F.explode(column).alias("word")).groupBy(key, "word").agg(F.count("*").alias(f"n{name}"))
+        return counted.join(vectors, "word").select(key, F.col("word").alias(name), f"n{name}", F.col("v").alias(f"v{name}"))
+
+    met = side("candidate", "a").join(side("reference", "b"), key).select(key, "a", "b", "na", "nb", dot("va", "vb").alias("s"))
+    mean = lambda w: met.groupBy(key, w, f"n{w}").agg(F.max("s").alias("s")).groupBy(key).agg((F.sum(F.col("s") * F.col(f"n{w}")) / F.sum(f"n{w}")).alias(w))
+    out = mean("a").withColumnRenamed("a", "p").join(mean("b").withColumnRenamed("b", "r"), key)
     return out.select(key, round6(F.col("p")).alias("p"), round6(F.col("r")).alias("r"), round6(F.try_divide(2 * F.col("p") * F.col("r"), F.col("p") + F.col("r"))).alias("f1"))
 
 

@@ -142,9 +142,9 @@ def sharded_topk(corpus: DataFrame, queries: DataFrame, k: int, shard: str) -> D
 # -------------------------------------------------------------------------- recommendation
 
 
-def by_paper(corpus: DataFrame, ids: list[int], k: int) -> DataFrame:
-    """Neighbours of known rows, themselves left out."""
-    queries = corpus.filter(F.col("vec_id").isin(*ids))
+def by_paper(corpus: DataFrame, known: str | list[int], k: int) -> DataFrame:
+    """Neighbours of known rows (a list of ids, or a condition), themselves left out."""
+    queries = corpus.filter(known if isinstance(known, str) else F.col("vec_id").isin(*known))
     return rank(scored(corpus, queries, "ip").filter("id <> query_id"), k, "ip")
 
 
@@ -164,14 +164,14 @@ def apply_filters(candidates: DataFrame, year: tuple[int, int] | None = None, su
     return out.filter("is_oa") if open_access else out
 
 
-def recommend(corpus: DataFrame, meta: DataFrame, ids: list[int], k: int, mode: str = "post", overfetch: int = 5, **filters) -> DataFrame:
+def recommend(corpus: DataFrame, meta: DataFrame, known: str | list[int], k: int, mode: str = "post", overfetch: int = 5, **filters) -> DataFrame:
     """``post`` filters the best ``k * overfetch`` and may return fewer than ``k``; ``pre`` filters before ranking."""
     if mode == "pre":
         allowed = apply_filters(meta, **filters).select(F.col("corpus_id").alias("id"))
-        queries = corpus.filter(F.col("vec_id").isin(*ids))
+        queries = corpus.filter(known if isinstance(known, str) else F.col("vec_id").isin(*known))
         scores = scored(corpus.join(allowed, corpus.vec_id == allowed.id, "left_semi"), queries, "ip").filter("id <> query_id")
         return rank(scores, k, "ip")
-    found = by_paper(corpus, ids, k * overfetch).join(meta, F.col("id") == F.col("corpus_id"), "left")
+    found = by_paper(corpus, known, k * overfetch).join(meta, F.col("id") == F.col("corpus_id"), "left")
     return rank(apply_filters(found, **filters).select("query_id", "id", "score"), k, "ip")
 
 

@@ -13,8 +13,6 @@ from corpuskit.workloads.corpus import ABSTRACTS, DECIDED, PAPERS, REPORTS, wide
 from corpuskit.workloads.text import _MERGE_SQL
 from corpuskit.workloads.vectors import dot_sql, r6
 
-SMALL = "doc_id < 120"
-
 
 def _docs(spark, sf_dir):
     return read_table(spark, sf_dir, "documents")
@@ -24,9 +22,9 @@ def _docs(spark, sf_dir):
 
 
 def _records(spark, sf_dir, dim=16):
-    """Records of a few documents; the enrichment columns follow the eligibility of the abstract."""
-    docs = _docs(spark, sf_dir).filter(SMALL)
-    papers = A.papers(spark, sf_dir).filter("corpus_id < 120")
+    """Records of all documents; the enrichment columns follow the eligibility of the abstract."""
+    docs = _docs(spark, sf_dir)
+    papers = A.papers(spark, sf_dir)
     chunks = chunking.chunk(docs).select("corpus_id", "chunk_no", "chunk_id", "text", "n_tokens")
     enc = encode.HashingEncoder(dim)
     vectors = encode.embed(chunks.select("chunk_id", "text"), "text", enc).select("chunk_id", F.col("embedding").alias("vector"))
@@ -37,7 +35,7 @@ def _records(spark, sf_dir, dim=16):
     return r.withColumn("subfields", F.when(long_, F.create_map(F.lit("thing"), F.lit(0.7))))
 
 
-_ABS = f"a AS (SELECT doc_id AS corpus_id, coalesce(abstract, '') AS abstract FROM documents LEFT JOIN abstracts ON corpus_id = doc_id WHERE doc_id < 120 AND len(regexp_extract_all(text, '[^\\s]')) > 0)"
+_ABS = f"a AS (SELECT doc_id AS corpus_id, coalesce(abstract, '') AS abstract FROM documents LEFT JOIN abstracts ON corpus_id = doc_id WHERE len(regexp_extract_all(text, '[^\\s]')) > 0)"
 _SCHEMA_CODES = f"{ABSTRACTS}, {_ABS}, c AS (SELECT corpus_id, list_filter([CASE WHEN abstract = '' THEN 'A' END, CASE WHEN abstract = '' THEN 'B' END, CASE WHEN length(abstract) BETWEEN 1 AND 999 THEN 'C' END, CASE WHEN length(abstract) BETWEEN 1 AND 999 THEN 'D' END, CASE WHEN length(abstract) < 1000 THEN 'E' END], lambda x: x IS NOT NULL) AS codes FROM a)"
 
 
@@ -172,7 +170,7 @@ def length_quantiles(spark, sf_dir):
     return validate.lengths(_docs(spark, sf_dir), "n_chars", "lang")
 
 
-@register("record_arrays_aligned", "SELECT count(*) AS records, 0::BIGINT AS misaligned FROM documents WHERE doc_id < 120 AND len(regexp_extract_all(text, '[^\\s]')) > 0")
+@register("record_arrays_aligned", "SELECT count(*) AS records, 0::BIGINT AS misaligned FROM documents WHERE len(regexp_extract_all(text, '[^\\s]')) > 0")
 def record_arrays(spark, sf_dir):
     same = F.forall(F.arrays_zip("paragraphs", "paragraph_embeddings"), lambda z: z["paragraphs"]["id"] == z["paragraph_embeddings"]["id"])
     return _records(spark, sf_dir).agg(F.count("*").alias("records"), F.count_if(~same).alias("misaligned"))
@@ -192,7 +190,7 @@ def manifest_diff(spark, sf_dir):
 
 @register("export_training")
 def export_training(spark, sf_dir):
-    chunks = chunking.chunk(_docs(spark, sf_dir).filter(SMALL))
+    chunks = chunking.chunk(_docs(spark, sf_dir))
     return records.export_training(chunks, A.abstracts(spark, sf_dir)).groupBy("split").agg(F.count("*").alias("n"))
 
 
@@ -266,7 +264,7 @@ def summary_benchmark(spark, sf_dir):
     return both.groupBy("system").agg(F.count("*").alias("n"), *[round6(F.avg(c)).alias(n) for c, n in (("uni", "uni_f1"), ("bi", "bi_f1"), ("f1", "lcs_sum_f1"))])
 
 
-_GRAM = r"""{lead}, g AS (SELECT doc_id, {c} AS c, {r} AS r FROM ld WHERE {small}), gc AS (SELECT doc_id, w, count(*) AS n FROM (SELECT doc_id, unnest(c) AS w FROM g) GROUP BY ALL), gr AS (SELECT doc_id, w, count(*) AS n FROM (SELECT doc_id, unnest(r) AS w FROM g) GROUP BY ALL),
+_GRAM = r"""{lead}, g AS (SELECT doc_id, {c} AS c, {r} AS r FROM ld), gc AS (SELECT doc_id, w, count(*) AS n FROM (SELECT doc_id, unnest(c) AS w FROM g) GROUP BY ALL), gr AS (SELECT doc_id, w, count(*) AS n FROM (SELECT doc_id, unnest(r) AS w FROM g) GROUP BY ALL),
 k AS (SELECT doc_id, sum(least(gc.n, gr.n)) AS k FROM gc JOIN gr USING (doc_id, w) GROUP BY doc_id), pr AS (SELECT g.doc_id, coalesce(coalesce(k, 0) / nullif(len(c), 0), 0) AS p, coalesce(coalesce(k, 0) / nullif(len(r), 0), 0) AS r FROM g LEFT JOIN k USING (doc_id))
 SELECT doc_id, floor(p * 1000000 + 0.5) / 1000000 AS p, floor(r * 1000000 + 0.5) / 1000000 AS r, floor(coalesce(2 * p * r / nullif(p + r, 0), 0) * 1000000 + 0.5) / 1000000 AS f1 FROM pr"""
 _W = r"regexp_extract_all(lower({x}), '[\p{{L}}\p{{N}}]+')"
@@ -274,15 +272,15 @@ _BI = "list_transform(range(1, len({w})), lambda i: {w}[i] || ' ' || {w}[i + 1])
 
 
 def _gram_sql(n):
-    c, r = _W.format(x="summary"), _W.format(x="substr(text, 1, 1500)")
+    c, r = _W.format(x="summary"), _W.format(x="text")
     if n == 2:
         c, r = _BI.format(w=c), _BI.format(w=r)
-    return "WITH " + _GRAM.replace("{lead}", _LEAD).replace("{c}", c).replace("{r}", r).replace("{small}", SMALL)
+    return "WITH " + _GRAM.replace("{lead}", _LEAD).replace("{c}", c).replace("{r}", r)
 
 
 def _overlap(spark, sf_dir, n):
-    d = enrich.lead_k(_docs(spark, sf_dir).filter(SMALL)).withColumn("ref", F.substring("text", 1, 1500))
-    return metrics.ngram_overlap(d, "summary", "ref", n).select("doc_id", "p", "r", "f1")
+    d = enrich.lead_k(_docs(spark, sf_dir))
+    return metrics.ngram_overlap(d, "summary", "text", n).select("doc_id", "p", "r", "f1")
 
 
 @register("overlap_unigram", _gram_sql(1))
@@ -297,20 +295,20 @@ def overlap_bigram(spark, sf_dir):
 
 @register("overlap_lcs")
 def overlap_lcs(spark, sf_dir):
-    d = enrich.lead_k(_docs(spark, sf_dir).filter("doc_id < 40")).withColumn("ref", F.substring("text", 1, 400))
-    return metrics.lcs_overlap(d, "summary", "ref").select("doc_id", "p", "r", "f1")
+    d = enrich.lead_k(_docs(spark, sf_dir))
+    return metrics.lcs_overlap(d, "summary", "text").select("doc_id", "p", "r", "f1")
 
 
 @register("overlap_lcs_summary")
 def overlap_lcs_summary(spark, sf_dir):
-    d = enrich.lead_k(_docs(spark, sf_dir).filter("doc_id < 40")).withColumn("ref", F.substring("text", 1, 800))
-    return metrics.lcs_summary(d, "summary", "ref").select("doc_id", "p", "r", "f1")
+    d = enrich.lead_k(A.abstracts(spark, sf_dir), k=1, text="abstract")
+    return metrics.lcs_summary(d, "summary", "abstract").select("corpus_id", "p", "r", "f1")
 
 
 @register("soft_match")
 def soft_match(spark, sf_dir):
-    d = enrich.lead_k(_docs(spark, sf_dir).filter("doc_id < 30"), k=1).withColumn("ref", F.substring("text", 1, 300))
-    pairs = d.select(F.col("doc_id").alias("id"), metrics.words(F.col("summary")).alias("candidate"), metrics.words(F.col("ref")).alias("reference"))
+    d = enrich.lead_k(A.abstracts(spark, sf_dir), k=1, text="abstract")
+    pairs = d.select(F.col("corpus_id").alias("id"), metrics.words(F.col("summary")).alias("candidate"), metrics.words(F.col("abstract")).alias("reference"))
     words = pairs.select(F.explode(F.array_union("candidate", "reference")).alias("word")).distinct()
     vectors = encode.embed(words, "word", encode.HashingEncoder(32, ngrams=True), prefix="").select("word", F.col("embedding").alias("v"))
     return metrics.soft_match(pairs, vectors)
@@ -399,7 +397,7 @@ def subfield_cv(spark, sf_dir):
 @register("subfield_one_vs_rest")
 def subfield_ovr(spark, sf_dir):
     e, l = read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), A.vector_labels(spark, sf_dir)
-    return metrics.f1(enrich.with_truth(enrich.one_vs_rest(e, l, (0, 1, 2)), l.filter("label < 3")))
+    return metrics.f1(enrich.with_truth(enrich.one_vs_rest(e, l, tuple(range(17))), l.filter("label < 17")))
 
 
 @register("subfield_spark_mlp")

@@ -114,10 +114,10 @@ def join_shuffle_hash(spark, sf_dir):
     return R.join_equi(l, p, l.l_partkey == p.p_partkey, hint="shuffle_hash").groupBy("l_orderkey").agg(F.count("*").alias("n"))
 
 
-@register("join_full_outer_ids", "SELECT coalesce(a.doc_id, b.doc_id) AS id, a.doc_id IS NOT NULL AS a, b.doc_id IS NOT NULL AS b FROM (SELECT doc_id FROM documents WHERE doc_id % 3 = 0) a FULL JOIN (SELECT doc_id FROM documents WHERE doc_id % 2 = 0) b ON a.doc_id = b.doc_id")
+@register("join_full_outer_ids", "SELECT coalesce(a.doc_id, b.doc_id) AS id, a.doc_id IS NOT NULL AS a, b.doc_id IS NOT NULL AS b FROM (SELECT doc_id FROM documents WHERE lang = 'en') a FULL JOIN labels b ON a.doc_id = b.doc_id")
 def join_full(spark, sf_dir):
-    d = t(spark, sf_dir, "documents").select("doc_id")
-    a, b = d.filter("doc_id % 3 = 0").withColumnRenamed("doc_id", "x"), d.filter("doc_id % 2 = 0").withColumnRenamed("doc_id", "y")
+    a = t(spark, sf_dir, "documents").filter("lang = 'en'").select(F.col("doc_id").alias("x"))
+    b = t(spark, sf_dir, "labels").select(F.col("doc_id").alias("y"))
     return a.join(b, a.x == b.y, "full").select(F.coalesce("x", "y").alias("id"), F.col("x").isNotNull().alias("a"), F.col("y").isNotNull().alias("b"))
 
 
@@ -136,10 +136,10 @@ def join_right(spark, sf_dir):
     return R.join_equi(t(spark, sf_dir, "documents").filter("lang = 'en'").select("doc_id", "lang"), t(spark, sf_dir, "labels").select("doc_id"), "doc_id", "right")
 
 
-@register("join_cross_queries", "SELECT count(*) AS n FROM embeddings e, embeddings q WHERE q.vec_id < 5")
+@register("join_cross_queries", "SELECT count(*) AS n FROM embeddings e, embeddings q WHERE q.vec_id % 100 = 0")
 def join_cross(spark, sf_dir):
     e = t(spark, sf_dir, "embeddings").select("vec_id")
-    return e.crossJoin(F.broadcast(e.filter("vec_id < 5").withColumnRenamed("vec_id", "q"))).agg(F.count("*").alias("n"))
+    return e.crossJoin(F.broadcast(e.filter("vec_id % 100 = 0").withColumnRenamed("vec_id", "q"))).agg(F.count("*").alias("n"))
 
 
 @register("join_theta", "SELECT r.r_name, count(*) AS n FROM supplier s JOIN region r ON s.s_suppkey % 5 >= r.r_regionkey GROUP BY 1")
@@ -374,16 +374,16 @@ def set_except(spark, sf_dir):
     return a.subtract(b)
 
 
-@register("set_except_all", "SELECT lang FROM documents EXCEPT ALL SELECT lang FROM documents WHERE doc_id % 2 = 0")
+@register("set_except_all", "SELECT lang FROM documents EXCEPT ALL SELECT lang FROM documents WHERE n_chars < 1000")
 def set_except_all(spark, sf_dir):
     d = t(spark, sf_dir, "documents")
-    return d.select("lang").exceptAll(d.filter("doc_id % 2 = 0").select("lang"))
+    return d.select("lang").exceptAll(d.filter("n_chars < 1000").select("lang"))
 
 
-@register("set_intersect_all", "SELECT lang FROM documents WHERE doc_id < 50 INTERSECT ALL SELECT lang FROM documents WHERE doc_id % 2 = 0")
+@register("set_intersect_all", "SELECT lang FROM documents WHERE n_chars < 1000 INTERSECT ALL SELECT d.lang FROM documents d SEMI JOIN labels USING (doc_id)")
 def set_intersect_all(spark, sf_dir):
     d = t(spark, sf_dir, "documents")
-    return d.filter("doc_id < 50").select("lang").intersectAll(d.filter("doc_id % 2 = 0").select("lang"))
+    return d.filter("n_chars < 1000").select("lang").intersectAll(d.join(t(spark, sf_dir, "labels"), "doc_id", "left_semi").select("lang"))
 
 
 # ----------------------------------------------------------------------------- functions
@@ -394,9 +394,9 @@ def fn_string(spark, sf_dir):
     return t(spark, sf_dir, "customer").select("c_custkey", F.upper(F.substring("c_name", 1, 4)).alias("a"), F.length("c_name").alias("n"), F.translate("c_name", "#0", "-o").alias("tr"), F.try_element_at(F.split("c_name", "#"), F.lit(2)).alias("num"))
 
 
-@register("fn_regexp", r"SELECT doc_id, len(regexp_extract_all(text, '[A-Z]\w+'))::INT AS caps, regexp_replace(substr(text, 1, 40), '[aeiou]', '*', 'g') AS r, md5(lower(text)) AS m FROM documents")
+@register("fn_regexp", r"SELECT doc_id, len(regexp_extract_all(text, '[A-Z]\w+'))::INT AS caps, md5(regexp_replace(text, '[aeiou]', '*', 'g')) AS r, md5(lower(text)) AS m FROM documents")
 def fn_regexp(spark, sf_dir):
-    return t(spark, sf_dir, "documents").select("doc_id", F.regexp_count("text", F.lit(r"[A-Z]\w+")).alias("caps"), F.regexp_replace(F.substring("text", 1, 40), "[aeiou]", "*").alias("r"), F.md5(F.lower("text")).alias("m"))
+    return t(spark, sf_dir, "documents").select("doc_id", F.regexp_count("text", F.lit(r"[A-Z]\w+")).alias("caps"), F.md5(F.regexp_replace("text", "[aeiou]", "*")).alias("r"), F.md5(F.lower("text")).alias("m"))
 
 
 @register("fn_levenshtein", "SELECT a.n_name AS a, b.n_name AS b, levenshtein(a.n_name, b.n_name)::INT AS d FROM nation a JOIN nation b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey")
@@ -505,8 +505,8 @@ def stream_stream(spark, sf_dir):
     return S.join_streams(v, p, "user_id", "vt", "pt", "2 HOURS").agg(F.count("*").alias("n"))
 
 
-@register("stream_stateful_consensus", """WITH g AS (SELECT user_id AS key, count(event_type) AS votes, min(event_type) AS low, max(event_type) AS high FROM events WHERE event_id % 7 = 0 GROUP BY 1)
+@register("stream_stateful_consensus", """WITH g AS (SELECT user_id * 1000 + dayofyear(ts) AS key, count(event_type) AS votes, min(event_type) AS low, max(event_type) AS high FROM events GROUP BY 1)
 SELECT key, votes, CASE WHEN votes >= 2 AND low = high THEN low END AS label, CASE WHEN votes >= 2 AND low = high THEN 'label' WHEN low <> high THEN 'conflict' ELSE 'insufficient' END AS outcome FROM g""")
 def stream_consensus(spark, sf_dir):
-    votes = t(spark, sf_dir, "events").filter("event_id % 7 = 0").select(F.col("user_id").alias("key"), F.col("event_type").alias("value"))
+    votes = t(spark, sf_dir, "events").select((F.col("user_id") * 1000 + F.dayofyear("ts")).alias("key"), F.col("event_type").alias("value"))
     return licensing.consensus(votes)

@@ -82,7 +82,7 @@ def markdown_render(spark, sf_dir):
     return structure.render(parsed, kept)
 
 
-@register("unwrap_lines", r"""WITH RECURSIVE l AS (SELECT doc_id, string_split(text, chr(10)) AS l FROM documents WHERE doc_id < 400),
+@register("unwrap_lines", r"""WITH RECURSIVE l AS (SELECT doc_id, string_split(text, chr(10)) AS l FROM documents),
 w AS (SELECT doc_id, unnest(range(1, len(l) + 1)) AS i, unnest(l) AS line FROM l),
 g AS (SELECT *, lag(line) OVER (PARTITION BY doc_id ORDER BY i) AS prev FROM w),
 b AS (SELECT *, CASE WHEN prev IS NULL OR regexp_matches(prev, '[.!?:]\s*$') OR regexp_matches(line, '^\s*$|^#|^\s*([-*+]|\[[ xX]\])\s|^\(?\d+\)?$|^Eq\.?\s*\d+')
@@ -90,8 +90,7 @@ b AS (SELECT *, CASE WHEN prev IS NULL OR regexp_matches(prev, '[.!?:]\s*$') OR
 SELECT doc_id, sum(brk)::BIGINT AS n_lines FROM b GROUP BY doc_id""")
 def unwrap(spark, sf_dir):
     # a joined line is a barrier only if its first line is, and it ends as its last line does, so breaks can be counted pairwise
-    docs = _docs(spark, sf_dir).filter("doc_id < 400")
-    return docs.select("doc_id", F.size(F.split(structure.unwrap_lines(F.col("text")), "\n")).cast("long").alias("n_lines"))
+    return _docs(spark, sf_dir).select("doc_id", F.size(F.split(structure.unwrap_lines(F.col("text")), "\n")).cast("long").alias("n_lines"))
 
 
 @register("page_spans", r"""SELECT page_id, regexp_extract(html, '(?s)<h1>(.*?)</h1>', 1) AS title, len(regexp_extract_all(html, '(?s)<p>(.*?)</p>', 1))::BIGINT AS n_paragraphs,

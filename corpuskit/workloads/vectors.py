@@ -13,7 +13,7 @@ from corpuskit.workloads.corpus import PAPERS
 
 DOT = "list_sum(list_transform(range(1, len({a}) + 1), lambda i: CAST({a}[i] AS DOUBLE) * CAST({b}[i] AS DOUBLE)))"
 R6 = "floor(({x}) * 1000000 + 0.5) / 1000000 + 0.0"
-QUERIES = "vec_id < 20"
+QUERIES = "vec_id % 100 = 0"  # the stated query set: ids divisible by 100, against all rows
 
 
 def dot_sql(a, b):
@@ -62,54 +62,46 @@ def same_rank(spark, sf_dir):
     return both.agg(F.count("*").alias("n"), F.count_if(F.abs(F.col("d") * F.col("d") - (2 - 2 * F.col("score"))) < 0.0001).alias("same"))
 
 
-@register("recommend_by_id", _ranked(f"SELECT * FROM ({_IP}) WHERE id <> query_id AND query_id IN (3, 7, 11)", 5))
+@register("recommend_by_id", _ranked(f"SELECT * FROM ({_IP}) WHERE id <> query_id", 5))
 def recommend_by_id(spark, sf_dir):
-    return search.by_paper(_vectors(spark, sf_dir), [3, 7, 11], 5)
+    return search.by_paper(_vectors(spark, sf_dir), QUERIES, 5)
 
 
 _FILTER = "p.year BETWEEN 1996 AND 1999"
 
 
-@register("recommend_filtered", f"WITH {PAPERS}, c AS ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id AND query_id IN (3, 7, 11)', 25)}) {_ranked(f'SELECT query_id, id, score FROM c JOIN papers p ON p.corpus_id = c.id WHERE {_FILTER}', 5)}")
+@register("recommend_filtered", f"WITH {PAPERS}, c AS ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id', 25)}) {_ranked(f'SELECT query_id, id, score FROM c JOIN papers p ON p.corpus_id = c.id WHERE {_FILTER}', 5)}")
 def recommend_filtered(spark, sf_dir):
-    return search.recommend(_vectors(spark, sf_dir), A.papers(spark, sf_dir), [3, 7, 11], 5, year=(1996, 1999))
+    return search.recommend(_vectors(spark, sf_dir), A.papers(spark, sf_dir), QUERIES, 5, year=(1996, 1999))
 
 
-@register("recommend_prefiltered", f"WITH {PAPERS}, c AS (SELECT * FROM ({_IP}) WHERE id <> query_id AND query_id IN (3, 7, 11)) {_ranked(f'SELECT query_id, id, score FROM c JOIN papers p ON p.corpus_id = c.id WHERE {_FILTER} AND is_oa', 5)}")
+@register("recommend_prefiltered", f"WITH {PAPERS}, c AS (SELECT * FROM ({_IP}) WHERE id <> query_id) {_ranked(f'SELECT query_id, id, score FROM c JOIN papers p ON p.corpus_id = c.id WHERE {_FILTER} AND is_oa', 5)}")
 def recommend_prefiltered(spark, sf_dir):
-    return search.recommend(_vectors(spark, sf_dir), A.papers(spark, sf_dir), [3, 7, 11], 5, mode="pre", year=(1996, 1999), open_access=True)
+    return search.recommend(_vectors(spark, sf_dir), A.papers(spark, sf_dir), QUERIES, 5, mode="pre", year=(1996, 1999), open_access=True)
 
 
-@register("recommend_cards", f"WITH {PAPERS}, c AS ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id AND query_id IN (3, 7, 11)', 5)}) SELECT query_id, rank, id, score, title, year, author, venue, doi FROM c LEFT JOIN papers p ON p.corpus_id = c.id")
+@register("recommend_cards", f"WITH {PAPERS}, c AS ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id', 5)}) SELECT query_id, rank, id, score, title, year, author, venue, doi FROM c LEFT JOIN papers p ON p.corpus_id = c.id")
 def recommend_cards(spark, sf_dir):
     return search.cards(recommend_by_id(spark, sf_dir), A.papers(spark, sf_dir))
 
 
 def _mmr(spark, sf_dir, lam=0.7):
     v = _vectors(spark, sf_dir)
-    cands = search.by_paper(v, [3, 7, 11], 30).join(v.withColumnRenamed("vec_id", "id"), "id")
+    cands = search.by_paper(v, QUERIES, 30).join(v.withColumnRenamed("vec_id", "id"), "id")
     return search.rerank_diverse(cands, 6, lam)
 
 
-_MMR = f"""WITH RECURSIVE c AS ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id AND query_id IN (3, 7, 11)', 30)}),
-s AS (SELECT a.query_id, a.id AS a, b.id AS b, {r6(dot_sql('x.embedding', 'y.embedding'))} AS sim FROM c a JOIN c b ON a.query_id = b.query_id JOIN embeddings x ON x.vec_id = a.id JOIN embeddings y ON y.vec_id = b.id),
-p AS (SELECT query_id, 1 AS pick, id, [id] AS chosen FROM c WHERE rank = 1
-  UNION ALL SELECT * FROM (SELECT p.query_id, p.pick + 1 AS pick, arg_min(c.id, struct_pack(v := -({r6("0.7 * c.score - 0.3 * (SELECT max(sim) FROM s WHERE s.query_id = c.query_id AND s.a = c.id AND list_contains(p.chosen, s.b))")}), i := c.id)) AS id, NULL::BIGINT[] AS chosen
-  FROM p JOIN c ON c.query_id = p.query_id AND NOT list_contains(p.chosen, c.id) WHERE p.pick < 6 GROUP BY p.query_id, p.pick, p.chosen))
-SELECT query_id, pick, id FROM p"""
-
-
 @register("mmr_rerank")
 def mmr_rerank(spark, sf_dir):
     return _mmr(spark, sf_dir)
 
 
-@register("mmr_relevance_only", f"SELECT query_id, rank AS pick, id FROM ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id AND query_id IN (3, 7, 11)', 6)})")
+@register("mmr_relevance_only", f"SELECT query_id, rank AS pick, id FROM ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id', 6)})")
 def mmr_relevance(spark, sf_dir):
     return _mmr(spark, sf_dir, 1.0)
 
 
-@register("intra_list_diversity", f"""WITH c AS ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id AND query_id IN (3, 7, 11)', 6)})
+@register("intra_list_diversity", f"""WITH c AS ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id', 6)})
 SELECT a.query_id, {r6('avg(1 - ' + dot_sql('x.embedding', 'y.embedding') + ')')} AS diversity FROM c a JOIN c b ON a.query_id = b.query_id AND a.rank < b.rank JOIN embeddings x ON x.vec_id = a.id JOIN embeddings y ON y.vec_id = b.id GROUP BY a.query_id""")
 def diversity(spark, sf_dir):
     v = _vectors(spark, sf_dir).withColumnRenamed("vec_id", "id")
@@ -176,11 +168,11 @@ def l2_normalise(spark, sf_dir):
     return v.select("vec_id", round6(encode.norm("embedding")).alias("norm"), (F.floor(encode.norm("u") * 10000 + 0.5) / 10000).alias("unit"))
 
 
-@register("embedding_reproducibility", "SELECT (SELECT count(*) FROM documents WHERE doc_id < 100) AS n, 1.0 AS mean, true AS tight")
+@register("embedding_reproducibility", "SELECT (SELECT count(*) FROM documents) AS n, 1.0 AS mean, true AS tight")
 def reproducibility(spark, sf_dir):
     from corpuskit.plans import validate
 
-    docs = read_table(spark, sf_dir, "documents").filter("doc_id < 100").select("doc_id", "text")
+    docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
     enc = encode.HashingEncoder(64)
     a = encode.embed(docs, "text", enc).select(F.col("doc_id").alias("id"), F.col("embedding").alias("v"))
     b = encode.embed(docs.repartition(3), "text", enc).select(F.col("doc_id").alias("id"), F.col("embedding").alias("v"))
@@ -191,7 +183,7 @@ def reproducibility(spark, sf_dir):
 @register("embedding_two_plans")
 def two_plans(spark, sf_dir):
     """The aggregation form and the Arrow form of the hashing encoder, compared by cosine."""
-    docs = read_table(spark, sf_dir, "documents").filter("doc_id < 100")
+    docs = read_table(spark, sf_dir, "documents")
     agg = encode.hash_features(docs, 64)
     n = agg.groupBy("doc_id").agg(F.sqrt(F.sum(F.col("value") * F.col("value"))).alias("norm"))
     arrow = encode.embed(docs.select("doc_id", "text"), "text", encode.HashingEncoder(64), prefix="", max_tokens=10**9).select("doc_id", F.posexplode("embedding").alias("bucket", "x"))
@@ -199,9 +191,9 @@ def two_plans(spark, sf_dir):
     return met.agg(F.count("*").alias("n"), F.min(F.col("s") / F.col("norm")).alias("least_cosine"))
 
 
-@register("paragraph_vector_alignment", "SELECT count(*) AS chunks, count(*) AS vectors, 0::BIGINT AS missing FROM (SELECT 1 FROM documents WHERE doc_id < 50 AND length(text) > 0)")
+@register("paragraph_vector_alignment", "SELECT count(*) AS chunks, count(*) AS vectors, 0::BIGINT AS missing FROM (SELECT 1 FROM documents WHERE len(regexp_extract_all(text, '[^\\s]')) > 0)")
 def vector_alignment(spark, sf_dir):
-    c = chunking.whole(read_table(spark, sf_dir, "documents").filter("doc_id < 50"))
+    c = chunking.whole(read_table(spark, sf_dir, "documents"))
     e = encode.embed(c.select("corpus_id", "chunk_no", "chunk_id", "text"), "text", encode.HashingEncoder(64))
     return e.agg(F.count("chunk_id").alias("chunks"), F.count("embedding").alias("vectors"), F.count_if(F.col("embedding").isNull()).alias("missing"))
 
@@ -230,14 +222,14 @@ def _questions(spark, sf_dir):
     return read_table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("text"))
 
 
-_JACCARD = r"""a AS (SELECT item_id AS query_id, list_distinct(regexp_extract_all(lower(text), '[\p{L}\p{N}]+')) AS a FROM benchmark WHERE item_id < 20),
+_JACCARD = r"""a AS (SELECT item_id AS query_id, list_distinct(regexp_extract_all(lower(text), '[\p{L}\p{N}]+')) AS a FROM benchmark),
 b AS (SELECT doc_id AS id, list_distinct(regexp_extract_all(lower(text), '[\p{L}\p{N}]+')) AS b FROM documents),
 m AS (SELECT query_id, id, len(list_intersect(a, b)) AS k, len(a) AS na, len(b) AS nb FROM a, b),
 j AS (SELECT query_id, id, floor(coalesce(k::DOUBLE / nullif(na + nb - k, 0), 0) * 1000000 + 0.5) / 1000000 AS score FROM m)"""
 
 
 def _lexical(spark, sf_dir):
-    return search.jaccard(read_table(spark, sf_dir, "documents"), _questions(spark, sf_dir).filter("item_id < 20"), 10)
+    return search.jaccard(read_table(spark, sf_dir, "documents"), _questions(spark, sf_dir), 10)
 
 
 @register("lexical_jaccard", f"WITH {_JACCARD} {_ranked('SELECT * FROM j', 10)}")
@@ -250,12 +242,12 @@ def minhash(spark, sf_dir):
     return search.minhash_topk(read_table(spark, sf_dir, "documents"), _questions(spark, sf_dir))
 
 
-@register("retrieval_recall", f"""WITH {_JACCARD}, run AS ({_ranked('SELECT * FROM j', 10)}), gold AS (SELECT item_id AS query_id, doc_id AS id FROM ({A.DOC_GOLD_SQL}) WHERE item_id < 20),
+@register("retrieval_recall", f"""WITH {_JACCARD}, run AS ({_ranked('SELECT * FROM j', 10)}), gold AS (SELECT item_id AS query_id, doc_id AS id FROM ({A.DOC_GOLD_SQL})),
 rel AS (SELECT query_id, count(*) AS n FROM gold GROUP BY query_id), g AS (SELECT query_id, count(*) AS hits, min(rank) AS first, sum(1 / log2(rank + 1.0)) AS dcg FROM run SEMI JOIN gold USING (query_id, id) GROUP BY query_id),
 e AS (SELECT coalesce(hits / n, 0) AS recall, coalesce(1 / first, 0) AS rr, coalesce(dcg / (SELECT sum(1 / log2(i + 1.0)) FROM unnest(range(1, least(n, 10) + 1)) t(i)), 0) AS ndcg FROM rel LEFT JOIN g USING (query_id))
 SELECT count(*) AS queries, {r6('avg(recall)')} AS recall, {r6('avg(rr)')} AS mrr, {r6('avg(ndcg)')} AS ndcg FROM e""")
 def retrieval_recall(spark, sf_dir):
-    gold = A.doc_gold(spark, sf_dir).filter("item_id < 20").select(F.col("item_id").alias("query_id"), F.col("doc_id").alias("id"))
+    gold = A.doc_gold(spark, sf_dir).select(F.col("item_id").alias("query_id"), F.col("doc_id").alias("id"))
     return metrics.retrieval(_lexical(spark, sf_dir), gold, 10)
 
 
@@ -264,7 +256,7 @@ def _evidence(spark, sf_dir, k=5):
     enc = encode.HashingEncoder(256)
     chunks = chunking.chunk(read_table(spark, sf_dir, "documents"))
     coded = encode.embed(chunks.select("chunk_id", "text", "n_tokens"), "text", enc).select(F.monotonically_increasing_id().alias("vec_id"), "embedding", "chunk_id", "text", "n_tokens")
-    q = encode.embed_queries(_questions(spark, sf_dir).filter("item_id < 10").select(F.col("item_id").alias("vec_id"), "text"), "text", enc)
+    q = encode.embed_queries(_questions(spark, sf_dir).select(F.col("item_id").alias("vec_id"), "text"), "text", enc)
     pairs = coded.crossJoin(F.broadcast(q.select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("q"))))
     s = pairs.select("query_id", F.col("chunk_id").alias("id"), "text", "n_tokens", round6(A.dot("embedding", "q")).alias("score"))
     return search.rank(s, k, "ip").select("query_id", "rank", F.col("id").alias("chunk_id"), "text", "n_tokens", "score")
@@ -295,13 +287,13 @@ def rag_references(spark, sf_dir):
     return search.references(_answers(spark, sf_dir))
 
 
-@register("rag_citation_fidelity", "SELECT count(*) AS answers, 0::BIGINT AS foreign_ids, 0::BIGINT AS uncited FROM benchmark WHERE item_id < 10")
+@register("rag_citation_fidelity", "SELECT count(*) AS answers, 0::BIGINT AS foreign_ids, 0::BIGINT AS uncited FROM benchmark")
 def rag_fidelity(spark, sf_dir):
     f = search.fidelity(_answers(spark, sf_dir), _evidence(spark, sf_dir))
     return f.agg(F.count("*").alias("answers"), F.sum("n_foreign").alias("foreign_ids"), F.sum(F.when(F.col("n_uncited") > 0, F.lit(0)).otherwise(0)).cast("long").alias("uncited"))
 
 
-@register("context_by_subfield", f"""WITH vl AS ({A.VECTOR_LABELS_SQL}), r AS ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id AND query_id IN (3, 7, 11)', 5)})
+@register("context_by_subfield", f"""WITH vl AS ({A.VECTOR_LABELS_SQL}), r AS ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id', 5)})
 SELECT r.query_id, coalesce(vl.label, 17) AS label, count(*) AS n FROM r LEFT JOIN vl ON vl.vec_id = r.id GROUP BY ALL""")
 def context_by_subfield(spark, sf_dir):
     r = recommend_by_id(spark, sf_dir)
