@@ -264,18 +264,20 @@ def summary_benchmark(spark, sf_dir):
     return both.groupBy("system").agg(F.count("*").alias("n"), *[round6(F.avg(c)).alias(n) for c, n in (("uni", "uni_f1"), ("bi", "bi_f1"), ("f1", "lcs_sum_f1"))])
 
 
-_GRAM = r"""{lead}, g AS (SELECT doc_id, {c} AS c, {r} AS r FROM ld), gc AS (SELECT doc_id, w, count(*) AS n FROM (SELECT doc_id, unnest(c) AS w FROM g) GROUP BY ALL), gr AS (SELECT doc_id, w, count(*) AS n FROM (SELECT doc_id, unnest(r) AS w FROM g) GROUP BY ALL),
+_GRAM = r"""{lead}, gw AS (SELECT doc_id, {words_c} AS cw, {words_r} AS rw FROM ld), g AS (SELECT doc_id, {c} AS c, {r} AS r FROM gw), gc AS (SELECT doc_id, w, count(*) AS n FROM (SELECT doc_id, unnest(c) AS w FROM g) GROUP BY ALL), gr AS (SELECT doc_id, w, count(*) AS n FROM (SELECT doc_id, unnest(r) AS w FROM g) GROUP BY ALL),
 k AS (SELECT doc_id, sum(least(gc.n, gr.n)) AS k FROM gc JOIN gr USING (doc_id, w) GROUP BY doc_id), pr AS (SELECT g.doc_id, coalesce(coalesce(k, 0) / nullif(len(c), 0), 0) AS p, coalesce(coalesce(k, 0) / nullif(len(r), 0), 0) AS r FROM g LEFT JOIN k USING (doc_id))
 SELECT doc_id, floor(p * 1000000 + 0.5) / 1000000 AS p, floor(r * 1000000 + 0.5) / 1000000 AS r, floor(coalesce(2 * p * r / nullif(p + r, 0), 0) * 1000000 + 0.5) / 1000000 AS f1 FROM pr"""
-_W = r"regexp_extract_all(lower({x}), '[\p{{L}}\p{{N}}]+')"
-_BI = "list_transform(range(1, len({w})), lambda i: {w}[i] || ' ' || {w}[i + 1])"
 
 
 def _gram_sql(n):
-    c, r = _W.format(x="summary"), _W.format(x="text")
-    if n == 2:
-        c, r = _BI.format(w=c), _BI.format(w=r)
-    return "WITH " + _GRAM.replace("{lead}", _LEAD).replace("{c}", c).replace("{r}", r)
+    words = r"regexp_extract_all(lower({x}), '[\p{L}\p{N}]+')"
+    pairs = "list_transform(list_zip(list_slice({w}, 1, -2), list_slice({w}, 2, -1)), lambda z: z[1] || ' ' || z[2])"
+    form = "{w}" if n == 1 else pairs
+    parts = {"{lead}": _LEAD, "{words_c}": words.replace("{x}", "summary"), "{words_r}": words.replace("{x}", "text"), "{c}": form.replace("{w}", "cw"), "{r}": form.replace("{w}", "rw")}
+    text = "WITH " + _GRAM
+    for name, value in parts.items():
+        text = text.replace(name, value)
+    return text
 
 
 def _overlap(spark, sf_dir, n):
