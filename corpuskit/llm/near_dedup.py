@@ -11,8 +11,9 @@
    In each bucket, and in the tighter buckets of two bands together, the members are
    compared with the most central one and one other, not with each other. Buckets whose
    members are still in different classes are taken up again: a few delegates of each
-   class are compared with a few leaders among them (with all others in a small bucket),
-   drawn anew each round, as long as a round adds more than a thousandth of all links.
+   class are compared with a few leaders among them, drawn anew in each of a few rounds.
+   At last every pair across the classes of a bucket that was not compared yet is, so the
+   rounds only save work and no pair that shares a band is left out.
 4. A pair is a link if its weighted Jaccard similarity over the exact shingle sets is at
    least the threshold, or its plain one is: inverse document frequency lowers the weight
    of what a very large group shares, and the size of a group must not break it up.
@@ -52,7 +53,8 @@ class NearDedup:
     bloom_bits: int = 23
     leaders: int = 6
     delegates: int = 3
-    least_gain: float = 0.001
+    rounds: int = 3
+    block: int = 256
 
 
 # --------------------------------------------------------------------------- frequencies
@@ -328,6 +330,20 @@ def _further_pairs(named: DataFrame, cfg: NearDedup, salt: int) -> DataFrame:
     return met.select(F.least("id", "leader").alias("a"), F.greatest("id", "leader").alias("b")).distinct()
 
 
+def _blocks(of: str, cfg: NearDedup):
+    """Number of blocks of a group of ``of`` rows; each row of one side meets one block of the other, so no task holds the whole group."""
+    return F.ceil(F.col(of) / F.lit(cfg.block)).cast("int")
+
+
+def _all_pairs(named: DataFrame, cfg: NearDedup) -> DataFrame:
+    """Every pair across the classes that meet in a bucket."""
+    split = named.groupBy("bucket").agg(F.count("*").alias("n"), F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high")
+    own = named.join(split.select("bucket", _blocks("n", cfg).alias("blocks")), "bucket")
+    left = own.select("bucket", F.pmod(F.xxhash64("id"), "blocks").cast("int").alias("block"), F.col("id").alias("a"), F.col("label").alias("la"))
+    right = own.select("bucket", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.col("id").alias("b"), F.col("label").alias("lb"))
+    return left.join(right, ["bucket", "block"]).filter("a < b and la <> lb").select("a", "b").distinct()
+
+
 def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, DataFrame]:
     """``(signed documents with rep, labels of reps)``; reps without a link have no label."""
     weights = shingle_frequencies(docs, cfg)
@@ -351,20 +367,17 @@ def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, Da
     first = buckets.unionByName(tight.join(tight_n, "bucket").select(*buckets.columns))
     seen = stored(_first_pairs(stored(first, "buckets")), "pairs")
     links = stored(verified(seen, texts, weights, cfg), "links")
-    labels, found, turn = components(links), links.count(), 0
-    while True:
-        turn += 1
+    labels = components(links)
+    for turn in range(1, cfg.rounds + 2):
         named = buckets.select("id", "bucket").join(labels, "id", "left").select("id", "bucket", F.coalesce("label", "id").alias("label"))
         split = named.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high").select("bucket")
         buckets = stored(named.join(stored(split, "split"), "bucket"), "buckets")
-        pairs = stored(_further_pairs(buckets, cfg, turn).join(seen, ["a", "b"], "left_anti"), "pairs")
+        met = _further_pairs(buckets, cfg, turn) if turn <= cfg.rounds else _all_pairs(buckets, cfg)
+        pairs = stored(met.join(seen, ["a", "b"], "left_anti"), "pairs")
         fresh = stored(verified(pairs, texts, weights, cfg), "links")
-        new = fresh.count()
-        if new:
-            seen, found = seen.unionByName(pairs), found + new
+        seen = seen.unionByName(pairs)
+        if not fresh.isEmpty():
             labels = _merge_classes(labels, fresh)
-        if new <= cfg.least_gain * found:
-            break
     return signed, reps, labels
 
 

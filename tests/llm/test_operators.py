@@ -138,6 +138,35 @@ def test_near_duplicates_in_a_large_group(spark):
     assert all(got[i] == i for i in range(60, 150))
 
 
+def template_pages(n, own=42, changed=24):
+    """Pages on one template, below 0.8 of each other, each with a partner at 0.8 or more."""
+    base = " ".join(f"t{i}" for i in range(200))
+    pages = []
+    for p in range(n):
+        mine = [f"p{p}x{i}" for i in range(own)]
+        pages += [f"{base} {' '.join(mine)}", f"{base} {' '.join(mine[: own - changed] + [f'q{p}x{i}' for i in range(changed)])}"]
+    return pages
+
+
+def missed_candidates(spark, texts, cfg=None):
+    """Links between texts that share a band, and those of them that end in different classes."""
+    cfg = cfg or near_dedup.NearDedup()
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r.class_id for r in near_dedup.near_duplicate_classes(df, cfg=cfg).collect()}
+    bands = {r.doc_id: set(r.bands) for r in near_dedup.signatures(df, near_dedup.shingle_frequencies(df, cfg), cfg).collect()}
+    sets = [shingles(t) for t in texts]
+    links = [(a, b) for a in range(len(texts)) for b in range(a) if bands[a] & bands[b] and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    return links, [p for p in links if got[p[0]] != got[p[1]]]
+
+
+def test_near_duplicates_of_small_groups_beside_a_large_one(spark):
+    """The links of one large group do not end the search for the links of the others."""
+    base = [f"tok{i}" for i in range(120)]
+    near = [" ".join(base[:j] + [f"new{j}n{k}"] + base[j + 1 :]) for j in range(120) for k in range(5)]
+    links, missed = missed_candidates(spark, near[::3] + template_pages(60))
+    assert len(links) > 60 and not missed
+
+
 def test_near_duplicates_edges(odd, empty):
     got = [(r.doc_id, r.class_id, r.is_kept) for r in near_dedup.near_duplicate_classes(odd).collect()]
     ids = dict((g[0], g[1]) for g in got)
