@@ -13,7 +13,9 @@
    members are still in different classes are taken up again: a few delegates of each
    class are compared with a few leaders among them, drawn anew in each of a few rounds.
    At last every pair across the classes of a bucket that was not compared yet is, so the
-   rounds only save work and no pair that shares a band is left out.
+   rounds only save work and no pair that shares a band is left out. The members of
+   buckets above ``crowd`` meet by their rarest shingles instead: of two sets that are
+   alike enough, the first shared shingle, rare ones first, is near the start of both.
 4. A pair is a link if its weighted Jaccard similarity over the exact shingle sets is at
    least the threshold, or its plain one is: inverse document frequency lowers the weight
    of what a very large group shares, and the size of a group must not break it up.
@@ -54,6 +56,7 @@ class NearDedup:
     leaders: int = 6
     delegates: int = 3
     rounds: int = 3
+    crowd: int = 32
     block: int = 256
 
 
@@ -258,6 +261,30 @@ def _verify(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDed
         yield pa.RecordBatch.from_arrays([a.filter(good), b.filter(good), pa.array(w).filter(good), pa.array(j).filter(good)], ["a", "b", "weighted", "plain"])
 
 
+def _rare_keys(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDedup) -> Iterator[pa.RecordBatch]:
+    """The first shingles of each set in order of rarity, once by plain and once by weighted size.
+
+    ``rest`` is the size of the set from the shingle on, ``whole`` that of all. Sets A and B
+    are alike by t only if they share at least t / (1 + t) (A + B), so the rest at their
+    first shared shingle is at least t A, and for the smaller one 2 t / (1 + t) A (``short``).
+    """
+    open_, least = zstandard.ZstdDecompressor(), cfg.threshold - 1e-6
+    for batch in small(batches, 512):
+        ids, labels, parts = batch.column(0).to_numpy(), batch.column(1).to_numpy(), []
+        for i, body in enumerate(batch.column(2)):
+            s, w = weighted_set(open_.decompress(body.as_py()), weights, cfg)
+            order = np.lexsort((s, -weights[(s >> _U(64 - cfg.idf_bits)).astype(np.int64)]))
+            for kind, size in enumerate((np.ones(len(s)), w[order])):
+                rest = np.cumsum(size[::-1])[::-1]
+                n = int((rest >= least * rest[0]).sum()) if len(rest) else 0
+                with np.errstate(over="ignore"):
+                    key = mix(s[order[:n]] + _U(kind) * _U(0x9E3779B97F4A7C15)).view(np.int64)
+                parts.append((np.full(n, i), key, rest[:n], np.full(n, rest[0] if n else 0.0)))
+        at, key, rest, whole = (np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (np.zeros(0, t) for t in (int, np.int64, float, float))
+        short = rest >= 2 * least / (1 + least) * whole
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in (ids[at], labels[at], key, rest, whole, short)], ["id", "label", "key", "rest", "whole", "short"])
+
+
 def verified(pairs: DataFrame, texts: DataFrame, weights: np.ndarray, cfg: NearDedup) -> DataFrame:
     left = texts.select(F.col("id").alias("a"), F.col("body").alias("left"))
     right = texts.select(F.col("id").alias("b"), F.col("body").alias("right"))
@@ -317,8 +344,7 @@ def _further_pairs(named: DataFrame, cfg: NearDedup, salt: int) -> DataFrame:
     """Pairs across the classes that meet in a bucket.
 
     A class sends up to ``delegates`` members of the bucket, in another order each round;
-    up to ``leaders`` of those meet all delegates of other classes. A bucket of up to
-    ``leaders`` members, no class with more than ``delegates``, is compared in full.
+    up to ``leaders`` of those meet all delegates of other classes; ``_all_pairs`` has the rest.
     """
     order = F.xxhash64("id", "bucket", F.lit(salt))
     of_class = Window.partitionBy("bucket", "label").orderBy(order, "id")
@@ -335,13 +361,27 @@ def _blocks(of: str, cfg: NearDedup):
     return F.ceil(F.col(of) / F.lit(cfg.block)).cast("int")
 
 
-def _all_pairs(named: DataFrame, cfg: NearDedup) -> DataFrame:
-    """Every pair across the classes that meet in a bucket."""
+def _all_pairs(named: DataFrame, texts: DataFrame, weights: np.ndarray, cfg: NearDedup) -> DataFrame:
+    """Every pair across the classes that meet in a bucket, but those of large buckets that cannot be links."""
     split = named.groupBy("bucket").agg(F.count("*").alias("n"), F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high")
-    own = named.join(split.select("bucket", _blocks("n", cfg).alias("blocks")), "bucket")
-    left = own.select("bucket", F.pmod(F.xxhash64("id"), "blocks").cast("int").alias("block"), F.col("id").alias("a"), F.col("label").alias("la"))
-    right = own.select("bucket", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.col("id").alias("b"), F.col("label").alias("lb"))
-    return left.join(right, ["bucket", "block"]).filter("a < b and la <> lb").select("a", "b").distinct()
+    own = stored(named.select("id", "bucket", "label").join(split.select("bucket", "n"), "bucket"), "split")
+    left, right = own.filter(F.col("n") <= cfg.crowd), own.select("bucket", F.col("id").alias("b"), F.col("label").alias("lb"))
+    pairs = left.join(right, "bucket").filter("id < b and label <> lb").select(F.col("id").alias("a"), "b")
+    return pairs.unionByName(_crowded_pairs(own.filter(F.col("n") > cfg.crowd), texts, weights, cfg)).distinct()
+
+
+def _crowded_pairs(own: DataFrame, texts: DataFrame, weights: np.ndarray, cfg: NearDedup) -> DataFrame:
+    """Pairs across classes that share a rare shingle early enough to be links."""
+    bodies = own.select("id", "label").distinct().join(texts, "id").select("id", "label", "body")
+    keyed = stored(bodies.mapInArrow(lambda b: _rare_keys(b, weights, cfg), "id long, label long, key long, rest double, whole double, short boolean"), "keys")
+    split = keyed.groupBy("key").agg(F.count("*").alias("n"), F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high")
+    keyed = keyed.join(split.select("key", _blocks("n", cfg).alias("blocks")), "key")
+    left = keyed.filter("short").select("key", F.pmod(F.xxhash64("id"), "blocks").cast("int").alias("block"), *[F.col(c).alias(f"{c}_a") for c in ("id", "label", "rest", "whole")])
+    right = keyed.select("key", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), *[F.col(c).alias(f"{c}_b") for c in ("id", "label", "rest", "whole")])
+    least = cfg.threshold - 1e-6
+    met = left.join(right, ["key", "block"]).filter("label_a <> label_b and id_a <> id_b and whole_a <= whole_b")
+    near = met.filter(F.least("rest_a", "rest_b") >= F.lit(least / (1 + least)) * (F.col("whole_a") + F.col("whole_b")))
+    return near.select(F.least("id_a", "id_b").alias("a"), F.greatest("id_a", "id_b").alias("b"))
 
 
 def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, DataFrame]:
@@ -372,7 +412,7 @@ def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, Da
         named = buckets.select("id", "bucket").join(labels, "id", "left").select("id", "bucket", F.coalesce("label", "id").alias("label"))
         split = named.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high").select("bucket")
         buckets = stored(named.join(stored(split, "split"), "bucket"), "buckets")
-        met = _further_pairs(buckets, cfg, turn) if turn <= cfg.rounds else _all_pairs(buckets, cfg)
+        met = _further_pairs(buckets, cfg, turn) if turn <= cfg.rounds else _all_pairs(buckets, texts, weights, cfg)
         pairs = stored(met.join(seen, ["a", "b"], "left_anti"), "pairs")
         fresh = stored(verified(pairs, texts, weights, cfg), "links")
         seen = seen.unionByName(pairs)

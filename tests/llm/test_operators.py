@@ -7,6 +7,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
+import zstandard
 from pyspark.sql import functions as F
 
 from corpuskit.llm import byte_bpe, chat, html_text, maxscore, near_dedup, packing, quality, repetition, token_counts, wavelet
@@ -167,6 +168,26 @@ def test_near_duplicates_of_small_groups_beside_a_large_one(spark):
     assert len(links) > 60 and not missed
 
 
+def test_near_duplicates_in_a_hot_bucket(spark):
+    """Each page of a bucket far above the cap still finds its partner, and only few pairs are compared for it."""
+    links, missed = missed_candidates(spark, template_pages(200))
+    assert len(links) > 180 and not missed
+
+
+def test_rare_shingles_keep_every_link(spark):
+    """All pairs at the threshold or above, plain or weighted, meet by their rare shingles; most others do not."""
+    cfg = near_dedup.NearDedup(block=16)
+    texts = template_pages(30) + template_pages(10, own=60, changed=15) + [f"short{i} text" for i in range(5)]
+    df = spark.createDataFrame([(i, t, zstandard.compress(t.encode())) for i, t in enumerate(texts)], "id long, text string, body binary")
+    weights = near_dedup.shingle_frequencies(df, cfg)
+    own = df.select("id", F.col("id").alias("label"))
+    got = {(r.a, r.b) for r in near_dedup._crowded_pairs(own, df.select("id", "body"), weights, cfg).collect()}
+    sets = [near_dedup.weighted_set(t.encode(), weights, cfg) for t in texts]
+    every = [(a, b) for b in range(len(texts)) for a in range(b)]
+    want = {p for p in every if max(near_dedup.similarity(sets[p[0]], sets[p[1]])) >= cfg.threshold}
+    assert len(want) >= 30 and want <= got and len(got) < 0.2 * len(every)
+
+
 def test_near_duplicates_edges(odd, empty):
     got = [(r.doc_id, r.class_id, r.is_kept) for r in near_dedup.near_duplicate_classes(odd).collect()]
     ids = dict((g[0], g[1]) for g in got)
