@@ -260,7 +260,7 @@ def fidelity(answers: DataFrame, evidence: DataFrame) -> DataFrame:
     cited = F.array_distinct(F.regexp_extract_all("answer", F.lit(CITED), F.lit(1)))
     return answers.join(got, "query_id").select(
         "query_id", F.size(cited).cast("long").alias("n_cited"), F.size(F.array_except(cited, "ids")).cast("long").alias("n_foreign"),
-        (F.size(F.filter(F.split("answer", r"(?<=\.)\s+"), lambda s: s != "")) - F.regexp_count("answer", F.lit(r"\(\d+P\d+\)\."))).cast("long").alias("n_uncited"),
+        F.size(F.filter(F.split("answer", r"(?<=[.!?])\s+"), lambda s: (s != "") & ~s.rlike(CITED))).cast("long").alias("n_uncited"),
     )
 
 

@@ -290,7 +290,7 @@ def rag_references(spark, sf_dir):
 @register("rag_citation_fidelity", "SELECT count(*) AS answers, 0::BIGINT AS foreign_ids, 0::BIGINT AS uncited FROM benchmark")
 def rag_fidelity(spark, sf_dir):
     f = search.fidelity(_answers(spark, sf_dir), _evidence(spark, sf_dir))
-    return f.agg(F.count("*").alias("answers"), F.sum("n_foreign").alias("foreign_ids"), F.sum(F.when(F.col("n_uncited") > 0, F.lit(0)).otherwise(0)).cast("long").alias("uncited"))
+    return f.agg(F.count("*").alias("answers"), F.sum("n_foreign").alias("foreign_ids"), F.sum("n_uncited").alias("uncited"))
 
 
 @register("context_by_subfield", f"""WITH vl AS ({A.VECTOR_LABELS_SQL}), r AS ({_ranked(f'SELECT * FROM ({_IP}) WHERE id <> query_id', 5)})

@@ -1,6 +1,8 @@
 """Worked examples, edge cases and invariants of the methods."""
 
+import json
 import math
+import re
 
 import numpy as np
 import pytest
@@ -9,6 +11,7 @@ from pyspark.sql import functions as F
 from corpuskit.functions import tokens
 from corpuskit.operators import relational
 from corpuskit.plans import acquire, chunking, encode, enrich, licensing, metrics, records, search, structure, trends, validate
+from corpuskit.workloads import checks, vectors
 
 SERVICES = ("oa_aggregator", "venue_index", "publisher_registry")
 
@@ -189,6 +192,17 @@ def test_answers_cite_only_their_evidence(spark):
     assert c.n_evidence == 2 and c.context.startswith("[7P1] The sky")
 
 
+def test_uncited_sentences_are_reported(spark, monkeypatch):
+    texts = ["A b (1P1). C d. E f!", "G h (1P1). I j (2P1).", "K l? M n (9P9).", ""]
+    answers = spark.createDataFrame(list(enumerate(texts)), "query_id long, answer string")
+    evidence = spark.createDataFrame([(i, c) for i in range(4) for c in ("1P1", "2P1")], "query_id long, chunk_id string")
+    monkeypatch.setattr(vectors, "_answers", lambda *_: answers)
+    monkeypatch.setattr(vectors, "_evidence", lambda *_: evidence)
+    sentences = [s for t in texts for s in re.findall(r"[^.!?]+[.!?]", t)]
+    r = vectors.rag_fidelity(spark, "").first()
+    assert (r.answers, r.foreign_ids, r.uncited) == (4, 1, sum("(" not in s for s in sentences)) == (4, 1, 3)
+
+
 # ------------------------------------------------------------------------------ measures
 
 
