@@ -38,6 +38,9 @@ def rule_teacher(abstract: str) -> str:
     parts = [s.strip() for s in _SENT.findall(abstract) if s.strip()]
     chosen = parts[:1] + [s for s in parts[1:] if re.search(r"\d", s)][:1]
     words = " ".join(chosen).split()[:50]
+    if not any(re.search("[0-9]", w) for w in words) and (far := next((s.split() for s in parts if re.search("[0-9]", s)), None)):
+        at = next(i for i, w in enumerate(far) if re.search("[0-9]", w))
+        words = parts[0].split()[:25] + far[max(0, at - 24) : at + 1]  # the cut must not lose the number
     low = abstract.lower()
     labels = [v for v in VOCABULARY[:-1] if v in low] or [VOCABULARY[-1]]
     return json.dumps({"summary": " ".join(words), "labels": labels}, ensure_ascii=False)

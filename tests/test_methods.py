@@ -257,6 +257,21 @@ def test_teacher_constraints(spark):
     assert got == {1: set(), 2: {"no_number", "repeated_label"}, 3: {"not_json"}, 4: {"too_long", "foreign_label"}, 5: {"many_sentences"}}
 
 
+def test_every_broken_answer_is_counted(spark, sf_dir, monkeypatch):
+    long = "word " * 60
+    abstracts = [f"{long}first. Then 7 more. " + "x " * 600, f"{long}and 12 in one sentence. " + "x " * 600, "No figures here. " + "x " * 600, "short 1."]
+    for a in abstracts[:3]:
+        s = json.loads(enrich.rule_teacher(a))["summary"]
+        assert len(s.split()) <= 50 and len(re.findall(r"[^.!?]+[.!?]*", s)) <= 2 and bool(re.search("[0-9]", s)) == bool(re.search("[0-9]", a))
+    df = spark.createDataFrame(list(enumerate(abstracts)), "corpus_id long, abstract string")
+    monkeypatch.setattr(checks.A, "abstracts", lambda *_: df)
+    assert tuple(checks.teacher_check(spark, sf_dir).first()) == (3, 0)
+    plain, three = '{"summary": "none", "labels": []}', '{"summary": "A 1. B. C.", "labels": []}'
+    teacher = F.when(F.col("corpus_id") == 2, three).otherwise(plain)
+    monkeypatch.setattr(enrich, "annotate", lambda a: a.withColumn("teacher", teacher))
+    assert tuple(checks.teacher_check(spark, sf_dir).first()) == (3, 3)
+
+
 def test_centrality_and_extractive_summaries():
     text = "Cats like milk. Dogs like bones. Cats like warm milk. Cats and dogs like milk. Trains are late."
     assert "Trains" not in enrich.central_sentences(text, 3)
