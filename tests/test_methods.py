@@ -171,6 +171,17 @@ def test_inverted_file_with_all_cells_is_exact(spark, sf_dir):
     assert low <= high <= 1.0
 
 
+def test_inverted_file_at_the_registered_probes(spark, sf_dir):
+    """Fewer probes than cells, every row a query: recall against exact search is at least 0.9."""
+    v = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "embedding")
+    by_probes = {r.nprobe: r.recall for r in vectors.ivf_recall(spark, sf_dir).collect()}
+    assert 8 < vectors.NPROBE < 16 and by_probes[vectors.NPROBE] >= 0.9
+    assert metrics.ann_recall(search.InvertedFile.build(v, 16).search(v, 10, vectors.NPROBE), search.topk(v, v, 10)).first().recall >= 0.9
+    got = {tuple(r) for r in vectors.ivf_search(spark, sf_dir).select("query_id", "id").collect()}
+    want = {tuple(r) for r in search.topk(v, v.filter(vectors.QUERIES), 10).select("query_id", "id").collect()}
+    assert len(got & want) >= 0.9 * len(want)
+
+
 def test_encoders(spark):
     e = encode.HashingEncoder(64)
     x = e(["the cat", "THE cat", ""])
