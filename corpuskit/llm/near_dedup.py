@@ -23,7 +23,9 @@
 
 Defined cases: a null text is in a class of its own; empty texts (and texts without
 words) are equal only to the same text; equal rows share a class; a repeated id gives a
-row each; only the id and text columns are read; an empty table gives an empty result.
+row each, classed by its own text; a null id is no one's least id unless the class has no
+other; only the id and text columns are read; an empty table gives an empty result. Rows
+and texts are told apart by a row number and the text's hash, never by the id.
 """
 
 from __future__ import annotations
@@ -31,12 +33,11 @@ from __future__ import annotations
 from collections import OrderedDict
 from collections.abc import Iterator
 from dataclasses import dataclass
-from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from corpuskit.llm.common import id_text, slices, small, stored, utf8
@@ -136,16 +137,14 @@ def _band_keys(samples: np.ndarray, cfg: NearDedup) -> np.ndarray:
         return mix(key + np.arange(cfg.bands, dtype=_U))
 
 
-def _text_key(text: memoryview) -> bytes:
-    return blake2b(text, digest_size=16).digest()
+def _with_key(docs: DataFrame) -> DataFrame:
+    return docs.withColumn("text_key", F.unhex(F.sha2("text", 256)))
 
 
 def _sign(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDedup) -> Iterator[pa.RecordBatch]:
     logs, shift = np.log(weights), _U(64 - cfg.idf_bits)
     for batch in small(batches, 2048):
         data, offsets = utf8(batch.column(1))
-        raw = memoryview(data)
-        keys = [_text_key(raw[offsets[i] : offsets[i + 1]]) for i in range(batch.num_rows)]
         bands = np.zeros((batch.num_rows, cfg.bands), np.int64)
         signed = np.zeros(batch.num_rows, bool)
         for i, j in slices(offsets):
@@ -167,12 +166,11 @@ def _sign(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDedup
         lists = pa.ListArray.from_arrays(
             pa.array(np.arange(batch.num_rows + 1, dtype=np.int32) * cfg.bands), pa.array(bands.ravel()), mask=pa.array(~signed)
         )
-        keys = pa.array([None if null else k for k, null in zip(keys, batch.column(1).is_null().to_pylist(), strict=True)], pa.binary())
-        yield pa.RecordBatch.from_arrays([batch.column(0), keys, lists], ["doc_id", "text_key", "bands"])
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), lists], ["doc_id", "text_key", "bands"])
 
 
 def signatures(docs: DataFrame, weights: np.ndarray, cfg: NearDedup) -> DataFrame:
-    return docs.mapInArrow(lambda b: _sign(b, weights, cfg), "doc_id long, text_key binary, bands array<long>")
+    return _with_key(docs).mapInArrow(lambda b: _sign(b, weights, cfg), "doc_id long, text_key binary, bands array<long>")
 
 
 # --------------------------------------------------------------------------- verification
@@ -204,7 +202,7 @@ def id_filter(ids: DataFrame, bits: int) -> np.ndarray:
 
 
 def _payload(batches: Iterator[pa.RecordBatch], allowed: np.ndarray, bits: int) -> Iterator[pa.RecordBatch]:
-    """Compressed texts of the rows whose id may be among the candidates."""
+    """Compressed texts of the rows whose probe, a hash of id and text, may be among the candidates."""
     squeeze = zstandard.ZstdCompressor(level=3)
     for batch in small(batches, 2048):
         may = np.ones(batch.num_rows, bool)
@@ -214,7 +212,7 @@ def _payload(batches: Iterator[pa.RecordBatch], allowed: np.ndarray, bits: int)
         data, offsets = utf8(picked.column(1))
         raw = memoryview(data)
         body = [squeeze.compress(raw[offsets[i] : offsets[i + 1]]) for i in range(picked.num_rows)]
-        yield pa.RecordBatch.from_arrays([picked.column(0), pa.array(body, pa.binary())], ["id", "body"])
+        yield pa.RecordBatch.from_arrays([*picked.columns[2:], pa.array(body, pa.binary())], ["doc_id", "text_key", "body"])
 
 
 def similarity(a: tuple, b: tuple) -> tuple[float, float]:
@@ -384,22 +382,29 @@ def _crowded_pairs(own: DataFrame, texts: DataFrame, weights: np.ndarray, cfg: N
     return near.select(F.least("id_a", "id_b").alias("a"), F.greatest("id_a", "id_b").alias("b"))
 
 
+def _first() -> Column:
+    """Order of the rows of a class: least id, null ids last, then the row number."""
+    return F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row")
+
+
 def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, DataFrame]:
-    """``(signed documents with rep, labels of reps)``; reps without a link have no label."""
+    """``(signed rows, reps, labels of reps)``; a rep is a row number, and those without a link have no label."""
     weights = shingle_frequencies(docs, cfg)
-    signed = stored(signatures(docs, weights, cfg), "signed")
+    signed = stored(signatures(docs, weights, cfg).withColumn("row", F.monotonically_increasing_id()), "signed")
     reps = stored(
-        signed.filter("text_key is not null").groupBy("text_key").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")), "reps"
+        signed.filter("text_key is not null").groupBy("text_key").agg(F.min(_first()).alias("lead"), F.first("bands").alias("bands"))
+        .select("text_key", "lead", F.col("lead.row").alias("rep"), "bands"), "reps"
     )
     entries = reps.filter("bands is not null").select(F.col("rep").alias("id"), F.explode("bands").alias("bucket"))
     crowded = stored(entries.groupBy("bucket").agg(F.count("*").alias("n")).filter("n > 1"), "crowded")
     buckets = stored(entries.join(crowded, "bucket"), "buckets")
-    allowed = id_filter(buckets, cfg.bloom_bits)
-    texts = stored(
-        docs.mapInArrow(lambda b: _payload(b, allowed, cfg.bloom_bits), "id long, body binary")
-        .join(buckets.select("id").distinct(), "id", "left_semi").dropDuplicates(["id"]),
-        "texts",
-    )
+    own = buckets.select(F.col("id").alias("rep")).distinct()
+    members = stored(reps.join(own, "rep").select(F.col("rep").alias("id"), F.col("lead.doc_id").alias("lead_id"), F.col("text_key").alias("lead_key")), "members")
+    allowed = id_filter(members.select(F.xxhash64("lead_id", "lead_key").alias("id")), cfg.bloom_bits)
+    probed = _with_key(docs).select(F.xxhash64("doc_id", "text_key").alias("probe"), "text", "doc_id", "text_key")
+    bodies = probed.mapInArrow(lambda b: _payload(b, allowed, cfg.bloom_bits), "doc_id long, text_key binary, body binary")
+    same = (F.col("text_key") == F.col("lead_key")) & F.col("doc_id").eqNullSafe(F.col("lead_id"))
+    texts = stored(bodies.join(members, same).select("id", "body").dropDuplicates(["id"]), "texts")
     # two neighbouring bands together make tight buckets, where one comparison each links nearly all that belongs together
     both = F.expr(f"transform(sequence(0, {cfg.bands - 1}), i -> xxhash64(i, bands[i], bands[(i + 1) % {cfg.bands}]))")
     tight = reps.filter("bands is not null").select(F.col("rep").alias("id"), F.explode(both).alias("bucket"))
@@ -421,25 +426,41 @@ def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, Da
     return signed, reps, labels
 
 
+def _classes(docs: DataFrame, cfg: NearDedup) -> DataFrame:
+    """``doc_id, text_key, row, lead``: the rows, and the first row of the class of each; null texts have no lead."""
+    signed, reps, labels = near_duplicate_links(docs, cfg)
+    of_text = stored(reps.join(labels, reps.rep == labels.id, "left").select("text_key", "lead", F.coalesce("label", "rep").alias("class")), "named")
+    of_class = of_text.groupBy("class").agg(F.min("lead").alias("lead"))
+    named = stored(of_text.select("text_key", "class").join(of_class, "class").select("text_key", "lead"), "named")
+    return signed.select("doc_id", "text_key", "row").join(named, "text_key", "left")
+
+
 def near_duplicate_classes(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", cfg: NearDedup | None = None) -> DataFrame:
     """One row for each row of ``df``: ``doc_id, class_id, is_kept``.
 
-    ``class_id`` is the least id of the class; ``is_kept`` marks that document.
+    ``class_id`` is the least id of the class, null if all its ids are; ``is_kept`` marks
+    one row of each class, one with that id.
     """
-    cfg = cfg or NearDedup()
-    docs = id_text(df, id_col, text_col)
-    signed, reps, labels = near_duplicate_links(docs, cfg)
-    named = stored(
-        reps.select("text_key", "rep").join(labels, reps.rep == labels.id, "left").select("text_key", F.coalesce("label", "rep").alias("class")), "named"
-    )
-    keyed = signed.select("doc_id", "text_key").join(named, "text_key", "left")
-    return keyed.select("doc_id", F.coalesce("class", "doc_id").alias("class_id"), (F.coalesce("class", "doc_id") == F.col("doc_id")).alias("is_kept"))
+    rows = _classes(id_text(df, id_col, text_col), cfg or NearDedup())
+    alone = F.col("lead").isNull()
+    return rows.select("doc_id", F.when(alone, F.col("doc_id")).otherwise(F.col("lead.doc_id")).alias("class_id"), (alone | (F.col("lead.row") == F.col("row"))).alias("is_kept"))
 
 
 def keep_one_of_each(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", cfg: NearDedup | None = None) -> DataFrame:
-    """The rows of ``df`` that stand for their class, all columns as they were.
+    """One row of ``df`` for each class, all columns as they were; each row without a text is kept.
 
-    Ids are taken as unique here; a repeated id with equal text keeps its repeats.
+    Ids may be null or repeated: a row is found again by its id and text, and of rows
+    equal in both one stays.
     """
-    kept = near_duplicate_classes(df, id_col, text_col, cfg).filter("is_kept").select("doc_id").distinct()
-    return df.join(kept.withColumnRenamed("doc_id", "__kept"), F.col(id_col) == F.col("__kept"), "left_semi")
+    rows = stored(_classes(id_text(df, id_col, text_col), cfg or NearDedup()), "rows")
+    kept = rows.filter(F.col("lead.row") == F.col("row")).select(F.col("text_key").alias("__text"), F.col("doc_id").alias("__id"))
+    twice = rows.groupBy("text_key", "doc_id").agg(F.count("*").alias("n")).filter("n > 1 and text_key is not null")
+    same = (F.col("text_key") == F.col("__text")) & F.col("doc_id").eqNullSafe(F.col("__id"))
+    again = stored(kept.join(twice, same, "left_semi"), "again")
+    keyed = df.withColumn("__key", F.unhex(F.sha2(F.col(text_col).cast("string"), 256)))
+    at = (F.col("__key") == F.col("__text")) & F.col(id_col).cast("long").eqNullSafe(F.col("__id"))
+    if again.isEmpty():
+        out = keyed.join(kept, at, "left_semi")
+    else:
+        out = keyed.join(kept.join(again, ["__text"], "left_anti"), at, "left_semi").unionByName(keyed.join(again, at, "left_semi").dropDuplicates(["__key"]))
+    return out.unionByName(keyed.filter("__key is null")).drop("__key")

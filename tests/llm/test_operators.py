@@ -197,6 +197,22 @@ def test_near_duplicates_edges(odd, empty):
     assert kept.columns == odd.columns and kept.count() == len(ODD) - 1
 
 
+def test_near_duplicates_with_null_and_repeated_ids(spark):
+    """One row of each class stays, whatever its id; texts under one id are compared each for itself."""
+    words = [f"w{i}" for i in range(100)]
+    near = " ".join(["new", *words[1:]])
+    far = " ".join(f"v{i}" for i in range(100))
+    rows = [(None, "only here", 0), (None, " ".join(words), 1), (7, near, 2), (7, far, 3), (9, far + " end", 4), (5, "same row", 5), (5, "same row", 6),
+            (None, "no id twice", 7), (None, "no id twice", 8), (None, None, 9), (5, None, 10)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, n int")
+    kept = near_dedup.keep_one_of_each(df)
+    assert kept.columns == df.columns
+    n = sorted(r.n for r in kept.collect())
+    assert [x for x in n if x not in (5, 6, 7, 8)] == [0, 2, 3, 9, 10] and len({5, 6} & set(n)) == 1 and len({7, 8} & set(n)) == 1
+    got = near_dedup.near_duplicate_classes(df).collect()
+    assert len(got) == len(rows) and sum(r.is_kept for r in got) == 7 and all(r.is_kept is not None for r in got)
+
+
 def test_weighted_samples_agree_as_often_as_sets_are_alike():
     rng = np.random.default_rng(0)
     u = rng.integers(0, 1 << 63, 300).astype(np.uint64)
