@@ -10,6 +10,14 @@ WORDS = r"[\p{L}\p{N}]+"
 SENTENCE = r"[^.!?\n]+[.!?]*"
 
 
+#: A token with the white space behind it: the pieces of a text, put together, are the text again.
+PIECES = {
+    "wordpunct": r"(?:[\p{L}\p{N}]+|[^\p{L}\p{N}\s])\s*",
+    "whitespace": r"\S+\s*",
+    "subword": r"(?:[\p{L}\p{N}]{1,4}|[^\p{L}\p{N}\s])\s*",
+}
+
+
 def _all(text: Column, pattern: str) -> Column:
     return F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
 
@@ -29,6 +37,13 @@ def count(text: Column, scheme: str = "wordpunct") -> Column:
     return F.coalesce(F.size(tokenize(text, scheme)), F.lit(0))
 
 
+def pieces(text: Column, scheme: str = "wordpunct") -> Column:
+    """The tokens of a text, each with the white space that follows it; empty for NULL."""
+    if scheme not in PIECES:
+        raise ValueError(f"no token scheme {scheme}")
+    return F.coalesce(_all(text, PIECES[scheme]), F.array().cast("array<string>"))
+
+
 def let(value: Column, body) -> Column:
     """``body(value)`` with the value worked out once, not for each use inside a lambda."""
     return F.element_at(F.transform(F.array(value), lambda v: body(v)), 1)

@@ -73,22 +73,62 @@ def fulltexts(spark: SparkSession, sf_dir: str) -> DataFrame:
     (k % 41 = 7).
     """
     docs = read_table(spark, sf_dir, "documents").filter("doc_id % 5 <> 4").select(F.col("doc_id").alias("corpus_id"), "text")
-    lines = docs.withColumn("l", F.split("text", "\n"))
+    kind = """case when x.i = 1 then 'title' when x.i <= 3 and size(l) >= 3 then 'abstract'
+               when size(filter(split(l[x.i - 1], ' '), w -> w <> '')) <= 6 then 'section_header' else 'paragraph' end"""
+    rows = _annotated(docs.withColumn("l", F.split("text", "\n")), kind, "corpus_id % 37 = 5 and x.i = size(l)")
+    cut = F.when(F.col("corpus_id") % 41 == 7, F.expr("substr(paragraph, 1, length(paragraph) - 1)")).otherwise(F.col("paragraph"))
+    return rows.withColumn("paragraph", cut).select("corpus_id", "text", F.struct(*KINDS).alias("annotations"))
+
+
+def _annotated(rows: DataFrame, kind: str, shifted: str = "false") -> DataFrame:
+    """Span lists as JSON strings, one column for each kind, for texts whose lines are the array ``l``."""
     # running character offsets of the lines, folded inside the row
     spans = F.expr("""
         aggregate(sequence(0, size(l) - 1), cast(array() as array<struct<i: int, s: int, e: int>>),
           (acc, k) -> array_append(acc, named_struct('i', k + 1, 's', if(k = 0, 0, acc[k - 1].e + 1), 'e', if(k = 0, 0, acc[k - 1].e + 1) + length(l[k]))))""")
-    kind = F.expr("""
-        transform(spans, x -> named_struct('start', x.s, 'end', if(corpus_id % 37 = 5 and x.i = size(l), x.e + 7, x.e), 'kind',
-          case when x.i = 1 then 'title' when x.i <= 3 and size(l) >= 3 then 'abstract'
-               when size(filter(split(l[x.i - 1], ' '), w -> w <> '')) <= 6 then 'section_header' else 'paragraph' end))""")
-    rows = lines.withColumn("spans", spans).withColumn("kinds", kind)
+    named = F.expr(f"transform(spans, x -> named_struct('start', x.s, 'end', if({shifted}, x.e + 7, x.e), 'kind', {kind}))")
     one = lambda k: F.to_json(F.transform(F.filter("kinds", lambda x: x["kind"] == k), lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end"))))
-    cut = lambda c: F.when(F.col("corpus_id") % 41 == 7, F.expr(f"substr({c}, 1, length({c}) - 1)")).otherwise(F.col(c))
-    return (
-        rows.withColumns({k: one(k) for k in KINDS}).withColumn("paragraph", cut("paragraph"))
-        .select("corpus_id", "text", F.struct(*KINDS).alias("annotations"))
-    )
+    full = rows.withColumn("spans", F.when(F.size("l") > 0, spans).otherwise(F.array().cast("array<struct<i: int, s: int, e: int>>"))).withColumn("kinds", named)
+    return full.withColumns({k: one(k) for k in KINDS})
+
+
+#: The character references of the pages' texts.
+_REFERENCES = {"&lt;": "<", "&gt;": ">", "&quot;": '"', "&#39;": "'", "&nbsp;": " ", "&amp;": "&"}
+_BLOCK_TAG = r"<(h[1-6]|p)(?:\s[^>]*)?>"
+
+
+def _plain(body: str, flags: str, slash: str) -> str:
+    """SQL for the text of a piece of HTML: no tags, references resolved, one blank for white space."""
+    out = f"regexp_replace({body}, '<[^>]*>', ' '{flags})"
+    for name, value in _REFERENCES.items():
+        out = f"replace({out}, {name!r}, {value!r})"
+    return f"trim(regexp_replace({out}, '[ {slash}t{slash}r{slash}n]+', ' '{flags}))".replace('"&#39;"', "'&#39;'").replace('"\'"', "chr(39)")
+
+
+PAGE_SPANS_SQL = rf"""
+SELECT corpus_id, text, CASE tag WHEN 'h1' THEN 'title' WHEN 'p' THEN 'paragraph' ELSE 'section_header' END AS kind, CAST(upto - length(line) AS BIGINT) AS s, CAST(upto AS BIGINT) AS e, line FROM (
+  SELECT *, sum(length(line) + 1) OVER (PARTITION BY corpus_id ORDER BY i) - 1 AS upto, string_agg(line, chr(10)) OVER (PARTITION BY corpus_id ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS text FROM (
+    SELECT corpus_id, i, split_part(x, chr(2), 1) AS tag, {_plain("split_part(x, chr(2), 2)", ", 'g'", chr(92))} AS line FROM (
+      SELECT corpus_id, unnest(range(1, len(l))) AS i, unnest(list_slice(l, 2, len(l))) AS x FROM (
+        SELECT page_id AS corpus_id, string_split(regexp_replace(regexp_replace(regexp_extract(html, '(?s)<article>(.*)</article>', 1), '(?s)<!--.*?-->', '', 'g'), '{_BLOCK_TAG}', chr(1) || '\1' || chr(2), 'g'), chr(1)) AS l FROM pages)))
+  WHERE line <> '')""".replace("'" + chr(92) * 2 + "1'", "'" + chr(92) + "1'")
+
+
+def page_fulltexts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The span model from web pages: ``corpus_id`` (the page), its text and the annotations of its blocks.
+
+    The first-level heading is the title, lower headings are section headers, and paragraphs
+    end where the next block begins, closed or not.
+    """
+    article = F.regexp_replace(F.regexp_extract("html", r"(?s)<article>(.*)</article>", 1), r"(?s)<!--.*?-->", "")
+    marked = F.regexp_replace(article, _BLOCK_TAG, "\u0001$1\u0002")
+    pages = read_table(spark, sf_dir, "pages").select(F.col("page_id").alias("corpus_id"), F.split(marked, "\u0001").alias("x"))
+    line = _plain("split_part(y, chr(2), 2)", "", chr(92) * 2)
+    plain = F.expr(f"filter(transform(slice(x, 2, greatest(size(x) - 1, 0)), y -> named_struct('tag', split_part(y, chr(2), 1), 'line', {line})), z -> z.line <> '')")
+    blocks = pages.select("corpus_id", plain.alias("b")).withColumn("l", F.col("b.line"))
+    rows = blocks.withColumn("text", F.array_join("l", "\n"))
+    kind = "case b[x.i - 1].tag when 'h1' then 'title' when 'p' then 'paragraph' else 'section_header' end"
+    return _annotated(rows, kind).select("corpus_id", "text", F.struct(*KINDS).alias("annotations"))
 
 
 _REPORTS = """

@@ -10,7 +10,7 @@ from corpuskit.registry import register
 from corpuskit.sources import adapters as A
 from corpuskit.sources.tables import read_table
 from corpuskit.workloads.corpus import ABSTRACTS, DECIDED, PAPERS, REPORTS, wide
-from corpuskit.workloads.text import _MERGE_SQL
+from corpuskit.workloads.text import CHUNKS_SQL
 from corpuskit.workloads.vectors import dot_sql, r6
 
 
@@ -114,7 +114,7 @@ def alignment_histogram(spark, sf_dir):
     return validate.alignment_histogram(_aligned(spark, sf_dir))
 
 
-@register("validate_chunks", f"""WITH RECURSIVE {_MERGE_SQL.replace('{docs}', 'documents')}, g AS (SELECT doc_id AS id, count(*) AS n, count(*) FILTER (body + lap < 100) AS short, count(*) FILTER (body + lap > 200) AS long, arg_max(body + lap < 100, m) AS last_short FROM lapped GROUP BY doc_id)
+@register("validate_chunks", f"""WITH RECURSIVE {CHUNKS_SQL.replace('{docs}', 'documents')}, g AS (SELECT doc_id AS id, count(*) AS n, count(*) FILTER (body + lap < 100) AS short, count(*) FILTER (body + lap > 200) AS long, arg_max(body + lap < 100, c) AS last_short FROM lapped GROUP BY doc_id)
 SELECT id, n, short, long, CASE WHEN long > 0 THEN 'fail' WHEN short > 0 THEN 'warn' ELSE 'pass' END AS status FROM g""")
 def validate_chunks(spark, sf_dir):
     return validate.chunks(chunking.chunk(_docs(spark, sf_dir))).select("id", "n", "short", "long", "status")

@@ -46,18 +46,18 @@ counted AS (SELECT *, CASE WHEN trim(body) = '' THEN 0 ELSE len(regexp_split_to_
 _CURATED = ", ".join(repr(c) for c in structure.CURATED)
 
 
-@register("sections_assign", f"WITH {_PRECEDING} SELECT corpus_id, header_start, header, start, \"end\" FROM assigned")
+@register("sections_assign", f"WITH {_PRECEDING} SELECT * FROM assigned")
 def sections_assign(spark, sf_dir):
-    return structure.assign_sections(structure.extract_spans(_parsed(spark, sf_dir))).drop("text")
+    return structure.assign_sections(_parsed(spark, sf_dir))
 
 
-@register("sections_assign_closest", f"WITH {_CLOSEST} SELECT corpus_id, header_start, header, start, \"end\" FROM assigned")
+@register("sections_assign_closest", f"WITH {_CLOSEST} SELECT * FROM assigned")
 def sections_closest(spark, sf_dir):
-    return structure.assign_sections(structure.extract_spans(_parsed(spark, sf_dir)), "closest").drop("text")
+    return structure.assign_sections(_parsed(spark, sf_dir), "closest")
 
 
 def _sections(spark, sf_dir):
-    return structure.to_sections(structure.assign_sections(structure.extract_spans(_parsed(spark, sf_dir))))
+    return structure.to_sections(_parsed(spark, sf_dir))
 
 
 @register("headers_normalise", f"""WITH {SPANS}, h AS (SELECT DISTINCT substr(text, s + 1, e - s) AS header FROM good WHERE kind = 'section_header')
@@ -72,34 +72,58 @@ def thin_sections(spark, sf_dir):
     return structure.drop_thin_sections(_sections(spark, sf_dir)).select("corpus_id", "header_start", F.col("n_words").cast("int").alias("n_words"))
 
 
-@register("markdown_render", f"""WITH {_SECTIONS}, kept AS (SELECT *, CASE WHEN {structure.canonical_header_sql('header')} IN ({_CURATED}) THEN 2 ELSE 3 END AS level FROM counted WHERE n_words >= 10 OR {structure.canonical_header_sql('header')} IN ('abstract', 'conclusion', 'conclusions')),
+_MARKDOWN = f"""kept AS (SELECT *, CASE WHEN {structure.canonical_header_sql('header')} IN ({_CURATED}) THEN 2 ELSE 3 END AS level FROM counted WHERE n_words >= 10 OR {structure.canonical_header_sql('header')} IN ('abstract', 'conclusion', 'conclusions')),
 tops AS (SELECT corpus_id, min_by(substr(text, s + 1, e - s), s) FILTER (kind = 'title') AS t, string_agg(substr(text, s + 1, e - s), chr(10) ORDER BY s) FILTER (kind = 'abstract') AS a FROM good GROUP BY corpus_id),
-bodies AS (SELECT corpus_id, string_agg(repeat('#', level) || ' ' || coalesce(header, '') || chr(10) || body, chr(10) ORDER BY header_start) AS b FROM kept GROUP BY corpus_id)
-SELECT corpus_id, concat_ws(chr(10), '# ' || t, '## Abstract' || chr(10) || a, b) AS markdown FROM tops LEFT JOIN bodies USING (corpus_id)""")
+bodies AS (SELECT corpus_id, string_agg(repeat('#', level) || ' ' || coalesce(header, '') || chr(10) || body, chr(10) ORDER BY header_start) AS b FROM kept GROUP BY corpus_id),
+md AS (SELECT corpus_id, concat_ws(chr(10), '# ' || t, '## Abstract' || chr(10) || a, b) AS markdown FROM tops LEFT JOIN bodies USING (corpus_id))"""
+
+
+@register("markdown_render", f"WITH {_SECTIONS}, {_MARKDOWN} SELECT * FROM md")
 def markdown_render(spark, sf_dir):
-    parsed = _parsed(spark, sf_dir).filter("not bad_json")
-    kept = structure.normalise_headers(structure.drop_thin_sections(_sections(spark, sf_dir)))
-    return structure.render(parsed, kept)
+    return structure.render(_parsed(spark, sf_dir))
+
+
+_BAR = r"'^\s*$|^#|^\s*([-*+]|\[[ xX]\])\s|^\(?\d+\)?$|^Eq\.?\s*\d+'"
 
 
-@register("unwrap_lines", r"""WITH RECURSIVE l AS (SELECT doc_id, string_split(text, chr(10)) AS l FROM documents),
-w AS (SELECT doc_id, unnest(range(1, len(l) + 1)) AS i, unnest(l) AS line FROM l),
-g AS (SELECT *, lag(line) OVER (PARTITION BY doc_id ORDER BY i) AS prev FROM w),
-b AS (SELECT *, CASE WHEN prev IS NULL OR regexp_matches(prev, '[.!?:]\s*$') OR regexp_matches(line, '^\s*$|^#|^\s*([-*+]|\[[ xX]\])\s|^\(?\d+\)?$|^Eq\.?\s*\d+')
-  OR regexp_matches(prev, '^\s*$|^#|^\s*([-*+]|\[[ xX]\])\s|^\(?\d+\)?$|^Eq\.?\s*\d+') THEN 1 ELSE 0 END AS brk FROM g)
-SELECT doc_id, sum(brk)::BIGINT AS n_lines FROM b GROUP BY doc_id""")
+def unwrap_sql(table, key, text):
+    """Lines joined by a blank unless one of the two is a barrier or the first ends a sentence."""
+    return rf"""w AS (SELECT {key}, unnest(range(1, len(l) + 1)) AS i, unnest(l) AS line FROM (SELECT {key}, string_split({text}, chr(10)) AS l FROM {table})),
+g AS (SELECT *, lag(line) OVER (PARTITION BY {key} ORDER BY i) AS prev FROM w),
+b AS (SELECT *, CASE WHEN prev IS NULL THEN '' WHEN regexp_matches(prev, '[.!?:]\s*$') OR regexp_matches(line, {_BAR}) OR regexp_matches(prev, {_BAR}) THEN chr(10) ELSE ' ' END AS sep FROM g),
+unwrapped AS (SELECT {key}, string_agg(sep || line, '' ORDER BY i) AS text FROM b GROUP BY {key})"""
+
+
+@register("unwrap_lines", f"WITH {unwrap_sql('documents', 'doc_id', 'text')} SELECT * FROM unwrapped")
 def unwrap(spark, sf_dir):
-    # a joined line is a barrier only if its first line is, and it ends as its last line does, so breaks can be counted pairwise
-    return _docs(spark, sf_dir).select("doc_id", F.size(F.split(structure.unwrap_lines(F.col("text")), "\n")).cast("long").alias("n_lines"))
+    return _docs(spark, sf_dir).select("doc_id", structure.unwrap_lines(F.col("text")).alias("text"))
+
+
+@register("markdown_unwrapped", f"WITH {_SECTIONS}, {_MARKDOWN}, {unwrap_sql('md', 'corpus_id', 'markdown')} SELECT corpus_id, text AS markdown FROM unwrapped")
+def markdown_unwrapped(spark, sf_dir):
+    return structure.render(_parsed(spark, sf_dir), unwrap=True)
 
 
-@register("page_spans", r"""SELECT page_id, regexp_extract(html, '(?s)<h1>(.*?)</h1>', 1) AS title, len(regexp_extract_all(html, '(?s)<p>(.*?)</p>', 1))::BIGINT AS n_paragraphs,
-list_sum(list_transform(regexp_extract_all(html, '(?s)<p>(.*?)</p>', 1), lambda x: length(x)))::BIGINT AS n_chars FROM (SELECT page_id, regexp_extract(html, '(?s)<article>(.*)</article>', 0) AS html FROM pages)""")
+def _page_parsed(spark, sf_dir):
+    return structure.parse_spans(A.page_fulltexts(spark, sf_dir))
+
+
+@register("page_spans", f"""SELECT corpus_id AS page_id, kind, s::INT AS start, e::INT AS "end", line AS text FROM ({A.PAGE_SPANS_SQL})""")
 def page_spans(spark, sf_dir):
-    p = read_table(spark, sf_dir, "pages").select("page_id", F.regexp_extract("html", r"(?s)<article>(.*)</article>", 0).alias("html"))
-    ps = F.regexp_extract_all("html", F.lit(r"(?s)<p>(.*?)</p>"), F.lit(1))
-    total = F.aggregate(ps, F.lit(0), lambda a, x: a + F.length(x))
-    return p.select("page_id", F.regexp_extract("html", r"(?s)<h1>(.*?)</h1>", 1).alias("title"), F.size(ps).cast("long").alias("n_paragraphs"), F.when(F.size(ps) > 0, total.cast("long")).alias("n_chars"))
+    return structure.extract_spans(_page_parsed(spark, sf_dir)).withColumnRenamed("corpus_id", "page_id")
+
+
+@register("page_rejects", f"""WITH sp AS ({A.PAGE_SPANS_SQL}), g AS (SELECT corpus_id, count(*) FILTER (kind = 'paragraph') AS p, any_value(text) AS text FROM sp GROUP BY corpus_id)
+SELECT CASE WHEN g.corpus_id IS NULL OR trim(g.text) = '' THEN 'empty_text' WHEN p = 0 THEN 'no_paragraph' END AS reason, count(*) AS n FROM pages LEFT JOIN g ON g.corpus_id = page_id GROUP BY ALL""")
+def page_rejects(spark, sf_dir):
+    return structure.screen_structure(_page_parsed(spark, sf_dir), require=("paragraph",)).groupBy("reason").agg(F.count("*").alias("n"))
+
+
+@register("page_markdown", rf"""WITH sp AS ({A.PAGE_SPANS_SQL}), g AS (SELECT corpus_id, min_by(line, s) FILTER (kind = 'title') AS t, string_agg(line, chr(10) ORDER BY s) FILTER (kind = 'paragraph') AS b FROM sp GROUP BY corpus_id),
+n AS (SELECT *, CASE WHEN trim(b) = '' THEN 0 ELSE len(regexp_split_to_array(trim(b), '\s+')) END AS n_words FROM g)
+SELECT page_id AS corpus_id, concat_ws(chr(10), '# ' || t, CASE WHEN n_words >= 10 THEN '### ' || chr(10) || b END) AS markdown FROM pages LEFT JOIN n ON n.corpus_id = page_id""")
+def page_markdown(spark, sf_dir):
+    return structure.render(_page_parsed(spark, sf_dir))
 
 
 # ------------------------------------------------------------------------------ chunking
@@ -118,91 +142,120 @@ def token_counts(spark, sf_dir):
     return _docs(spark, sf_dir).select("doc_id", *[T.count(t, s).alias(s) for s in ("wordpunct", "whitespace", "subword")])
 
 
-_UNITS_SQL = rf"""p AS (SELECT doc_id, unnest(range(1, len(l) + 1)) AS i, unnest(l) AS t FROM (SELECT doc_id, regexp_split_to_array(text, '\n+') AS l FROM {{docs}})),
-pn AS (SELECT *, {_n('t', WP)} AS n FROM p),
-se AS (SELECT doc_id, i, unnest(range(1, len(l) + 1)) AS j, unnest(l) AS t FROM (SELECT doc_id, i, regexp_extract_all(t, '[^.!?\n]+[.!?]*') AS l FROM pn WHERE n > 180)),
-sn AS (SELECT *, {_n('t', WP)} AS n FROM se),
-ru AS (SELECT doc_id, i, j, k, least(180, n - 180 * k) AS n FROM (SELECT *, unnest(range(0, ((n - 1) // 180) + 1)) AS k FROM sn WHERE n > 180)),
-u0 AS (SELECT doc_id, i, 0 AS j, 0 AS k, n FROM pn WHERE n BETWEEN 1 AND 180 UNION ALL SELECT doc_id, i, j, 0, n FROM sn WHERE n BETWEEN 1 AND 180 UNION ALL SELECT doc_id, i, j, k, n FROM ru),
-u AS (SELECT doc_id, row_number() OVER (PARTITION BY doc_id ORDER BY i, j, k) AS r, n FROM u0)"""
-_PACK_SQL = f"""{_UNITS_SQL}, pk AS (SELECT doc_id, r, n, 1 AS c, n AS s FROM u WHERE r = 1 UNION ALL
-  SELECT u.doc_id, u.r, u.n, CASE WHEN pk.s + u.n > 180 THEN pk.c + 1 ELSE pk.c END, CASE WHEN pk.s + u.n > 180 THEN u.n ELSE pk.s + u.n END FROM pk JOIN u ON u.doc_id = pk.doc_id AND u.r = pk.r + 1),
-packed AS (SELECT doc_id, c, sum(n) AS n FROM pk GROUP BY doc_id, c)"""
-_MERGE_SQL = f"""{_PACK_SQL}, mg AS (SELECT doc_id, c, n, 1 AS m, n AS s FROM packed WHERE c = 1 UNION ALL
-  SELECT p.doc_id, p.c, p.n, CASE WHEN (p.n < 80 OR mg.s < 80) AND mg.s + p.n <= 280 THEN mg.m ELSE mg.m + 1 END, CASE WHEN (p.n < 80 OR mg.s < 80) AND mg.s + p.n <= 280 THEN mg.s + p.n ELSE p.n END
-  FROM mg JOIN packed p ON p.doc_id = mg.doc_id AND p.c = mg.c + 1),
-merged AS (SELECT doc_id, m, sum(n) AS body FROM mg GROUP BY doc_id, m),
-lapped AS (SELECT doc_id, m, body, CASE WHEN m = 1 THEN 0 ELSE least(20, lag(body) OVER (PARTITION BY doc_id ORDER BY m)) END AS lap FROM merged)"""
+_PIECE = r"(?:[\p{L}\p{N}]+|[^\p{L}\p{N}\s])\s*"
+_UNITS_SQL = rf"""tk AS (SELECT doc_id, unnest(range(1, len(l) + 1)) AS i, unnest(l) AS t FROM (SELECT doc_id, regexp_extract_all(text, '{_PIECE}') AS l FROM {{docs}})),
+fl AS (SELECT doc_id, i, contains(t, chr(10)) AS pe, contains(t, chr(10)) OR (regexp_matches(t, '[.!?]\s*$') AND NOT coalesce(regexp_matches(lead(t) OVER w, '^[.!?]'), false)) AS se FROM tk WINDOW w AS (PARTITION BY doc_id ORDER BY i)),
+gr AS (SELECT doc_id, i, coalesce(sum(pe::INT) OVER w, 0) AS par, coalesce(sum(se::INT) OVER w, 0) AS sen FROM fl WINDOW w AS (PARTITION BY doc_id ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+pn AS (SELECT doc_id, par, count(*) AS n FROM gr GROUP BY ALL),
+sn AS (SELECT doc_id, par, sen, count(*) AS n FROM gr SEMI JOIN (SELECT doc_id, par FROM pn WHERE n > 180) b USING (doc_id, par) GROUP BY ALL),
+u0 AS (SELECT doc_id, par, 0 AS sen, 0 AS k, n FROM pn WHERE n <= 180 UNION ALL SELECT doc_id, par, sen, k, least(180, n - 180 * k) FROM (SELECT *, unnest(range(0, ((n - 1) // 180) + 1)) AS k FROM sn)),
+u AS (SELECT doc_id, row_number() OVER (PARTITION BY doc_id ORDER BY par, sen, k) AS r, n FROM u0)"""
+
+
+def _packed_sql(name, least_first, least):
+    """Recursive packing: a unit that does not fit closes a chunk of at least ``least`` tokens, or else fills it up to 180."""
+    enough = f"{name}0.s >= CASE {name}0.c WHEN 1 THEN {least_first} ELSE {least} END"
+    fits = f"{name}0.s + u.n <= 180"
+    return f"""{name}0 AS (SELECT doc_id, r, 1::BIGINT AS c, n::BIGINT AS s, 0::BIGINT AS base FROM u WHERE r = 1 UNION ALL
+  SELECT u.doc_id, u.r, CASE WHEN {fits} THEN c ELSE c + 1 END, CASE WHEN {fits} THEN s + u.n WHEN {enough} THEN u.n ELSE s + u.n - 180 END, base + CASE WHEN {fits} THEN 0 WHEN {enough} THEN s ELSE 180 END FROM {name}0 JOIN u ON u.doc_id = {name}0.doc_id AND u.r = {name}0.r + 1),
+{name}1 AS (SELECT doc_id, c, any_value(base) AS base, max(base + s) AS reach FROM {name}0 GROUP BY ALL),
+{name} AS (SELECT doc_id, c, base, coalesce(lead(base) OVER w, reach) - base AS body, CASE WHEN c = 1 THEN 0 ELSE least(20, base - lag(base) OVER w) END AS lap FROM {name}1 WINDOW w AS (PARTITION BY doc_id ORDER BY c))"""
+
+
+CHUNKS_SQL = f"{_UNITS_SQL}, {_packed_sql('lapped', 100, 80)}"
+_PACK_SQL = f"{_UNITS_SQL}, {_packed_sql('packed', 0, 0)}"
 
 
 def _chunk_sql(docs, key="doc_id"):
-    return f"WITH RECURSIVE {_MERGE_SQL.replace('{docs}', docs)} SELECT doc_id AS corpus_id, m::INT AS chunk_no, body::INT AS body_tokens, lap::INT AS overlap_tokens, (body + lap)::INT AS n_tokens FROM lapped"
+    return f"""WITH RECURSIVE {CHUNKS_SQL.replace('{docs}', docs)}, own AS (SELECT doc_id, regexp_extract_all(text, '{_PIECE}') AS l FROM {docs} d)
+SELECT doc_id AS corpus_id, c::INT AS chunk_no, doc_id::VARCHAR || 'P' || c::VARCHAR AS chunk_id, regexp_replace(array_to_string(list_slice(l, (base - lap + 1)::BIGINT, (base + body)::BIGINT), ''), '\\s+$', '') AS text,
+  body::INT AS body_tokens, lap::INT AS overlap_tokens, (body + lap)::INT AS n_tokens FROM lapped JOIN own USING (doc_id)"""
 
 
-@register("split_units", f"WITH {_UNITS_SQL.replace('{docs}', 'documents')} SELECT doc_id AS corpus_id, r::INT AS unit_no, n::INT AS n_tokens FROM u")
+@register("split_units", rf"""WITH {_UNITS_SQL.replace('{docs}', 'documents')}, e AS (SELECT doc_id, r, n, sum(n) OVER (PARTITION BY doc_id ORDER BY r) AS upto FROM u), own AS (SELECT doc_id, regexp_extract_all(text, '{_PIECE}') AS l FROM documents)
+SELECT doc_id AS corpus_id, r::INT AS unit_no, n::INT AS n_tokens, regexp_replace(array_to_string(list_slice(l, (upto - n + 1)::BIGINT, upto::BIGINT), ''), '\s+$', '') AS text FROM e JOIN own USING (doc_id)""")
 def split_units(spark, sf_dir):
-    return chunking.split_units(_docs(spark, sf_dir)).select("corpus_id", F.col("unit_no").cast("int").alias("unit_no"), "n_tokens")
+    return chunking.split_units(_docs(spark, sf_dir))
 
 
-@register("chunk_pack", f"WITH RECURSIVE {_PACK_SQL.replace('{docs}', 'documents')} SELECT doc_id AS corpus_id, c::INT AS chunk_no, n::INT AS n_tokens FROM packed")
+@register("chunk_pack", f"WITH RECURSIVE {_PACK_SQL.replace('{docs}', 'documents')} SELECT doc_id AS corpus_id, c::INT AS chunk_no, body::INT AS body_tokens FROM packed")
 def chunk_pack(spark, sf_dir):
-    cfg = chunking.ChunkConfig()
-    bodies = chunking.pack(chunking.units(F.col("text"), cfg), cfg.budget)
-    return _docs(spark, sf_dir).select(F.col("doc_id").alias("corpus_id"), F.posexplode(bodies).alias("p", "c")).select("corpus_id", (F.col("p") + 1).cast("int").alias("chunk_no"), F.col("c.n").alias("n_tokens"))
+    return chunking.chunk(_docs(spark, sf_dir), chunking.ChunkConfig(merge_mode="strict")).select("corpus_id", "chunk_no", "body_tokens")
 
 
 @register("chunk_merge", _chunk_sql("documents"))
 def chunk_merge(spark, sf_dir):
-    return chunking.chunk(_docs(spark, sf_dir)).drop("text", "chunk_id")
+    return chunking.chunk(_docs(spark, sf_dir))
+
+
+_MODES = f"""{_PACK_SQL.replace('{docs}', 'documents')},
+mg AS (SELECT doc_id, c, 1 AS m, body::BIGINT AS s FROM packed WHERE c = 1 UNION ALL SELECT p.doc_id, p.c, CASE WHEN (p.body < 80 OR mg.s < 80) AND mg.s + p.body <= 280 THEN mg.m ELSE mg.m + 1 END, CASE WHEN (p.body < 80 OR mg.s < 80) AND mg.s + p.body <= 280 THEN mg.s + p.body ELSE p.body END
+  FROM mg JOIN packed p ON p.doc_id = mg.doc_id AND p.c = mg.c + 1),
+cap0 AS (SELECT doc_id, m, max_by(s, c) AS body FROM mg GROUP BY ALL),
+las AS (SELECT doc_id, max(c) AS z FROM packed GROUP BY doc_id), ends AS (SELECT doc_id, z, sum(body) FILTER (c >= z - 1) AS pair, sum(body) FILTER (c = z) AS tail FROM packed JOIN las USING (doc_id) GROUP BY ALL),
+reb AS (SELECT p.doc_id, c, CASE WHEN z > 1 AND tail < 80 AND c = z - 1 THEN ceil(pair / 2) WHEN z > 1 AND tail < 80 AND c = z THEN pair - ceil(pair / 2) ELSE body END AS body FROM packed p JOIN ends USING (doc_id)),
+every AS (SELECT 'strict' AS mode, doc_id, c, body FROM packed UNION ALL SELECT 'cap', doc_id, m, body FROM cap0 UNION ALL SELECT 'rebalance', doc_id, c, body FROM reb),
+n AS (SELECT *, body + CASE WHEN c = 1 THEN 0 ELSE least(20, lag(body) OVER (PARTITION BY mode, doc_id ORDER BY c)) END AS n FROM every)"""
 
 
-@register("chunk_overlap", f"WITH RECURSIVE {_MERGE_SQL.replace('{docs}', 'documents')} SELECT doc_id AS corpus_id, count(*) AS n_chunks, sum(lap)::BIGINT AS carried, max(body + lap)::INT AS longest FROM lapped GROUP BY doc_id")
+@register("chunk_merge_modes", f"WITH RECURSIVE {_MODES} SELECT mode, count(*) AS n_chunks, sum(n)::BIGINT AS tokens, max(n)::INT AS longest, count(*) FILTER (n < 100) AS short FROM n GROUP BY mode")
+def chunk_merge_modes(spark, sf_dir):
+    out = None
+    for mode in ("strict", "cap", "rebalance"):
+        c = chunking.chunk(_docs(spark, sf_dir), chunking.ChunkConfig(merge_mode=mode))
+        row = c.agg(F.count("*").alias("n_chunks"), F.sum("n_tokens").alias("tokens"), F.max("n_tokens").alias("longest"), F.count_if(F.col("n_tokens") < 100).alias("short")).select(F.lit(mode).alias("mode"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@register("chunk_overlap", _chunk_sql("documents").replace("SELECT doc_id AS corpus_id, c::INT", "SELECT corpus_id, chunk_no, overlap_tokens, array_to_string(list_slice(regexp_extract_all(text, '" + WP + "'), 1, overlap_tokens), ' ') AS carried FROM (SELECT doc_id AS corpus_id, c::INT") + ")")
 def chunk_overlap(spark, sf_dir):
-    return chunking.chunk(_docs(spark, sf_dir)).groupBy("corpus_id").agg(F.count("*").alias("n_chunks"), F.sum("overlap_tokens").alias("carried"), F.max("n_tokens").alias("longest"))
+    c = chunking.chunk(_docs(spark, sf_dir))
+    return c.select("corpus_id", "chunk_no", "overlap_tokens", F.array_join(F.slice(T.tokenize(F.col("text")), F.lit(1), F.col("overlap_tokens")), " ").alias("carried"))
 
 
-@register("chunk_ids", f"WITH RECURSIVE {_MERGE_SQL.replace('{docs}', 'documents')} SELECT doc_id AS corpus_id, doc_id::VARCHAR || 'P' || m::INT::VARCHAR AS chunk_id FROM lapped")
+@register("chunk_ids", f"WITH RECURSIVE {CHUNKS_SQL.replace('{docs}', 'documents')} SELECT doc_id AS corpus_id, doc_id::VARCHAR || 'P' || c::INT::VARCHAR AS chunk_id FROM lapped")
 def chunk_ids(spark, sf_dir):
     return chunking.chunk(_docs(spark, sf_dir)).select("corpus_id", "chunk_id")
 
 
-@register("chunk_pages", _chunk_sql(r"(SELECT page_id AS doc_id, trim(regexp_replace(regexp_extract(html, '(?s)<article>(.*)</article>', 1), '<[^>]*>', chr(10), 'g')) AS text FROM pages)"))
+@register("chunk_pages", _chunk_sql(f"(SELECT DISTINCT corpus_id AS doc_id, text FROM ({A.PAGE_SPANS_SQL}))"))
 def chunk_pages(spark, sf_dir):
-    p = read_table(spark, sf_dir, "pages").select(F.col("page_id").alias("doc_id"), F.trim(F.regexp_replace(F.regexp_extract("html", r"(?s)<article>(.*)</article>", 1), "<[^>]*>", "\n")).alias("text"))
-    return chunking.chunk(p).drop("text", "chunk_id")
+    return chunking.chunk(A.page_fulltexts(spark, sf_dir), key="corpus_id")
 
 
 @register("chunk_conversations", _chunk_sql("(SELECT conv_id AS doc_id, string_agg(text, chr(10) ORDER BY turn, text) AS text FROM conversations GROUP BY conv_id)"))
 def chunk_conversations(spark, sf_dir):
     turns = F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("turn", "text"))), lambda s: s["text"]), "\n")
-    return chunking.chunk(read_table(spark, sf_dir, "conversations").groupBy(F.col("conv_id").alias("doc_id")).agg(turns.alias("text"))).drop("text", "chunk_id")
+    return chunking.chunk(read_table(spark, sf_dir, "conversations").groupBy(F.col("conv_id").alias("doc_id")).agg(turns.alias("text")))
 
 
-@register("chunk_rejects", f"SELECT doc_id FROM documents WHERE trim(text) = '' OR text IS NULL OR {_n('text', WP)} = 0")
+@register("chunk_rejects", f"SELECT doc_id, CASE WHEN text IS NULL OR NOT regexp_matches(text, '\\S') THEN 'empty_content' ELSE 'no_tokens' END AS reason FROM documents WHERE text IS NULL OR {_n('text', WP)} = 0")
 def chunk_rejects(spark, sf_dir):
-    return chunking.screen(_docs(spark, sf_dir)).filter("reason is not null").select("doc_id")
+    return chunking.screen(_docs(spark, sf_dir)).filter("reason is not null").select("doc_id", "reason")
 
 
 _FIXED = f"w AS (SELECT doc_id, {_n('text', WP)} AS n FROM documents), f AS (SELECT doc_id, unnest(range(1, greatest(ceil((n - 20) / 180)::INT, 1) + 1)) AS c, n FROM w WHERE n > 0)"
-_SENT = rf"""st AS (SELECT doc_id, unnest(range(1, len(l) + 1)) AS i, unnest(l) AS t FROM (SELECT doc_id, regexp_extract_all(text, '[^.!?\n]+[.!?]*') AS l FROM documents)),
-sm AS (SELECT doc_id, row_number() OVER (PARTITION BY doc_id ORDER BY i) AS r, n FROM (SELECT *, {_n('t', WP)} AS n FROM st) WHERE n > 0),
-sp AS (SELECT doc_id, r, 1 AS c, n AS s, n FROM sm WHERE r = 1 UNION ALL SELECT m.doc_id, m.r, CASE WHEN sp.s + m.n > 200 THEN sp.c + 1 ELSE sp.c END, CASE WHEN sp.s + m.n > 200 THEN m.n ELSE sp.s + m.n END, m.n FROM sp JOIN sm m ON m.doc_id = sp.doc_id AND m.r = sp.r + 1),
+# sentences and paragraphs as the units of the recursive chunker count them
+_SENT = """sm AS (SELECT doc_id, row_number() OVER (PARTITION BY doc_id ORDER BY sen) AS r, count(*) AS n FROM gr GROUP BY doc_id, sen),
+sp AS (SELECT doc_id, r, 1::BIGINT AS c, n::BIGINT AS s, n::BIGINT AS n FROM sm WHERE r = 1 UNION ALL SELECT m.doc_id, m.r, CASE WHEN sp.s + m.n > 200 THEN sp.c + 1 ELSE sp.c END, CASE WHEN sp.s + m.n > 200 THEN m.n ELSE sp.s + m.n END, m.n FROM sp JOIN sm m ON m.doc_id = sp.doc_id AND m.r = sp.r + 1),
 sc AS (SELECT doc_id, c, sum(n) AS n FROM sp GROUP BY doc_id, c)"""
-_PARA = rf"""pa AS (SELECT doc_id, unnest(range(1, len(l) + 1)) AS i, unnest(l) AS t FROM (SELECT doc_id, regexp_split_to_array(text, '\n+') AS l FROM documents)),
-pc AS (SELECT doc_id, row_number() OVER (PARTITION BY doc_id ORDER BY i) AS c, n FROM (SELECT *, {_n('t', WP)} AS n FROM pa) WHERE n > 0)"""
+_PARA = "pc AS (SELECT doc_id, row_number() OVER (PARTITION BY doc_id ORDER BY par) AS c, n FROM pn)"
+_U = _UNITS_SQL.replace("{docs}", "documents")
 
 
-@register("chunk_fixed_window", f"WITH {_FIXED} SELECT doc_id AS corpus_id, c::INT AS chunk_no, least(200, n - (c - 1) * 180)::INT AS n_tokens FROM f")
+@register("chunk_fixed_window", rf"""WITH {_FIXED}, own AS (SELECT doc_id, regexp_extract_all(text, '{_PIECE}') AS l FROM documents)
+SELECT doc_id AS corpus_id, c::INT AS chunk_no, least(200, n - (c - 1) * 180)::INT AS n_tokens, regexp_replace(array_to_string(list_slice(l, (c - 1) * 180 + 1, (c - 1) * 180 + 200), ''), '\s+$', '') AS text FROM f JOIN own USING (doc_id)""")
 def chunk_fixed(spark, sf_dir):
-    return chunking.fixed_window(_docs(spark, sf_dir)).select("corpus_id", "chunk_no", "n_tokens")
+    return chunking.fixed_window(_docs(spark, sf_dir)).select("corpus_id", "chunk_no", "n_tokens", "text")
 
 
-@register("chunk_by_sentence", f"WITH RECURSIVE {_SENT} SELECT doc_id AS corpus_id, c::INT AS chunk_no, n::INT AS n_tokens FROM sc")
+@register("chunk_by_sentence", f"WITH RECURSIVE {_U}, {_SENT} SELECT doc_id AS corpus_id, c::INT AS chunk_no, n::INT AS n_tokens FROM sc")
 def chunk_by_sentence(spark, sf_dir):
     return chunking.by_sentence(_docs(spark, sf_dir)).select("corpus_id", "chunk_no", "n_tokens")
 
 
-@register("chunk_by_paragraph", f"WITH {_PARA} SELECT doc_id AS corpus_id, c::INT AS chunk_no, n::INT AS n_tokens FROM pc")
+@register("chunk_by_paragraph", f"WITH {_U}, {_PARA} SELECT doc_id AS corpus_id, c::INT AS chunk_no, n::INT AS n_tokens FROM pc")
 def chunk_by_paragraph(spark, sf_dir):
     return chunking.by_paragraph(_docs(spark, sf_dir)).select("corpus_id", "chunk_no", "n_tokens")
 
@@ -215,7 +268,7 @@ def chunk_whole(spark, sf_dir):
 _STAT = "count(*) AS n_chunks, floor(avg(n) * 1000 + 0.5) / 1000 AS mean_tokens, max(n)::INT AS max_tokens, count(*) FILTER (n < 100) AS short"
 
 
-@register("chunk_strategy_compare", f"""WITH RECURSIVE {_MERGE_SQL.replace('{docs}', 'documents')}, {_FIXED}, {_SENT}, {_PARA}, wh AS (SELECT n FROM w WHERE n > 0)
+@register("chunk_strategy_compare", f"""WITH RECURSIVE {CHUNKS_SQL.replace('{docs}', 'documents')}, {_FIXED}, {_SENT}, {_PARA}, wh AS (SELECT n FROM w WHERE n > 0)
 SELECT 'recursive' AS strategy, {_STAT} FROM (SELECT body + lap AS n FROM lapped) UNION ALL SELECT 'fixed', {_STAT} FROM (SELECT least(200, n - (c - 1) * 180) AS n FROM f)
 UNION ALL SELECT 'sentence', {_STAT} FROM sc UNION ALL SELECT 'paragraph', {_STAT} FROM pc UNION ALL SELECT 'whole', {_STAT} FROM wh""")
 def chunk_compare(spark, sf_dir):
@@ -226,3 +279,14 @@ def chunk_compare(spark, sf_dir):
         row = c.agg(F.count("*").alias("n_chunks"), (F.floor(F.avg("n_tokens") * 1000 + 0.5) / 1000).alias("mean_tokens"), F.max("n_tokens").cast("int").alias("max_tokens"), F.count_if(F.col("n_tokens") < 100).alias("short")).select(F.lit(name).alias("strategy"), "*")
         out = row if out is None else out.unionByName(row)
     return out
+
+
+_DOC_MEANS = f"WITH RECURSIVE {CHUNKS_SQL.replace('{docs}', 'documents')}, m AS (SELECT doc_id, avg(body + lap) AS mean FROM lapped GROUP BY doc_id)"
+
+
+@register("chunk_mean_quartiles", f"{_DOC_MEANS} SELECT count(*) AS docs, floor(quantile_cont(mean, 0.25) * 1000 + 0.5) / 1000 AS q1, floor(quantile_cont(mean, 0.5) * 1000 + 0.5) / 1000 AS median, floor(quantile_cont(mean, 0.75) * 1000 + 0.5) / 1000 AS q3 FROM m")
+def chunk_mean_quartiles(spark, sf_dir):
+    """Quartiles over documents of the mean chunk length; exact, as the group is one number for each document."""
+    means = chunking.chunk(_docs(spark, sf_dir)).groupBy("corpus_id").agg(F.avg("n_tokens").alias("mean"))
+    q = lambda p: F.floor(F.percentile("mean", p) * 1000 + 0.5) / 1000
+    return means.agg(F.count("*").alias("docs"), q(0.25).alias("q1"), q(0.5).alias("median"), q(0.75).alias("q3"))

@@ -92,8 +92,29 @@ def test_headers_and_sections(spark):
     assert [(r.c, r.level) for r in got] == [(c, n) for _, c, n in h]
     text = "early|H1|one|H2|two"
     p = parsed(spark, text, paragraph='[{"start":0,"end":5},{"start":9,"end":12},{"start":16,"end":19}]', section_header='[{"start":6,"end":8},{"start":13,"end":15}]')
-    rows = structure.assign_sections(structure.extract_spans(p)).orderBy("start").collect()
+    rows = structure.assign_sections(p).orderBy("start").collect()
     assert [(r.header, r.text) for r in rows] == [("H1", "early"), ("H1", "one"), ("H2", "two")]
+    near = structure.assign_sections(p, "closest").orderBy("start").collect()
+    assert [(r.header, r.text) for r in near] == [("H1", "early"), ("H1", "one"), ("H2", "two")]
+    assert [(r.header, r.body, r.n_words) for r in structure.to_sections(p).orderBy("header_start").collect()] == [("H1", "early\none", 2), ("H2", "two", 1)]
+    assert structure.render(p, min_words=2).first().markdown == "### H1\nearly\none"
+    bare = parsed(spark, "one|two", paragraph='[{"start":0,"end":3},{"start":4,"end":7}]')
+    assert [(r.header, r.text) for r in structure.assign_sections(bare).orderBy("start").collect()] == [(None, "one"), (None, "two")]
+
+
+def test_spans_of_a_long_text_are_cut_at_their_places(spark):
+    """Blocks of the cutter: spans inside, across and at the bounds of blocks, with characters of two code units."""
+    text = "".join(chr(0x1F600 + i % 40) if i % 7 == 0 else chr(97 + i % 26) for i in range(3 * structure.BLOCK + 10))
+    at = [(0, 5), (structure.BLOCK - 3, structure.BLOCK + 3), (structure.BLOCK, 2 * structure.BLOCK), (10, 3 * structure.BLOCK), (3 * structure.BLOCK, len(text)), (7, 7)]
+    p = parsed(spark, text, paragraph=json.dumps([{"start": a, "end": b} for a, b in at]))
+    assert sorted((r.start, r.end, r.text) for r in structure.extract_spans(p).collect()) == sorted((a, b, text[a:b]) for a, b in at)
+
+
+def test_structuring_and_chunking_have_no_exchange(spark):
+    p = parsed(spark, "abc", paragraph='[{"start":0,"end":1}]')
+    chunks = chunking.chunk(spark.createDataFrame([(1, "a b")], "doc_id long, text string"))
+    for df in (structure.render(p), structure.assign_sections(p), chunks):
+        assert "Exchange" not in df._jdf.queryExecution().executedPlan().toString()
 
 
 def test_unwrap_is_idempotent(spark):
@@ -110,7 +131,7 @@ def test_chunks_keep_their_bounds_and_words(spark):
     sent = " ".join(f"w{i}" for i in range(30)) + "."
     texts = ["", "   ", "one", " ".join(["x"] * 200), " ".join(["x"] * 201), "long " * 1000, "a. " * 300, (sent + " ") * 40 + "\n" + sent, "é中😀 " * 50, None, "a\r\nb"]
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
-    for mode in ("cap", "strict", "rebalance"):
+    for mode in chunking.MERGE_MODES:
         cfg = chunking.ChunkConfig(merge_mode=mode)
         rows = chunking.chunk(df, cfg).collect()
         by = {}
@@ -122,9 +143,49 @@ def test_chunks_keep_their_bounds_and_words(spark):
             own.sort(key=lambda r: r.chunk_no)
             assert [r.chunk_id for r in own] == [f"{i}P{n + 1}" for n in range(len(own))]
             assert all(r.n_tokens <= most and r.n_tokens == r.body_tokens + r.overlap_tokens for r in own)
-            total = df.filter(F.col("doc_id") == i).select(tokens.count(F.col("text")).alias("n")).first().n
-            assert sum(r.body_tokens for r in own) == total
+            words = re.findall(r"[^\W_]+|[^\w\s]|_", texts[i])
+            assert sum(r.body_tokens for r in own) == len(words)
             assert own[0].overlap_tokens == 0 and all(r.overlap_tokens == min(20, p.body_tokens) for p, r in zip(own, own[1:], strict=False))
+            at = 0
+            for r in own:  # a chunk is a verbatim part of the text: its overlap, then its body
+                assert re.findall(r"[^\W_]+|[^\w\s]|_", r.text) == words[at - r.overlap_tokens : at + r.body_tokens] and r.text in texts[i]
+                at += r.body_tokens
+            if mode == "fill":
+                assert all(r.n_tokens >= cfg.min_tokens for r in own[:-1])
+
+
+def plain_chunks(units, budget=180, least=100, overlap=20):
+    """The rule for short chunks in plain Python: body lengths."""
+    done, s = [], 0
+    for u in units:
+        if s and s + u > budget:
+            full = s if s >= (least - overlap if done else least) else budget
+            done.append(full)
+            s = s + u - full
+        else:
+            s += u
+    return [*done, s] if s else done
+
+
+def test_filled_chunks_against_plain_python(spark):
+    rng = np.random.default_rng(3)
+    units = [rng.integers(1, 181, rng.integers(1, 30)).tolist() for _ in range(60)]
+    df = spark.createDataFrame([(i, u) for i, u in enumerate(units)], "id long, u array<int>")
+    got = {r.id: r.c for r in df.select("id", chunking.pack(F.col("u"), 180, 100, 80).alias("c")).collect()}
+    assert all(got[i] == np.cumsum(plain_chunks(u)).tolist() for i, u in enumerate(units))
+
+
+def test_chunk_of_a_million_characters(spark):
+    df = spark.createDataFrame([(1, "word and more. " * 70_000)], "doc_id long, text string")
+    got = chunking.chunk(df).agg(F.sum("body_tokens").alias("n"), F.max("n_tokens").alias("most")).first()
+    assert (got.n, got.most) == (4 * 70_000, 200)
+
+
+def test_chunks_pass_their_own_validation(spark):
+    """None over the limit; a warning only for one short chunk at the end."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    kinds = {(r.status, tuple(r.codes)) for r in validate.chunks(chunking.chunk(docs)).select("status", "codes").distinct().collect()}
+    assert kinds == {("pass", ()), ("warn", ("one_short_final",))}
 
 
 def test_fixed_windows(spark):
