@@ -1,25 +1,25 @@
 """Near duplicates by consistent weighted sampling over TF-IDF shingles (operator 3).
 
-1. ``shingle_frequencies`` counts, over all documents, in how many of them each hashed
-   five-word shingle occurs. The table has a fixed number of buckets, so what reaches the
-   driver and the workers has a fixed size, and a rare shingle keeps the same weight
-   relative to a frequent one at every corpus size.
+1. ``shingle_weights`` counts, over all documents, in how many of them each five-word
+   shingle occurs. A first pass counts hashed buckets; every shingle in at least ``floor``
+   documents lies in a bucket with that count, so a second pass counts the shingles of
+   those buckets alone, exactly. By the choice of the floor there are at most
+   ``2 ** (idf_bits - 1)`` such shingles, whatever the corpus; all others are rare and weigh
+   the same. A weight is (1 + ln tf) (1 + gain idf), idf between 0 and 1.
 2. ``signatures`` draws improved consistent weighted samples from the weighted shingle
    set of each text. Two texts agree in a sample with a probability equal to their
    weighted Jaccard similarity; four samples make a band.
 3. Equal texts become one representative. Texts that agree in a band meet in a bucket.
-   In each bucket, and in the tighter buckets of two bands together, the members are
-   compared with the most central one and one other, not with each other. Buckets whose
-   members are still in different classes are taken up again: a few delegates of each
-   class are compared with a few leaders among them, drawn anew in each of a few rounds.
-   At last every pair across the classes of a bucket that was not compared yet is, so the
-   rounds only save work and no pair that shares a band is left out. The members of
-   buckets above ``crowd`` meet by their rarest shingles instead: of two sets that are
-   alike enough, the first shared shingle, rare ones first, is near the start of both.
+   The members of a bucket are put in an order by hash and each is compared with the next
+   one, so a bucket of n members gives n - 1 pairs. Buckets whose members are still in
+   different classes are put in other orders for a few rounds. This is the fast way; what
+   it leaves is done exactly: in buckets of up to ``crowd`` members every pair across
+   classes is compared, and the members of larger ones meet by their rarest shingles,
+   which no pair at the threshold can escape (see ``_prefixes``).
 4. A pair is a link if its weighted Jaccard similarity over the exact shingle sets is at
-   least the threshold, or its plain one is: inverse document frequency lowers the weight
-   of what a very large group shares, and the size of a group must not break it up.
-5. Connected components by minimum labels with pointer jumping, all in tables.
+   least the threshold.
+5. Connected components: every class takes the least label among its neighbours, and
+   labels are followed to their own labels; all in tables.
 
 Defined cases: a null text is in a class of its own; empty texts (and texts without
 words) are equal only to the same text; equal rows share a class; a repeated id gives a
@@ -48,14 +48,18 @@ _U = np.uint64
 
 @dataclass(frozen=True)
 class NearDedup:
+    """``idf_gain`` is what the rarest shingle weighs more than one in all documents. ``floor``
+    is the least share of documents of a shingle whose frequency is told from a rare one's.
+    ``rounds``, ``crowd`` and ``block`` change the work, not the result."""
+
     words: int = 5
     threshold: float = 0.8
     bands: int = 12
     rows: int = 4
+    idf_gain: float = 0.1
     idf_bits: int = 18
+    floor: float = 0.005
     bloom_bits: int = 23
-    leaders: int = 6
-    delegates: int = 3
     rounds: int = 3
     crowd: int = 32
     block: int = 256
@@ -82,15 +86,86 @@ def _bucket_counts(batches: Iterator[pa.RecordBatch], cfg: NearDedup) -> Iterato
     )
 
 
-def shingle_frequencies(docs: DataFrame, cfg: NearDedup) -> np.ndarray:
-    """Weight of each bucket: 1 for what is in every document, up to 2 for what is in one."""
+@dataclass(frozen=True)
+class Weights:
+    """Inverse document frequency of shingles: ``frequent`` (sorted) have their own, all others are rare."""
+
+    shift: int
+    crowded: np.ndarray  # of each bucket, whether a frequent shingle may be in it
+    frequent: np.ndarray
+    counts: np.ndarray
+    idf: np.ndarray
+    rare: float
+
+    def places(self, shingles: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Which of ``shingles`` are frequent, and where in ``frequent`` they are."""
+        maybe = np.flatnonzero(self.crowded[(shingles >> _U(self.shift)).astype(np.int64)])
+        if not len(maybe) or not len(self.frequent):
+            return maybe[:0], maybe[:0]
+        at = np.minimum(np.searchsorted(self.frequent, shingles[maybe]), len(self.frequent) - 1)
+        same = self.frequent[at] == shingles[maybe]
+        return maybe[same], at[same]
+
+    def of(self, shingles: np.ndarray, counts: np.ndarray) -> np.ndarray:
+        out = np.full(len(shingles), self.rare)
+        which, at = self.places(shingles)
+        out[which] = self.idf[at]
+        return out * (1 + np.log(counts))
+
+    def document_counts(self, shingles: np.ndarray) -> np.ndarray:
+        """Documents with each shingle, 0 for the rare ones."""
+        out = np.zeros(len(shingles), np.int64)
+        which, at = self.places(shingles)
+        out[which] = self.counts[at]
+        return out
+
+
+def _count_crowded(batches: Iterator[pa.RecordBatch], crowded: np.ndarray, cfg: NearDedup) -> Iterator[pa.RecordBatch]:
+    """Documents of one partition with each shingle of the crowded buckets."""
+    shift = _U(64 - cfg.idf_bits)
+    held, size, total = [], 0, np.zeros((2, 0), _U)
+
+    def folded(parts: list[np.ndarray], total: np.ndarray) -> np.ndarray:
+        new, n = np.unique(np.concatenate(parts), return_counts=True) if parts else (total[0][:0], total[1][:0])
+        both, at = np.unique(np.concatenate((total[0], new)), return_inverse=True)
+        sums = np.bincount(at, weights=np.concatenate((total[1], n)).astype(float), minlength=len(both))
+        return np.stack((both, sums.astype(_U)))
+
+    for batch in small(batches, 2048):
+        data, offsets = utf8(batch.column(0))
+        for i, j in slices(offsets):
+            for w in word_hash_lists(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]):
+                if len(w):
+                    found = window_hashes(w, min(cfg.words, len(w)))
+                    found = np.unique(found[crowded[(found >> shift).astype(np.int64)]])
+                    if len(found):
+                        held.append(found)
+                        size += len(found)
+            if size > 1_000_000:
+                total, held, size = folded(held, total), [], 0
+    total = folded(held, total)
+    yield pa.RecordBatch.from_arrays([pa.array(total[0].view(np.int64)), pa.array(total[1].astype(np.int64))], ["shingle", "n"])
+
+
+def shingle_weights(docs: DataFrame, cfg: NearDedup) -> Weights:
+    """Weights from the document frequencies of the whole table; what reaches the driver has a bounded size."""
     found = docs.select("text").mapInArrow(lambda b: _bucket_counts(b, cfg), "bucket int, n long")
     rows = found.groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
     bucket, n = rows["bucket"].to_numpy(), rows["n"].to_numpy()
     many = float(n[bucket == -1].sum()) if len(n) else 0.0
-    counts = np.zeros(1 << cfg.idf_bits)
-    counts[bucket[bucket >= 0]] = n[bucket >= 0]
-    return (1 + np.log((1 + many) / (1 + np.minimum(counts, many))) / np.log(2 + many)).astype(np.float32)
+    # at most half as many shingles as there are buckets can reach twice the mean load of a bucket
+    floor = max(2.0, cfg.floor * many, 2.0 * float(n[bucket >= 0].sum()) / (1 << cfg.idf_bits))
+    crowded = np.zeros(1 << cfg.idf_bits, bool)
+    crowded[bucket[(bucket >= 0) & (n >= floor)]] = True
+    frequent, counts = np.zeros(0, _U), np.zeros(0, np.int64)
+    if crowded.any():
+        exact = docs.select("text").mapInArrow(lambda b: _count_crowded(b, crowded, cfg), "shingle long, n long")
+        kept = exact.groupBy("shingle").agg(F.sum("n").alias("n")).filter(F.col("n") >= floor).toArrow()
+        frequent, counts = kept["shingle"].to_numpy().view(_U), kept["n"].to_numpy()
+        order = np.argsort(frequent)
+        frequent, counts = frequent[order], counts[order]
+    idf = 1 + cfg.idf_gain * np.log((1 + many) / (1 + np.minimum(counts, many))) / np.log(2 + many)
+    return Weights(64 - cfg.idf_bits, crowded, frequent, counts, idf, 1 + cfg.idf_gain)
 
 
 # ---------------------------------------------------------------------------- signatures
@@ -141,8 +216,7 @@ def _with_key(docs: DataFrame) -> DataFrame:
     return docs.withColumn("text_key", F.unhex(F.sha2("text", 256)))
 
 
-def _sign(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDedup) -> Iterator[pa.RecordBatch]:
-    logs, shift = np.log(weights), _U(64 - cfg.idf_bits)
+def _sign(batches: Iterator[pa.RecordBatch], weights: Weights, cfg: NearDedup) -> Iterator[pa.RecordBatch]:
     for batch in small(batches, 2048):
         data, offsets = utf8(batch.column(1))
         bands = np.zeros((batch.num_rows, cfg.bands), np.int64)
@@ -159,8 +233,8 @@ def _sign(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDedup
                 continue
             shingles = np.concatenate(sets)
             first = np.concatenate(([0], np.cumsum([len(s) for s in sets])))
-            log_w = logs[(shingles >> shift).astype(np.int64)] + np.log(np.concatenate(counts).astype(np.float32))
-            samples = weighted_samples(shingles, log_w.astype(np.float32), first, cfg.bands * cfg.rows)
+            log_w = np.log(weights.of(shingles, np.concatenate(counts))).astype(np.float32)
+            samples = weighted_samples(shingles, log_w, first, cfg.bands * cfg.rows)
             bands[whose] = _band_keys(samples, cfg).view(np.int64)
             signed[whose] = True
         lists = pa.ListArray.from_arrays(
@@ -169,7 +243,7 @@ def _sign(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDedup
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), lists], ["doc_id", "text_key", "bands"])
 
 
-def signatures(docs: DataFrame, weights: np.ndarray, cfg: NearDedup) -> DataFrame:
+def signatures(docs: DataFrame, weights: Weights, cfg: NearDedup) -> DataFrame:
     return _with_key(docs).mapInArrow(lambda b: _sign(b, weights, cfg), "doc_id long, text_key binary, bands array<long>")
 
 
@@ -215,26 +289,25 @@ def _payload(batches: Iterator[pa.RecordBatch], allowed: np.ndarray, bits: int)
         yield pa.RecordBatch.from_arrays([*picked.columns[2:], pa.array(body, pa.binary())], ["doc_id", "text_key", "body"])
 
 
-def similarity(a: tuple, b: tuple) -> tuple[float, float]:
-    """Weighted and plain Jaccard similarity of two (shingles, weights) sets, sorted by shingle."""
+def similarity(a: tuple, b: tuple) -> float:
+    """Weighted Jaccard similarity of two (shingles, weights) sets, sorted by shingle."""
     (ua, wa), (ub, wb) = (a, b) if len(a[0]) <= len(b[0]) else (b, a)
     if not len(ua):
-        return 0.0, 0.0
+        return 0.0
     at = np.minimum(np.searchsorted(ub, ua), len(ub) - 1)
     both = ub[at] == ua
     shared = float(np.minimum(wa[both], wb[at[both]]).sum())
-    n = int(both.sum())
-    return shared / (float(wa.sum()) + float(wb.sum()) - shared), n / (len(ua) + len(ub) - n)
+    return shared / (float(wa.sum()) + float(wb.sum()) - shared)
 
 
-def weighted_set(text: bytes, weights: np.ndarray, cfg: NearDedup) -> tuple[np.ndarray, np.ndarray]:
+def weighted_set(text: bytes, weights: Weights, cfg: NearDedup) -> tuple[np.ndarray, np.ndarray]:
     data = LOWER[np.frombuffer(text, np.uint8)]
     starts, ends, _ = word_bounds(data, np.array([0, len(data)]))
     s, n = shingle_counts(run_hashes(data, starts, ends), cfg.words)
-    return s, weights[(s >> _U(64 - cfg.idf_bits)).astype(np.int64)].astype(np.float64) * n
+    return s, weights.of(s, n)
 
 
-def _verify(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDedup) -> Iterator[pa.RecordBatch]:
+def _verify(batches: Iterator[pa.RecordBatch], weights: Weights, cfg: NearDedup) -> Iterator[pa.RecordBatch]:
     open_ = zstandard.ZstdDecompressor()
     kept: OrderedDict[int, tuple] = OrderedDict()
     held = 0
@@ -249,45 +322,18 @@ def _verify(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDed
         kept.move_to_end(key)
         return kept[key]
 
-    for batch in small(batches, 2048):
+    for batch in small(batches, 512):
         a, b, left, right = (batch.column(i) for i in range(4))
-        alike = []
-        for i, (x, y) in enumerate(zip(a.to_pylist(), b.to_pylist(), strict=True)):
-            alike.append(similarity(of(x, left[i]), of(y, right[i])))
-        w, j = (np.array(v, float) for v in (zip(*alike, strict=True) if alike else ([], [])))
-        good = pa.array(np.maximum(w, j) >= cfg.threshold - 1e-9)
-        yield pa.RecordBatch.from_arrays([a.filter(good), b.filter(good), pa.array(w).filter(good), pa.array(j).filter(good)], ["a", "b", "weighted", "plain"])
-
+        alike = np.array([similarity(of(x, left[i]), of(y, right[i])) for i, (x, y) in enumerate(zip(a.to_pylist(), b.to_pylist(), strict=True))], float)
+        good = pa.array(alike >= cfg.threshold - 1e-9)
+        yield pa.RecordBatch.from_arrays([a.filter(good), b.filter(good), pa.array(alike).filter(good)], ["a", "b", "weighted"])
 
-def _rare_keys(batches: Iterator[pa.RecordBatch], weights: np.ndarray, cfg: NearDedup) -> Iterator[pa.RecordBatch]:
-    """The first shingles of each set in order of rarity, once by plain and once by weighted size.
 
-    ``rest`` is the size of the set from the shingle on, ``whole`` that of all. Sets A and B
-    are alike by t only if they share at least t / (1 + t) (A + B), so the rest at their
-    first shared shingle is at least t A, and for the smaller one 2 t / (1 + t) A (``short``).
-    """
-    open_, least = zstandard.ZstdDecompressor(), cfg.threshold - 1e-6
-    for batch in small(batches, 512):
-        ids, labels, parts = batch.column(0).to_numpy(), batch.column(1).to_numpy(), []
-        for i, body in enumerate(batch.column(2)):
-            s, w = weighted_set(open_.decompress(body.as_py()), weights, cfg)
-            order = np.lexsort((s, -weights[(s >> _U(64 - cfg.idf_bits)).astype(np.int64)]))
-            for kind, size in enumerate((np.ones(len(s)), w[order])):
-                rest = np.cumsum(size[::-1])[::-1]
-                n = int((rest >= least * rest[0]).sum()) if len(rest) else 0
-                with np.errstate(over="ignore"):
-                    key = mix(s[order[:n]] + _U(kind) * _U(0x9E3779B97F4A7C15)).view(np.int64)
-                parts.append((np.full(n, i), key, rest[:n], np.full(n, rest[0] if n else 0.0)))
-        at, key, rest, whole = (np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (np.zeros(0, t) for t in (int, np.int64, float, float))
-        short = rest >= 2 * least / (1 + least) * whole
-        yield pa.RecordBatch.from_arrays([pa.array(x) for x in (ids[at], labels[at], key, rest, whole, short)], ["id", "label", "key", "rest", "whole", "short"])
-
-
-def verified(pairs: DataFrame, texts: DataFrame, weights: np.ndarray, cfg: NearDedup) -> DataFrame:
+def verified(pairs: DataFrame, texts: DataFrame, weights: Weights, cfg: NearDedup) -> DataFrame:
     left = texts.select(F.col("id").alias("a"), F.col("body").alias("left"))
     right = texts.select(F.col("id").alias("b"), F.col("body").alias("right"))
     both = pairs.join(left, "a").join(right, "b").select("a", "b", "left", "right")
-    return both.mapInArrow(lambda x: _verify(x, weights, cfg), "a long, b long, weighted double, plain double")
+    return both.mapInArrow(lambda x: _verify(x, weights, cfg), "a long, b long, weighted double")
 
 
 # ------------------------------------------------------------------------------- classes
@@ -296,23 +342,24 @@ def verified(pairs: DataFrame, texts: DataFrame, weights: np.ndarray, cfg: NearD
 def components(links: DataFrame) -> DataFrame:
     """``(id, label)`` for each id in ``links(a, b)``: the least id it is connected with.
 
-    Each round takes the least label among the neighbours, then the label of that label.
+    In each round a class, that is all ids of one label, takes the least label next to any
+    of its ids, and then the label of that label. So whole classes merge, and the rounds
+    grow with the logarithm of a class's size, whatever its shape.
     """
     edges = stored(
         links.select(F.col("a").alias("node"), F.col("b").alias("peer")).union(links.select("b", "a")).distinct(), "edges"
     )
-    labels = stored(edges.groupBy(F.col("node").alias("id")).agg(F.least(F.col("id"), F.min("peer")).alias("label")), "labels")
+    labels = edges.groupBy(F.col("node").alias("id")).agg(F.least(F.col("id"), F.min("peer")).alias("label"))
     while True:
+        labels = stored(labels, "labels")
         near = edges.join(labels.select(F.col("id").alias("peer"), "label"), "peer").groupBy("node").agg(F.min("label").alias("seen"))
-        step = stored(
-            labels.join(near, labels.id == near.node).select("id", F.col("label").alias("old"), F.least("label", "seen").alias("label")), "step"
-        )
-        jump = step.select(F.col("id").alias("via"), F.col("label").alias("further"))
-        labels = stored(
-            step.join(jump, step.label == jump.via, "left").select("id", "old", F.least("label", "further").alias("label")), "labels"
-        )
-        if labels.filter("label <> old").isEmpty():
+        seen = labels.join(near, labels.id == near.node).select("id", "label", "seen")
+        least = stored(seen.groupBy("label").agg(F.min("seen").alias("least")).filter("least < label"), "least")
+        step = stored(labels.join(least, "label", "left").select("id", F.coalesce("least", "label").alias("label")), "step")
+        if least.isEmpty() and labels.join(labels.select(F.col("id").alias("label"), F.col("label").alias("above")), "label").filter("above <> label").isEmpty():
             return labels.select("id", "label")
+        jump = step.select(F.col("id").alias("label"), F.col("label").alias("above"))
+        labels = step.join(jump, "label", "left").select("id", F.coalesce("above", "label").alias("label"))
 
 
 def _merge_classes(labels: DataFrame, fresh: DataFrame) -> DataFrame:
@@ -327,59 +374,86 @@ def _merge_classes(labels: DataFrame, fresh: DataFrame) -> DataFrame:
     return stored(kept.unionByName(alone), "labels")
 
 
-def _first_pairs(buckets: DataFrame) -> DataFrame:
-    """Each member of a bucket with two of its members: the most central one, which meets the most others in all its buckets, and any one."""
-    central = buckets.groupBy("id").agg(F.sum("n").alias("met"))
-    led = buckets.select("id", "bucket").join(central, "id").groupBy("bucket").agg(
-        F.max(F.struct("met", F.xxhash64("id").alias("o"), "id")).alias("m"), F.min(F.struct(F.xxhash64("id", "bucket").alias("o"), "id")).alias("r")
-    )
-    led = stored(led.select("bucket", F.explode(F.array_distinct(F.array("m.id", "r.id"))).alias("leader")), "leaders")
-    met = buckets.select("id", "bucket").join(led, "bucket").filter("id <> leader")
-    return met.select(F.least("id", "leader").alias("a"), F.greatest("id", "leader").alias("b")).distinct()
+def _next_pairs(named: DataFrame, cfg: NearDedup, salt: int) -> DataFrame:
+    """Each member of a bucket with the next one of another class, in an order by hash.
 
+    A large bucket is dealt into parts of about ``block`` members, so no task sorts all of
+    it; the first members of its parts make a second, shorter order.
+    """
+    rows = named.withColumn("o", F.xxhash64("id", "bucket", F.lit(salt))).withColumn("part", F.pmod(F.xxhash64("o"), _blocks("n", cfg)).cast("int"))
+    of_part = Window.partitionBy("bucket", "part").orderBy("o", "id")
+    ahead = lambda w: F.lead(F.struct(F.col("id").alias("id"), F.col("label").alias("label"))).over(w)
+    placed = stored(rows.select("bucket", "part", "n", "id", "label", F.row_number().over(of_part).alias("k"), ahead(of_part).alias("next")), "placed")
+    heads = placed.filter(F.col("n") > cfg.block).filter("k = 1").withColumn("next", ahead(Window.partitionBy("bucket").orderBy("part")))
+    met = placed.select("id", "label", "next").unionByName(heads.select("id", "label", "next")).filter("label <> next.label and id <> next.id")
+    return met.select(F.least("id", "next.id").alias("a"), F.greatest("id", "next.id").alias("b")).distinct()
 
-def _further_pairs(named: DataFrame, cfg: NearDedup, salt: int) -> DataFrame:
-    """Pairs across the classes that meet in a bucket.
 
-    A class sends up to ``delegates`` members of the bucket, in another order each round;
-    up to ``leaders`` of those meet all delegates of other classes; ``_all_pairs`` has the rest.
-    """
-    order = F.xxhash64("id", "bucket", F.lit(salt))
-    of_class = Window.partitionBy("bucket", "label").orderBy(order, "id")
-    sent = stored(named.withColumn("o", order).withColumn("k", F.row_number().over(of_class)).filter(F.col("k") <= cfg.delegates).drop("k"), "sent")
-    of_bucket = Window.partitionBy("bucket").orderBy("o", "id")
-    led = sent.withColumn("k", F.row_number().over(of_bucket)).filter(F.col("k") <= cfg.leaders)
-    led = stored(led.select("bucket", F.col("id").alias("leader"), F.col("label").alias("other")), "leaders")
-    met = sent.join(led, "bucket").filter("label <> other")
-    return met.select(F.least("id", "leader").alias("a"), F.greatest("id", "leader").alias("b")).distinct()
-
-
-def _blocks(of: str, cfg: NearDedup):
-    """Number of blocks of a group of ``of`` rows; each row of one side meets one block of the other, so no task holds the whole group."""
+def _blocks(of: str, cfg: NearDedup) -> Column:
+    """Number of parts of a group of ``of`` rows."""
     return F.ceil(F.col(of) / F.lit(cfg.block)).cast("int")
 
 
-def _all_pairs(named: DataFrame, texts: DataFrame, weights: np.ndarray, cfg: NearDedup) -> DataFrame:
+def _split(buckets: DataFrame, labels: DataFrame) -> DataFrame:
+    """The rows of the buckets whose members are in different classes, with their labels."""
+    named = buckets.select("id", "bucket", "n").join(labels, "id", "left").select("id", "bucket", "n", F.coalesce("label", "id").alias("label"))
+    split = named.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high").select("bucket")
+    return stored(named.join(stored(split, "split"), "bucket"), "buckets")
+
+
+def _rest_pairs(own: DataFrame, texts: DataFrame, weights: Weights, cfg: NearDedup) -> DataFrame:
     """Every pair across the classes that meet in a bucket, but those of large buckets that cannot be links."""
-    split = named.groupBy("bucket").agg(F.count("*").alias("n"), F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high")
-    own = stored(named.select("id", "bucket", "label").join(split.select("bucket", "n"), "bucket"), "split")
     left, right = own.filter(F.col("n") <= cfg.crowd), own.select("bucket", F.col("id").alias("b"), F.col("label").alias("lb"))
     pairs = left.join(right, "bucket").filter("id < b and label <> lb").select(F.col("id").alias("a"), "b")
-    return pairs.unionByName(_crowded_pairs(own.filter(F.col("n") > cfg.crowd), texts, weights, cfg)).distinct()
+    return pairs.unionByName(_prefix_pairs(own.filter(F.col("n") > cfg.crowd), texts, weights, cfg)).distinct()
 
 
-def _crowded_pairs(own: DataFrame, texts: DataFrame, weights: np.ndarray, cfg: NearDedup) -> DataFrame:
-    """Pairs across classes that share a rare shingle early enough to be links."""
+def _shingle_rows(batches: Iterator[pa.RecordBatch], weights: Weights, cfg: NearDedup) -> Iterator[pa.RecordBatch]:
+    """A row for each shingle of each member: its weight, and its document frequency or 0 if it is rare."""
+    open_ = zstandard.ZstdDecompressor()
+    for batch in small(batches, 256):
+        ids, labels = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+        sets = [weighted_set(open_.decompress(body.as_py()), weights, cfg) for body in batch.column(2)]
+        at = np.repeat(np.arange(len(sets)), [len(s) for s, _ in sets])
+        key, w = (np.concatenate(x) if x else np.zeros(0, t) for x, t in zip(zip(*sets, strict=True), (_U, float), strict=True)) if sets else (np.zeros(0, _U), np.zeros(0))
+        arrays = (ids[at], labels[at], key.view(np.int64), w, weights.document_counts(key))
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in arrays], ["id", "label", "key", "w", "docs"])
+
+
+def _prefixes(own: DataFrame, texts: DataFrame, weights: Weights, cfg: NearDedup) -> DataFrame:
+    """The first shingles of each member in order of rarity among the members.
+
+    ``rest`` is the weight of the set from the shingle on, ``whole`` that of all. Sets A and
+    B are alike by t only if they share at least t / (1 + t) (A + B). In one order for all,
+    what is left of either set at their first shared shingle is at least that, and so at
+    least t times the set. A shingle that is frequent in the corpus keeps its count there,
+    so no task counts a very common one.
+    """
     bodies = own.select("id", "label").distinct().join(texts, "id").select("id", "label", "body")
-    keyed = stored(bodies.mapInArrow(lambda b: _rare_keys(b, weights, cfg), "id long, label long, key long, rest double, whole double, short boolean"), "keys")
-    split = keyed.groupBy("key").agg(F.count("*").alias("n"), F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high")
-    keyed = keyed.join(split.select("key", _blocks("n", cfg).alias("blocks")), "key")
-    left = keyed.filter("short").select("key", F.pmod(F.xxhash64("id"), "blocks").cast("int").alias("block"), *[F.col(c).alias(f"{c}_a") for c in ("id", "label", "rest", "whole")])
-    right = keyed.select("key", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), *[F.col(c).alias(f"{c}_b") for c in ("id", "label", "rest", "whole")])
+    rows = bodies.mapInArrow(lambda b: _shingle_rows(b, weights, cfg), "id long, label long, key long, w double, docs long")
+    dealt = F.when(F.col("docs") > 0, F.xxhash64("id")).otherwise(0)
+    every = rows.withColumn("docs", F.when(F.col("docs") > 0, F.col("docs")).otherwise(F.count("*").over(Window.partitionBy("key", dealt))))
+    onward = Window.partitionBy("id").orderBy(F.col("docs").desc(), "key")
+    kept = every.withColumns({"rest": F.sum("w").over(onward.rowsBetween(Window.unboundedPreceding, 0)), "whole": F.sum("w").over(Window.partitionBy("id"))})
+    least = cfg.threshold - 1e-6
+    return kept.filter(F.col("rest") >= least * F.col("whole")).select("id", "label", "key", "rest", "whole")
+
+
+def _prefix_pairs(own: DataFrame, texts: DataFrame, weights: Weights, cfg: NearDedup) -> DataFrame:
+    """Pairs across classes that share a shingle early enough to be links."""
+    keyed = stored(_prefixes(own, texts, weights, cfg), "keys")
+    by_label = keyed.groupBy("key", "label").agg(F.count("*").alias("n"))
+    # the members of a key's largest class need not meet each other: one side is all other members
+    of_key = by_label.groupBy("key").agg(F.sum("n").alias("n"), F.count("*").alias("labels"), F.max(F.struct("n", "label")).alias("most")).filter("labels > 1")
+    met = stored(keyed.join(of_key.select("key", F.col("most.label").alias("main"), _blocks("n", cfg).alias("blocks")), "key"), "met")
+    columns = ("id", "label", "rest", "whole")
+    side = lambda df, s: df.select("key", "block", *[F.col(c).alias(f"{c}_{s}") for c in columns])
+    other = side(met.filter("label <> main").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))), "a")
+    every = side(met.withColumn("block", F.pmod(F.xxhash64("id"), "blocks").cast("int")), "b")
     least = cfg.threshold - 1e-6
-    met = left.join(right, ["key", "block"]).filter("label_a <> label_b and id_a <> id_b and whole_a <= whole_b")
-    near = met.filter(F.least("rest_a", "rest_b") >= F.lit(least / (1 + least)) * (F.col("whole_a") + F.col("whole_b")))
-    return near.select(F.least("id_a", "id_b").alias("a"), F.greatest("id_a", "id_b").alias("b"))
+    pairs = other.join(every, ["key", "block"]).filter("label_a <> label_b")
+    near = pairs.filter(F.least("rest_a", "rest_b") >= F.lit(least / (1 + least)) * (F.col("whole_a") + F.col("whole_b")))
+    return near.select(F.least("id_a", "id_b").alias("a"), F.greatest("id_a", "id_b").alias("b")).distinct()
 
 
 def _first() -> Column:
@@ -389,15 +463,13 @@ def _first() -> Column:
 
 def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, DataFrame]:
     """``(signed rows, reps, labels of reps)``; a rep is a row number, and those without a link have no label."""
-    weights = shingle_frequencies(docs, cfg)
+    weights = shingle_weights(docs, cfg)
     signed = stored(signatures(docs, weights, cfg).withColumn("row", F.monotonically_increasing_id()), "signed")
     reps = stored(
         signed.filter("text_key is not null").groupBy("text_key").agg(F.min(_first()).alias("lead"), F.first("bands").alias("bands"))
         .select("text_key", "lead", F.col("lead.row").alias("rep"), "bands"), "reps"
     )
-    entries = reps.filter("bands is not null").select(F.col("rep").alias("id"), F.explode("bands").alias("bucket"))
-    crowded = stored(entries.groupBy("bucket").agg(F.count("*").alias("n")).filter("n > 1"), "crowded")
-    buckets = stored(entries.join(crowded, "bucket"), "buckets")
+    buckets = _met(reps.filter("bands is not null").select(F.col("rep").alias("id"), F.explode("bands").alias("bucket")))
     own = buckets.select(F.col("id").alias("rep")).distinct()
     members = stored(reps.join(own, "rep").select(F.col("rep").alias("id"), F.col("lead.doc_id").alias("lead_id"), F.col("text_key").alias("lead_key")), "members")
     allowed = id_filter(members.select(F.xxhash64("lead_id", "lead_key").alias("id")), cfg.bloom_bits)
@@ -405,19 +477,17 @@ def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, Da
     bodies = probed.mapInArrow(lambda b: _payload(b, allowed, cfg.bloom_bits), "doc_id long, text_key binary, body binary")
     same = (F.col("text_key") == F.col("lead_key")) & F.col("doc_id").eqNullSafe(F.col("lead_id"))
     texts = stored(bodies.join(members, same).select("id", "body").dropDuplicates(["id"]), "texts")
-    # two neighbouring bands together make tight buckets, where one comparison each links nearly all that belongs together
+    # two neighbouring bands together make tight buckets, where a next member is nearly always alike
     both = F.expr(f"transform(sequence(0, {cfg.bands - 1}), i -> xxhash64(i, bands[i], bands[(i + 1) % {cfg.bands}]))")
-    tight = reps.filter("bands is not null").select(F.col("rep").alias("id"), F.explode(both).alias("bucket"))
-    tight_n = stored(tight.groupBy("bucket").agg(F.count("*").alias("n")).filter("n > 1"), "crowded")
-    first = buckets.unionByName(tight.join(tight_n, "bucket").select(*buckets.columns))
-    seen = stored(_first_pairs(stored(first, "buckets")), "pairs")
+    tight = _met(reps.filter("bands is not null").select(F.col("rep").alias("id"), F.explode(both).alias("bucket")))
+    alone = F.col("id").alias("label")
+    seen = stored(_next_pairs(buckets.unionByName(tight).select("id", "bucket", "n", alone), cfg, 0), "pairs")
     links = stored(verified(seen, texts, weights, cfg), "links")
     labels = components(links)
-    for turn in range(1, cfg.rounds + 2):
-        named = buckets.select("id", "bucket").join(labels, "id", "left").select("id", "bucket", F.coalesce("label", "id").alias("label"))
-        split = named.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high").select("bucket")
-        buckets = stored(named.join(stored(split, "split"), "bucket"), "buckets")
-        met = _further_pairs(buckets, cfg, turn) if turn <= cfg.rounds else _all_pairs(buckets, texts, weights, cfg)
+    for turn in range(1, cfg.rounds + 1):
+        buckets = _split(buckets, labels)
+        last = turn == cfg.rounds
+        met = _rest_pairs(buckets, texts, weights, cfg) if last else _next_pairs(buckets, cfg, turn)
         pairs = stored(met.join(seen, ["a", "b"], "left_anti"), "pairs")
         fresh = stored(verified(pairs, texts, weights, cfg), "links")
         seen = seen.unionByName(pairs)
@@ -426,6 +496,12 @@ def near_duplicate_links(docs: DataFrame, cfg: NearDedup) -> tuple[DataFrame, Da
     return signed, reps, labels
 
 
+def _met(entries: DataFrame) -> DataFrame:
+    """Entries of the buckets with more than one member, with that number."""
+    crowded = stored(entries.groupBy("bucket").agg(F.count("*").alias("n")).filter("n > 1"), "crowded")
+    return stored(entries.join(crowded, "bucket").select("id", "bucket", "n"), "buckets")
+
+
 def _classes(docs: DataFrame, cfg: NearDedup) -> DataFrame:
     """``doc_id, text_key, row, lead``: the rows, and the first row of the class of each; null texts have no lead."""
     signed, reps, labels = near_duplicate_links(docs, cfg)
