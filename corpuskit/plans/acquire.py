@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -50,24 +50,34 @@ def backfill(primary: DataFrame, *fallbacks: DataFrame, key: str = "corpus_id",
 
 @dataclass(frozen=True)
 class Step:
-    """A step of the funnel and the step its retention is relative to (a position, or None)."""
+    """A step of the funnel: the condition that a record meets to get through it, and the step its retention is relative to (a position, or None)."""
 
     name: str
-    df: DataFrame
+    passed: Column
     reference: int | None = None
 
 
-def funnel(steps: list[Step]) -> DataFrame:
-    """Retained records by step, with the percentage of the step named as reference.
+def funnel(records: DataFrame, steps: list[Step]) -> DataFrame:
+    """Retained records by step, with the percentage of the step named as reference: all steps in one pass over ``records``.
 
-    The counts are one aggregate row each, joined by position: nothing but counts moves.
+    A record is retained by a step if it meets the step's condition and was retained by
+    the step that is its reference.
     """
-    counted = None
-    for n, s in enumerate(steps):
-        row = s.df.agg(F.count("*").alias("retained")).select(
-            F.lit(n + 1).alias("step"), F.lit(s.name).alias("name"), "retained", F.lit(None if s.reference is None else s.reference + 1).cast("int").alias("reference")
-        )
-        counted = row if counted is None else counted.unionByName(row)
-    ref = counted.select(F.col("step").alias("reference"), F.col("retained").alias("of"))
-    pct = F.floor(F.try_divide(F.col("retained") * 10000, F.col("of"))) / 100
-    return counted.join(F.broadcast(ref), "reference", "left").select("step", "name", "retained", "reference", pct.cast("double").alias("pct"))
+    met: list[Column] = []
+    for s in steps:
+        own = F.coalesce(s.passed, F.lit(False))
+        met.append(own if s.reference is None else met[s.reference] & own)
+    counts = records.agg(*[F.count_if(c).alias(f"n{i}") for i, c in enumerate(met)])
+    one = lambda i, s: F.struct(
+        F.lit(i + 1).alias("step"), F.lit(s.name).alias("name"), F.col(f"n{i}").alias("retained"), F.lit(None if s.reference is None else s.reference + 1).cast("int").alias("reference"),
+        (F.lit(None) if s.reference is None else F.floor(F.try_divide(F.col(f"n{i}") * 10000, F.col(f"n{s.reference}"))) / 100).cast("double").alias("pct"),
+    )
+    return counts.select(F.explode(F.array(*[one(i, s) for i, s in enumerate(steps)])).alias("s")).select("s.*")
+
+
+def profile(docs: DataFrame, chunks: DataFrame, dim: int, text: str = "text") -> DataFrame:
+    """One row about a corpus: documents, mean and greatest length, chunks and their mean tokens, the vectors' size."""
+    n = F.length(text)
+    of_docs = docs.agg(F.count("*").alias("docs"), (F.floor(F.avg(n) * 1000 + 0.5) / 1000).alias("mean_chars"), F.max(n).cast("long").alias("max_chars"))
+    of_chunks = chunks.agg(F.count("*").alias("chunks"), (F.floor(F.avg("n_tokens") * 1000 + 0.5) / 1000).alias("mean_tokens"))
+    return of_docs.crossJoin(of_chunks).withColumn("dim", F.lit(dim))

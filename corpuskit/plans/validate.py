@@ -135,9 +135,15 @@ def chunks(table: DataFrame, least: int = 100, most: int = 200) -> DataFrame:
     return g.withColumn("codes", c).withColumn("status", status(F.col("codes"), ("too_long",)))
 
 
+def fine_vector(v: str, dim: int) -> Column:
+    """Whether a vector is there, has the length, finite components and a norm of 1."""
+    fine = (F.size(v) == dim) & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))
+    return F.col(v).isNotNull() & F.coalesce(fine, F.lit(False)) & F.coalesce(F.abs(F.sqrt(dot(v, v)) - 1) < 1e-3, F.lit(False))
+
+
 def embeddings(expected: DataFrame, stored: DataFrame, dim: int) -> DataFrame:
     """One row: expected ids, missing, extra and invalid vectors (length, finiteness, norm 1)."""
-    fine = (F.size("v") == dim) & F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x)) & (F.abs(F.sqrt(dot("v", "v")) - 1) < 1e-3)
+    fine = fine_vector("v", dim)
     met = expected.select("id", F.lit(1).alias("e")).join(stored.select("id", "v", F.lit(1).alias("s")), "id", "full")
     return met.agg(
         F.count("e").alias("expected"), F.count_if(F.col("s").isNull()).alias("missing"), F.count_if(F.col("e").isNull()).alias("extra"),

@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import os
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
@@ -39,9 +43,11 @@ def write(df: DataFrame, path: str, fmt: str = "parquet", partition_by: tuple[st
     (writer.partitionBy(*partition_by) if partition_by else writer).save(path)
 
 
-def ingest(df: DataFrame, table: str, key: str = "corpus_id", buckets: int = 16) -> None:
-    """A bucketed, sorted table: later joins on ``key`` need no exchange."""
-    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
+def ingest(df: DataFrame, table: str, key: str = "corpus_id", buckets: int = 16, path: str | None = None) -> DataFrame:
+    """A bucketed, sorted table: later joins on ``key`` need no exchange. ``path`` puts its files outside the warehouse."""
+    writer = df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key)
+    (writer.option("path", path) if path else writer).saveAsTable(table)
+    return df.sparkSession.table(table)
 
 
 def release_manifest(spark: SparkSession, path: str) -> DataFrame:
@@ -50,33 +56,81 @@ def release_manifest(spark: SparkSession, path: str) -> DataFrame:
     return files.select(F.element_at(F.split("path", "/"), -1).alias("file"), F.col("length").alias("bytes"), F.sha2("content", 256).alias("sha256"))
 
 
-def read_release(spark: SparkSession, manifest: DataFrame, root: str, schema: str, fmt: str = "json") -> DataFrame:
-    """The files that a pinned manifest lists. The list of files is metadata and small by nature."""
+def check_release(spark: SparkSession, manifest: DataFrame, path: str) -> DataFrame:
+    """``file, status`` for each file of the pinned manifest or below ``path``: intact, changed, missing or extra."""
+    now = release_manifest(spark, path).select("file", F.col("sha256").alias("found"))
+    met = manifest.select("file", "sha256").join(now, "file", "full")
+    status = F.when(F.col("sha256").isNull(), "extra").when(F.col("found").isNull(), "missing").when(F.col("sha256") == F.col("found"), "intact").otherwise("changed")
+    return met.select("file", status.alias("status"))
+
+
+def read_release(spark: SparkSession, manifest: DataFrame, root: str, schema: str, fmt: str = "json", verify: bool = True) -> DataFrame:
+    """The files that a pinned manifest lists; with ``verify``, an error if one of them is missing or not the pinned one.
+
+    The list of files is metadata and small by nature.
+    """
+    if verify:
+        bad = check_release(spark, manifest, root).filter("status in ('changed', 'missing')").limit(5).collect()
+        if bad:
+            raise ValueError("the release is not the pinned one: " + ", ".join(f"{r['file']} {r['status']}" for r in bad))
     names = [r["file"] for r in manifest.select("file").orderBy("file").collect()]
     return spark.read.schema(schema).format(fmt).load([f"{root}/{n}" for n in names])
 
 
+def scratch_path(spark: SparkSession, label: str) -> str:
+    """A new folder below the one that the cluster names in ``spark.checkpoint.dir``.
+
+    Without that setting a machine-local folder serves, but only if the whole engine runs
+    on this machine; other executors could not read it.
+    """
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        base = f"{tempfile.gettempdir()}/corpuskit-{os.getuid()}"
+    return f"{base.rstrip('/')}/corpuskit/{label}-{uuid.uuid4().hex}"
+
+
+def stored(df: DataFrame, label: str) -> DataFrame:
+    """``df`` written to the scratch folder and read back, which cuts its lineage."""
+    path = scratch_path(df.sparkSession, label)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 class _Pages(DataSourceReader):
-    def __init__(self, options: dict):
-        self.rows, self.page = int(options.get("rows", "100")), int(options.get("page_size", "25"))
+    """Each page of identifiers is a task; a worker asks the service for the reports on its page alone."""
+
+    def __init__(self, options: dict, service):
+        self.rows, self.page, self.service = int(options.get("rows", "100")), int(options.get("page_size", "250")), service
 
     def partitions(self):
-        return [InputPartition(i) for i in range(0, self.rows, self.page)]
+        return [InputPartition(i) for i in range(0, max(self.rows, 1), self.page)]
 
     def read(self, partition):
         for k in range(partition.value, min(partition.value + self.page, self.rows)):
-            yield (k, "registry", ("ATTR", "ATTR_NC", None)[k % 3])
+            yield from ((k, name, raw) for name, raw in self.service(k))
 
 
 class PagedLicenses(DataSource):
-    """A paginated licence lookup behind Spark's Python data source interface; here over a frozen snapshot."""
+    """A paginated licence lookup behind Spark's Python data source interface.
+
+    ``service(id)`` gives (service, raw string) pairs; the default is a frozen stand-in for
+    the live services. Subclasses put another one in its place.
+    """
 
     @classmethod
     def name(cls):
         return "paged_licenses"
 
+    @staticmethod
+    def service(k: int) -> list[tuple[str, str]]:
+        from corpuskit.sources.adapters import frozen_reports
+
+        return frozen_reports(k)
+
     def schema(self):
         return "corpus_id long, service string, raw string"
 
     def reader(self, schema):
-        return _Pages(self.options)
+        return _Pages(self.options, self.service)

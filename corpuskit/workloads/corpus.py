@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import functions as F
 
-from corpuskit.plans import acquire, licensing
+from corpuskit.functions.tokens import round6
+from corpuskit.plans import acquire, chunking, encode, licensing, structure, validate
 from corpuskit.registry import register
 from corpuskit.sources import adapters as A
 from corpuskit.sources.tables import read_table
+from corpuskit.workloads import text
 
 PAPERS, ABSTRACTS, REPORTS = f"papers AS ({A.PAPERS_SQL})", f"abstracts AS ({A.ABSTRACTS_SQL})", f"reports AS ({A.REPORTS_SQL})"
 FULL = "fulltexts AS (SELECT doc_id AS corpus_id, text FROM documents WHERE doc_id % 5 <> 4)"
@@ -58,24 +62,44 @@ def abstract_backfill(spark, sf_dir):
     return acquire.backfill(A.abstracts(spark, sf_dir), first)
 
 
-@register("funnel_retention", f"""WITH {PAPERS}, {ABSTRACTS}, {FULL}, {DECIDED},
-s1 AS (SELECT corpus_id FROM papers), s2 AS (SELECT corpus_id FROM papers WHERE field = 'en'), s3 AS (SELECT corpus_id FROM s2 SEMI JOIN abstracts USING (corpus_id)),
-s4 AS (SELECT corpus_id, text FROM s2 JOIN fulltexts USING (corpus_id)),
-s5 AS (SELECT corpus_id FROM s4 WHERE corpus_id % 37 <> 5 AND corpus_id % 41 <> 7), s6 AS (SELECT corpus_id FROM s5 SEMI JOIN outcomes o ON o.corpus_id = s5.corpus_id AND o.license IN ({", ".join(repr(x) for x in licensing.STUDY_ALLOW)})),
-s7 AS (SELECT corpus_id FROM s6 SEMI JOIN abstracts a ON a.corpus_id = s6.corpus_id AND length(a.abstract) >= 1000),
-n AS (SELECT 1 AS step, 'release' AS name, count(*) AS retained, NULL AS reference FROM s1 UNION ALL SELECT 2, 'domain', count(*), 1 FROM s2 UNION ALL SELECT 3, 'abstracts', count(*), 2 FROM s3
-  UNION ALL SELECT 4, 'fulltexts', count(*), 2 FROM s4 UNION ALL SELECT 5, 'annotations', count(*), 4 FROM s5 UNION ALL SELECT 6, 'licence', count(*), 5 FROM s6 UNION ALL SELECT 7, 'enrichment', count(*), 6 FROM s7)
+_ALLOWED = ", ".join(repr(x) for x in licensing.STUDY_ALLOW)
+_FUNNEL = f"""sp AS ({A.SPANS_SQL}), good AS (SELECT * FROM sp WHERE corpus_id % 41 <> 7), {text.SECTIONS_SQL}, {text.MARKDOWN_SQL},
+d AS (SELECT corpus_id, any_value(text) AS text, max(e) AS e, count(*) FILTER (kind = 'paragraph') AS p, count(*) FILTER (kind = 'section_header') AS h FROM sp GROUP BY corpus_id),
+st AS (SELECT corpus_id, trim(text) <> '' AND corpus_id % 41 <> 7 AND e <= length(text) AND p > 0 AND h > 0 AS structured FROM d),
+s AS (SELECT papers.corpus_id, field = 'en' AS dom, a.corpus_id IS NOT NULL AS abs, f.corpus_id IS NOT NULL AS ful, coalesce(structured, false) AS str, coalesce(regexp_matches(markdown, '[\\p{{L}}\\p{{N}}]|[^\\p{{L}}\\p{{N}}\\s]'), false) AS chu,
+  coalesce(license IN ({_ALLOWED}), false) AS lic, coalesce(length(abstract) >= 1000, false) AS enr
+  FROM papers LEFT JOIN abstracts a USING (corpus_id) LEFT JOIN fulltexts f USING (corpus_id) LEFT JOIN st USING (corpus_id) LEFT JOIN md USING (corpus_id) LEFT JOIN outcomes USING (corpus_id)),
+n AS (SELECT 1 AS step, 'release' AS name, count(*) AS retained, NULL AS reference FROM s UNION ALL SELECT 2, 'domain', count(*), 1 FROM s WHERE dom UNION ALL SELECT 3, 'abstracts', count(*), 2 FROM s WHERE dom AND abs
+  UNION ALL SELECT 4, 'fulltexts', count(*), 2 FROM s WHERE dom AND ful UNION ALL SELECT 5, 'markdown', count(*), 4 FROM s WHERE dom AND ful AND str UNION ALL SELECT 6, 'chunks', count(*), 5 FROM s WHERE dom AND ful AND str AND chu
+  UNION ALL SELECT 7, 'embeddings', count(*), 6 FROM s WHERE dom AND ful AND str AND chu UNION ALL SELECT 8, 'licence', count(*), 7 FROM s WHERE dom AND ful AND str AND chu AND lic
+  UNION ALL SELECT 9, 'enrichment', count(*), 8 FROM s WHERE dom AND ful AND str AND chu AND lic AND enr)"""
+
+
+@register("funnel_retention", f"""WITH {PAPERS}, {ABSTRACTS}, {FULL}, {DECIDED}, {_FUNNEL}
 SELECT n.step, n.name, n.retained, n.reference, CASE WHEN r.retained = 0 THEN NULL ELSE floor(n.retained * 10000 / r.retained) / 100 END AS pct FROM n LEFT JOIN n r ON r.step = n.reference""")
 def funnel_retention(spark, sf_dir):
-    dom = domain(spark, sf_dir).select("corpus_id")
-    abstracts, texts = A.abstracts(spark, sf_dir), A.fulltexts(spark, sf_dir).select("corpus_id")
-    s4 = acquire.align(dom, texts)
-    s5 = s4.filter("corpus_id % 37 <> 5 and corpus_id % 41 <> 7")
-    kept = licensing.screen(licensing.decide(wide(spark, sf_dir))).filter("kept").select("corpus_id")
-    s6 = s5.join(kept, "corpus_id", "left_semi")
-    s7 = s6.join(abstracts.filter(F.length("abstract") >= 1000), "corpus_id", "left_semi")
-    S = acquire.Step
-    return acquire.funnel([S("release", A.papers(spark, sf_dir)), S("domain", dom, 0), S("abstracts", dom.join(abstracts, "corpus_id", "left_semi"), 1), S("fulltexts", s4, 1), S("annotations", s5, 3), S("licence", s6, 4), S("enrichment", s7, 5)])
+    """Every step run for real: structuring screens, rendered Markdown, its chunks, their vectors, licences, eligibility."""
+    return funnel_of(A.papers(spark, sf_dir), A.abstracts(spark, sf_dir), A.fulltexts(spark, sf_dir), licensing.decide(wide(spark, sf_dir)))
+
+
+def funnel_of(papers, abstracts, fulltexts, decisions, domain_="en", dim=64):
+    in_domain = acquire.domain_filter(papers, domain_).select("corpus_id")
+    parsed = structure.parse_spans(acquire.align(fulltexts, in_domain))
+    sound = structure.screen_structure(parsed).filter("reason is null")
+    md = chunking.screen(structure.render(sound).withColumnRenamed("corpus_id", "doc_id"), "markdown")
+    chunks = chunking.chunk(md, text="markdown").select("corpus_id", "chunk_id", "text")
+    coded = encode.embed(chunks, "text", encode.HashingEncoder(dim)).select("corpus_id", validate.fine_vector("embedding", dim).alias("fine"))
+    whole_ = coded.groupBy("corpus_id").agg(F.count("*").alias("n_chunks"), F.bool_and("fine").alias("coded"))
+    flag = lambda df, name: df.select("corpus_id").distinct().withColumn(name, F.lit(True))
+    rows = papers.select("corpus_id").join(flag(in_domain, "in_domain"), "corpus_id", "left")
+    rows = rows.join(abstracts.select("corpus_id", F.lit(True).alias("abstract"), (F.length("abstract") >= 1000).alias("eligible")), "corpus_id", "left")
+    rows = rows.join(flag(fulltexts, "fulltext"), "corpus_id", "left").join(flag(sound, "structured"), "corpus_id", "left")
+    rows = rows.join(whole_, "corpus_id", "left").join(licensing.screen(decisions).select("corpus_id", "kept"), "corpus_id", "left")
+    S, c = acquire.Step, F.col
+    return acquire.funnel(rows, [
+        S("release", F.lit(True)), S("domain", c("in_domain"), 0), S("abstracts", c("abstract"), 1), S("fulltexts", c("fulltext"), 1), S("markdown", c("structured"), 3),
+        S("chunks", c("n_chunks") > 0, 4), S("embeddings", c("coded"), 5), S("licence", c("kept"), 6), S("enrichment", c("eligible"), 7),
+    ])
 
 
 @register("license_normalise", f"WITH {REPORTS} SELECT raw, {licensing.normalise_sql('raw')} AS code, count(*) AS n FROM reports GROUP BY ALL")
@@ -184,24 +208,51 @@ def redistributable(spark, sf_dir):
     return texts.join(open_.select("corpus_id", "license"), "corpus_id")
 
 
-@register("year_resolve", f"WITH {PAPERS} SELECT corpus_id, coalesce(year, CAST(year(publication_date) AS INT)) AS year FROM papers")
+_YEAR = "CASE WHEN corpus_id % 5 = 0 THEN NULL WHEN corpus_id % 5 = 1 THEN 'n.d.' ELSE CAST(year AS {str}) END"
+_PUBLISHED = "CASE WHEN corpus_id % 3 = 0 THEN CAST(year AS {str}) || '-06' END"
+
+
+@register("year_resolve", f"""WITH {PAPERS}, f AS (SELECT *, {_YEAR.format(str="VARCHAR")} AS y, {_PUBLISHED.format(str="VARCHAR")} AS published FROM papers)
+SELECT corpus_id, coalesce(TRY_CAST(y AS INT), TRY_CAST(substr(published, 1, 4) AS INT), CAST(year(publication_date) AS INT)) AS year FROM f""")
 def year_resolve(spark, sf_dir):
+    """Three fields: the first is missing or no number for some papers, the second is there for a third of them."""
     from corpuskit.plans.trends import resolve_year
 
-    p = A.papers(spark, sf_dir)
-    return p.select("corpus_id", resolve_year(F.col("year").cast("string"), F.lit(None).cast("string"), F.col("publication_date").cast("string")).alias("year"))
+    p = A.papers(spark, sf_dir).select("corpus_id", "publication_date", F.expr(_YEAR.format(str="STRING")).alias("y"), F.expr(_PUBLISHED.format(str="STRING")).alias("published"))
+    return p.select("corpus_id", resolve_year(F.col("y"), F.col("published"), F.col("publication_date").cast("string")).alias("year"))
+
+
+def _profile_sql(name, docs, share):
+    return f"""SELECT '{name}' AS corpus, (SELECT count(*) FROM {docs}) AS docs, (SELECT floor(avg(length(text)) * 1000 + 0.5) / 1000 FROM {docs}) AS mean_chars, (SELECT max(length(text))::BIGINT FROM {docs}) AS max_chars,
+  count(*) AS chunks, floor(avg(body + lap) * 1000 + 0.5) / 1000 AS mean_tokens, {share} AS license_share, 64 AS dim FROM lapped_{name}"""
+
+
+def _chunks_of(name, docs):
+    body = text.CHUNKS_SQL.replace("{docs}", docs)
+    for cte in ("tk", "fl", "gr", "pn", "sn", "u0", "u", "lapped0", "lapped1", "lapped"):
+        body = re.sub(rf"\b{cte}\b", f"{cte}_{name}", body)
+    return body
+
+
+_LICENSED = f"(SELECT floor(count(*) FILTER (license IN ({_ALLOWED})) * 1000000.0 / count(*) + 0.5) / 1000000 FROM outcomes)"
 
 
-@register("corpus_profile", """
-SELECT 'documents' AS corpus, count(*) AS docs, floor(avg(length(text)) * 1000 + 0.5) / 1000 AS mean_chars, max(length(text))::BIGINT AS max_chars FROM documents
-UNION ALL SELECT 'pages', count(*), floor(avg(length(html)) * 1000 + 0.5) / 1000, max(length(html))::BIGINT FROM pages
-UNION ALL SELECT 'conversations', count(DISTINCT conv_id), floor(avg(length(text)) * 1000 + 0.5) / 1000, max(length(text))::BIGINT FROM conversations""")
+@register("corpus_profile", f"""WITH RECURSIVE {DECIDED}, dd AS (SELECT doc_id, text FROM documents), pp AS (SELECT page_id AS doc_id, coalesce(any_value(text), '') AS text FROM pages LEFT JOIN ({A.PAGE_SPANS_SQL}) x ON corpus_id = page_id GROUP BY page_id),
+cc AS (SELECT conv_id AS doc_id, string_agg(text, chr(10) ORDER BY turn, text) AS text FROM conversations GROUP BY conv_id), {_chunks_of('documents', 'dd')}, {_chunks_of('pages', 'pp')}, {_chunks_of('conversations', 'cc')}
+{_profile_sql('documents', 'dd', _LICENSED)} UNION ALL {_profile_sql('pages', 'pp', 'NULL')} UNION ALL {_profile_sql('conversations', 'cc', 'NULL')}""")
 def corpus_profile(spark, sf_dir):
+    """Corpora side by side: documents, lengths, chunks, the share under an accepted licence, the vectors' size."""
+    turns = F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("turn", "text"))), lambda s: s["text"]), "\n")
+    corpora = {
+        "documents": read_table(spark, sf_dir, "documents").select("doc_id", "text"),
+        "pages": A.page_fulltexts(spark, sf_dir).select(F.col("corpus_id").alias("doc_id"), "text"),
+        "conversations": read_table(spark, sf_dir, "conversations").groupBy(F.col("conv_id").alias("doc_id")).agg(turns.alias("text")),
+    }
+    kept = licensing.screen(licensing.decide(wide(spark, sf_dir))).agg(round6(F.avg(F.col("kept").cast("double"))).alias("license_share"))
     out = None
-    for name, col, key in (("documents", "text", "doc_id"), ("pages", "html", "page_id"), ("conversations", "text", "conv_id")):
-        t = read_table(spark, sf_dir, name)
-        n = F.count_distinct(key) if name == "conversations" else F.count("*")
-        row = t.agg(n.alias("docs"), (F.floor(F.avg(F.length(col)) * 1000 + 0.5) / 1000).alias("mean_chars"), F.max(F.length(col)).cast("long").alias("max_chars")).select(F.lit(name).alias("corpus"), "*")
+    for name, docs in corpora.items():
+        row = acquire.profile(docs, chunking.chunk(docs), 64).select(F.lit(name).alias("corpus"), "*")
+        row = row.crossJoin(kept) if name == "documents" else row.withColumn("license_share", F.lit(None).cast("double"))
         out = row if out is None else out.unionByName(row)
     return out
 

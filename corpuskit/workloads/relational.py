@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import Window
@@ -23,8 +22,7 @@ def t(spark, sf_dir, name):
 
 
 def _scratch(spark):
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="corpuskit-")
-    return f"{base.rstrip('/')}/corpuskit/{uuid.uuid4().hex}"
+    return T.scratch_path(spark, "workload")
 
 
 # ---------------------------------------------------------------------- sources and sinks
@@ -67,11 +65,35 @@ def wholetext(spark, sf_dir):
     return w.agg(F.count("*").alias("files"), F.sum(F.size(F.split(F.trim(F.regexp_replace("value", r"\n+$", "")), "\n"))).alias("lines"))
 
 
-@register("paged_license_source", "SELECT count(*) AS n, count(raw) AS known FROM (SELECT CASE k % 3 WHEN 0 THEN 'ATTR' WHEN 1 THEN 'ATTR_NC' END AS raw FROM range(95) t(k))")
+@register("paged_license_source", f"SELECT corpus_id, service, raw FROM ({A.REPORTS_SQL})")
 def paged(spark, sf_dir):
+    """The paginated lookup over all ids of the documents, which are numbered from 0."""
     spark.dataSource.register(T.PagedLicenses)
-    d = spark.read.format("paged_licenses").option("rows", "95").load()
-    return d.agg(F.count("*").alias("n"), F.count("raw").alias("known"))
+    ids = t(spark, sf_dir, "documents").select(F.col("doc_id").alias("corpus_id"))
+    last = ids.agg(F.coalesce(F.max("corpus_id") + 1, F.lit(0)).alias("n")).first()["n"]
+    found = spark.read.format("paged_licenses").option("rows", str(last)).load()
+    return found.join(ids, "corpus_id", "left_semi")
+
+
+@register("release_check", "SELECT CASE WHEN i < 2 THEN 'changed' WHEN i = 2 THEN 'missing' WHEN i = 3 THEN 'extra' ELSE 'intact' END AS status, count(*) AS n FROM range(8) t(i) GROUP BY 1")
+def release_check(spark, sf_dir):
+    """A pinned release of eight files against a copy in which two entries differ, one file is gone and one is new."""
+    path = _scratch(spark)
+    t(spark, sf_dir, "orders").select("o_orderkey", "o_totalprice").repartition(7).write.json(path)
+    files = T.release_manifest(spark, path).filter("file like 'part-%'").withColumn("i", F.expr("cast(substr(file, 6, 5) as int)"))
+    pinned = files.filter("i <> 3").select(F.when(F.col("i") < 2, F.sha2("sha256", 256)).otherwise(F.col("sha256")).alias("sha256"), "file", "bytes")
+    gone = pinned.limit(1).select("sha256", F.lit("part-lost.json").alias("file"), "bytes")
+    found = T.check_release(spark, pinned.unionByName(gone), path).filter("file like 'part-%'")
+    return found.groupBy("status").agg(F.count("*").alias("n"))
+
+
+@register("ingest_bucketed", f"WITH papers AS ({A.PAPERS_SQL}) SELECT corpus_id, title, length(text)::BIGINT AS n_chars FROM papers JOIN documents ON doc_id = corpus_id")
+def ingest_bucketed(spark, sf_dir):
+    """Papers and texts as bucketed tables; joining them on the id needs no exchange."""
+    name = uuid.uuid4().hex
+    papers = T.ingest(A.papers(spark, sf_dir).select("corpus_id", "title"), f"papers_{name}", path=_scratch(spark))
+    texts = T.ingest(t(spark, sf_dir, "documents").select(F.col("doc_id").alias("corpus_id"), "text"), f"texts_{name}", path=_scratch(spark))
+    return papers.hint("merge").join(texts, "corpus_id").select("corpus_id", "title", F.length("text").cast("long").alias("n_chars"))
 
 
 # ------------------------------------------------------------------------------- filters

@@ -43,6 +43,7 @@ _PRECEDING = _ASSIGNED.format(choose="coalesce(ps, ns)")
 _CLOSEST = _ASSIGNED.format(choose="CASE WHEN ns IS NULL OR s - ps <= ns - s THEN ps ELSE ns END")
 _SECTIONS = f"""{_PRECEDING}, sections AS (SELECT corpus_id, header_start, header, string_agg(text, chr(10) ORDER BY start, text) AS body FROM assigned GROUP BY ALL),
 counted AS (SELECT *, CASE WHEN trim(body) = '' THEN 0 ELSE len(regexp_split_to_array(trim(body), '\\s+')) END AS n_words FROM sections)"""
+SECTIONS_SQL = _SECTIONS.replace(SPANS + ", ", "", 1)
 _CURATED = ", ".join(repr(c) for c in structure.CURATED)
 
 
@@ -72,7 +73,7 @@ def thin_sections(spark, sf_dir):
     return structure.drop_thin_sections(_sections(spark, sf_dir)).select("corpus_id", "header_start", F.col("n_words").cast("int").alias("n_words"))
 
 
-_MARKDOWN = f"""kept AS (SELECT *, CASE WHEN {structure.canonical_header_sql('header')} IN ({_CURATED}) THEN 2 ELSE 3 END AS level FROM counted WHERE n_words >= 10 OR {structure.canonical_header_sql('header')} IN ('abstract', 'conclusion', 'conclusions')),
+_MARKDOWN = MARKDOWN_SQL = f"""kept AS (SELECT *, CASE WHEN {structure.canonical_header_sql('header')} IN ({_CURATED}) THEN 2 ELSE 3 END AS level FROM counted WHERE n_words >= 10 OR {structure.canonical_header_sql('header')} IN ('abstract', 'conclusion', 'conclusions')),
 tops AS (SELECT corpus_id, min_by(substr(text, s + 1, e - s), s) FILTER (kind = 'title') AS t, string_agg(substr(text, s + 1, e - s), chr(10) ORDER BY s) FILTER (kind = 'abstract') AS a FROM good GROUP BY corpus_id),
 bodies AS (SELECT corpus_id, string_agg(repeat('#', level) || ' ' || coalesce(header, '') || chr(10) || body, chr(10) ORDER BY header_start) AS b FROM kept GROUP BY corpus_id),
 md AS (SELECT corpus_id, concat_ws(chr(10), '# ' || t, '## Abstract' || chr(10) || a, b) AS markdown FROM tops LEFT JOIN bodies USING (corpus_id))"""
