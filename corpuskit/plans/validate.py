@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from corpuskit.functions.tokens import SENTENCE, WORDS
+from corpuskit.functions.tokens import SENTENCE, WORDS, let
 from corpuskit.sources.adapters import dot
 
 
@@ -76,15 +76,17 @@ LANGUAGE_WORDS = {
 
 
 def language(text: Column) -> Column:
-    """The language whose frequent words occur most; ties go to the first in alphabetical order, no hit gives NULL."""
-    words = F.regexp_extract_all(F.lower(text), F.lit(WORDS), F.lit(0))
-    hits = [F.struct((-_hits(words, own)).alias("n"), F.lit(code).alias("code")) for code, own in sorted(LANGUAGE_WORDS.items())]
-    best = F.array_min(F.array(*hits))
-    return F.when(best["n"] < 0, best["code"])
+    """The language whose frequent words occur most; ties go to the first in alphabetical order, no hit gives NULL.
 
+    One pass keeps the few words that belong to any list; the languages are counted in those.
+    """
+    every = sorted({w for own in LANGUAGE_WORDS.values() for w in own})
 
-def _hits(words: Column, own: tuple[str, ...]) -> Column:
-    return F.size(F.filter(words, lambda w: w.isin(*own)))
+    def best(found: Column) -> Column:
+        hits = [F.struct((-F.size(F.filter(found, lambda w: w.isin(*own)))).alias("n"), F.lit(code).alias("code")) for code, own in sorted(LANGUAGE_WORDS.items())]
+        return let(F.array_min(F.array(*hits)), lambda b: F.when(b["n"] < 0, b["code"]))
+
+    return let(F.regexp_extract_all(F.lower(text), F.lit(rf"(?<![\p{{L}}\p{{N}}])({'|'.join(every)})(?![\p{{L}}\p{{N}}])"), F.lit(1)), best)
 
 
 def text_quality(df: DataFrame, limits: TextLimits | None = None, text: str = "text", key: str = "corpus_id") -> DataFrame:
@@ -106,11 +108,24 @@ def text_quality(df: DataFrame, limits: TextLimits | None = None, text: str = "t
 
 
 def alignment(df: DataFrame, abstract: str = "abstract", text: str = "text", intro_tokens: int = 1000, min_chars: int = 100, key: str = "corpus_id") -> DataFrame:
-    """Share of the abstract's words, as a multiset, found in the opening of the full text; NULL without a usable abstract."""
+    """Share of the abstract's words, as a multiset, found in the opening of the full text; NULL without a usable abstract.
+
+    The words of each side are numbered among their equals (the second "the" is another
+    token than the first), so the shared multiset is the intersection of two sets, which
+    the engine finds by hashing.
+    """
+
+    def numbered(words: Column) -> Column:
+        # sorted words: a word's number is its distance to the first of its equals
+        def of(s: Column) -> Column:
+            starts = F.filter(F.transform(s, lambda w, i: F.when((i == 0) | (w != F.get(s, i - 1)), F.struct(w.alias("w"), i.alias("i")))), lambda x: x.isNotNull())
+            return let(F.map_from_entries(starts), lambda first: F.transform(s, lambda w, i: F.concat(w, F.lit(" "), (i - F.try_element_at(first, w)).cast("string"))))
+
+        return let(F.array_sort(words), of)
+
     words = lambda c: F.regexp_extract_all(F.lower(F.col(c)), F.lit(WORDS), F.lit(0))
     rows = df.select(F.col(key).alias("id"), words(abstract).alias("a"), F.slice(words(text), 1, intro_tokens).alias("f"), ((F.length(abstract) >= min_chars) & (F.length(text) > 0)).alias("usable"))
-    times = lambda arr, x: F.size(F.filter(arr, lambda y: y == x))
-    shared = F.aggregate(F.array_distinct("a"), F.lit(0), lambda s, x: s + F.least(times(F.col("a"), x), times(F.col("f"), x)))
+    shared = F.size(F.array_intersect(numbered(F.col("a")), numbered(F.col("f"))))
     recall = F.when(F.col("usable"), F.try_divide(shared, F.size("a")))
     out = rows.select("id", "usable", recall.alias("recall"))
     return out.withColumn("band", F.when(F.col("recall") >= 0.95, "strong").when(F.col("recall") < 0.5, "low").when(F.col("recall").isNotNull(), "middle"))
@@ -141,6 +156,12 @@ def fine_vector(v: str, dim: int) -> Column:
     return F.col(v).isNotNull() & F.coalesce(fine, F.lit(False)) & F.coalesce(F.abs(F.sqrt(dot(v, v)) - 1) < 1e-3, F.lit(False))
 
 
+def passages(checked: DataFrame, key: str = "corpus_id") -> DataFrame:
+    """By document: whether each of its passage vectors (a row with ``fine``) is valid."""
+    g = checked.groupBy(F.col(key).alias("id")).agg(F.count_if(~F.col("fine")).alias("bad"))
+    return g.select("id", codes(invalid=F.col("bad") > 0).alias("codes")).withColumn("status", status(F.col("codes"), ("invalid",)))
+
+
 def embeddings(expected: DataFrame, stored: DataFrame, dim: int) -> DataFrame:
     """One row: expected ids, missing, extra and invalid vectors (length, finiteness, norm 1)."""
     fine = fine_vector("v", dim)
@@ -194,9 +215,11 @@ def report(areas: dict[str, DataFrame]) -> DataFrame:
 
 
 def summary(tall: DataFrame) -> DataFrame:
-    """Records by area and status, in one small shuffle."""
+    """Records by area and status with the rates of passes and warnings, in one small shuffle."""
     kinds = ["pass", "warn", "fail", "incomplete"]
-    return tall.groupBy("area").agg(F.count("*").alias("records"), *[F.count_if(F.col("status") == k).alias(k if k != "pass" else "passed") for k in kinds])
+    g = tall.groupBy("area").agg(F.count("*").alias("records"), *[F.count_if(F.col("status") == k).alias(k if k != "pass" else "passed") for k in kinds])
+    rate = lambda c: F.floor(F.col(c) * 1000000.0 / F.col("records") + 0.5) / 1000000
+    return g.withColumns({"pass_rate": rate("passed"), "warn_rate": rate("warn")})
 
 
 def cooccurrence(checked: DataFrame) -> DataFrame:
@@ -211,13 +234,26 @@ def warnings_histogram(checked: DataFrame) -> DataFrame:
     return checked.groupBy(F.size("codes").alias("warnings")).agg(F.count("*").alias("records"))
 
 
-def lengths(df: DataFrame, value: str, by: str | None = None) -> DataFrame:
-    """Exact quartiles, mean, extremes and zero count of a length."""
-    q = lambda p: F.percentile(value, p)
-    aggs = [F.count("*").alias("n"), q(0.25).alias("q1"), q(0.5).alias("median"), q(0.75).alias("q3"), F.min(value).cast("long").alias("least"), F.max(value).cast("long").alias("most"), F.count_if(F.col(value) == 0).alias("zeros")]
+def lengths(df: DataFrame, value: str, by: str | None = None, exact: bool = True) -> DataFrame:
+    """Quartiles, their range, mean, extremes, zero and small counts of a length.
+
+    ``exact=False`` takes the quartiles from mergeable sketches, for groups too large to sort.
+    """
+    q = (lambda p: F.percentile(value, p)) if exact else (lambda p: F.percentile_approx(value, F.lit(p), F.lit(10_000)).cast("double"))
+    v = F.col(value)
+    aggs = [
+        F.count("*").alias("n"), q(0.25).alias("q1"), q(0.5).alias("median"), q(0.75).alias("q3"), (q(0.75) - q(0.25)).alias("iqr"), (F.floor(F.avg(v) * 1000 + 0.5) / 1000).alias("mean"),
+        F.min(v).cast("long").alias("least"), F.max(v).cast("long").alias("most"), F.count_if(v == 0).alias("zeros"), F.count_if(v < 100).alias("below_100"),
+    ]
     return df.groupBy(by).agg(*aggs) if by else df.agg(*aggs)
 
 
+def log_histogram(df: DataFrame, value: str, per_decade: int = 4) -> DataFrame:
+    """Counts by logarithm of a length, for its outliers."""
+    bin_ = F.floor(F.log10(F.greatest(F.col(value), F.lit(1))) * per_decade).cast("int")
+    return df.groupBy(bin_.alias("bin")).agg(F.count("*").alias("n"))
+
+
 def clean_view(records: DataFrame, tall: DataFrame, drop: tuple[str, ...] = ("warn", "fail"), key: str = "corpus_id") -> DataFrame:
     """Records that no area marks with one of the statuses."""
     return records.join(tall.filter(F.col("status").isin(*drop)).select(F.col("id").alias(key)).distinct(), key, "left_anti")

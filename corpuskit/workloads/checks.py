@@ -8,10 +8,10 @@ from corpuskit.functions.tokens import round6
 from corpuskit.plans import chunking, encode, enrich, licensing, metrics, records, validate
 from corpuskit.registry import register
 from corpuskit.sources import adapters as A
-from corpuskit.sources.tables import read_table
+from corpuskit.sources.tables import read_table, scratch_path, stored
 from corpuskit.workloads.corpus import ABSTRACTS, DECIDED, PAPERS, REPORTS, wide
 from corpuskit.workloads.text import CHUNKS_SQL
-from corpuskit.workloads.vectors import dot_sql, r6
+from corpuskit.workloads.vectors import dot_sql, r6, scores_sql, subfield_map
 
 
 def _docs(spark, sf_dir):
@@ -22,7 +22,11 @@ def _docs(spark, sf_dir):
 
 
 def _records(spark, sf_dir, dim=16):
-    """Records of all documents; the enrichment columns follow the eligibility of the abstract."""
+    """Records of all documents with passages: vectors, licences, and subfields where the abstract is long enough.
+
+    Some records carry a fault that the checks have to find: a lost passage vector, a label
+    from outside, a score above 1, missing or unexpected subfields.
+    """
     docs = _docs(spark, sf_dir)
     papers = A.papers(spark, sf_dir)
     chunks = chunking.chunk(docs).select("corpus_id", "chunk_no", "chunk_id", "text", "n_tokens")
@@ -30,16 +34,21 @@ def _records(spark, sf_dir, dim=16):
     vectors = encode.embed(chunks.select("chunk_id", "text"), "text", enc).select("chunk_id", F.col("embedding").alias("vector"))
     lic = licensing.decide(wide(spark, sf_dir)).select("corpus_id", "license", *A.SERVICES)
     r = records.assemble(papers, A.abstracts(spark, sf_dir), docs.select(F.col("doc_id").alias("corpus_id"), "text"), chunks, vectors, lic)
-    long_ = F.length("abstract") >= 1000
     r = encode.embed_abstracts(r, enc)
-    return r.withColumn("subfields", F.when(long_, F.create_map(F.lit("thing"), F.lit(0.7))))
+    k, long_ = F.col("corpus_id"), F.length("abstract") >= 1000
+    scores = subfield_map()
+    fault = F.when(k % 43 == 3, F.map_concat(scores, F.create_map(F.lit("alchemy"), F.lit(0.7)))).when(k % 47 == 5, F.transform_values(scores, lambda _, v: v + 1)).when(k % 59 == 7, F.lit(None)).otherwise(scores)
+    r = r.withColumn("subfields", F.when(long_, fault).when(k % 61 == 2, scores))
+    lost = F.when(k % 71 == 9, F.slice("paragraph_embeddings", F.lit(2), F.size("paragraph_embeddings"))).otherwise(F.col("paragraph_embeddings"))
+    return r.withColumn("paragraph_embeddings", lost)
 
 
-_ABS = f"a AS (SELECT doc_id AS corpus_id, coalesce(abstract, '') AS abstract FROM documents LEFT JOIN abstracts ON corpus_id = doc_id WHERE len(regexp_extract_all(text, '[^\\s]')) > 0)"
-_SCHEMA_CODES = f"{ABSTRACTS}, {_ABS}, c AS (SELECT corpus_id, list_filter([CASE WHEN abstract = '' THEN 'A' END, CASE WHEN abstract = '' THEN 'B' END, CASE WHEN length(abstract) BETWEEN 1 AND 999 THEN 'C' END, CASE WHEN length(abstract) BETWEEN 1 AND 999 THEN 'D' END, CASE WHEN length(abstract) < 1000 THEN 'E' END], lambda x: x IS NOT NULL) AS codes FROM a)"
+_ABS = f"a AS (SELECT doc_id AS corpus_id, coalesce(abstract, '') AS abstract, length(coalesce(abstract, '')) AS n, doc_id AS k FROM documents LEFT JOIN abstracts ON corpus_id = doc_id WHERE len(regexp_extract_all(text, '[^\\s]')) > 0)"
+_NO_SUBFIELDS = "(CASE WHEN n >= 1000 THEN k % 43 <> 3 AND k % 47 <> 5 AND k % 59 = 7 ELSE k % 61 <> 2 END)"
+_SCHEMA_CODES = f"{ABSTRACTS}, {_ABS}, c AS (SELECT corpus_id, list_filter([CASE WHEN n = 0 THEN 'A' END, CASE WHEN n = 0 THEN 'B' END, CASE WHEN n BETWEEN 1 AND 999 THEN 'C' END, CASE WHEN n BETWEEN 1 AND 999 THEN 'D' END, CASE WHEN {_NO_SUBFIELDS} THEN 'E' END, CASE WHEN k % 71 = 9 THEN 'F' END], lambda x: x IS NOT NULL) AS codes FROM a)"
 
 
-@register("validate_schema", f"WITH {_SCHEMA_CODES} SELECT corpus_id AS id, array_to_string(codes, ',') AS codes, CASE WHEN len(codes) > 0 THEN 'incomplete' ELSE 'pass' END AS status FROM c")
+@register("validate_schema", f"WITH {_SCHEMA_CODES} SELECT corpus_id AS id, array_to_string(codes, ',') AS codes, CASE WHEN list_contains(codes, 'F') THEN 'fail' WHEN len(codes) > 0 THEN 'incomplete' ELSE 'pass' END AS status FROM c")
 def validate_schema(spark, sf_dir):
     return validate.schema(_records(spark, sf_dir), 16).select("id", F.array_join("codes", ",").alias("codes"), "status")
 
@@ -71,9 +80,20 @@ def warnings_histogram(spark, sf_dir):
     return validate.warnings_histogram(_metadata(spark, sf_dir))
 
 
-@register("validate_subfields", f"WITH {ABSTRACTS}, {_ABS} SELECT CASE WHEN length(abstract) >= 1000 THEN 'pass' ELSE 'incomplete' END AS status, count(*) AS n FROM a GROUP BY ALL")
+_SUBFIELD_CODES = f"""{ABSTRACTS}, {_ABS}, sfc AS (SELECT corpus_id, list_filter([CASE WHEN n >= 1000 AND k % 43 = 3 THEN 'foreign_label' END, CASE WHEN n >= 1000 AND k % 43 <> 3 AND k % 47 = 5 THEN 'bad_score' END,
+  CASE WHEN n >= 1000 AND k % 43 <> 3 AND k % 47 <> 5 AND k % 59 = 7 THEN 'missing' END, CASE WHEN n < 1000 AND k % 61 = 2 THEN 'unexpected' END, CASE WHEN n < 1000 AND k % 61 <> 2 THEN 'omitted' END], lambda x: x IS NOT NULL) AS codes FROM a)"""
+_SUBFIELD_STATUS = "CASE WHEN len(list_filter(codes, lambda x: x <> 'omitted')) > 0 THEN 'fail' WHEN len(codes) > 0 THEN 'incomplete' ELSE 'pass' END"
+
+
+@register("validate_subfields", f"WITH {_SUBFIELD_CODES} SELECT corpus_id AS id, array_to_string(codes, ',') AS codes, {_SUBFIELD_STATUS} AS status FROM sfc")
 def validate_subfields(spark, sf_dir):
-    return validate.subfields(_records(spark, sf_dir), enrich.VOCABULARY).groupBy("status").agg(F.count("*").alias("n"))
+    return validate.subfields(_records(spark, sf_dir), enrich.VOCABULARY).select("id", F.array_join("codes", ",").alias("codes"), "status")
+
+
+@register("subfield_scores", f"WITH {ABSTRACTS} SELECT corpus_id, label, floor(score * 1000000 + 0.5) / 1000000 AS score FROM ({scores_sql('abstracts')})")
+def subfield_scores(spark, sf_dir):
+    a = A.abstracts(spark, sf_dir).select("corpus_id", F.explode(subfield_map()).alias("label", "score"))
+    return a.withColumn("score", round6(F.col("score")))
 
 
 def _lang_sql():
@@ -114,25 +134,47 @@ def alignment_histogram(spark, sf_dir):
     return validate.alignment_histogram(_aligned(spark, sf_dir))
 
 
-@register("validate_chunks", f"""WITH RECURSIVE {CHUNKS_SQL.replace('{docs}', 'documents')}, g AS (SELECT doc_id AS id, count(*) AS n, count(*) FILTER (body + lap < 100) AS short, count(*) FILTER (body + lap > 200) AS long, arg_max(body + lap < 100, c) AS last_short FROM lapped GROUP BY doc_id)
-SELECT id, n, short, long, CASE WHEN long > 0 THEN 'fail' WHEN short > 0 THEN 'warn' ELSE 'pass' END AS status FROM g""")
+@register("alignment_flags", f"""WITH {_ALIGN}, {_META}, f AS (SELECT corpus_id AS id, unnest(CASE WHEN len(codes) = 0 THEN ['none'] ELSE codes END) AS code FROM m)
+SELECT least(floor(recall / 0.05 + 1e-9), 19)::INT AS bin, code, count(*) AS n FROM al JOIN f USING (id) WHERE recall IS NOT NULL GROUP BY ALL""")
+def alignment_flags(spark, sf_dir):
+    """The histogram by the metadata flags of the same records."""
+    return validate.alignment_histogram(_aligned(spark, sf_dir), _metadata(spark, sf_dir))
+
+
+_CHUNK_STATUS = f"""{CHUNKS_SQL.replace('{docs}', 'documents')}, g AS (SELECT doc_id AS id, count(*) AS n, count(*) FILTER (body + lap < 100) AS short, count(*) FILTER (body + lap > 200) AS long, arg_max(body + lap < 100, c) AS last_short, floor(avg(body + lap) * 1000 + 0.5) / 1000 AS mean FROM lapped GROUP BY doc_id)"""
+
+
+@register("validate_chunks", f"""WITH RECURSIVE {_CHUNK_STATUS}
+SELECT id, n, short, long, last_short, mean, CASE WHEN long > 0 THEN 'fail' WHEN short > 0 THEN 'warn' ELSE 'pass' END AS status, concat_ws(',', CASE WHEN short = 1 AND last_short THEN 'one_short_final' END, CASE WHEN short > last_short::INT THEN 'short_inside' END, CASE WHEN long > 0 THEN 'too_long' END) AS codes FROM g""")
 def validate_chunks(spark, sf_dir):
-    return validate.chunks(chunking.chunk(_docs(spark, sf_dir))).select("id", "n", "short", "long", "status")
+    c = validate.chunks(chunking.chunk(_docs(spark, sf_dir)))
+    return c.select("id", "n", "short", "long", "last_short", (F.floor(F.col("mean_tokens") * 1000 + 0.5) / 1000).alias("mean"), "status", F.array_join("codes", ",").alias("codes"))
 
 
-@register("embedding_checks", f"SELECT count(*) FILTER (vec_id % 97 <> 1) AS expected, count(*) FILTER (vec_id % 97 <> 1 AND vec_id % 89 = 0) AS missing, count(*) FILTER (vec_id % 97 = 1 AND vec_id % 89 <> 0) AS extra, 0::BIGINT AS invalid FROM embeddings")
+@register("embedding_checks", f"""WITH e AS (SELECT vec_id AS k FROM embeddings), s AS (SELECT * FROM e WHERE k % 89 <> 0) SELECT (SELECT count(*) FROM e WHERE k % 97 <> 1) AS expected, (SELECT count(*) FROM e WHERE k % 97 <> 1 AND k % 89 = 0) AS missing,
+  (SELECT count(*) FROM s WHERE k % 97 = 1) AS extra, (SELECT count(*) FROM s WHERE k % 83 = 2 OR k % 71 = 3 OR k % 67 = 5 OR k % 61 = 4) AS invalid""")
 def embedding_checks(spark, sf_dir):
-    e = read_table(spark, sf_dir, "embeddings")
-    expected = e.filter("vec_id % 97 <> 1").select(F.col("vec_id").alias("id"))
-    stored = e.filter("vec_id % 89 <> 0").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v"))
+    """Stored vectors of which some are lost, some unasked for, and some broken: zero, not a number, too short, not of unit length."""
+    e, k, v = read_table(spark, sf_dir, "embeddings"), F.col("vec_id"), F.col("embedding")
+    broken = (
+        F.when(k % 83 == 2, F.transform(v, lambda x: x * F.lit(0).cast("float"))).when(k % 71 == 3, F.transform(v, lambda x, i: F.when(i == 7, F.lit(float("nan")).cast("float")).otherwise(x)))
+        .when(k % 67 == 5, F.slice(v, 1, 63)).when(k % 61 == 4, F.transform(v, lambda x: x * F.lit(1.1).cast("float"))).otherwise(v)
+    )
+    expected = e.filter("vec_id % 97 <> 1").select(k.alias("id"))
+    stored = e.filter("vec_id % 89 <> 0").select(k.alias("id"), broken.alias("v"))
     return validate.embeddings(expected, stored, 64)
 
 
-@register("validate_ids", f"WITH {PAPERS} SELECT CASE WHEN corpus_id % 53 = 0 AND doi IS NOT NULL THEN 'fail' ELSE 'pass' END AS status, count(*) AS n FROM papers GROUP BY ALL")
+@register("validate_ids", f"""WITH {PAPERS}, c AS (SELECT corpus_id, concat_ws(',', CASE WHEN corpus_id % 67 = 1 THEN 'file_id' END, CASE WHEN doi IS NOT NULL AND corpus_id % 53 = 0 THEN 'doi_registry' END,
+  CASE WHEN doi IS NOT NULL AND corpus_id % 47 = 1 AND corpus_id % 3 > 0 THEN 'doi_aggregator' END, CASE WHEN doi IS NOT NULL AND corpus_id % 41 = 2 AND corpus_id % 2 = 0 THEN 'doi_venue' END) AS codes FROM papers)
+SELECT codes, CASE WHEN codes = '' THEN 'pass' ELSE 'fail' END AS status, count(*) AS n FROM c GROUP BY ALL""")
 def validate_ids(spark, sf_dir):
-    p = A.papers(spark, sf_dir).withColumn("filename_id", F.col("corpus_id").cast("string"))
-    r = p.filter("doi is not null").select("corpus_id", F.when(F.col("corpus_id") % 53 == 0, "10.1/other").otherwise(F.upper("doi")).alias("doi"))
-    return validate.ids(p, {"registry": r}).groupBy("status").agg(F.count("*").alias("n"))
+    """File ids, and the DOIs of three services of which two know only some of the papers; all have some that differ."""
+    k = F.col("corpus_id")
+    p = A.papers(spark, sf_dir).withColumn("filename_id", F.when(k % 67 == 1, "x").otherwise(k.cast("string")))
+    told = lambda known, other: p.filter("doi is not null").filter(known).select("corpus_id", F.when(other, "10.1/other").otherwise(F.upper("doi")).alias("doi"))
+    reports = {"registry": told(F.lit(True), k % 53 == 0), "aggregator": told(k % 3 > 0, k % 47 == 1), "venue": told(k % 2 == 0, k % 41 == 2)}
+    return validate.ids(p, reports).groupBy(F.array_join("codes", ",").alias("codes"), "status").agg(F.count("*").alias("n"))
 
 
 @register("validate_licensing", f"WITH {DECIDED} SELECT CASE WHEN corpus_id % 31 = 0 AND license IS DISTINCT FROM 'OTHER' THEN 'fail' ELSE 'pass' END AS status, count(*) AS n FROM outcomes GROUP BY ALL")
@@ -143,18 +185,30 @@ def validate_licensing(spark, sf_dir):
 
 
 def _areas(spark, sf_dir):
-    w = wide(spark, sf_dir)
+    """Eight areas with a status for each record; the ninth, summaries, is measured and has none."""
+    w, docs, r = wide(spark, sf_dir), _docs(spark, sf_dir), stored(_records(spark, sf_dir), "records")
+    passages = r.select("corpus_id", F.explode("paragraph_embeddings").alias("p")).select("corpus_id", validate.fine_vector("p.vector", 16).alias("fine"))
+    p = A.papers(spark, sf_dir).withColumn("filename_id", F.col("corpus_id").cast("string"))
+    registry = p.filter("doi is not null").select("corpus_id", F.when(F.col("corpus_id") % 53 == 0, "10.1/other").otherwise(F.col("doi")).alias("doi"))
     return {
-        "metadata": _metadata(spark, sf_dir),
-        "licensing": validate.licensing(licensing.decide(w).select("corpus_id", "license"), w),
-        "text": validate.text_quality(_docs(spark, sf_dir), key="doc_id"),
+        "schema": validate.schema(r, 16), "metadata": _metadata(spark, sf_dir), "subfields": validate.subfields(r, enrich.VOCABULARY),
+        "text": validate.text_quality(docs, key="doc_id"), "chunks": validate.chunks(chunking.chunk(docs)), "embeddings": validate.passages(passages),
+        "ids": validate.ids(p, {"registry": registry}), "licensing": validate.licensing(licensing.decide(w).select("corpus_id", "license"), w),
     }
 
 
-@register("validation_summary", f"""WITH {_META}, {_lang_sql()}, t AS (SELECT CASE WHEN length(text) < 100 OR length(text) > 1000000 OR language IS DISTINCT FROM 'en' OR (length(text) - length(regexp_replace(text, '[^\\x00-\\x7F]', '', 'g'))) / nullif(length(text), 0) > 0.3
+_KINDS = "count(*) FILTER (status = 'pass') AS passed, count(*) FILTER (status = 'warn') AS warn, count(*) FILTER (status = 'fail') AS fail, count(*) FILTER (status = 'incomplete') AS incomplete"
+
+
+@register("validation_summary", f"""WITH RECURSIVE {_META}, {_lang_sql()}, {_SUBFIELD_CODES}, {_SCHEMA_CODES.replace(f"{ABSTRACTS}, {_ABS}, ", "")}, {_CHUNK_STATUS.replace("g AS (", "cg AS (")},
+t AS (SELECT CASE WHEN length(text) < 100 OR length(text) > 1000000 OR language IS DISTINCT FROM 'en' OR (length(text) - length(regexp_replace(text, '[^\\x00-\\x7F]', '', 'g'))) / nullif(length(text), 0) > 0.3
   OR (length(text) - length(regexp_replace(text, '\\s', '', 'g'))) / nullif(length(text), 0) > 0.4 THEN 'warn' ELSE 'pass' END AS status FROM documents JOIN lg USING (doc_id)),
-u AS (SELECT 'metadata' AS area, CASE WHEN len(codes) > 0 THEN 'warn' ELSE 'pass' END AS status FROM m UNION ALL SELECT 'licensing', 'pass' FROM documents UNION ALL SELECT 'text', status FROM t)
-SELECT area, count(*) AS records, count(*) FILTER (status = 'pass') AS passed, count(*) FILTER (status = 'warn') AS warn, count(*) FILTER (status = 'fail') AS fail, count(*) FILTER (status = 'incomplete') AS incomplete FROM u GROUP BY area""")
+ua AS (SELECT 'metadata' AS area, CASE WHEN len(codes) > 0 THEN 'warn' ELSE 'pass' END AS status FROM m UNION ALL SELECT 'licensing', 'pass' FROM documents UNION ALL SELECT 'text', status FROM t
+  UNION ALL SELECT 'schema', CASE WHEN list_contains(codes, 'F') THEN 'fail' WHEN len(codes) > 0 THEN 'incomplete' ELSE 'pass' END FROM c UNION ALL SELECT 'subfields', {_SUBFIELD_STATUS} FROM sfc
+  UNION ALL SELECT 'chunks', CASE WHEN long > 0 THEN 'fail' WHEN short > 0 THEN 'warn' ELSE 'pass' END FROM cg UNION ALL SELECT 'embeddings', 'pass' FROM cg WHERE id % 71 <> 9 OR n > 1
+  UNION ALL SELECT 'ids', CASE WHEN corpus_id % 53 = 0 AND doi IS NOT NULL THEN 'fail' ELSE 'pass' END FROM papers),
+s AS (SELECT area, count(*) AS records, {_KINDS} FROM ua GROUP BY area)
+SELECT *, floor(passed * 1000000.0 / records + 0.5) / 1000000 AS pass_rate, floor(warn * 1000000.0 / records + 0.5) / 1000000 AS warn_rate FROM s""")
 def validation_summary(spark, sf_dir):
     return validate.summary(validate.report(_areas(spark, sf_dir)))
 
@@ -165,33 +219,72 @@ def clean_view(spark, sf_dir):
     return validate.clean_view(A.papers(spark, sf_dir), tall).agg(F.count("*").alias("n"))
 
 
-@register("length_quantiles", "SELECT lang, count(*) AS n, quantile_cont(n_chars, 0.25) AS q1, quantile_cont(n_chars, 0.5) AS median, quantile_cont(n_chars, 0.75) AS q3, min(n_chars) AS least, max(n_chars) AS most, count(*) FILTER (n_chars = 0) AS zeros FROM documents GROUP BY lang")
+@register("length_quantiles", """SELECT lang, count(*) AS n, quantile_cont(n_chars, 0.25) AS q1, quantile_cont(n_chars, 0.5) AS median, quantile_cont(n_chars, 0.75) AS q3, quantile_cont(n_chars, 0.75) - quantile_cont(n_chars, 0.25) AS iqr, floor(avg(n_chars) * 1000 + 0.5) / 1000 AS mean,
+  min(n_chars) AS least, max(n_chars) AS most, count(*) FILTER (n_chars = 0) AS zeros, count(*) FILTER (n_chars < 100) AS below_100 FROM documents GROUP BY lang""")
 def length_quantiles(spark, sf_dir):
     return validate.lengths(_docs(spark, sf_dir), "n_chars", "lang")
 
 
-@register("record_arrays_aligned", "SELECT count(*) AS records, 0::BIGINT AS misaligned FROM documents WHERE len(regexp_extract_all(text, '[^\\s]')) > 0")
+@register("length_histogram", "SELECT floor(log10(greatest(n_chars, 1)) * 4)::INT AS bin, count(*) AS n FROM documents GROUP BY 1")
+def length_histogram(spark, sf_dir):
+    """Quarter decades of the length."""
+    return validate.log_histogram(_docs(spark, sf_dir), "n_chars")
+
+
+@register("record_arrays_aligned", "SELECT count(*) AS records, count(*) FILTER (doc_id % 71 = 9) AS misaligned FROM documents WHERE len(regexp_extract_all(text, '[^\\s]')) > 0")
 def record_arrays(spark, sf_dir):
-    same = F.forall(F.arrays_zip("paragraphs", "paragraph_embeddings"), lambda z: z["paragraphs"]["id"] == z["paragraph_embeddings"]["id"])
+    """Passages and vectors side by side; records that lost a vector are not aligned."""
+    same = (F.size("paragraphs") == F.size("paragraph_embeddings")) & F.forall(F.arrays_zip("paragraphs", "paragraph_embeddings"), lambda z: z["paragraphs"]["id"].eqNullSafe(z["paragraph_embeddings"]["id"]))
     return _records(spark, sf_dir).agg(F.count("*").alias("records"), F.count_if(~same).alias("misaligned"))
 
 
-@register("run_manifest")
+@register("record_sink", f"""WITH RECURSIVE {ABSTRACTS}, {DECIDED}, {CHUNKS_SQL.replace('{docs}', 'documents')}, n AS (SELECT doc_id, count(*) AS n, sum(body + lap)::BIGINT AS tokens FROM lapped GROUP BY doc_id)
+SELECT n.doc_id AS corpus_id, '1' AS schema_version, n.doc_id::VARCHAR AS filename_id, n.n AS passages, tokens, length(coalesce(abstract, ''))::BIGINT AS abstract_chars, license FROM n LEFT JOIN abstracts a ON a.corpus_id = n.doc_id LEFT JOIN outcomes o ON o.corpus_id = n.doc_id""")
+def record_sink(spark, sf_dir):
+    """Whole records written as JSON Lines, laid out by schema version, and read back."""
+    path = scratch_path(spark, "records")
+    r = _records(spark, sf_dir).drop("subfields")
+    records.write_records(r, path, "json")
+    back = spark.read.schema(r.withColumn("bucket", F.lit(0)).schema).json(path)
+    tokens = F.aggregate("paragraphs", F.lit(0).cast("long"), lambda s, p: s + p["n_tokens"])
+    return back.select("corpus_id", F.col("schema_version").cast("string").alias("schema_version"), "filename_id", F.size("paragraphs").cast("long").alias("passages"), tokens.alias("tokens"), F.length("abstract").cast("long").alias("abstract_chars"), "license")
+
+
+def _manifest_sql(name, source, columns, config):
+    row = ", ".join(f"coalesce({c}::VARCHAR, '')" for c in columns)
+    return f"SELECT '{name}' AS name, count(*) AS rows, coalesce(sum(('0x' || substr(md5(concat_ws('|', {row})), 1, 15))::BIGINT), 0)::VARCHAR AS checksum, sha256('{config}') AS config FROM {source}"
+
+
+_REPORT_COLUMNS = ("corpus_id", "service", "raw")
+
+
+def _manifest(spark, sf_dir, reports=None):
+    papers = A.papers(spark, sf_dir).select("corpus_id", "title", "year", "doi")
+    return records.manifest({"papers": papers, "reports": A.license_reports(spark, sf_dir) if reports is None else reports}, "v1")
+
+
+@register("run_manifest", f"WITH {PAPERS}, {REPORTS} {_manifest_sql('papers', 'papers', ('corpus_id', 'title', 'year', 'doi'), 'v1')} UNION ALL {_manifest_sql('reports', 'reports', _REPORT_COLUMNS, 'v1')}")
 def run_manifest(spark, sf_dir):
-    return records.manifest({"papers": A.papers(spark, sf_dir), "reports": A.license_reports(spark, sf_dir)}, "v1")
+    return _manifest(spark, sf_dir)
+
 
+_CHANGED = _manifest_sql("reports", "(SELECT corpus_id, service, CASE WHEN corpus_id = 3 THEN 'changed' ELSE raw END AS raw FROM reports)", _REPORT_COLUMNS, "v1")
 
-@register("manifest_diff", "SELECT 0::BIGINT AS differing")
+
+@register("manifest_diff", f"WITH {REPORTS} SELECT 'left' AS side, * FROM ({_manifest_sql('reports', 'reports', _REPORT_COLUMNS, 'v1')}) UNION ALL SELECT 'right', * FROM ({_CHANGED})")
 def manifest_diff(spark, sf_dir):
-    a = records.manifest({"reports": A.license_reports(spark, sf_dir)})
-    b = records.manifest({"reports": A.license_reports(spark, sf_dir).repartition(5)})
-    return records.diff(a, b).agg(F.count("*").alias("differing"))
+    """Two runs, the second in other partitions and with other reports on one paper: only that table differs."""
+    other = A.license_reports(spark, sf_dir).repartition(5).withColumn("raw", F.when(F.col("corpus_id") == 3, "changed").otherwise(F.col("raw")))
+    return records.diff(_manifest(spark, sf_dir), _manifest(spark, sf_dir, other))
+
+
+_SPLIT = "CASE WHEN ('0x' || substr(md5('42:' || corpus_id::VARCHAR), 1, 8))::BIGINT % 100 < 80 THEN 'train' WHEN ('0x' || substr(md5('42:' || corpus_id::VARCHAR), 1, 8))::BIGINT % 100 < 90 THEN 'validation' ELSE 'test' END"
 
 
-@register("export_training")
+@register("export_training", f"WITH RECURSIVE {ABSTRACTS}, {CHUNKS_SQL.replace('{docs}', 'documents')} SELECT {_SPLIT} AS split, count(*) AS n, count(DISTINCT corpus_id) AS papers FROM lapped JOIN abstracts ON corpus_id = doc_id WHERE abstract <> '' GROUP BY 1")
 def export_training(spark, sf_dir):
     chunks = chunking.chunk(_docs(spark, sf_dir))
-    return records.export_training(chunks, A.abstracts(spark, sf_dir)).groupBy("split").agg(F.count("*").alias("n"))
+    return records.export_training(chunks, A.abstracts(spark, sf_dir)).groupBy("split").agg(F.count("*").alias("n"), F.count_distinct("corpus_id").alias("papers"))
 
 
 # ---------------------------------------------------------------------------- enrichment
