@@ -8,9 +8,9 @@ before a place, the place of its k-th occurrence, or the whole sequence. The ima
 the rows of a Parquet table, which every storage that Spark writes to can hold, and which
 a lost executor does not take with it.
 
-Defined cases: null and empty texts are the end token alone; repeated ids lie side by
-side, ordered by their text; only the id and text columns are read; an empty table gives
-an empty result.
+Defined cases: null and empty texts are the end token alone; null ids come first; repeated
+ids lie side by side, ordered by a hash of their text; only the id and text columns are
+read; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -158,10 +158,11 @@ class WaveletMatrix:
             level = up
         return level.astype(np.uint16)
 
-    def to_bytes(self, docs: np.ndarray, lengths: np.ndarray, level: int = 3) -> bytes:
-        """The file image, with the documents whose tokens it holds."""
+    def to_bytes(self, docs: list[int | None], lengths: np.ndarray, level: int = 3) -> bytes:
+        """The file image, with the documents whose tokens it holds; behind their ids a byte for each tells the null ones."""
         press = zstandard.ZstdCompressor(level=level)
-        parts = [docs.astype("<i8").tobytes(), lengths.astype("<u4").tobytes(), self.zeros.astype("<i8").tobytes()]
+        ids, none = np.array([d or 0 for d in docs], "<i8"), np.array([d is None for d in docs], np.uint8)
+        parts = [ids.tobytes() + none.tobytes(), lengths.astype("<u4").tobytes(), self.zeros.astype("<i8").tobytes()]
         for plane, ranks in zip(self.planes, self.ranks, strict=True):
             parts += [plane.tobytes(), np.diff(ranks).astype("<u2").tobytes()]
         packed = [press.compress(p) for p in parts]
@@ -169,7 +170,7 @@ class WaveletMatrix:
         return b"".join([MAGIC, len(head).to_bytes(8, "little"), head, *packed])
 
     @classmethod
-    def from_bytes(cls, image: bytes) -> tuple[WaveletMatrix, np.ndarray, np.ndarray]:
+    def from_bytes(cls, image: bytes) -> tuple[WaveletMatrix, pa.Array, np.ndarray]:
         if image[:8] != MAGIC:
             raise ValueError("not a token file")
         size = int.from_bytes(image[8:16], "little")
@@ -178,7 +179,9 @@ class WaveletMatrix:
         ends = 16 + size + np.cumsum(head[3:])
         open_ = zstandard.ZstdDecompressor()
         parts = [open_.decompress(image[a:b]) for a, b in zip([16 + size, *ends[:-1].tolist()], ends.tolist(), strict=True)]
-        docs, lengths, zeros = (np.frombuffer(p, t) for p, t in zip(parts, ("<i8", "<u4", "<i8"), strict=False))
+        many = int(head[2])
+        docs = pa.array(np.frombuffer(parts[0][: 8 * many], "<i8"), mask=np.frombuffer(parts[0][8 * many :], np.uint8).astype(bool))
+        lengths, zeros = np.frombuffer(parts[1], "<u4"), np.frombuffer(parts[2], "<i8")
         planes = [np.frombuffer(p, np.uint8) for p in parts[3::2]]
         ranks = [np.concatenate(([0], np.cumsum(np.frombuffer(p, "<u2")))).astype(np.uint32) for p in parts[4::2]]
         return cls(n, bits, zeros, planes, ranks), docs, lengths
@@ -188,13 +191,13 @@ def _shards(batches: Iterator[pa.RecordBatch], cfg: TokenFiles) -> Iterator[pa.R
     """File images of one partition, in document order."""
     encoder = word_encoder(vocabulary_path(cfg.vocabulary))
     part = TaskContext.get().partitionId()
-    docs: list[int] = []
+    docs: list[int | None] = []
     lengths: list[int] = []
     body: list[np.ndarray] = []
     shard = before = held = 0
 
     def flush() -> pa.RecordBatch:
-        image = WaveletMatrix.build(np.concatenate(body), cfg.bits).to_bytes(np.array(docs), np.array(lengths), cfg.level)
+        image = WaveletMatrix.build(np.concatenate(body), cfg.bits).to_bytes(docs, np.array(lengths), cfg.level)
         return pa.RecordBatch.from_arrays(
             [pa.array([part], pa.int32()), pa.array([shard], pa.int32()), pa.array([before], pa.int64()), pa.array([held], pa.int64()), pa.array([image], pa.binary())],
             ["part", "shard", "before", "n_tokens", "image"],
@@ -220,7 +223,9 @@ def write_token_files(df: DataFrame, path: str, id_col: str = "doc_id", text_col
     cfg = cfg or TokenFiles()
     docs = id_text(df, id_col, text_col)
     parts = max(2 * docs.rdd.getNumPartitions(), 8)
-    ordered = docs.repartitionByRange(parts, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
+    # a hash of the text deals the rows of a very frequent id, or of none, over several partitions
+    by = [F.col("doc_id").asc_nulls_first(), F.col("h").asc_nulls_first()]
+    ordered = docs.withColumn("h", F.xxhash64("text")).repartitionByRange(parts, *by).sortWithinPartitions(*by, "text").drop("h")
     images = ordered.mapInArrow(lambda b: _shards(b, cfg), "part int, shard int, before long, n_tokens long, image binary")
     images.write.option("compression", "uncompressed").parquet(path)
 
@@ -245,7 +250,7 @@ def read_token_files(spark: SparkSession, path: str, with_ids: bool = False) ->
                 starts = ends - lengths
                 raw = memoryview(tokens).cast("B")
                 crc = [zlib.crc32(raw[4 * a : 4 * b]) for a, b in zip(starts.tolist(), ends.tolist(), strict=True)]
-                out = [pa.array(docs), pa.array(starts + base[part.as_py()] + before.as_py()), pa.array(lengths.astype(np.int64)), pa.array(crc, pa.int64())]
+                out = [docs, pa.array(starts + base[part.as_py()] + before.as_py()), pa.array(lengths.astype(np.int64)), pa.array(crc, pa.int64())]
                 names = ["doc_id", "start", "n_tokens", "ids_crc32"]
                 if with_ids:
                     out.append(pa.array([raw[4 * a : 4 * b].tobytes() for a, b in zip(starts.tolist(), ends.tolist(), strict=True)], pa.binary()))
