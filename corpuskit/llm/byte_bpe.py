@@ -3,12 +3,16 @@
 A merge can only make a token of the vocabulary, so two neighbouring bytes that lie next
 to each other inside no token are never joined: between them there is a certain cut. The
 table of such byte pairs comes from the vocabulary alone. A text is cut, over all its
-bytes in numpy, where a certain cut also ends a word of the pre-tokenizer whatever stands
-left and right (a character that is not white space, then ASCII white space). Each distinct
-fragment is encoded once while it stays in the cache, on its own and together with the
-other new ones of a batch; the ids of a text are the concatenation of those of its
+bytes in numpy, at its certain cuts, and each distinct fragment is encoded on its own, once
+while it stays in the cache. The ids of a text are the concatenation of those of its
 fragments. Decoding joins the bytes of the tokens.
 
+The library splits a text into pre-tokens before it merges. The split goes from left to
+right without looking back, so what stands behind a cut is split as if the text began
+there, and what stands before it as if the text ended there, unless the cut is behind
+white space (whose split depends on what follows) or beside an apostrophe that may begin a
+contraction. Those cuts are not taken, nor those inside a character or a special token.
+
 Defined cases: a null text counts as empty and has no ids; the literal of a special token
 gets the special id, as the library does; equal texts get equal ids; columns other than
 the id and the text are not read; an empty table gives an empty result.
@@ -18,6 +22,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import re
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -28,8 +33,12 @@ from pyspark.sql import DataFrame
 from corpuskit.llm.common import id_text, small, utf8
 from corpuskit.llm.word_tokens import load_tokenizer, vocabulary_path
 
+#: Which bytes are ASCII white space, as the pre-tokenizer sees it.
 _ASCII_SPACE = np.zeros(256, bool)
-_ASCII_SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
+_ASCII_SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D, 0x1C, 0x1D, 0x1E, 0x1F]] = True
+_ALNUM = np.zeros(256, bool)
+_ALNUM[[*range(48, 58), *range(65, 91), *range(97, 123)]] = True
+_CONTRACTED = (b"re", b"ve", b"ll")
 
 
 def printable_bytes() -> dict[str, int]:
@@ -39,6 +48,20 @@ def printable_bytes() -> dict[str, int]:
     return {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(hidden)}
 
 
+def _wide_space_ends(data: np.ndarray) -> np.ndarray | None:
+    """Ends of the white-space characters beyond ASCII, None if there are none."""
+    two = np.flatnonzero(data[:-1] == 0xC2)
+    ends = [two[np.isin(data[two + 1], (0x85, 0xA0))] + 2] if len(two) else []
+    lead = np.flatnonzero((data[:-2] == 0xE1) | (data[:-2] == 0xE2) | (data[:-2] == 0xE3)) if len(data) > 2 else two[:0]
+    if len(lead):
+        a, b, c = data[lead], data[lead + 1], data[lead + 2]
+        space = (a == 0xE1) & (b == 0x9A) & (c == 0x80) | (a == 0xE3) & (b == 0x80) & (c == 0x80)
+        space |= (a == 0xE2) & ((b == 0x80) & ((c <= 0x8A) | np.isin(c, (0xA8, 0xA9, 0xAF))) | (b == 0x81) & (c == 0x9F))
+        ends.append(lead[space] + 3)
+    found = np.concatenate(ends) if ends else two[:0]
+    return found if len(found) else None
+
+
 class ByteBPE:
     def __init__(self, path: str, cache_fragments: int = 400_000):
         with open(path, encoding="utf-8") as f:
@@ -53,10 +76,16 @@ class ByteBPE:
         for token, i in special.items():
             self.bytes_of[i] = token.encode()
         self.length_of = np.array([len(b) for b in self.bytes_of])
-        if any(c.isspace() for token in special for c in token):
-            raise ValueError("a special token with white space could cross a cut")
+        self.special = re.compile(b"|".join(re.escape(t.encode()) for t in special)) if special else None
         self.tokenizer = load_tokenizer(path)
         self.certain = self._certain_cuts()
+        if any(self.certain[a, b] for a, b in _CONTRACTED):
+            raise ValueError("a cut could fall inside a contraction")
+        # cuts that hold whatever stands around the pair, but for white space beyond ASCII and special tokens
+        left, right = np.arange(256)[:, None], np.arange(256)[None, :]
+        inside = (right >= 0x80) & (right < 0xC0)
+        quote = (left == 0x27) | ((right == 0x27) & ~_ALNUM[left])
+        self.taken = self.certain & ~inside & ~_ASCII_SPACE[left] & ~quote
         self.cache: dict[bytes, bytes] = {}
         self.cache_fragments = cache_fragments
 
@@ -69,39 +98,28 @@ class ByteBPE:
         return cut
 
     def text_cuts(self, data: np.ndarray) -> np.ndarray:
-        """Places where a text may be cut: certain cuts before ASCII white space and after none.
-
-        The last byte of a character beyond ASCII counts only if the character cannot be
-        white space: two-byte ones other than U+0085 and U+00A0, and four-byte ones.
-        """
+        """Places where a text may be cut."""
         if len(data) < 2:
             return np.zeros(0, np.int64)
-        left, right = data[:-1], data[1:]
-        solid = (left > 0x20) & (left < 0x7F)
-        two = np.zeros(len(left), bool)
-        two[1:] = (left[1:] >= 0x80) & (left[:-1] >= 0xC3) & (left[:-1] < 0xE0)
-        at = np.flatnonzero(_ASCII_SPACE[right] & (solid | two))
-        return at[self.certain[left[at], right[at]]] + 1
+        at = np.flatnonzero(self.taken[data[:-1], data[1:]]) + 1
+        wide = _wide_space_ends(data)
+        return at if wide is None else at[~np.isin(at, wide)]
 
     def fragments(self, raw: bytes) -> list[bytes]:
-        cuts = self.text_cuts(np.frombuffer(raw, np.uint8)).tolist()
-        return [raw[a:b] for a, b in zip([0, *cuts], [*cuts, len(raw)], strict=True)] if raw else []
+        if not raw:
+            return []
+        cuts = self.text_cuts(np.frombuffer(raw, np.uint8))
+        if self.special and b"<|" in raw:
+            for m in self.special.finditer(raw):
+                cuts = cuts[(cuts <= m.start()) | (cuts >= m.end())]
+        cuts = cuts.tolist()
+        return [raw[a:b] for a, b in zip([0, *cuts], [*cuts, len(raw)], strict=True)]
 
     def _learn(self, fragments: set[bytes]) -> None:
         if len(self.cache) + len(fragments) > self.cache_fragments:
             self.cache.clear()
-        # fragments that can follow each other go through the library as one text; the bytes of
-        # the tokens tell where each ends, as no token crosses a certain cut
-        regular = [f for f in fragments if _ASCII_SPACE[f[0]] and 0x20 < f[-1] < 0x7F and b"<|" not in f]
-        regular = [f for f in regular if self.certain[f[-1], 0x20:0x21].all() and self.certain[f[-1], 9:14].all()]
-        for i in range(0, len(regular), 1024):
-            own = regular[i : i + 1024]
-            ids = self._ids([b"".join(own)])[0]
-            ends = np.searchsorted(np.cumsum(self.length_of[ids]), np.cumsum([len(f) for f in own])) + 1
-            body = ids.tobytes()
-            self.cache.update((f, body[a:b]) for f, a, b in zip(own, [0, *(ends[:-1] * 4).tolist()], (ends * 4).tolist(), strict=True))
-        apart = list(fragments.difference(regular))
-        self.cache.update((f, ids.tobytes()) for f, ids in zip(apart, self._ids(apart), strict=True))
+        own = list(fragments)
+        self.cache.update((f, ids.tobytes()) for f, ids in zip(own, self._ids(own), strict=True))
 
     def _ids(self, texts: list[bytes]) -> list[np.ndarray]:
         found = self.tokenizer.encode_batch_fast([t.decode() for t in texts], add_special_tokens=False)

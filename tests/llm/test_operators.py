@@ -357,10 +357,24 @@ def test_certain_cuts_hold_in_no_token():
     assert not any(bpe.certain[t[i], t[i + 1]] for t in bpe.tokens for i in range(len(t) - 1))
 
 
+def test_fragments_are_encoded_each_on_its_own():
+    """Cuts fall at certain pairs, inside words too; a long text without a space is many fragments."""
+    path = vocabulary_path("byte_bpe_50k.json")
+    bpe, tok = byte_bpe.ByteBPE(path), load_tokenizer(path)
+    rng = np.random.default_rng(6)
+    text = "".join(rng.choice(list("abcdefghijklmnopqrstuvwxyzQZXJ0123456789.,;:!?()[]{}#$%&*+-/=_~éüß中日本語"), 1_000_000))
+    parts = bpe.fragments(text.encode())
+    assert b"".join(parts) == text.encode() and len(parts) > 50_000 and max(map(len, parts)) < 1000
+    assert all(bpe.certain[a[-1], b[0]] for a, b in zip(parts, parts[1:]))
+    alone = [i for p in parts[:3000] for i in tok.encode(p.decode(), add_special_tokens=False).ids]
+    assert alone == tok.encode(b"".join(parts[:3000]).decode(), add_special_tokens=False).ids
+    assert next(bpe.encode_all([text.encode()])).tolist() == tok.encode(text, add_special_tokens=False).ids
+
+
 def test_both_encoders_on_random_unicode():
     rng = np.random.default_rng(9)
-    alphabet = list(" \t\n\r\x0b\x0c\x1c\x1f\x85\xa0   　ab'sdZ17٣é́ß中😀.,!#​﻿Σİ") + ["'ll", "<|endoftext|>", "<|startoftext|>"]
-    texts = ["".join(rng.choice(alphabet, rng.integers(0, 40))) for _ in range(3000)]
+    alphabet = list("relv|< \t\n\r\x0b\x0c\x1c\x1f\x85\xa0   　ab'sdZ17٣é́ß中😀.,!#​﻿Σİ") + ["'ll", "<|endoftext|>", "<|startoftext|>"]
+    texts = ["".join(rng.choice(alphabet, rng.integers(0, 40))) for _ in range(6000)]
     for enc, name, wrap in ((WordEncoder(vocabulary_path("word_bpe_49k.json"), 500), "word_bpe_49k.json", list),
                             (byte_bpe.ByteBPE(vocabulary_path("byte_bpe_50k.json"), 500), "byte_bpe_50k.json", lambda x: [t.encode() for t in x])):
         want = load_tokenizer(vocabulary_path(name)).encode_batch(texts, add_special_tokens=False)
@@ -415,10 +429,11 @@ def test_token_counts_by_line_sum_to_all(odd, docs, empty):
 
 def test_token_files_round_trip(docs, odd, empty, spark):
     tok = load_tokenizer(vocabulary_path("word_bpe_49k.json"))
-    for df in (docs, odd.filter("doc_id is not null")):
+    for df in (docs, odd):
         got = sorted(map(tuple, wavelet.round_trip(df, cfg=wavelet.TokenFiles(shard_tokens=3000)).collect()), key=lambda r: r[1])
-        start, rows = 0, sorted((r.doc_id, r.text or "") for r in df.select("doc_id", "text").collect())
-        for (doc, text), r in zip(rows, got, strict=True):
+        listed = df.select("doc_id", "text", F.xxhash64("text").alias("h")).collect()
+        start, rows = 0, sorted(((r.doc_id is not None, r.doc_id or 0, r.h, r.text or "", r.doc_id) for r in listed))
+        for (_, _, _, text, doc), r in zip(rows, got, strict=True):
             ids = np.array([*tok.encode(text, add_special_tokens=False).ids, 2], "<u4")
             assert r == (doc, start, len(ids), zlib.crc32(ids.tobytes()))
             start += len(ids)
@@ -429,8 +444,8 @@ def test_wavelet_matrix_queries():
     rng = np.random.default_rng(1)
     for n in (1, 511, 512, 5000):
         a = rng.integers(0, 700, n).astype(np.uint16)
-        m, docs, lengths = wavelet.WaveletMatrix.from_bytes(wavelet.WaveletMatrix.build(a).to_bytes(np.array([7]), np.array([n])))
-        assert (m.tokens() == a).all() and (m.access(np.arange(n)) == a).all() and docs[0] == 7 and lengths[0] == n
+        m, docs, lengths = wavelet.WaveletMatrix.from_bytes(wavelet.WaveletMatrix.build(a).to_bytes([None], np.array([n])))
+        assert (m.tokens() == a).all() and (m.access(np.arange(n)) == a).all() and docs.to_pylist() == [None] and lengths[0] == n
         for t in {int(a[0]), 3, 65535}:
             at = np.flatnonzero(a == t)
             assert m.count(t) == len(at) and (m.occurrences(t) == at).all() and m.rank(t, n // 2) == (at < n // 2).sum()
@@ -511,6 +526,39 @@ def test_html_without_article_uses_stop_words_and_neighbours():
     assert html_text.main_text(page) == "\n".join(["Heading", long_, "Short.", long_])
 
 
+STORY = "This is one of the long paragraphs of the story that we want to keep, and it is written with the words of the language in it."
+
+
+@pytest.mark.parametrize("name", ["share-price", "article legal", "legal", "has-sidebar", "comment-piece", "story share", "legalAnalysis", "no-comments", "search-for-truth"])
+def test_html_names_alone_do_not_drop_article_text(name):
+    for page in (f'<article><div class="{name}"><p>{STORY}</p></div></article>', f'<body><div id="{name}"><p>{STORY}</p></div><div><p>{STORY}</p></div></body>'):
+        assert html_text.main_text(page) == "\n".join([STORY] * page.count(STORY))
+
+
+@pytest.mark.parametrize("name", ["comments", "comment-list", "ad", "ad-slot-2", "cookieNotice", "newsletter-signup", "related-posts", "sidebar", "main-nav", "post-comments"])
+def test_html_names_that_say_so_are_left_out(name):
+    page = f'<article><p>{STORY}</p><div class="{name}"><p>{STORY} {STORY}</p></div></article>'
+    assert html_text.main_text(page) == STORY
+
+
+def test_html_short_text_under_a_doubtful_name_is_left_out():
+    assert html_text.main_text(f'<article><p>{STORY}</p><div class="share">Share this with all your friends</div><p>Tail.</p></article>') == f"{STORY}\nTail."
+
+
+@pytest.mark.parametrize("piece", ['<a x="', "<a x='>", '<p class="a', "<a ", "<div><b", "</section><div>", "<script>", "<!--", '<a x="> <b y=\'>', "<title>"])
+def test_html_scanner_is_linear(piece):
+    """Broken markup, repeated: four times the page takes far less than sixteen times as long."""
+    import time
+
+    def seconds(n):
+        began = time.perf_counter()
+        html_text.main_text(piece * n + "<p>" + STORY)
+        return time.perf_counter() - began
+
+    seconds(200)
+    assert seconds(60_000) < max(0.5, 9 * seconds(15_000))
+
+
 def test_html_edges(spark, sf_dir):
     rows = [(1, "u", None), (2, None, ""), (3, "u", "plain < text"), (4, "u", "<article><p>a &lt;b&gt; &#233;"), (4, "u", "<article><p>a &lt;b&gt; &#233;"), (5, "u", "<p class='x>" + "a" * 50), (6, "u", "<article>" + "word " * 50000)]
     df = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("text", F.lit("clash"))
