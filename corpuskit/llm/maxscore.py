@@ -8,14 +8,13 @@ any vector of a block is known.
 
 For a query and a block, terms are ordered by that bound. With the score of the k-th best
 so far as threshold, the terms whose bounds together cannot reach it are non-essential: a
-vector with postings in none of the others cannot compete. The essential postings of a
-block are traversed for all queries of a group at once, as products of the block's weights
-with the queries restricted to their essential terms. The terms that take away have a
-bound of 0; they are probed next, for the queries that still have competitors in the
-block. The non-essential terms are probed last, from the largest bound down: a few at a
-time for the whole block while many pairs compete, then pair by pair; a pair is dropped
-once what is left cannot lift it. Shards give their k best, and the merge takes the k best
-of those, ties going to the smaller id.
+vector with postings in none of the others cannot compete. The postings of the essential
+terms are walked, term by term, for all queries of a group to which the term is essential;
+no other posting is touched. The terms that take away have a bound of 0; they are probed
+next, in the vectors and for the queries that still have competitors in the block. The
+non-essential terms are probed last, from the largest bound down and pair by pair; a pair
+is dropped once what is left cannot lift it. Shards give their k best, and the merge takes
+the k best of those, ties going to the smaller id.
 
 Work is dealt by (shard, block of queries), so neither side is collected or broadcast.
 
@@ -60,21 +59,34 @@ def quantised(df: DataFrame, id_col: str = "vec_id", vector_col: str = "embeddin
 
 
 class Block:
-    """Some vectors, with the weights of each sign apart and the largest weight of each term."""
+    """Some vectors: their weights, the postings of each term, and the largest weight in each."""
 
     def __init__(self, ids: np.ndarray, weights: np.ndarray):
-        self.ids = ids
-        self.plus, self.minus = np.maximum(weights, 0), np.minimum(weights, 0)
-        self.high, self.low = self.plus.max(0), self.minus.min(0)
-
-    def _add(self, plus: np.ndarray, minus: np.ndarray, terms: np.ndarray) -> np.ndarray:
-        """What the postings of the marked terms add to each vector, for each query."""
-        return (plus * terms) @ self.plus.T + (minus * terms) @ self.minus.T
+        self.ids, self.weights = ids, weights
+        self.high, self.low = np.maximum(weights.max(0), 0), np.minimum(weights.min(0), 0)
+        self.postings = []
+        for column in weights.T:
+            own = [np.flatnonzero(column > 0), np.flatnonzero(column < 0)]
+            self.postings.append([(docs, column[docs]) for docs in own])
+        self.visited = 0
+
+    def _walk(self, queries: np.ndarray, essential: np.ndarray) -> np.ndarray:
+        """What the postings of the essential terms add, a row for each vector and a column for each query."""
+        score = np.zeros((len(self.ids), len(queries)), queries.dtype)
+        for i, both in enumerate(self.postings):
+            for sign, (docs, weights) in enumerate(both):
+                asked = np.flatnonzero(essential[:, i] & ((queries[:, i] < 0) if sign else (queries[:, i] > 0)))
+                if len(docs) and len(asked):
+                    self.visited += len(docs) * len(asked)
+                    if len(asked) == len(queries):
+                        score[docs] += weights[:, None] * queries[None, :, i]
+                    else:
+                        score[np.ix_(docs, asked)] += weights[:, None] * queries[None, asked, i]
+        return score
 
     def search(self, queries: np.ndarray, threshold: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Places of queries, places of vectors and scores, of all pairs that score at least the query's threshold."""
-        plus, minus = np.maximum(queries, 0), np.minimum(queries, 0)
-        gain = plus * self.high + minus * self.low
+        gain = np.maximum(queries * self.high, queries * self.low)
         order = np.argsort(-gain, axis=1, kind="stable")
         by_bound = np.take_along_axis(gain, order, 1)
         # most that the terms from a place on can add
@@ -82,30 +94,26 @@ class Block:
         able = np.flatnonzero(rest[:, 0] >= threshold)
         if not len(able):
             return able, able, rest[:0, 0]
-        plus, minus, queries, order, rest, threshold = (x[able] for x in (plus, minus, queries, order, rest, threshold))
-        n_essential = np.minimum((rest >= threshold[:, None]).sum(1), order.shape[1])
+        queries, order, rest, threshold = (x[able] for x in (queries, order, rest, threshold))
+        done = np.minimum((rest >= threshold[:, None]).sum(1), order.shape[1])  # number of essential terms
         place = np.argsort(order, axis=1)  # of each term in its query's order
-        score = self._add(plus, minus, place < n_essential[:, None])
+        score = self._walk(queries, place < done[:, None])
+        left = rest[np.arange(len(done)), done]
         # without a posting in an essential term a vector cannot reach a threshold above 0
-        alive = (score > 0) | (threshold <= 0)[:, None]
-        some = np.flatnonzero(alive.any(1))
-        score[some] += plus[some] @ self.minus.T + minus[some] @ self.plus.T
-        done = n_essential.copy()  # terms counted so far; while many pairs compete, the next ones are probed for whole blocks
-        while True:
-            alive &= score + np.take_along_axis(rest, done[:, None], 1) >= threshold[:, None]
-            some = np.flatnonzero(alive.any(1) & (done < order.shape[1]))
-            if not len(some) or alive.sum() < 0.01 * alive.size:
-                break
-            step = (place[some] >= done[some, None]) & (place[some] < done[some, None] + 8)
-            score[some] += self._add(plus[some], minus[some], step)
-            done[some] = np.minimum(done[some] + 8, order.shape[1])
-        q, d = np.nonzero(alive)
-        total = score[q, d]
-        for p in range(int(done.min(initial=0)), order.shape[1]):
+        alive = ((score > 0) | (threshold <= 0)) & (score + left >= threshold)
+        d, q = np.flatnonzero(alive.any(1)), np.flatnonzero(alive.any(0))
+        if not len(d):
+            return able[:0], able[:0], rest[:0, 0]
+        own, asked = self.weights[d], queries[q]
+        taken = np.maximum(own, 0) @ np.minimum(asked, 0).T + np.minimum(own, 0) @ np.maximum(asked, 0).T
+        score, alive = score[np.ix_(d, q)] + taken, alive[np.ix_(d, q)]
+        at, of = np.nonzero(alive & (score + left[q] >= threshold[q]))
+        total, d, q = score[at, of], d[at], q[of]
+        for p in range(int(done.min()), order.shape[1]):
             if not len(q):
                 break
             t = order[q, p]
-            more = np.maximum(queries[q, t] * (self.plus[d, t] + self.minus[d, t]), 0)
+            more = np.maximum(queries[q, t] * self.weights[d, t], 0)
             total = total + np.where(p >= done[q], more, 0)
             keep = total + rest[q, np.maximum(p + 1, done[q])] >= threshold[q]
             q, d, total = q[keep], d[keep], total[keep]

@@ -493,6 +493,23 @@ def test_maxscore_on_sparse_positive_vectors(spark):
     assert got == brute_topk(rows, 50, 5)
 
 
+def test_maxscore_walks_the_postings_of_essential_terms_only():
+    """Sparse vectors: a high threshold leaves most postings unvisited, and no result is lost."""
+    rng = np.random.default_rng(7)
+    w = (rng.integers(1, 50, (500, 40)) * (rng.random((500, 40)) < 0.1)).astype(float)
+    w[:, 0] = rng.integers(100, 200, 500) * (rng.random(500) < 0.03)  # one rare term with large weights
+    queries = np.zeros((3, 40))
+    queries[:, [0, 1, 2]] = [[10, 1, 1], [10, 2, 0], [10, 0, 3]]
+    scores = queries @ w.T
+    block = maxscore.Block(np.arange(500), w)
+    q, d, s = block.search(queries, np.full(3, 1000.0))
+    assert set(zip(q.tolist(), d.tolist(), s.tolist())) == {(i, j, scores[i, j]) for i in range(3) for j in range(500) if scores[i, j] >= 1000}
+    assert block.visited == 3 * (w[:, 0] > 0).sum()  # the two other terms are non-essential: none of their postings is walked
+    everything = maxscore.Block(np.arange(500), w)
+    everything.search(queries, np.full(3, -1.0))
+    assert everything.visited == sum((queries[:, i] > 0).sum() * (w[:, i] > 0).sum() for i in range(3))
+
+
 def test_maxscore_with_few_rows(spark):
     df = spark.createDataFrame([(0, [1.0]), (1, [2.0])], "vec_id long, embedding array<float>")
     assert [tuple(r) for r in maxscore.neighbours(df).collect()] == [(0, 1, 1, 131072)]
