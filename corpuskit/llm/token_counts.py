@@ -13,12 +13,15 @@ Without spans of the caller, the sections are the lines of the text, each with t
 feed that ends it. Tokens outside all spans count for no section.
 
 Defined cases: a null or empty text has one empty section and no tokens; empty spans count
-no tokens; spans may leave gaps but must be sorted and must not overlap; equal rows give
+no tokens; spans may come in any order, leave gaps and overlap, and a token then counts for
+each of the spans that overlap there, by the rule; a span with a null bound, a null span or
+one that ends before it begins is an empty span at its start (or at 0); equal rows give
 equal results; other columns are not read; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+import heapq
 from collections.abc import Iterator
 
 import numpy as np
@@ -70,6 +73,24 @@ def allocate(starts: np.ndarray, ends: np.ndarray, first: np.ndarray, last: np.n
     return counts, crossing
 
 
+def layers(lo: np.ndarray, hi: np.ndarray) -> list[np.ndarray]:
+    """The spans dealt into as few sorted rows without overlap as can be; a single row if none overlap."""
+    order = np.lexsort((hi, lo))
+    if (lo[order][1:] >= hi[order][:-1]).all():
+        return [order]
+    rows: list[list[int]] = []
+    free: list[tuple[int, int]] = []  # (where a row ends, its number)
+    for k in order.tolist():
+        if free and free[0][0] <= lo[k]:
+            _, row = heapq.heappop(free)
+        else:
+            row = len(rows)
+            rows.append([])
+        rows[row].append(k)
+        heapq.heappush(free, (int(max(hi[k], lo[k])), row))
+    return [np.array(r) for r in rows]
+
+
 def attribute_tokens(
     df: DataFrame, id_col: str = "doc_id", text_col: str = "text", spans_col: str | None = None, rule: str = "majority", vocabulary: str = "byte_bpe_50k.json"
 ) -> DataFrame:
@@ -82,7 +103,9 @@ def attribute_tokens(
         raise ValueError(f"rule must be one of {RULES}")
     docs = id_text(df, id_col, text_col)
     if spans_col:
-        spans = F.transform(F.col(spans_col), lambda s: F.array(s["start"].cast("long"), s["end"].cast("long")))
+        start = lambda s: F.coalesce(s["start"].cast("long"), F.lit(0))
+        end = lambda s: F.when(s["start"].isNull(), 0).otherwise(F.coalesce(s["end"].cast("long"), start(s)))
+        spans = F.transform(F.col(spans_col), lambda s: F.array(start(s), F.greatest(start(s), end(s))))
         docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), spans.alias("spans"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -105,7 +128,9 @@ def attribute_tokens(
                     c_lo, c_hi = (np.clip(p, 0, leads[-1]) for p in pairs.T)
                     begins = np.append(np.flatnonzero((own & 0xC0) != 0x80), len(own))
                     lo, hi = begins[c_lo], begins[c_hi]
-                n, crossing = allocate(ends - bpe.length_of[ids], ends, lo, hi, rule)
+                n, crossing = np.zeros(len(lo)), np.zeros(len(lo), np.int64)
+                for own_spans in layers(lo, hi):
+                    n[own_spans], crossing[own_spans] = allocate(ends - bpe.length_of[ids], ends, lo[own_spans], hi[own_spans], rule)
                 repeat.append(len(lo))
                 for column, values in zip(columns, (np.arange(len(lo)), c_lo, c_hi, n, crossing), strict=True):
                     column.append(values)

@@ -61,6 +61,38 @@ def test_repetition_equals_brute_force(docs, odd):
         assert not any(kept and base[5] for _, base, kept in got)
 
 
+def brute_verdict(text, rules):
+    """The shares of the repetition rules, word by word, and the verdict."""
+    w, base = words(text), brute_base(text)
+    n, total = len(w), sum(map(len, w))
+    top = dup = 0.0
+    for k in sorted({*rules.top, *rules.duplicate}):
+        places = defaultdict(list)
+        for i in range(n - k + 1):
+            places[tuple(w[i : i + k])].append(i)
+        again = [p for p in places.values() if len(p) > 1]
+        chars = lambda starts: sum(len(w[j]) for j in {j for i in starts for j in range(i, i + k)})  # noqa: B023, E731
+        if k in rules.top and again:
+            top = max(top, max(map(chars, again)) / total / rules.top[k])
+        if k in rules.duplicate and again:
+            dup = max(dup, chars([i for p in again for i in p]) / total / rules.duplicate[k])
+    lines = [x for x in (text or "").split("\n") if re.search(r"[^\x20\x09-\x0D]", x)]
+    twice = [x for i, x in enumerate(lines) if x in set(lines[:i])]
+    share = sum(map(len, twice)) / max(1, sum(map(len, lines)))
+    return dup, not (base[5] or top > 1 or dup > 1 or share > rules.line_chars or base[2] > rules.symbols * n)
+
+
+def test_repetition_shares_and_verdict_equal_brute_force(docs):
+    rules = repetition.RepetitionRules()
+    got = {r.doc_id: r for r in repetition.repetition_quality(docs).collect()}
+    verdicts = set()
+    for r in docs.select("doc_id", "text").collect():
+        dup, kept = brute_verdict(r.text, rules)
+        assert abs(got[r.doc_id].dup_share - dup) < 1e-9 and got[r.doc_id].kept == kept
+        verdicts.add(kept)
+    assert verdicts == {True, False}
+
+
 def test_repetition_keeps_columns_and_empty_tables(odd, empty):
     kept = repetition.keep_good(odd)
     assert kept.columns == odd.columns and kept.filter("text is null").isEmpty()
@@ -84,6 +116,66 @@ def test_quality_separates_held_out_labels(spark):
     assert good.kept.mean() > 0.98 and (~bad.kept).mean() > 0.75
 
 
+def brute_votes(text):
+    """The labellers of the quality model in plain Python."""
+    w = words(text)
+    n = len(w)
+    raw = text or ""
+    data = raw.encode()
+    lower = sum(97 <= c <= 122 or c >= 128 for c in data)
+    upper = sum(65 <= c <= 90 for c in data)
+    lines = [x for x in raw.split("\n") if x]
+    low = [re.sub("[A-Z]", lambda m: m[0].lower(), x) for x in w]
+    bare = [x[:-1] if x[-1] in ".,!?;:" else x for x in low]
+    stop, long_ = sum(x in set(quality.STOP_WORDS) for x in bare) / n, n >= 20
+    symbols, bars, shouts = sum(c in "#*$%&|<>" for c in raw) / n, raw.count("|"), raw.count("!") / n
+    caps, variety, size = upper / max(1, upper + lower), len(set(low)) / n, sum(len(x.encode()) for x in w) / n
+    repeats = (len(lines) - len(set(lines))) / max(1, len(lines))
+    ends, same = sum(c in ".!?" for c in raw), sum(a == b for a, b in zip(low, low[1:]))
+    vote = lambda good, bad: -1 if bad else 1 if good else 0
+    return [
+        vote(symbols < 0.02, symbols > 0.6), vote(bars * 50 < n, bars * 5 > n), vote(caps < 0.08 and long_, caps > 0.3 and long_), vote(shouts < 0.05, shouts > 0.5),
+        vote(variety > 0.5 and long_, variety < 0.3 and long_), vote(stop > 0.12 and long_, stop < 0.02 and long_), vote(3 < size < 9 and long_, (size < 2.5 or size > 12) and long_),
+        vote(repeats == 0 and len(lines) > 2, repeats > 0.5 and len(lines) > 3), vote(ends * 30 > n and ends * 2 < n and long_, ends * 100 < n and long_), vote(same * 50 < n and long_, same * 5 > n and long_),
+    ]
+
+
+def brute_posteriors(texts, rounds=100):
+    """Posterior of good for each text by EM over its votes, one text at a time."""
+    votes = [brute_votes(t) for t in texts]
+    post = [1 / (1 + np.exp(-(2 + 0.2 * v.count(1) - 6 * v.count(-1)))) for v in votes]
+    for _ in range(rounds):
+        p = []
+        for c in (0, 1):
+            w = [x if c else 1 - x for x in post]
+            each = []
+            for j in range(len(quality.LABELLERS)):
+                up = sum(a for a, v in zip(w, votes) if v[j] == 1) + 1
+                down = sum(a for a, v in zip(w, votes) if v[j] == -1) + 1
+                each.append({1: up / (up + down), -1: down / (up + down), 0: 1.0})
+            p.append(each)
+        prior = min(max(sum(post) / len(post), 1e-3), 1 - 1e-3)
+        new = []
+        for v in votes:
+            bad, good = (np.prod([p[c][j][x] for j, x in enumerate(v)]) * q for c, q in ((0, 1 - prior), (1, prior)))
+            new.append(good / (good + bad))
+        done, post = max(abs(a - b) for a, b in zip(new, post)) < 1e-7, new
+        if done:
+            break
+    return post
+
+
+def test_quality_equals_brute_force(docs):
+    """Weak labels of every document equal an EM in plain Python; the scorer, fitted to them, follows them."""
+    rows = sorted(docs.select("doc_id", "text").collect())
+    full = [r for r in rows if words(r.text)]
+    want = dict(zip([r.doc_id for r in full], brute_posteriors([r.text for r in full]), strict=True))
+    got = {r.doc_id: r for r in quality.classify(docs).collect()}
+    assert all(abs(got[i].weak_label - p) < 1e-6 for i, p in want.items())
+    assert np.mean([(got[i].score >= 0.5) == (p >= 0.5) for i, p in want.items()]) > 0.97
+    assert all(r.kept == (r.score >= 0.5) for r in got.values()) and not any(r.kept for i, r in got.items() if i not in want)
+
+
 def test_quality_edges(odd, empty, docs):
     got = {r.doc_id: r for r in quality.score_documents(odd, quality.fit(docs)).collect()}
     assert not got[0].kept and not got[1].kept and not got[2].kept and got[5].score == got[6].score
@@ -417,6 +509,23 @@ def test_token_attribution_equals_brute_force(spark, rule):
         assert np.allclose([got[i][k] for k in range(len(want))], want)
 
 
+@pytest.mark.parametrize("rule", token_counts.RULES)
+def test_token_attribution_of_any_spans(spark, rule):
+    """Unsorted, overlapping, nested, repeated, reversed and null-bounded spans, each counted as if it were alone with its row."""
+    text = "one two three éé four five six seven eight nine ten indivisible"
+    spans = [(30, 40), (0, 13), (4, 13), (4, 13), (12, 30), (60, 20), (None, 9), (7, None), (None, None), (50, 400)]
+    kind = "doc_id long, text string, spans array<struct<start: int, end: int>>"
+    got = {r.section: (r.n_tokens, r.start, r.end) for r in token_counts.attribute_tokens(spark.createDataFrame([(1, text, spans)], kind), spans_col="spans", rule=rule).collect()}
+    assert len(got) == len(spans)
+    for k, (a, b) in enumerate(spans):
+        empty = a is None or b is None or b < a
+        alone = [(a or 0, a or 0)] if empty else [(a, min(b, len(text)))]
+        if not empty and rule in ("first", "last", "split"):  # the majority rule weighs what other spans of the row hold
+            assert abs(got[k][0] - brute_attribution(text, alone, rule)[0]) < 1e-9
+        assert not empty or got[k][0] == 0
+        assert got[k][1:] == alone[0]
+
+
 def test_token_counts_by_line_sum_to_all(odd, docs, empty):
     for df in (odd, docs):
         total = token_counts.attribute_tokens(df).agg(F.sum("n_tokens")).first()[0]
@@ -614,6 +723,54 @@ def test_quotation_linking(spark):
     assert chat.format_conversations(df.limit(0)).count() == 0
 
 
+def brute_links(rows):
+    """The turn that each message answers: its outermost linked passage's earliest source, the latest one of several."""
+    out = {}
+    for conv in {r[0] for r in rows}:
+        own = sorted(r for r in rows if r[0] == conv)
+        said = {}
+        for _, turn, _, text in own:
+            body, _ = chat.parse(text)
+            for unit in {body, *re.split(r"\n\s*\n", body), *body.split("\n")}:
+                if key := " ".join(unit.casefold().split()):
+                    said[key] = min(said.get(key, turn), turn)
+        for _, turn, _, text in own:
+            found = []
+            for level, passage in chat.parse(text)[1]:
+                for units in ([passage], passage.split("\n")):
+                    sources = [said[k] for u in units if (k := " ".join(u.casefold().split())) in said and said[k] < turn]
+                    if sources:
+                        found.append((level, -max(sources)))
+                        break
+            out[conv, turn] = -min(found)[1] if found else None
+    return out
+
+
+def test_quotations_of_random_conversations_equal_brute_force(spark):
+    rng = np.random.default_rng(12)
+    rows = []
+    for conv in range(25):
+        texts: list[str] = []
+        for turn in range(12):
+            lines = []
+            for _ in range(rng.integers(0, 3)):
+                if texts and rng.random() < 0.8:  # quote some lines of an earlier message, quotations in it included
+                    earlier = texts[rng.integers(len(texts))].split("\n")
+                    a = rng.integers(len(earlier))
+                    lines += ["> " + x.upper() if rng.random() < 0.2 else ">" + x for x in earlier[a : a + rng.integers(1, 4)]]
+                lines += [" ".join(rng.choice(["yes", "no", "well", "the", "plan", f"t{turn}"], rng.integers(1, 5))) for _ in range(rng.integers(0, 3))]
+            texts.append("\n".join(lines))
+            rows.append((conv, turn, "user", texts[-1]))
+    got = {(r.conv_id, r.turn): (r.parent_turn, r.thread_turn, r.depth) for r in chat.format_conversations(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()}
+    parents = brute_links(rows)
+    assert sum(p is not None for p in parents.values()) > 50
+    for (conv, turn), parent in parents.items():
+        head, depth = turn, 0
+        while parents[conv, head] is not None:
+            head, depth = parents[conv, head], depth + 1
+        assert got[conv, turn] == (parent, head, depth)
+
+
 def test_long_reply_chain(spark):
     rows = [(1, i, "user", (f"> message {i - 1} text\n" if i else "") + f"message {i} text") for i in range(40)]
     got = {r.turn: (r.parent_turn, r.thread_turn, r.depth) for r in chat.format_conversations(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()}
