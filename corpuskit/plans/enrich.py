@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import json
+import pickle
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -93,7 +94,12 @@ class Summariser(Protocol):
 
 @dataclass(frozen=True)
 class TrainConfig:
-    """Settings of a fine-tuned encoder-decoder; the stand-in uses the seed only."""
+    """Settings of the fit and of the decoding.
+
+    A fine-tuned encoder-decoder behind :class:`Summariser` takes them all; the extractive
+    stand-in takes the seed, the batches, the epochs and the limits, and ``step`` as its
+    learning rate. ``max_rows`` bounds the rows that any fit on the driver reads.
+    """
 
     seed: int = 42
     learning_rate: float = 2e-5
@@ -105,6 +111,8 @@ class TrainConfig:
     eval_steps: int = 1000
     save_steps: int = 1000
     log_steps: int = 500
+    step: float = 0.5
+    max_rows: int = 20_000
 
 
 def _sentence_features(text: str) -> tuple[list[str], np.ndarray]:
@@ -124,16 +132,23 @@ class ExtractiveSummariser:
 
     weights: np.ndarray = field(default_factory=lambda: np.zeros(7))
 
-    def fit(self, texts: list[str], summaries: list[str], steps: int = 300) -> ExtractiveSummariser:
-        xs, ys = [], []
+    def fit(self, texts: list[str], summaries: list[str], cfg: TrainConfig | None = None) -> ExtractiveSummariser:
+        """Steps of ``batch * accumulate`` texts, ``epochs`` times over all, in an order given by the seed."""
+        cfg = cfg or TrainConfig()
+        rows = []
         for t, s in zip(texts, summaries, strict=True):
             parts, x = _sentence_features(t)
-            xs.append(x)
-            ys += [float(" ".join(p.split()[:8]) in s) for p in parts]
-        x, y = np.concatenate(xs), np.array(ys)
-        for _ in range(steps):
-            p = 1 / (1 + np.exp(-np.clip(x @ self.weights, -30, 30)))
-            self.weights = self.weights - 1.0 * (x.T @ (p - y) / len(y) + 1e-4 * self.weights)
+            rows.append((x, np.array([float(" ".join(p.split()[:8]) in s) for p in parts])))
+        rng = np.random.default_rng(cfg.seed)
+        size = cfg.batch * cfg.accumulate
+        for epoch in range(cfg.epochs):
+            order = rng.permutation(len(rows))
+            for i in range(0, len(order), size):
+                own = [rows[k] for k in order[i : i + size] if len(rows[k][1])]
+                if own:
+                    x, y = np.concatenate([r[0] for r in own]), np.concatenate([r[1] for r in own])
+                    p = 1 / (1 + np.exp(-np.clip(x @ self.weights, -30, 30)))
+                    self.weights = self.weights - cfg.step / (1 + epoch) * (x.T @ (p - y) / len(y) + 1e-4 * self.weights)
         return self
 
     def __call__(self, texts: list[str]) -> list[str]:
@@ -145,14 +160,22 @@ class ExtractiveSummariser:
         return out
 
 
-def summarise(df: DataFrame, model: Summariser, text: str = "abstract", out: str = "summary", max_in: int = 1024, max_out: int = 128) -> DataFrame:
+def fit_summariser(df: DataFrame, text: str = "abstract", summary: str = "reference", cfg: TrainConfig | None = None, key: str = "corpus_id") -> ExtractiveSummariser:
+    """The stand-in fitted to at most ``max_rows`` (text, summary) rows, taken by hash order."""
+    cfg = cfg or TrainConfig()
+    rows = df.filter(F.col(text).isNotNull() & F.col(summary).isNotNull()).orderBy(F.xxhash64(key, F.lit(cfg.seed)), key).limit(cfg.max_rows).select(text, summary).toPandas()
+    return ExtractiveSummariser().fit(list(rows[text]), list(rows[summary]), cfg)
+
+
+def summarise(df: DataFrame, model: Summariser, text: str = "abstract", out: str = "summary", cfg: TrainConfig | None = None) -> DataFrame:
     """Inputs cut to ``max_in`` words, outputs to ``max_out``, in Arrow batches."""
+    cfg = cfg or TrainConfig()
     schema = df.withColumn(out, F.lit(None).cast("string")).schema
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            texts = [_first_words(t, max_in) for t in b[text]]
-            yield b.assign(**{out: [_first_words(s, max_out) for s in model(texts)]})
+            texts = [_first_words(t, cfg.max_in) for t in b[text]]
+            yield b.assign(**{out: [_first_words(s, cfg.max_out) for s in model(texts)]})
 
     return df.mapInPandas(run, schema)
 
@@ -358,21 +381,46 @@ def fit_subfields(rows: DataFrame, labels: DataFrame, n_labels: int = 18, cfg: M
     return MLPModel(x.shape[1], n_labels, cfg).fit(x[cut:], y[cut:], x[:cut], y[:cut])
 
 
+def fold_of(key: str, k: int, seed: int = 42) -> Column:
+    return F.pmod(F.xxhash64(key, F.lit(seed)), F.lit(k)).cast("int")
+
+
 def cross_validate(rows: DataFrame, labels: DataFrame, n_labels: int = 18, k: int = 5, cfg: MLPConfig | None = None, key: str = "vec_id") -> DataFrame:
-    """Micro F1 of each fold; the folds are fitted in parallel, each on the bounded training set."""
+    """Micro F1 of each fold, over all its rows.
+
+    Every row is in a fold, by hash. A fold's model is fitted on the bounded training rows
+    of the others, the folds in parallel; then each row is scored by the model that has not
+    seen its fold.
+    """
     cfg = cfg or MLPConfig()
     spark = rows.sparkSession
-    _, x, y = label_matrix(rows, labels, n_labels, cfg, key)
+    folded = rows.withColumn("fold", fold_of(key, k, cfg.seed))
+    ids, x, y = label_matrix(rows, labels, n_labels, cfg, key)
+    listed = spark.createDataFrame([(int(i),) for i in ids], f"{key} long").withColumn("fold", fold_of(key, k, cfg.seed)).toPandas()
+    of = listed.set_index(key)["fold"].loc[ids].to_numpy()
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def fit(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             for fold in b["fold"]:
-                test = np.arange(len(x)) % k == fold
-                p = MLPModel(x.shape[1], n_labels, cfg).fit(x[~test], y[~test], x[test], y[test]).predict(x[test]) >= 0.5
-                tp = (p & (y[test] == 1)).sum()
-                yield pd.DataFrame({"fold": [fold], "micro_f1": [float(2 * tp / max(1, p.sum() + y[test].sum()))]})
+                xs, ys = x[of != fold], y[of != fold]
+                cut = max(1, len(xs) // 9)
+                model = MLPModel(x.shape[1], n_labels, cfg).fit(xs[cut:], ys[cut:], xs[:cut], ys[:cut])
+                yield pd.DataFrame({"fold": [fold], "model": [pickle.dumps(model)]})
+
+    fitted = spark.range(k).select(F.col("id").cast("int").alias("fold")).repartition(k, "fold").mapInPandas(fit, "fold int, model binary").collect()
+    models = {r["fold"]: pickle.loads(bytes(r["model"])) for r in fitted}
 
-    return spark.range(k).select(F.col("id").cast("int").alias("fold")).repartition(k).mapInPandas(run, "fold int, micro_f1 double")
+    def score(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            for fold, own in b.groupby("fold"):
+                p = models[fold].predict(np.array(own["embedding"].tolist(), float))
+                n = p.shape[1]
+                yield pd.DataFrame({key: np.repeat(own[key].to_numpy(), n), "fold": np.int32(fold), "label": np.tile(np.arange(n, dtype=np.int32), len(own)), "score": p.ravel()})
+
+    scores = with_truth(folded.select(key, "embedding", "fold").mapInPandas(score, f"{key} long, fold int, label int, score double"), labels, key)
+    hit, true = F.col("score") >= 0.5, F.col("truth") == 1
+    g = scores.groupBy("fold").agg(F.count_distinct(key).alias("rows"), F.count_if(hit & true).alias("tp"), F.count_if(hit & ~true).alias("fp"), F.count_if(~hit & true).alias("fn"))
+    return g.select("fold", "rows", round6(F.coalesce(F.try_divide(2.0 * F.col("tp"), 2 * F.col("tp") + F.col("fp") + F.col("fn")), F.lit(0.0))).alias("micro_f1"))
 
 
 def predict_subfields(rows: DataFrame, model: MLPModel, key: str = "vec_id") -> DataFrame:
@@ -392,48 +440,55 @@ def with_truth(scores: DataFrame, labels: DataFrame, key: str = "vec_id") -> Dat
     return scores.join(labels.withColumn("truth", F.lit(1)), [key, "label"], "left").na.fill(0, ["truth"])
 
 
-def majority_scores(rows: DataFrame, labels: DataFrame, top: int = 1, n_labels: int = 18, key: str = "vec_id") -> DataFrame:
-    """The most frequent labels for everyone: score 1 for those, 0 for the others."""
-    first = labels.groupBy("label").agg(F.count("*").alias("n")).orderBy(F.col("n").desc(), "label").limit(top).select("label", F.lit(1.0).alias("hit"))
+def majority_scores(rows: DataFrame, train: DataFrame, top: int = 1, n_labels: int = 18, key: str = "vec_id") -> DataFrame:
+    """The labels most frequent in ``train`` (key, label) for every one of ``rows``: score 1 for those, 0 for the others."""
+    first = train.groupBy("label").agg(F.count("*").alias("n")).orderBy(F.col("n").desc(), "label").limit(top).select("label", F.lit(1.0).alias("hit"))
     every = rows.select(key).crossJoin(F.broadcast(rows.sparkSession.range(n_labels).select(F.col("id").cast("int").alias("label"))))
     return every.join(F.broadcast(first), "label", "left").select(key, "label", F.coalesce("hit", F.lit(0.0)).alias("score"))
 
 
-def direction_scores(rows: DataFrame, labels: DataFrame, threshold: float = 0.08, n_labels: int = 18, key: str = "vec_id") -> DataFrame:
-    """Mean direction of each label's rows; score 1 where the inner product passes the threshold."""
+def direction_scores(rows: DataFrame, train: DataFrame, labels: DataFrame, threshold: float = 0.08, key: str = "vec_id") -> DataFrame:
+    """Mean direction of each label's training rows; score 1 where a row's inner product passes the threshold. One mean for each label is broadcast."""
     from corpuskit.sources.adapters import dot
 
-    sums = rows.join(labels, key).select("label", F.posexplode("embedding").alias("i", "x")).groupBy("label", "i").agg(F.avg(F.col("x").cast("double")).alias("m"))
+    sums = train.join(labels, key).select("label", F.posexplode("embedding").alias("i", "x")).groupBy("label", "i").agg(F.avg(F.col("x").cast("double")).alias("m"))
     mean = sums.groupBy("label").agg(F.transform(F.sort_array(F.collect_list(F.struct("i", "m"))), lambda s: s["m"]).alias("c"))
     met = rows.crossJoin(F.broadcast(mean))
     return met.select(key, "label", F.when(round6(dot("embedding", "c")) >= threshold, 1.0).otherwise(0.0).alias("score"))
 
 
-def one_vs_rest(rows: DataFrame, labels: DataFrame, names: tuple[int, ...], key: str = "vec_id") -> DataFrame:
-    """A logistic regression of Spark ML for each label."""
+def _ml_vectors(rows: DataFrame, *keep: str) -> DataFrame:
+    from pyspark.ml.functions import array_to_vector
+
+    return rows.select(*keep, array_to_vector(F.transform("embedding", lambda v: v.cast("double"))).alias("features"))
+
+
+def one_vs_rest(rows: DataFrame, train: DataFrame, labels: DataFrame, names: tuple[int, ...], key: str = "vec_id", max_iter: int = 20) -> DataFrame:
+    """A logistic regression of Spark ML for each label, fitted on ``train``, as scores of ``rows``."""
     from pyspark.ml.classification import LogisticRegression
-    from pyspark.ml.functions import array_to_vector, vector_to_array
+    from pyspark.ml.functions import vector_to_array
 
-    x = rows.select(key, array_to_vector(F.transform("embedding", lambda v: v.cast("double"))).alias("features"))
+    x, own = _ml_vectors(rows, key), _ml_vectors(train, key).cache()
     out = None
     for n in names:
-        y = x.join(labels.filter(F.col("label") == n).select(key, F.lit(1.0).alias("y")), key, "left").na.fill(0.0, ["y"])
-        model = LogisticRegression(labelCol="y", maxIter=8, regParam=0.001).fit(y)
-        part = model.transform(y).select(key, F.lit(n).alias("label"), vector_to_array("probability")[1].alias("score"))
+        y = own.join(labels.filter(F.col("label") == n).select(key, F.lit(1.0).alias("y")), key, "left").na.fill(0.0, ["y"])
+        model = LogisticRegression(labelCol="y", maxIter=max_iter, regParam=0.001).fit(y)
+        part = model.transform(x).select(key, F.lit(n).alias("label"), vector_to_array("probability")[1].alias("score"))
         out = part if out is None else out.unionByName(part)
+    own.unpersist()
     return out
 
 
-def spark_mlp(rows: DataFrame, labels: DataFrame, n_labels: int = 18, hidden: int = 32, key: str = "vec_id") -> DataFrame:
-    """Single-label network of Spark ML on the least label of each row."""
+def spark_mlp(rows: DataFrame, train: DataFrame, labels: DataFrame, n_labels: int = 18, hidden: int = 32, key: str = "vec_id") -> DataFrame:
+    """Single-label network of Spark ML on the least label of each training row, as scores of ``rows``."""
     from pyspark.ml.classification import MultilayerPerceptronClassifier
-    from pyspark.ml.functions import array_to_vector, vector_to_array
+    from pyspark.ml.functions import vector_to_array
 
     y = labels.groupBy(key).agg(F.min("label").cast("double").alias("y"))
-    x = rows.join(y, key).select(key, "y", array_to_vector(F.transform("embedding", lambda v: v.cast("double"))).alias("features"))
-    d = len(rows.select("embedding").first()[0])
-    model = MultilayerPerceptronClassifier(layers=[d, hidden, n_labels], labelCol="y", maxIter=40, seed=42).fit(x)
-    return model.transform(x).select(key, F.posexplode(vector_to_array("probability")).alias("label", "score"))
+    fitted = _ml_vectors(train.join(y, key), key, "y")
+    d = len(train.select("embedding").first()[0])
+    model = MultilayerPerceptronClassifier(layers=[d, hidden, n_labels], labelCol="y", maxIter=40, seed=42).fit(fitted)
+    return model.transform(_ml_vectors(rows, key)).select(key, F.posexplode(vector_to_array("probability")).alias("label", "score"))
 
 
 def rank_labels(scores: DataFrame, tau: float, key: str = "vec_id") -> DataFrame:

@@ -6,7 +6,7 @@ import re
 from collections import Counter
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from corpuskit.functions.tokens import WORDS, ngrams, round6
@@ -67,18 +67,27 @@ def lcs_overlap(df: DataFrame, candidate: str, reference: str) -> DataFrame:
 
 
 def _sequence_hits(ref: list[str], cand: list[str]) -> set[int]:
-    """Places of ``ref`` on one longest common subsequence with ``cand``."""
-    n, m = len(ref), len(cand)
-    t = [[0] * (m + 1) for _ in range(n + 1)]
-    for i in range(n):
-        for j in range(m):
-            t[i + 1][j + 1] = t[i][j] + 1 if ref[i] == cand[j] else max(t[i][j + 1], t[i + 1][j])
-    hits, i, j = set(), n, m
+    """Places of ``ref`` on one longest common subsequence with ``cand``.
+
+    The table is kept as one bit vector for each word of ``cand``: the length for the first
+    ``i`` words of ``ref`` is the number of zeros among the low ``i`` bits.
+    """
+    masks: dict[str, int] = {}
+    for i, w in enumerate(ref):
+        masks[w] = masks.get(w, 0) | 1 << i
+    full = (1 << len(ref)) - 1
+    rows = [full]
+    for w in cand:
+        v = rows[-1]
+        u = v & masks.get(w, 0)
+        rows.append((v + u | v - u) & full)
+    length = lambda i, j: i - (rows[j] & ((1 << i) - 1)).bit_count()
+    hits, i, j = set(), len(ref), len(cand)
     while i and j:
         if ref[i - 1] == cand[j - 1]:
             hits.add(i - 1)
             i, j = i - 1, j - 1
-        elif t[i - 1][j] >= t[i][j - 1]:
+        elif length(i - 1, j) >= length(i, j - 1):
             i -= 1
         else:
             j -= 1
@@ -165,6 +174,12 @@ def binned_ci(df: DataFrame, x: str, ys: list[str], width: int) -> DataFrame:
     return g.agg(*aggs)
 
 
+def share_over(df: DataFrame, n: str, limit: int = 1024) -> DataFrame:
+    """One row: rows, those over a limit of tokens, and their share."""
+    over = F.count_if(F.col(n) > limit)
+    return df.agg(F.count("*").alias("n"), over.alias("over"), round6(F.coalesce(F.try_divide(over, F.count("*")), F.lit(0.0))).alias("share"))
+
+
 def retrieval(run: DataFrame, gold: DataFrame, k: int) -> DataFrame:
     """Recall@k, mean reciprocal rank and nDCG@k; ``run``: query_id, id, rank; ``gold``: query_id, id."""
     rel = gold.groupBy("query_id").agg(F.count("*").alias("n_rel"))
@@ -190,7 +205,3 @@ def diversity(lists: DataFrame) -> DataFrame:
     b = lists.select("query_id", F.col("pick").alias("j"), F.col("embedding").alias("b"))
     pairs = a.join(b, "query_id").filter("i < j")
     return pairs.groupBy("query_id").agg(round6(F.avg(1 - dot("a", "b"))).alias("diversity"))
-
-
-def moving_rank(df: DataFrame, by: list[str], order: Column) -> DataFrame:
-    return df.withColumn("rank", F.row_number().over(Window.partitionBy(*by).orderBy(order)))

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from corpuskit.functions import tokens as T
 from corpuskit.functions.tokens import round6
 from corpuskit.plans import chunking, encode, enrich, licensing, metrics, records, validate
 from corpuskit.registry import register
@@ -295,10 +296,31 @@ def eligibility_bands(spark, sf_dir):
     return enrich.eligibility(A.abstracts(spark, sf_dir)).groupBy("band").agg(F.count("*").alias("n"))
 
 
-@register("teacher_check", f"WITH {ABSTRACTS} SELECT count(*) AS n, 0::BIGINT AS broken FROM abstracts WHERE length(abstract) >= 1000")
+def _faulty(out):
+    """Answers of which five in six break a constraint, each another one."""
+    k, has = F.col("corpus_id") % 6, F.lit('", "labels": ["thing"]}')
+    answer = lambda text: F.concat(F.lit('{"summary": "'), F.lit(text), has)
+    return (
+        F.when(k == 1, F.lit('{"summary": "cut')).when(k == 2, answer("7 " * 60)).when(k == 3, answer("One 1. Two. Three."))
+        .when(k == 4, answer("No figure here")).when(k == 5, F.lit('{"summary": "Has 1 number", "labels": ["alchemy", "thing", "thing"]}')).otherwise(F.col(out))
+    )
+
+
+@register("teacher_check", f"""WITH {ABSTRACTS}, a AS (SELECT corpus_id % 6 AS k, regexp_matches(abstract, '\\d') AS number FROM abstracts WHERE length(abstract) >= 1000),
+c AS (SELECT unnest(CASE k WHEN 1 THEN ['not_json'] WHEN 2 THEN ['too_long'] WHEN 3 THEN ['many_sentences'] WHEN 4 THEN CASE WHEN number THEN ['no_number'] ELSE ['none'] END WHEN 5 THEN ['foreign_label', 'repeated_label'] ELSE ['none'] END) AS code FROM a)
+SELECT code, count(*) AS n FROM c GROUP BY code""")
 def teacher_check(spark, sf_dir):
+    """Codes of the teacher's answers; those that are not the teacher's own break one constraint each."""
     a = A.abstracts(spark, sf_dir).filter(F.length("abstract") >= 1000)
-    return enrich.check_teacher(enrich.annotate(a)).agg(F.count("*").alias("n"), F.count_if(F.size("codes") > 0).alias("broken"))
+    checked = enrich.check_teacher(enrich.annotate(a).withColumn("teacher", _faulty("teacher")))
+    return checked.select(F.explode(F.when(F.size("codes") > 0, F.col("codes")).otherwise(F.array(F.lit("none")))).alias("code")).groupBy("code").agg(F.count("*").alias("n"))
+
+
+@register("teacher_constraints", f"WITH {ABSTRACTS} SELECT count(*) AS n, count(*) AS kept FROM abstracts WHERE length(abstract) >= 1000")
+def teacher_constraints(spark, sf_dir):
+    """Every answer of the rule teacher keeps every constraint."""
+    a = A.abstracts(spark, sf_dir).filter(F.length("abstract") >= 1000)
+    return enrich.check_teacher(enrich.annotate(a)).agg(F.count("*").alias("n"), F.count_if(F.size("codes") == 0).alias("kept"))
 
 
 @register("review_sample", f"WITH {ABSTRACTS} SELECT corpus_id FROM abstracts ORDER BY md5('42:' || corpus_id::VARCHAR), corpus_id LIMIT 45")
@@ -332,29 +354,30 @@ def lexical_centrality(spark, sf_dir):
 
 
 def _systems(spark, sf_dir):
-    """Candidate summaries of the test split with the teacher's as reference."""
+    """Candidate summaries of the test split with the teacher's as reference, each system's output written and timed."""
     a = enrich.split(A.abstracts(spark, sf_dir).filter(F.length("abstract") >= 300))
-    taught = enrich.annotate(a).withColumn("reference", F.get_json_object("teacher", "$.summary"))
-    train = taught.filter("split = 'train'").orderBy(F.xxhash64("corpus_id")).limit(2000).select("abstract", "reference").toPandas()
-    model = enrich.ExtractiveSummariser().fit(list(train["abstract"]), list(train["reference"]))
+    taught = stored(enrich.annotate(a).withColumn("reference", F.get_json_object("teacher", "$.summary")), "taught")
+    model = enrich.fit_summariser(taught.filter("split = 'train'"))
     test = taught.filter("split = 'test'").select("corpus_id", "abstract", "reference")
-    named = {
-        "lead3": enrich.lead_k(test, text="abstract"), "centrality": enrich.lexical_centrality(test, text="abstract"), "learned": enrich.summarise(test, model),
-    }
+    named = {"lead3": lambda: enrich.lead_k(test, text="abstract"), "centrality": lambda: enrich.lexical_centrality(test, text="abstract"), "learned": lambda: enrich.summarise(test, model)}
     out = None
-    for name, df in named.items():
-        part = df.withColumn("system", F.lit(name))
+    for name, run in named.items():
+        df, seconds = records.timed(lambda run=run: stored(run(), "summaries"))
+        part = df.withColumns({"system": F.lit(name), "seconds": F.lit(seconds)})
         out = part if out is None else out.unionByName(part)
     return out
 
 
 @register("summary_benchmark")
 def summary_benchmark(spark, sf_dir):
+    """Overlap with the references and the decoding time, the time also relative to the centrality baseline."""
     s = _systems(spark, sf_dir)
     one = metrics.ngram_overlap(s, "summary", "reference", 1).withColumnsRenamed({"p": "p1", "r": "r1", "f1": "uni"})
     two = metrics.ngram_overlap(one, "summary", "reference", 2).withColumnsRenamed({"p": "p2", "r": "r2", "f1": "bi"})
     both = metrics.lcs_summary(two, "summary", "reference")
-    return both.groupBy("system").agg(F.count("*").alias("n"), *[round6(F.avg(c)).alias(n) for c, n in (("uni", "uni_f1"), ("bi", "bi_f1"), ("f1", "lcs_sum_f1"))])
+    g = both.groupBy("system").agg(F.count("*").alias("n"), *[round6(F.avg(c)).alias(n) for c, n in (("uni", "uni_f1"), ("bi", "bi_f1"), ("f1", "lcs_sum_f1"))], F.max("seconds").alias("seconds"))
+    base = g.filter("system = 'centrality'").select(F.col("seconds").alias("base"))
+    return g.crossJoin(F.broadcast(base)).withColumn("time_ratio", F.try_divide("seconds", "base")).drop("base")
 
 
 _GRAM = r"""{lead}, gw AS (SELECT doc_id, {words_c} AS cw, {words_r} AS rw FROM ld), g AS (SELECT doc_id, {c} AS c, {r} AS r FROM gw), gc AS (SELECT doc_id, w, count(*) AS n FROM (SELECT doc_id, unnest(c) AS w FROM g) GROUP BY ALL), gr AS (SELECT doc_id, w, count(*) AS n FROM (SELECT doc_id, unnest(r) AS w FROM g) GROUP BY ALL),
@@ -409,18 +432,27 @@ def soft_match(spark, sf_dir):
     return metrics.soft_match(pairs, vectors)
 
 
-@register("summary_by_length")
+_BY_LENGTH = _gram_sql(1).replace(_LEAD, "sl AS (SELECT corpus_id AS doc_id, abstract AS text, list_filter(list_transform(regexp_extract_all(abstract, '[^.!?\\n]+[.!?]*'), lambda s: trim(s)), lambda s: s <> '') AS s FROM abstracts WHERE length(abstract) > 0), ld AS (SELECT doc_id, array_to_string(list_slice(s, 1, 3), ' ') AS summary, text FROM sl)").replace("WITH ", f"WITH {ABSTRACTS}, ", 1)
+
+
+@register("summary_by_length", f"""WITH m AS ({_BY_LENGTH}) SELECT (length(abstract) // 500 * 500)::BIGINT AS bin, count(*) AS n, floor(avg(f1) * 1000000 + 0.5) / 1000000 + 0.0 AS f1_mean, floor(coalesce(1.96 * stddev_samp(f1) / sqrt(count(*)), 0) * 1000000 + 0.5) / 1000000 + 0.0 AS f1_ci
+FROM m JOIN ({A.ABSTRACTS_SQL}) a ON a.corpus_id = m.doc_id GROUP BY 1""")
 def summary_by_length(spark, sf_dir):
     d = enrich.lead_k(A.abstracts(spark, sf_dir).filter(F.length("abstract") > 0), text="abstract")
     s = metrics.ngram_overlap(d, "summary", "abstract", 1).withColumn("n", F.length("abstract"))
     return metrics.binned_ci(s, "n", ["f1"], 500)
 
 
-@register("mean_ci", "SELECT (floor(n_chars / 1000) * 1000)::BIGINT AS bin, count(*) AS n, floor(avg(length(text)) * 1000000 + 0.5) / 1000000 + 0.0 AS y_mean, floor(coalesce(1.96 * stddev_samp(length(text)) / sqrt(count(*)), 0) * 1000 + 0.5) / 1000 AS y_ci FROM documents GROUP BY 1")
+@register("share_over_limit", "SELECT count(*) AS n, count(*) FILTER (k > 1024) AS over, floor(count(*) FILTER (k > 1024) * 1000000.0 / count(*) + 0.5) / 1000000 AS share FROM (SELECT len(regexp_extract_all(text, '[\\p{L}\\p{N}]+|[^\\p{L}\\p{N}\\s]')) AS k FROM documents)")
+def share_over_limit(spark, sf_dir):
+    """Texts longer than a summariser's input."""
+    return metrics.share_over(_docs(spark, sf_dir).select(T.count(F.col("text")).alias("k")), "k")
+
+
+@register("mean_ci", "SELECT (n_chars // 1000 * 1000)::BIGINT AS bin, count(*) AS n, floor(avg(y) * 1000000 + 0.5) / 1000000 + 0.0 AS y_mean, floor(coalesce(1.96 * stddev_samp(y) / sqrt(count(*)), 0) * 1000000 + 0.5) / 1000000 + 0.0 AS y_ci FROM (SELECT n_chars, length(text) / 1000.0::DOUBLE AS y FROM documents) GROUP BY 1")
 def mean_ci(spark, sf_dir):
-    d = _docs(spark, sf_dir).withColumn("y", F.length("text").cast("double"))
-    g = d.groupBy((F.floor(F.col("n_chars") / 1000) * 1000).cast("long").alias("bin"))
-    return g.agg(F.count("*").alias("n"), round6(F.avg("y")).alias("y_mean"), (F.floor(F.coalesce(1.96 * F.stddev_samp("y") / F.sqrt(F.count("*")), F.lit(0.0)) * 1000 + 0.5) / 1000).alias("y_ci"))
+    d = _docs(spark, sf_dir).select("n_chars", (F.length("text") / 1000.0).cast("double").alias("y"))
+    return metrics.binned_ci(d, "n_chars", ["y"], 1000)
 
 
 # -------------------------------------------------------------------------- classification
@@ -451,51 +483,98 @@ UNION ALL SELECT 'macro', floor(avg(f1) * 1000000 + 0.5) / 1000000 FROM lb UNION
 _TRUE = "LEFT JOIN vl ON vl.vec_id = s.vec_id AND vl.label = s.label"
 
 
-@register("subfield_f1_majority", f"""WITH {_TRUTH}, top AS (SELECT label FROM vl GROUP BY label ORDER BY count(*) DESC, label LIMIT 1), s AS (SELECT vec_id, l::INT AS label, CASE WHEN l IN (SELECT label FROM top) THEN 1.0 ELSE 0.0 END AS score FROM embeddings, range(18) t(l)),
+_SPLIT_VEC = _SPLIT.replace("corpus_id", "vec_id")
+_HELD = f"e AS (SELECT *, {_SPLIT_VEC} AS split FROM embeddings)"
+
+
+def _split_vectors(spark, sf_dir):
+    """Training rows (with the validation rows) and the held-out tenth."""
+    e = enrich.split(read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), key="vec_id")
+    return e.filter("split <> 'test'").drop("split"), e.filter("split = 'test'").drop("split"), A.vector_labels(spark, sf_dir)
+
+
+@register("subfield_f1_majority", f"""WITH {_TRUTH}, {_HELD}, top AS (SELECT label FROM vl SEMI JOIN (SELECT vec_id FROM e WHERE split <> 'test') t USING (vec_id) GROUP BY label ORDER BY count(*) DESC, label LIMIT 1),
+s AS (SELECT vec_id, l::INT AS label, CASE WHEN l IN (SELECT label FROM top) THEN 1.0 ELSE 0.0 END AS score FROM e, range(18) t(l) WHERE split = 'test'),
 sc AS (SELECT s.label, s.score, CASE WHEN vl.label IS NULL THEN 0 ELSE 1 END AS truth FROM s {_TRUE}), {_F1}""")
 def f1_majority(spark, sf_dir):
-    e, l = read_table(spark, sf_dir, "embeddings"), A.vector_labels(spark, sf_dir)
-    return metrics.f1(enrich.with_truth(enrich.majority_scores(e, l), l))
+    train, test, l = _split_vectors(spark, sf_dir)
+    return metrics.f1(enrich.with_truth(enrich.majority_scores(test, l.join(train, "vec_id", "left_semi")), l))
 
 
-@register("subfield_f1_direction", f"""WITH {_TRUTH}, c AS (SELECT label, i, avg(x::DOUBLE) AS m FROM (SELECT vl.label, unnest(range(1, 65)) AS i, unnest(embedding) AS x FROM embeddings e JOIN vl USING (vec_id)) GROUP BY ALL),
-d AS (SELECT label, list(m ORDER BY i) AS c FROM c GROUP BY label), s AS (SELECT vec_id, d.label::INT AS label, CASE WHEN {r6(dot_sql('e.embedding', 'd.c'))} >= 0.08 THEN 1.0 ELSE 0.0 END AS score FROM embeddings e, d),
+@register("subfield_f1_direction", f"""WITH {_TRUTH}, {_HELD}, c AS (SELECT label, i, avg(x::DOUBLE) AS m FROM (SELECT vl.label, unnest(range(1, 65)) AS i, unnest(embedding) AS x FROM e JOIN vl USING (vec_id) WHERE split <> 'test') GROUP BY ALL),
+d AS (SELECT label, list(m ORDER BY i) AS c FROM c GROUP BY label), s AS (SELECT vec_id, d.label::INT AS label, CASE WHEN {r6(dot_sql('e.embedding', 'd.c'))} >= 0.08 THEN 1.0 ELSE 0.0 END AS score FROM e, d WHERE split = 'test'),
 sc AS (SELECT s.label, s.score, CASE WHEN vl.label IS NULL THEN 0 ELSE 1 END AS truth FROM s {_TRUE}), {_F1}""")
 def f1_direction(spark, sf_dir):
-    e, l = read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), A.vector_labels(spark, sf_dir)
-    return metrics.f1(enrich.with_truth(enrich.direction_scores(e, l), l))
+    train, test, l = _split_vectors(spark, sf_dir)
+    return metrics.f1(enrich.with_truth(enrich.direction_scores(test, train, l), l))
 
 
 @register("f1_sweep", f"""WITH {_TRUTH}, s AS (SELECT e.vec_id, r.vec_id::INT AS label, {r6(dot_sql('e.embedding', 'r.embedding') + ' + 0.34')} AS score FROM embeddings e, embeddings r WHERE r.vec_id < 17),
 sc AS (SELECT s.score, CASE WHEN vl.label IS NULL THEN 0 ELSE 1 END AS truth FROM s {_TRUE}), t AS (SELECT unnest([0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9])::DOUBLE AS tau)
 SELECT tau, floor(coalesce(2.0 * count(*) FILTER (score >= tau AND truth = 1) / nullif(2 * count(*) FILTER (score >= tau AND truth = 1) + count(*) FILTER (score >= tau AND truth = 0) + count(*) FILTER (score < tau AND truth = 1), 0), 0) * 1000000 + 0.5) / 1000000 AS micro FROM t, sc GROUP BY tau""")
 def f1_sweep(spark, sf_dir):
+    return metrics.f1_sweep(enrich.with_truth(_direction_similarity(spark, sf_dir), A.vector_labels(spark, sf_dir)))
+
+
+_DOT34 = f"s AS (SELECT e.vec_id, r.vec_id::INT AS label, {r6(dot_sql('e.embedding', 'r.embedding') + ' + 0.34')} AS score FROM embeddings e, embeddings r WHERE r.vec_id < 17)"
+
+
+@register("subfield_labels", f"""WITH {_DOT34}, r AS (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY score DESC, label) AS n FROM s)
+SELECT vec_id, string_agg(label::VARCHAR || ':' || printf('%.6f', score), ',' ORDER BY label) AS labels, bool_and(score < 0.5) AS fallback FROM r WHERE score >= 0.5 OR n = 1 GROUP BY vec_id""")
+def subfield_labels(spark, sf_dir):
+    """Labels at or above the threshold, the best one where none is."""
+    kept = enrich.rank_labels(_direction_similarity(spark, sf_dir), 0.5)
+    entries = F.array_sort(F.transform(F.map_entries("subfields"), lambda e: F.struct(e["key"].cast("int").alias("k"), e["value"].alias("v"))))
+    text = F.array_join(F.transform(entries, lambda e: F.concat(e["k"].cast("string"), F.lit(":"), F.format_string("%.6f", e["v"]))), ",")
+    return kept.select("vec_id", text.alias("labels"), F.forall(F.map_values("subfields"), lambda v: v < 0.5).alias("fallback"))
+
+
+def _direction_similarity(spark, sf_dir):
     e = read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     r = F.broadcast(e.filter("vec_id < 17").select(F.col("vec_id").cast("int").alias("label"), F.col("embedding").alias("d")))
-    s = e.crossJoin(r).select("vec_id", "label", round6(A.dot("embedding", "d") + 0.34).alias("score"))
-    return metrics.f1_sweep(enrich.with_truth(s, A.vector_labels(spark, sf_dir)))
+    return e.crossJoin(r).select("vec_id", "label", round6(A.dot("embedding", "d") + 0.34).alias("score"))
+
+
+def _mlp_scores(train, test, labels):
+    return enrich.predict_subfields(test, enrich.fit_subfields(train, labels))
 
 
 @register("subfield_mlp")
 def subfield_mlp(spark, sf_dir):
-    e, l = enrich.split(read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), key="vec_id"), A.vector_labels(spark, sf_dir)
-    model = enrich.fit_subfields(e.filter("split <> 'test'"), l, cfg=enrich.MLPConfig(hidden=64, epochs=15))
-    return metrics.f1(enrich.with_truth(enrich.predict_subfields(e.filter("split = 'test'"), model), l))
+    """The network at its full size (256 and 256 units, up to 50 epochs), on the held-out tenth."""
+    train, test, l = _split_vectors(spark, sf_dir)
+    return metrics.f1(enrich.with_truth(_mlp_scores(train, test, l), l))
 
 
 @register("subfield_cross_validation")
 def subfield_cv(spark, sf_dir):
-    e, l = read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), A.vector_labels(spark, sf_dir)
-    return enrich.cross_validate(e, l, cfg=enrich.MLPConfig(hidden=32, epochs=6))
+    """Five folds over the training and validation rows, the network at its full size."""
+    train, _, l = _split_vectors(spark, sf_dir)
+    return enrich.cross_validate(train, l)
 
 
 @register("subfield_one_vs_rest")
 def subfield_ovr(spark, sf_dir):
-    e, l = read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), A.vector_labels(spark, sf_dir)
-    return metrics.f1(enrich.with_truth(enrich.one_vs_rest(e, l, tuple(range(17))), l.filter("label < 17")))
+    train, test, l = _split_vectors(spark, sf_dir)
+    return metrics.f1(enrich.with_truth(enrich.one_vs_rest(test, train, l, tuple(range(18))), l))
 
 
 @register("subfield_spark_mlp")
 def subfield_spark_mlp(spark, sf_dir):
-    e, l = read_table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), A.vector_labels(spark, sf_dir)
-    return metrics.f1(enrich.with_truth(enrich.spark_mlp(e, l), l))
+    train, test, l = _split_vectors(spark, sf_dir)
+    return metrics.f1(enrich.with_truth(enrich.spark_mlp(test, train, l), l))
+
+
+@register("subfield_benchmark")
+def subfield_benchmark(spark, sf_dir):
+    """All classifiers on the same held-out rows: micro, macro and weighted F1."""
+    train, test, l = _split_vectors(spark, sf_dir)
+    systems = {
+        "network": _mlp_scores(train, test, l), "one_vs_rest": enrich.one_vs_rest(test, train, l, tuple(range(18))), "direction": enrich.direction_scores(test, train, l),
+        "majority": enrich.majority_scores(test, l.join(train, "vec_id", "left_semi")), "single_label_network": enrich.spark_mlp(test, train, l),
+    }
+    out = None
+    for name, scores in systems.items():
+        part = metrics.f1(enrich.with_truth(scores, l)).filter("name in ('micro', 'macro', 'weighted')").select(F.lit(name).alias("system"), F.col("name").alias("measure"), "f1")
+        out = part if out is None else out.unionByName(part)
+    return out.groupBy("system").pivot("measure", ["micro", "macro", "weighted"]).agg(F.first("f1"))
