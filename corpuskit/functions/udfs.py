@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
-from pyspark.sql.types import ArrayType, FloatType
+from pyspark.sql.types import ArrayType, DoubleType, FloatType
 
 from corpuskit.functions.tokens import WORDPUNCT
 
@@ -27,7 +27,7 @@ class ChunkText:
     """Token windows of a text with overlap, as a table function for lateral joins."""
 
     def eval(self, text: str, max_tokens: int, overlap: int):
-        words = re.findall(r"[^\W_]+|[^\w\s]|_", text or "")
+        words = re.findall(r"[^\W_]+|[^\w \t-\r]|_", text or "")
         stride = max(1, max_tokens - overlap)
         for n, i in enumerate(range(0, max(1, len(words) - overlap), stride), 1):
             own = words[i : i + max_tokens]
@@ -53,6 +53,29 @@ def encode_text(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         yield pd.Series(list(encoder([t or "" for t in texts])))
 
 
+def soft_f1(candidate: list[str], reference: list[str], encoder) -> float:
+    """Soft matching of two word lists: each word takes its most similar counterpart."""
+    import numpy as np
+
+    if not candidate or not reference:
+        return 0.0
+    a, b = np.asarray(encoder(candidate), float), np.asarray(encoder(reference), float)
+    s = a @ b.T
+    p, r = s.max(1).mean(), s.max(0).mean()
+    return float(2 * p * r / (p + r)) if p + r else 0.0
+
+
+@F.pandas_udf(DoubleType())
+def soft_match(candidate: pd.Series, reference: pd.Series) -> float:
+    """Grouped aggregate: the mean soft-match F1 of the group's pairs of texts."""
+    from corpuskit.plans.encode import HashingEncoder
+
+    encoder = HashingEncoder(32, ngrams=True)
+    words = lambda t: re.findall(r"[^\W_]+", (t or "").lower())
+    scores = [soft_f1(words(c), words(r), encoder) for c, r in zip(candidate, reference, strict=True)]
+    return float(sum(scores) / len(scores)) if scores else 0.0
+
+
 def register(spark: SparkSession) -> None:
     """Make all functions known to the session's SQL."""
     for name, body in _SQL_FUNCTIONS.items():
@@ -60,6 +83,7 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("chunk_text", ChunkText)
     spark.udtf.register("ngrams", Ngrams)
     spark.udf.register("encode_text", encode_text)
+    spark.udf.register("soft_match", soft_match)
 
 
 def engine_sql(spark: SparkSession, sf_dir: str, text: str) -> DataFrame:
@@ -74,4 +98,4 @@ def engine_sql(spark: SparkSession, sf_dir: str, text: str) -> DataFrame:
     return spark.sql(text, **frames)
 
 
-__all__ = ["WORDPUNCT", "ChunkText", "Ngrams", "encode_text", "engine_sql", "register"]
+__all__ = ["WORDPUNCT", "ChunkText", "Ngrams", "encode_text", "engine_sql", "register", "soft_f1", "soft_match"]

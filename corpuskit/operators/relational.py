@@ -18,14 +18,26 @@ def join_theta(left: DataFrame, right: DataFrame, condition: Column, max_rows: i
     return left.join(F.broadcast(right), condition)
 
 
-def join_contains(docs: DataFrame, passages: DataFrame, n: int = 8) -> DataFrame:
-    """``contains`` at scale: an equi-join on one n-word shingle of the passage, then the exact test."""
+def join_contains(docs: DataFrame, passages: DataFrame, n: int = 8, small: int = 10_000) -> DataFrame:
+    """``contains`` at scale: an equi-join on one n-word shingle of the passage, then the exact test.
+
+    A passage of under ``n + 2`` words has no whole shingle inside; it meets the texts by
+    its longest inner word, and one of under three words, which has none, is tested against
+    every text. Those few are broadcast behind a check of their number.
+    """
     from corpuskit.functions.tokens import ngrams
 
     words = lambda c: F.regexp_extract_all(F.col(c), F.lit(r"\S+"), F.lit(0))
-    p = passages.withColumn("w", words("passage")).withColumn("g", F.array_join(F.slice("w", 2, n), " ")).filter(F.size("w") >= n + 2)
-    d = docs.select("doc_id", "text", F.explode(F.array_distinct(ngrams(words("text"), n))).alias("g"))
-    return d.join(p, "g").filter(F.contains("text", "passage")).select("doc_id", "item_id").distinct()
+    p = passages.filter("passage is not null").withColumn("w", words("passage"))
+    long_ = p.filter(F.size("w") >= n + 2).withColumn("g", F.array_join(F.slice("w", 2, n), " "))
+    inner = F.slice("w", F.lit(2), F.greatest(F.size("w") - 2, F.lit(0)))
+    short = p.filter((F.size("w") < n + 2) & (F.size("w") >= 3)).withColumn("g", F.array_max(F.transform(inner, lambda x: F.struct(F.length(x).alias("n"), x.alias("w"))))["w"])
+    tiny = p.filter(F.size("w") < 3).select("item_id", "passage")
+    texts = docs.filter("text is not null").select("doc_id", "text")
+    by = lambda grams, side: texts.select("doc_id", "text", F.explode(F.array_distinct(grams)).alias("g")).join(side, "g")
+    met = by(ngrams(words("text"), n), long_).select("doc_id", "text", "item_id", "passage").unionByName(by(words("text"), short).select("doc_id", "text", "item_id", "passage"))
+    found = met.filter(F.contains("text", "passage")).select("doc_id", "item_id")
+    return found.unionByName(join_theta(texts, tiny, F.contains("text", "passage"), small).select("doc_id", "item_id")).distinct()
 
 
 def join_range(points: DataFrame, intervals: DataFrame, bin_width: int, point: str = "p", lo: str = "lo", hi: str = "hi", on: list[str] | None = None) -> DataFrame:
@@ -38,8 +50,16 @@ def join_range(points: DataFrame, intervals: DataFrame, bin_width: int, point: s
 
 
 def join_interval(left: DataFrame, right: DataFrame, key: str, lt: str, rt: str, within: str) -> DataFrame:
-    """Right rows of the same key up to an interval after the left one."""
-    return left.join(right, key).filter((F.col(rt) >= F.col(lt)) & (F.col(rt) <= F.col(lt) + F.expr(f"INTERVAL {within}")))
+    """Right rows of the same key up to an interval after the left one.
+
+    Time is cut into bins of the interval's length, so rows of a key meet only those of the
+    same or the next bin: a hot key is spread over its bins, and no task pairs all of it.
+    """
+    seconds = lambda c: F.unix_micros(F.col(c).cast("timestamp"))
+    width = F.expr(f"unix_micros(timestamp'1970-01-02 00:00:00' + INTERVAL {within}) - unix_micros(timestamp'1970-01-02 00:00:00')")
+    a = left.withColumn("_bin", F.floor(seconds(lt) / width))
+    b = right.withColumn("_bin", F.explode(F.array(F.floor(seconds(rt) / width), F.floor(seconds(rt) / width) - 1)))
+    return a.join(b, [key, "_bin"]).filter((F.col(rt) >= F.col(lt)) & (F.col(rt) <= F.col(lt) + F.expr(f"INTERVAL {within}"))).drop("_bin")
 
 
 def join_asof(left: DataFrame, right: DataFrame, by: list[str], left_ts: str, right_ts: str, value: str) -> DataFrame:

@@ -460,7 +460,7 @@ def direction_scores(rows: DataFrame, train: DataFrame, labels: DataFrame, thres
 def _ml_vectors(rows: DataFrame, *keep: str) -> DataFrame:
     from pyspark.ml.functions import array_to_vector
 
-    return rows.select(*keep, array_to_vector(F.transform("embedding", lambda v: v.cast("double"))).alias("features"))
+    return rows.select(*[F.col(f"`{k}`") for k in keep], array_to_vector(F.transform("embedding", lambda v: v.cast("double"))).alias("features"))
 
 
 def one_vs_rest(rows: DataFrame, train: DataFrame, labels: DataFrame, names: tuple[int, ...], key: str = "vec_id", max_iter: int = 20) -> DataFrame:
@@ -468,11 +468,11 @@ def one_vs_rest(rows: DataFrame, train: DataFrame, labels: DataFrame, names: tup
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.functions import vector_to_array
 
-    x, own = _ml_vectors(rows, key), _ml_vectors(train, key).cache()
+    wide = labels.groupBy(key).pivot("label", list(names)).agg(F.lit(1.0))
+    x, own = _ml_vectors(rows, key), _ml_vectors(train.join(wide, key, "left").na.fill(0.0, [str(n) for n in names]), key, *[str(n) for n in names]).cache()
     out = None
     for n in names:
-        y = own.join(labels.filter(F.col("label") == n).select(key, F.lit(1.0).alias("y")), key, "left").na.fill(0.0, ["y"])
-        model = LogisticRegression(labelCol="y", maxIter=max_iter, regParam=0.001).fit(y)
+        model = LogisticRegression(labelCol=str(n), maxIter=max_iter, regParam=0.001).fit(own)
         part = model.transform(x).select(key, F.lit(n).alias("label"), vector_to_array("probability")[1].alias("score"))
         out = part if out is None else out.unionByName(part)
     own.unpersist()

@@ -15,11 +15,16 @@ def resolve_year(year: Column, published: Column, publication_date: Column) -> C
     return F.coalesce(of(year), of(published), of(publication_date))
 
 
-def flag(chunks: DataFrame, patterns: dict[str, str], anchor: str | None = None, sections: tuple[str, ...] | None = None, text: str = "text") -> DataFrame:
-    """A boolean column for each pattern: it and the anchor occur in the same passage of a relevant section."""
+def flag(chunks: DataFrame, patterns: dict[str, str], anchor: str | None = None, sections: tuple[str, ...] | None = None, text: str = "text", header: str = "header") -> DataFrame:
+    """A boolean column for each pattern: it and the anchor occur in the same passage of a relevant section.
+
+    ``sections`` are canonical names; a passage is relevant if its normalised header is one of them.
+    """
+    from corpuskit.plans.structure import canonical_header
+
     where = F.lit(True) if anchor is None else F.col(text).rlike(anchor)
     if sections:
-        where = where & F.col("section").isin(*sections)
+        where = where & F.coalesce(canonical_header(F.col(header)).isin(*sections), F.lit(False))
     return chunks.withColumns({n: where & F.col(text).rlike(p) for n, p in patterns.items()})
 
 

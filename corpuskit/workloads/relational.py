@@ -476,11 +476,22 @@ def udtf_ngrams(spark, sf_dir):
     return udfs.engine_sql(spark, sf_dir, "SELECT p_partkey, gram FROM {part}, LATERAL ngrams(p_name, 2)")
 
 
-@register("udtf_chunk_text")
+@register("udtf_chunk_text", r"""WITH n AS (SELECT doc_id, len(regexp_extract_all(text, '[\p{L}\p{N}]+|[^\p{L}\p{N}\s]')) AS n FROM documents) SELECT doc_id, c::INT AS chunk_no, least(200, n - (c - 1) * 180)::INT AS n_tokens FROM (SELECT *, unnest(range(1, greatest(ceil((n - 20) / 180)::INT, 1) + 1)) AS c FROM n WHERE n > 0)""")
 def udtf_chunk(spark, sf_dir):
     return udfs.engine_sql(spark, sf_dir, "SELECT doc_id, chunk_no, n_tokens FROM {documents}, LATERAL chunk_text(text, 200, 20)")
 
 
+@register("udf_encode_text")
+def udf_encode(spark, sf_dir):
+    return udfs.engine_sql(spark, sf_dir, "SELECT item_id, encode_text(text) AS embedding FROM {benchmark}")
+
+
+@register("udaf_soft_match")
+def udaf_soft_match(spark, sf_dir):
+    """Mean soft-match F1 of the first line of each text against its first three, by language."""
+    return udfs.engine_sql(spark, sf_dir, "SELECT lang, soft_match(split(text, '\n')[0], array_join(slice(split(text, '\n'), 1, 3), ' ')) AS f1 FROM {documents} GROUP BY lang")
+
+
 @register("engine_sql_papers", "SELECT count(*) AS n FROM documents WHERE lang = 'en'")
 def engine_sql_papers(spark, sf_dir):
     return udfs.engine_sql(spark, sf_dir, "SELECT count(*) AS n FROM {papers} WHERE array_contains(fields, 'en')")
@@ -490,45 +501,62 @@ def engine_sql_papers(spark, sf_dir):
 
 
 def _events(spark, sf_dir):
-    return S.with_time(t(spark, sf_dir, "events"))
+    """A file stream: every query below runs it to its end and reads back what arrived in the sink."""
+    return S.read_events(spark, sf_dir)
 
 
 @register("stream_tumbling", "SELECT time_bucket(INTERVAL 1 DAY, ts) AS start, event_type, count(*) AS n, floor(sum(value) * 100 + 0.5) / 100 AS total FROM events GROUP BY 1, 2")
 def stream_tumbling(spark, sf_dir):
-    return S.tumbling(_events(spark, sf_dir), "1 day", ["event_type"]).select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", (F.floor(F.col("total") * 100 + 0.5) / 100).alias("total"))
+    out = S.run_to_table(S.tumbling(_events(spark, sf_dir), "1 day", ["event_type"]), "complete")
+    return out.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", (F.floor(F.col("total") * 100 + 0.5) / 100).alias("total"))
 
 
 @register("stream_sliding", "SELECT s AS start, event_type, count(*) AS n FROM (SELECT event_type, unnest([time_bucket(INTERVAL 1 DAY, ts), time_bucket(INTERVAL 1 DAY, ts) - INTERVAL 1 DAY]) AS s FROM events) GROUP BY 1, 2")
 def stream_sliding(spark, sf_dir):
-    return S.sliding(_events(spark, sf_dir), "2 days", "1 day", ["event_type"]).select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n")
+    out = S.run_to_table(S.sliding(_events(spark, sf_dir), "2 days", "1 day", ["event_type"]), "complete")
+    return out.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n")
 
 
 @register("stream_session", """WITH b AS (SELECT user_id, ts, CASE WHEN lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 12 HOUR > ts THEN 0 ELSE 1 END AS brk FROM events),
 s AS (SELECT *, sum(brk) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS sid FROM b) SELECT user_id, min(ts) AS start, count(*) AS n FROM s GROUP BY user_id, sid""")
 def stream_session(spark, sf_dir):
-    return S.session(_events(spark, sf_dir), "12 hours", ["user_id"]).select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "n")
+    out = S.run_to_table(S.session(_events(spark, sf_dir), "12 hours", ["user_id"]), "complete")
+    return out.select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "n")
 
 
-@register("stream_dedup", "SELECT count(*) AS n FROM (SELECT DISTINCT user_id, event_type FROM events)")
+@register("stream_dedup", "SELECT DISTINCT user_id, event_type FROM events")
 def stream_dedup(spark, sf_dir):
-    return S.dedup(_events(spark, sf_dir), ["user_id", "event_type"]).agg(F.count("*").alias("n"))
+    return S.run_to_table(S.dedup(_events(spark, sf_dir), ["user_id", "event_type"], "60 days").select("user_id", "event_type"))
 
 
-@register("stream_static_join", "SELECT c_mktsegment, count(*) AS n FROM events LEFT JOIN customer ON c_custkey = user_id GROUP BY 1")
+@register("stream_static_join", "SELECT event_id, c_mktsegment FROM events LEFT JOIN customer ON c_custkey = user_id")
 def stream_static(spark, sf_dir):
     c = t(spark, sf_dir, "customer").select(F.col("c_custkey").alias("user_id"), "c_mktsegment")
-    return S.enrich_static(_events(spark, sf_dir), c, "user_id").groupBy("c_mktsegment").agg(F.count("*").alias("n"))
+    return S.run_to_table(S.enrich_static(_events(spark, sf_dir), c, "user_id").select("event_id", "c_mktsegment"))
 
 
-@register("stream_stream_join", "SELECT count(*) AS n FROM events v JOIN events p ON v.user_id = p.user_id AND v.event_type = 'view' AND p.event_type = 'purchase' AND p.ts >= v.ts AND p.ts <= v.ts + INTERVAL 2 HOUR")
+@register("stream_stream_join", "SELECT v.event_id AS view_id, p.event_id AS purchase_id FROM events v JOIN events p ON v.user_id = p.user_id AND v.event_type = 'view' AND p.event_type = 'purchase' AND p.ts >= v.ts AND p.ts <= v.ts + INTERVAL 2 HOUR")
 def stream_stream(spark, sf_dir):
-    e = _events(spark, sf_dir)
-    v, p = e.filter("event_type = 'view'").select("user_id", F.col("ts").alias("vt")), e.filter("event_type = 'purchase'").select("user_id", F.col("ts").alias("pt"))
-    return S.join_streams(v, p, "user_id", "vt", "pt", "2 HOURS").agg(F.count("*").alias("n"))
+    v, p = (_events(spark, sf_dir).filter(F.col("event_type") == kind).select("user_id", F.col("event_id").alias(f"{kind}_id"), F.col("ts").alias(f"{kind[0]}t")) for kind in ("view", "purchase"))
+    return S.run_to_table(S.join_streams(v, p, "user_id", "vt", "pt", "2 HOURS").select("view_id", "purchase_id"))
 
 
 @register("stream_stateful_consensus", """WITH g AS (SELECT user_id * 1000 + dayofyear(ts) AS key, count(event_type) AS votes, min(event_type) AS low, max(event_type) AS high FROM events GROUP BY 1)
 SELECT key, votes, CASE WHEN votes >= 2 AND low = high THEN low END AS label, CASE WHEN votes >= 2 AND low = high THEN 'label' WHEN low <> high THEN 'conflict' ELSE 'insufficient' END AS outcome FROM g""")
 def stream_consensus(spark, sf_dir):
-    votes = t(spark, sf_dir, "events").select((F.col("user_id") * 1000 + F.dayofyear("ts")).alias("key"), F.col("event_type").alias("value"))
-    return licensing.consensus(votes)
+    votes = _events(spark, sf_dir).select((F.col("user_id") * 1000 + F.dayofyear("ts")).alias("key"), F.col("event_type").alias("value"))
+    with S.state_store(spark):
+        return S.run_to_table(S.consensus(votes), "update", ["key"])
+
+
+@register("stream_late_rows", "SELECT count(*) AS arrived, count(*) FILTER (event_id % 2 = 0) AS in_time FROM events")
+def stream_late_rows(spark, sf_dir):
+    """The odd events arrive in a second file, two years late: all are dropped behind the watermark and reported."""
+    path = _scratch(spark)
+    e = t(spark, sf_dir, "events")
+    for n, part in enumerate((e.filter("event_id % 2 = 0"), e.limit(0), e.filter("event_id % 2 = 1").withColumn("ts", F.col("ts") - F.expr("INTERVAL 2 YEARS")))):
+        part.coalesce(1).write.parquet(f"{path}/part={n}")
+    stream = S.with_time(spark.readStream.schema(S.EVENTS).option("maxFilesPerTrigger", 1).option("latestFirst", "false").parquet(f"{path}/part=*"))
+    report = S.run_reporting(S.dedup(stream, ["event_id"], "1 hour"), _scratch(spark), _scratch(spark))
+    dropped, all_ = sum(r["dropped"] for r in report), e.count()
+    return spark.range(1).select(F.lit(all_).alias("arrived"), F.lit(all_ - dropped).alias("in_time"))

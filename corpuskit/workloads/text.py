@@ -43,6 +43,7 @@ _PRECEDING = _ASSIGNED.format(choose="coalesce(ps, ns)")
 _CLOSEST = _ASSIGNED.format(choose="CASE WHEN ns IS NULL OR s - ps <= ns - s THEN ps ELSE ns END")
 _SECTIONS = f"""{_PRECEDING}, sections AS (SELECT corpus_id, header_start, header, string_agg(text, chr(10) ORDER BY start, text) AS body FROM assigned GROUP BY ALL),
 counted AS (SELECT *, CASE WHEN trim(body) = '' THEN 0 ELSE len(regexp_split_to_array(trim(body), '\\s+')) END AS n_words FROM sections)"""
+SECTIONED = _SECTIONS
 SECTIONS_SQL = _SECTIONS.replace(SPANS + ", ", "", 1)
 _CURATED = ", ".join(repr(c) for c in structure.CURATED)
 

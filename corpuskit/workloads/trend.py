@@ -5,10 +5,11 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from corpuskit.functions.tokens import round6
-from corpuskit.plans import trends
+from corpuskit.plans import structure, trends
 from corpuskit.registry import register
 from corpuskit.sources import adapters as A
 from corpuskit.sources.tables import read_table, sql
+from corpuskit.workloads.text import SECTIONED
 from corpuskit.workloads.vectors import dot_sql
 
 PATTERNS = {"gold": r"\berin\b", "silver": r"\beron\b"}
@@ -120,3 +121,24 @@ def entity_links(spark, sf_dir):
 @register("gold_pairs", A.DOC_GOLD_SQL)
 def gold_pairs(spark, sf_dir):
     return A.doc_gold(spark, sf_dir)
+
+
+_RELEVANT = ("of", "and ornd", "in in oredble ea", "hetible th", "tion was thanonontioniner. es")
+_TERMS = {"gold": r"\bthe\b", "silver": r"\bof\b"}
+
+
+@register("trend_flags_sections", rf"""WITH {SECTIONED}, near AS (SELECT corpus_id, {structure.canonical_header_sql('header')} IN ({", ".join(map(repr, _RELEVANT))}) AND regexp_matches(body, '\bin\b') AS near, body FROM sections)
+SELECT corpus_id, bool_or(coalesce(near, false) AND regexp_matches(body, '\bthe\b')) AS gold, bool_or(coalesce(near, false) AND regexp_matches(body, '\bof\b')) AS silver FROM near GROUP BY corpus_id""")
+def trend_flags_sections(spark, sf_dir):
+    """Terms beside the anchor, in the passages of the relevant sections alone."""
+    sections = structure.to_sections(structure.parse_spans(A.fulltexts(spark, sf_dir)))
+    flags = trends.flag(sections.withColumnRenamed("body", "text"), _TERMS, r"\bin\b", sections=_RELEVANT)
+    return trends.per_document(flags, list(_TERMS))
+
+
+@register("trend_sentence_numbers", r"""WITH s AS (SELECT doc_id, unnest(regexp_extract_all(text, '[^.!?\n]+[.!?]*')) AS s FROM documents), f AS (SELECT doc_id, regexp_matches(s, '[Ll]icensed') AND regexp_matches(s, '[Vv]ersion') AS near, s FROM s)
+SELECT doc_id, bool_or(near AND regexp_matches(s, '\b2\b')) AS two, bool_or(near AND regexp_matches(s, '\b3\b')) AS three FROM f GROUP BY doc_id""")
+def trend_sentence_numbers(spark, sf_dir):
+    """Two numeric values, each in a sentence with a context word and a cue."""
+    f = trends.flag_sentences(read_table(spark, sf_dir, "documents").select("doc_id", "text"), {"two": r"\b2\b", "three": r"\b3\b"}, "[Ll]icensed", cue="[Vv]ersion")
+    return trends.per_document(f, ["two", "three"], "doc_id")
