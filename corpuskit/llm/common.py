@@ -2,13 +2,15 @@
 
 Scratch tables replace ``localCheckpoint``: they are Parquet folders below the shared
 folder that the cluster names in ``spark.checkpoint.dir``, so a lost executor never
-takes an intermediate result with it.
+takes an intermediate result with it. Results read them lazily, so they stay until whoever
+owns that folder empties it.
 """
 
 from __future__ import annotations
 
 import contextlib
 import ctypes
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -34,9 +36,15 @@ def _own_dir() -> str:
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The shared folder of the session; a folder of our own only where none is set."""
+    """The shared folder of the session.
+
+    Without one, a folder of this machine serves only if the whole engine runs on it; on a
+    cluster that is an error, as other executors could not read the folder.
+    """
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = _own_dir()
     return base.rstrip("/")
 
@@ -52,15 +60,6 @@ def stored(df: DataFrame, label: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def drop_stored(df: DataFrame) -> None:
-    """Delete the files of a table made by :func:`stored` that nothing reads any more."""
-    spark = df.sparkSession
-    folders = {f.rsplit("/", 1)[0] for f in df.inputFiles()}
-    for folder in folders:
-        path = spark._jvm.org.apache.hadoop.fs.Path(folder)
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
-
-
 def id_text(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Only the two columns an operator reads, under fixed names; null texts stay null."""
     return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
