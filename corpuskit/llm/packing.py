@@ -156,7 +156,8 @@ def pack(pieces: DataFrame, cfg: Packing | None = None) -> DataFrame:
     before = Window.partitionBy("length").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     base = counts.select("part", "length", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
     columns = ["doc_id", "piece", "start", "length", "ids_crc32", *(["ids"] if "ids" in pieces.columns else [])]
-    ranked = pieces.join(base, ["part", "length"]).select(*columns, (F.col("base") + F.col("nth")).alias("rank"))
+    # partitions times lengths grow with the corpus, so this side is never broadcast
+    ranked = pieces.join(base.hint("merge"), ["part", "length"]).select(*columns, (F.col("base") + F.col("nth")).alias("rank"))
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long" + ", ids binary" * ("ids" in columns)
     return ranked.mapInArrow(lambda b: _place(b, plan), schema + ", sequence_id long, offset long")
 
