@@ -410,11 +410,12 @@ def test_packing_is_exact_and_tight(docs, odd, empty, spark):
     assert packing.pack_documents(empty).count() == 0
 
 
-def test_match_against_sequential_best_fit():
+def test_sweep_against_sequential_best_fit():
     rng = np.random.default_rng(5)
     for top in (2048, 900, 60):
         sizes = rng.integers(1, top + 1, 500)
-        plan, used = packing.match(Counter(sizes.tolist()), 2048)
+        held = packing.Gaps(2048)
+        packing.sweep([(length, 0, n) for length, n in Counter(sizes.tolist()).items()], held)
         gaps = []
         for s in sorted(sizes, reverse=True):  # plain best-fit decreasing
             fit = [g for g in range(len(gaps)) if gaps[g] >= s]
@@ -422,7 +423,32 @@ def test_match_against_sequential_best_fit():
                 gaps[min(fit, key=lambda g: gaps[g])] -= s
             else:
                 gaps.append(2048 - s)
-        assert used <= len(gaps) + 1
+        assert held.opened <= len(gaps) + 1
+
+
+def test_distributed_sweeps_place_every_piece_once_and_tightly(spark):
+    """Many tasks and rounds: no overlap, no place beyond the size, and hardly more sequences than one task needs."""
+    rng = np.random.default_rng(6)
+    counts = Counter(np.minimum(2048, rng.lognormal(5.5, 1.1, 6000).astype(int) + 1).tolist())
+    used = {}
+    for slices in (1, 7):
+        cfg = packing.Packing(slices=slices, slice_sequences=1)
+        plan = packing.match(spark, counts, cfg)
+        filled, n = defaultdict(list), Counter()
+        for i, (length, rank, first, offset) in enumerate(plan.tolist()):
+            last = plan[i + 1][1] if i + 1 < len(plan) and plan[i + 1][0] == length else counts[length]
+            assert rank == n[length]
+            n[length] += last - rank
+            for r in range(last - rank):
+                filled[first + r].append((offset, length))
+        assert n == counts
+        for places in filled.values():
+            places.sort()
+            assert [o for o, _ in places] == [sum(x for _, x in places[:i]) for i in range(len(places))] and sum(x for _, x in places) <= 2048
+        used[slices] = len(filled)
+    least = -(-sum(length * k for length, k in counts.items()) // 2048)
+    assert used[1] <= least * 1.01 + 1 and used[7] <= used[1] + 4 * 7
+    assert packing.bands(2048)[0][1] == 2048 and packing.bands(2048)[-1][0] == 0 and all(a[0] == b[1] for a, b in zip(packing.bands(2048), packing.bands(2048)[1:]))
 
 
 # -------------------------------------------------------------------- 5 and 1: tokens
