@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 WORDPUNCT = r"[\p{L}\p{N}]+|[^\p{L}\p{N}\s]"
@@ -49,6 +49,17 @@ def let(value: Column, body) -> Column:
     return F.element_at(F.transform(F.array(value), lambda v: body(v)), 1)
 
 
+def once(df: DataFrame, **columns: Column) -> DataFrame:
+    """``df`` with further columns that are worked out once for each row.
+
+    The optimizer puts a column's expression wherever the column is used, also into the body
+    of a lambda, where it would run for each element. A generator of one element stands in
+    the way of that, and moves no row.
+    """
+    made = F.explode(F.array(F.struct(*[c.alias(n) for n, c in columns.items()])))
+    return df.select("*", made.alias("_once")).select("*", "_once.*").drop("_once")
+
+
 def ngrams(words: Column, n: int) -> Column:
     """Joined n-grams; empty for shorter lists."""
 

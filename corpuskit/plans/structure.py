@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from corpuskit.functions.tokens import let
+from corpuskit.functions.tokens import let, once
 
 KINDS = ("title", "abstract", "section_header", "paragraph")
 _SPANS = "array<struct<start: int, end: int>>"
@@ -31,7 +31,7 @@ def parse_spans(df: DataFrame) -> DataFrame:
     whole = [F.col("annotations")[k].isNull() | F.trim(F.col("annotations")[k]).rlike(r"^\[.*\]$") for k in KINDS]
     spans = F.struct(*[F.coalesce(c, F.array().cast(_SPANS)).alias(k) for k, c in parsed.items()])
     ok = whole[0] & whole[1] & whole[2] & whole[3]
-    return df.withColumns({"spans": spans, "bad_json": ~ok})
+    return once(df, spans=spans, bad_json=~ok)
 
 
 def _cutter(text: Column):

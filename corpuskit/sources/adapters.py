@@ -9,6 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from corpuskit.functions.tokens import once
 from corpuskit.sources.tables import read_table, sql
 
 SERVICES = ("oa_aggregator", "venue_index", "publisher_registry")
@@ -75,7 +76,7 @@ def fulltexts(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents").filter("doc_id % 5 <> 4").select(F.col("doc_id").alias("corpus_id"), "text")
     kind = """case when x.i = 1 then 'title' when x.i <= 3 and size(l) >= 3 then 'abstract'
                when size(filter(split(l[x.i - 1], ' '), w -> w <> '')) <= 6 then 'section_header' else 'paragraph' end"""
-    rows = _annotated(docs.withColumn("l", F.split("text", "\n")), kind, "corpus_id % 37 = 5 and x.i = size(l)")
+    rows = _annotated(once(docs, l=F.split("text", "\n")), kind, "corpus_id % 37 = 5 and x.i = size(l)")
     cut = F.when(F.col("corpus_id") % 41 == 7, F.expr("substr(paragraph, 1, length(paragraph) - 1)")).otherwise(F.col("paragraph"))
     return rows.withColumn("paragraph", cut).select("corpus_id", "text", F.struct(*KINDS).alias("annotations"))
 
@@ -88,8 +89,8 @@ def _annotated(rows: DataFrame, kind: str, shifted: str = "false") -> DataFrame:
           (acc, k) -> array_append(acc, named_struct('i', k + 1, 's', if(k = 0, 0, acc[k - 1].e + 1), 'e', if(k = 0, 0, acc[k - 1].e + 1) + length(l[k]))))""")
     named = F.expr(f"transform(spans, x -> named_struct('start', x.s, 'end', if({shifted}, x.e + 7, x.e), 'kind', {kind}))")
     one = lambda k: F.to_json(F.transform(F.filter("kinds", lambda x: x["kind"] == k), lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end"))))
-    full = rows.withColumn("spans", F.when(F.size("l") > 0, spans).otherwise(F.array().cast("array<struct<i: int, s: int, e: int>>"))).withColumn("kinds", named)
-    return full.withColumns({k: one(k) for k in KINDS})
+    full = once(rows, spans=F.when(F.size("l") > 0, spans).otherwise(F.array().cast("array<struct<i: int, s: int, e: int>>")))
+    return once(full, kinds=named).withColumns({k: one(k) for k in KINDS})
 
 
 #: The character references of the pages' texts.
@@ -125,8 +126,8 @@ def page_fulltexts(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = read_table(spark, sf_dir, "pages").select(F.col("page_id").alias("corpus_id"), F.split(marked, "\u0001").alias("x"))
     line = _plain("split_part(y, chr(2), 2)", "", chr(92) * 2)
     plain = F.expr(f"filter(transform(slice(x, 2, greatest(size(x) - 1, 0)), y -> named_struct('tag', split_part(y, chr(2), 1), 'line', {line})), z -> z.line <> '')")
-    blocks = pages.select("corpus_id", plain.alias("b")).withColumn("l", F.col("b.line"))
-    rows = blocks.withColumn("text", F.array_join("l", "\n"))
+    blocks = once(once(pages, b=plain).drop("x"), l=F.col("b.line"))
+    rows = once(blocks, text=F.array_join("l", "\n"))
     kind = "case b[x.i - 1].tag when 'h1' then 'title' when 'p' then 'paragraph' else 'section_header' end"
     return _annotated(rows, kind).select("corpus_id", "text", F.struct(*KINDS).alias("annotations"))
 

@@ -3,14 +3,16 @@
 from __future__ import annotations
 
 import re
+from functools import reduce
 
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpuskit.functions.tokens import round6
 from corpuskit.plans import acquire, chunking, encode, licensing, structure, validate
 from corpuskit.registry import register
 from corpuskit.sources import adapters as A
-from corpuskit.sources.tables import read_table
+from corpuskit.sources.tables import read_table, stored
 from corpuskit.workloads import text
 
 PAPERS, ABSTRACTS, REPORTS = f"papers AS ({A.PAPERS_SQL})", f"abstracts AS ({A.ABSTRACTS_SQL})", f"reports AS ({A.REPORTS_SQL})"
@@ -85,20 +87,24 @@ def funnel_retention(spark, sf_dir):
 def funnel_of(papers, abstracts, fulltexts, decisions, domain_="en", dim=64):
     in_domain = acquire.domain_filter(papers, domain_).select("corpus_id")
     parsed = structure.parse_spans(acquire.align(fulltexts, in_domain))
-    sound = structure.screen_structure(parsed).filter("reason is null")
-    md = chunking.screen(structure.render(sound).withColumnRenamed("corpus_id", "doc_id"), "markdown")
-    chunks = chunking.chunk(md, text="markdown").select("corpus_id", "chunk_id", "text")
+    # the rendered texts are the product of the middle steps: written once, read by the steps behind them
+    sound = stored(structure.render(structure.screen_structure(parsed).filter("reason is null")), "markdown")
+    chunks = chunking.chunk(sound, text="markdown", key="corpus_id").select("corpus_id", "chunk_id", "text")
     coded = encode.embed(chunks, "text", encode.HashingEncoder(dim)).select("corpus_id", validate.fine_vector("embedding", dim).alias("fine"))
-    whole_ = coded.groupBy("corpus_id").agg(F.count("*").alias("n_chunks"), F.bool_and("fine").alias("coded"))
-    flag = lambda df, name: df.select("corpus_id").distinct().withColumn(name, F.lit(True))
-    rows = papers.select("corpus_id").join(flag(in_domain, "in_domain"), "corpus_id", "left")
-    rows = rows.join(abstracts.select("corpus_id", F.lit(True).alias("abstract"), (F.length("abstract") >= 1000).alias("eligible")), "corpus_id", "left")
-    rows = rows.join(flag(fulltexts, "fulltext"), "corpus_id", "left").join(flag(sound, "structured"), "corpus_id", "left")
-    rows = rows.join(whole_, "corpus_id", "left").join(licensing.screen(decisions).select("corpus_id", "kept"), "corpus_id", "left")
+    whole_ = coded.groupBy("corpus_id").agg(F.bool_and("fine").alias("coded"))
+    # narrow rows of ids and flags, put together by one grouping instead of a join for each step
+    flags = ("released", "in_domain", "abstract", "eligible", "fulltext", "structured", "chunked", "coded", "kept")
+    mark = lambda df, **f: df.select("corpus_id", *[(f[n] if n in f else F.lit(False)).alias(n) for n in flags])
+    yes = F.lit(True)
+    sides = [
+        mark(papers, released=yes), mark(in_domain, in_domain=yes), mark(abstracts, abstract=yes, eligible=F.coalesce(F.length("abstract") >= 1000, F.lit(False))),
+        mark(fulltexts, fulltext=yes), mark(sound, structured=yes), mark(whole_, chunked=yes, coded=F.col("coded")), mark(licensing.screen(decisions), kept=F.col("kept")),
+    ]
+    rows = reduce(DataFrame.unionByName, sides).groupBy("corpus_id").agg(*[F.bool_or(n).alias(n) for n in flags]).filter("released")
     S, c = acquire.Step, F.col
     return acquire.funnel(rows, [
         S("release", F.lit(True)), S("domain", c("in_domain"), 0), S("abstracts", c("abstract"), 1), S("fulltexts", c("fulltext"), 1), S("markdown", c("structured"), 3),
-        S("chunks", c("n_chunks") > 0, 4), S("embeddings", c("coded"), 5), S("licence", c("kept"), 6), S("enrichment", c("eligible"), 7),
+        S("chunks", c("chunked"), 4), S("embeddings", c("coded"), 5), S("licence", c("kept"), 6), S("enrichment", c("eligible"), 7),
     ])
 
 
