@@ -658,3 +658,21 @@ def test_records_are_laid_out_by_version_and_bucket(spark, tmp_path):
     records.write_records(df, str(tmp_path / "r"), "json", buckets=4)
     back = spark.read.schema("corpus_id long, title string, schema_version string, bucket int").json(str(tmp_path / "r"))
     assert back.count() == 40 and back.select("bucket").distinct().count() == 4 and back.filter("schema_version = '1'").count() == 40
+
+
+def test_features_that_cancel_out_still_give_a_unit_vector(spark, tmp_path):
+    """Chunks of one word that meets the prefix with the other sign, at 16 and at 64 places, have valid vectors as in SQL."""
+    words = {}
+    for dim in (16, 64):
+        enc = encode.HashingEncoder(dim)
+        at, sign = enc._place("passage")
+        words[dim] = next(w for w in (f"w{i}" for i in range(10**6)) if enc._place(w) == (at, -sign))
+        assert np.linalg.norm(enc([f"passage: {words[dim]}", "!?"]), axis=1).round(6).tolist() == [1, 0]
+    texts = [words[16], words[64], "two words", words[16], words[64], words[64]]
+    docs = spark.createDataFrame([(i + 23 * (i % 2), t) for i, t in enumerate(texts)], "doc_id long, text string")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    r = vectors.vector_alignment(spark, str(tmp_path)).first()
+    kept = [i + 23 * (i % 2) for i in range(6) if (i + 23 * (i % 2)) % 19 != 4]
+    assert (r.chunks, r.vectors, r.invalid) == (6, len(kept), sum(i % 23 == 5 for i in kept))
+    coded = encode.embed(docs, "text", encode.HashingEncoder(16)).select(validate.fine_vector("embedding", 16).alias("fine"))
+    assert coded.filter("not fine").count() == 0
