@@ -11,7 +11,7 @@ from corpuskit.functions.tokens import round6
 from corpuskit.plans import chunking, encode, enrich, metrics, search, validate
 from corpuskit.registry import register
 from corpuskit.sources import adapters as A
-from corpuskit.sources.tables import read_table
+from corpuskit.sources.tables import read_table, stored
 from corpuskit.workloads import text
 from corpuskit.workloads.corpus import ABSTRACTS, PAPERS
 
@@ -316,7 +316,7 @@ def encoder_recall(spark, sf_dir):
     from pyspark.ml.functions import vector_to_array
 
     docs, asked = read_table(spark, sf_dir, "documents").select("doc_id", "text"), read_table(spark, sf_dir, "benchmark").select(F.col("item_id").alias("doc_id"), "text")
-    gold = A.doc_gold(spark, sf_dir).select(F.col("item_id").alias("query_id"), F.col("doc_id").alias("id"))
+    gold = stored(A.doc_gold(spark, sf_dir).select(F.col("item_id").alias("query_id"), F.col("doc_id").alias("id")), "gold")
     unit = lambda df: df.select(F.col("doc_id").alias("vec_id"), encode.l2_normalise("embedding").alias("embedding")).filter("embedding is not null")
     sides = {}
     for name, signed in (("hashing", True), ("unsigned", False)):
@@ -327,7 +327,7 @@ def encoder_recall(spark, sf_dir):
         sides[name] = [fitted.transform(df if name == "tfidf" else split(df)).withColumn("embedding", vector_to_array("embedding")) for df in (docs, asked)]
     out = None
     for name, (a, q) in sides.items():
-        run = search.topk_blocked(unit(a), unit(q), 10)
+        run = search.topk_streamed(unit(a), unit(q), 10)
         row = metrics.retrieval(run, gold, 10).select(F.lit(name).alias("encoder"), "*")
         out = row if out is None else out.unionByName(row)
     return out

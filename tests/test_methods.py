@@ -676,3 +676,35 @@ def test_features_that_cancel_out_still_give_a_unit_vector(spark, tmp_path):
     assert (r.chunks, r.vectors, r.invalid) == (6, len(kept), sum(i % 23 == 5 for i in kept))
     coded = encode.embed(docs, "text", encode.HashingEncoder(16)).select(validate.fine_vector("embedding", 16).alias("fine"))
     assert coded.filter("not fine").count() == 0
+
+
+@pytest.mark.parametrize("metric", ["ip", "l2", "cosine"])
+def test_streamed_search_equals_the_plain_form(spark, monkeypatch, metric):
+    rng = np.random.default_rng(5)
+    rows = [(i, [0.6, 0.8]) for i in range(40)] + [(100 + i, rng.normal(size=2).tolist()) for i in range(60)]
+    v = spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(3)
+    q = v.filter("vec_id in (3, 39, 104)")
+    found = lambda df: sorted((r.query_id, r.rank, r.id, r.score) for r in df.collect())
+    for own in (False, True):
+        want = found(search.topk(v, q, 10, metric, exclude_self=own))
+        assert found(search.topk_streamed(v, q, 10, metric, own)) == want
+    monkeypatch.setattr(search, "is_small", lambda df: False)
+    assert found(search.topk_streamed(v, q, 10, metric, True)) == want
+
+
+def test_unit_vectors_take_the_norm_once(spark):
+    """The norm stands outside the lambda over the components, where it would be worked out for each of them."""
+    v = spark.createDataFrame([(1, [3.0, 4.0]), (2, [0.0, 0.0]), (3, None)], "id int, v array<double>").select("id", encode.l2_normalise("v").alias("u"))
+    assert [None if r.u is None else [round(x, 6) for x in r.u] for r in v.orderBy("id").collect()] == [[0.6, 0.8], None, None]
+    assert v._jdf.queryExecution().optimizedPlan().toString().count("aggregate(") == 1
+
+
+def test_gold_passages_are_found_without_a_nested_loop(spark, tmp_path):
+    from corpuskit.sources import adapters
+
+    spark.createDataFrame([(1, "a passage"), (2, ""), (3, None), (4, "absent")], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    spark.createDataFrame([(7, "holds a passage here"), (8, "holds none"), (9, None)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    for most in (10_000, 2):
+        gold = adapters.doc_gold(spark, str(tmp_path), most)
+        assert sorted((r.item_id, r.doc_id) for r in gold.collect()) == [(1, 7), (2, 7), (2, 8)]
+        assert ("NestedLoop" in gold._jdf.queryExecution().executedPlan().toString()) == (most == 2)
