@@ -699,6 +699,13 @@ def test_unit_vectors_take_the_norm_once(spark):
     assert v._jdf.queryExecution().optimizedPlan().toString().count("aggregate(") == 1
 
 
+def test_word_vectors_train_in_as_many_tasks_as_the_rows_need(spark):
+    docs = spark.createDataFrame([(i, "alpha beta gamma delta " * 3) for i in range(40)], "doc_id long, text string")
+    for part_rows, parts in ((8192, 1), (16, 3)):
+        model, rows = encode.word2vec(docs, dim=4, part_rows=part_rows)
+        assert model.getNumPartitions() == parts and rows.filter("embedding is not null").count() == 40
+
+
 def test_gold_passages_are_found_without_a_nested_loop(spark, tmp_path):
     from corpuskit.sources import adapters
 
