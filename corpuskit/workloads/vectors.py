@@ -517,8 +517,8 @@ def retrieval_recall_dense(spark, sf_dir):
 
 @register("recommend_by_text", f"WITH {PAPERS}, {_ASKED}, {encoded_sql('c', '(SELECT corpus_id, title FROM papers WHERE length(trim(title)) > 0)', 'corpus_id', 'title', 'passage: ')} {_found_sql('c')}")
 def recommend_by_text(spark, sf_dir):
-    """Free text as the query, over the vectors of the titles."""
+    """Free text as the query, over the hashed features of the titles."""
     enc = encode.HashingEncoder(256)
     titles = A.papers(spark, sf_dir).filter("length(trim(title)) > 0").select(F.col("corpus_id").alias("vec_id"), F.col("title").alias("text"))
     asked = _questions(spark, sf_dir).select(F.col("item_id").alias("vec_id"), "text")
-    return search.by_text(encode.embed(titles, "text", enc), asked, enc, 5)
+    return search.by_text(encode.embed_places(titles, "text", enc), asked, enc, 5)
