@@ -54,7 +54,7 @@ class ChunkConfig:
 def screen(df: DataFrame, text: str = "text") -> DataFrame:
     """``reason`` why a document cannot be chunked, NULL if it can."""
     t = F.col(text)
-    reason = F.when(t.isNull() | ~t.rlike(r"\S"), "empty_content").when(~F.is_valid_utf8(t), "bad_encoding").when(~t.rlike(T.WORDPUNCT), "no_tokens")
+    reason = F.when(t.isNull() | ~t.rlike(rf"[^{T.SPACE}]"), "empty_content").when(~F.is_valid_utf8(t), "bad_encoding").when(~t.rlike(T.WORDPUNCT), "no_tokens")
     return df.withColumn("reason", reason)
 
 
@@ -171,7 +171,7 @@ def cut_places(pieces: Column, cfg: ChunkConfig) -> Column:
 
 def _run(pieces: Column, first: Column, n: Column) -> Column:
     """Text of ``n`` pieces from place ``first`` (0 is the first), without the white space at its end."""
-    return F.regexp_replace(F.array_join(F.slice(pieces, first + 1, n), ""), r"\s+$", "")
+    return F.regexp_replace(F.array_join(F.slice(pieces, first + 1, n), ""), rf"[{T.SPACE}]+$", "")
 
 
 def _rows(df: DataFrame, cuts, overlap: int, key: str, text: str, scheme: str) -> DataFrame:

@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from corpuskit.functions.tokens import SENTENCE, WORDS, let
+from corpuskit.functions.tokens import SENTENCE, SPACE, WORDS, let
 from corpuskit.sources.adapters import dot
 
 
@@ -96,7 +96,7 @@ def text_quality(df: DataFrame, limits: TextLimits | None = None, text: str = "t
     m = df.select(
         F.col(key).alias("id"), n.cast("long").alias("n_chars"), F.regexp_count(t, F.lit(SENTENCE)).cast("long").alias("n_sentences"),
         (n - F.length(F.regexp_replace(t, "�", ""))).cast("long").alias("n_replacement"), F.length(F.regexp_replace(t, r"[\x00-\x7F]", "")).cast("long").alias("n_non_ascii"),
-        (n - F.length(F.regexp_replace(t, r"\s", ""))).cast("long").alias("n_space"), language(t).alias("language"),
+        (n - F.length(F.regexp_replace(t, f"[{SPACE}]", ""))).cast("long").alias("n_space"), language(t).alias("language"),
     )
     over = lambda c, share: F.coalesce(F.try_divide(c, F.col("n_chars")) > share, F.lit(False))
     c = codes(

@@ -5,7 +5,7 @@ from oracle import compare
 
 from corpuskit import registry
 from corpuskit.plans import encode, search
-from corpuskit.workloads import vectors
+from corpuskit.workloads import checks, vectors
 
 
 def _beside(spark, sf_dir, out, **made):
@@ -36,3 +36,14 @@ def test_free_text_search_ranks_titles_that_cancel_out_as_in_sql(spark, sf_dir,
     assert found.filter("isnan(score) and rank = 1").count() > 1
     monkeypatch.setattr(search, "is_small", lambda df: False)
     assert compare(vectors.recommend_by_text(spark, out), con, oracle) is None
+
+
+def test_summary_of_odd_texts_is_that_of_the_sql(spark, sf_dir, tmp_path):
+    """Words that cancel out at 16 places, vertical tabs, replacement characters and texts without a word."""
+    enc = encode.HashingEncoder(16)
+    at, sign = enc._place("passage")
+    against = [w for w in (f"w{i}" for i in range(2_000)) if enc._place(w) == (at, -sign)]
+    en = "the cat and the dog in that house with the garden is for the children of the town"
+    texts = [*against[:3], "\v", "\v\v a b", "\v".join(f"{en} {en}".split()), f"{en}{chr(11) * 70} {en}", f"{en} {en} �", "�" * 40 + en * 2, "", " \n", "!", None, f"{en}. " * 12]
+    out, con = _beside(spark, sf_dir, tmp_path / "t", documents=texts)
+    assert compare(checks.validation_summary(spark, out), con, registry.oracle_sql()["validation_summary"]) is None
